@@ -6,12 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from fpfilter.llm import archives, exact_dedup, media, mixing
+from fpfilter.llm import archives, exact_dedup, language, media, mixing, secrets, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_secrets": secrets.op1_secrets,
         "op2_mix_sources": mixing.op2_mix_sources,
+        "op3_toxicity": toxicity.op3_toxicity,
+        "op4_language": language.op4_language,
         "op7_media": media.op7_media,
         "op8_warc": archives.op8_warc,
         "op10_exact_dedup": exact_dedup.op10_exact_dedup,
@@ -20,6 +23,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 def oracle_sql() -> dict[str, str]:
     return {
+        "op1_secrets": secrets.sql(),
         "op2_mix_sources": mixing.SQL,
         "op8_warc": archives.SQL,
         "op10_exact_dedup": exact_dedup.SQL,
