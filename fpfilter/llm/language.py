@@ -31,6 +31,8 @@ _WORD = regex.compile(r"\p{L}+")
 _CACHE = 1 << 17
 #: An n-gram says less than a whole word.
 _GRAM_WEIGHT = 0.5
+#: No word counts against a language by more than this, so that a long text is judged by most of its words.
+_SPREAD = 2.5
 
 
 def grams(word: str) -> list[str]:
@@ -113,7 +115,11 @@ def build(counts: list[tuple[str, str, int]], docs_of: dict[str, int]) -> Model:
     g = np.zeros((len(gram_of), len(langs)))
     for (i, j), c in gram_n.items():
         g[i, j] = c
-    smooth = lambda x: np.log(x + 0.5) - np.log(x.sum(0) + 0.5 * max(1, len(x)))
+
+    def smooth(x: np.ndarray) -> np.ndarray:
+        scores = np.log(x + 0.5) - np.log(x.sum(0) + 0.5 * max(1, len(x)))
+        return np.maximum(scores, scores.max(1, initial=-np.inf, keepdims=True) - _SPREAD)
+
     prior = np.log(np.array([docs_of[x] for x in langs], float) / max(1, sum(docs_of.values()))) if langs else np.zeros(0)
     return Model(langs, prior, words, smooth(n), gram_of, smooth(g))
 

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from fpfilter.llm import archives, exact_dedup, language, media, mixing, secrets, toxicity
+from fpfilter.llm import archives, exact_dedup, language, media, mixing, packing, secrets, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -17,6 +17,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_language": language.op4_language,
         "op7_media": media.op7_media,
         "op8_warc": archives.op8_warc,
+        "op9_packing": packing.op9_packing,
         "op10_exact_dedup": exact_dedup.op10_exact_dedup,
     }
 
