@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from fpfilter.llm import archives, exact_dedup, language, media, mixing, packing, secrets, toxicity
+from fpfilter.llm import archives, exact_dedup, language, media, mixing, near_dedup, packing, secrets, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_mix_sources": mixing.op2_mix_sources,
         "op3_toxicity": toxicity.op3_toxicity,
         "op4_language": language.op4_language,
+        "op5_near_dedup": near_dedup.op5_near_dedup,
         "op7_media": media.op7_media,
         "op8_warc": archives.op8_warc,
         "op9_packing": packing.op9_packing,
@@ -26,6 +27,7 @@ def oracle_sql() -> dict[str, str]:
     return {
         "op1_secrets": secrets.sql(),
         "op2_mix_sources": mixing.SQL,
+        "op5_near_dedup": near_dedup.SQL,
         "op8_warc": archives.SQL,
         "op10_exact_dedup": exact_dedup.SQL,
     }
