@@ -79,6 +79,7 @@ def plan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source
             F.monotonically_increasing_id().alias("uid"),
             F.col(id_col).alias("id"),
             F.col(source_col).alias("source"),
+            F.xxhash64(text).alias("text_hash"),
             words(text).alias("size"),
             F.conv(F.substring(F.md5(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary")), 1, 15), 16, 10).cast("long").alias("h"),
         ),
@@ -109,7 +110,7 @@ def plan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source
     sums = keyed.groupBy("k", "chunk").agg(F.sum("size").alias("n"))
     base = sums.select("k", "chunk", (F.sum("n").over(W.partitionBy("k").orderBy("chunk")) - F.col("n")).alias("base"))
     within = F.sum("size").over(W.partitionBy("k", "chunk").orderBy("h", "id", "uid")) - F.col("size")
-    mix.rows = keyed.withColumn("within", within).join(base, ["k", "chunk"]).select("uid", "id", "source", "k", "size", (F.col("base") + F.col("within")).alias("offset"))
+    mix.rows = keyed.withColumn("within", within).join(base, ["k", "chunk"]).select("uid", "id", "text_hash", "source", "k", "size", (F.col("base") + F.col("within")).alias("offset"))
     return mix
 
 
@@ -142,7 +143,7 @@ def schedule(spark: SparkSession, mix: Mix) -> DataFrame:
 
 
 def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
-    """One row per row of ``docs``: uid, id, source, size, source_size, target, taken.
+    """One row per row of ``docs``: uid, id, text_hash, source, size, source_size, target, taken.
 
     ``taken`` counts the document's words in the mix, repeats included; it is at most ``MOST_EPOCHS`` times its size.
     Null texts have no words and take no part; null sources are one source; ids may repeat or be null. Extra columns
@@ -163,7 +164,20 @@ def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sourc
     taken = pieces.groupBy("uid").agg(F.sum(took).alias("taken"))
     source = mix.sources.select("k", F.col("size").alias("source_size"), "target")
     out = rows.join(taken, "uid", "left").join(mix.small(source), "k")
-    return out.select("uid", "id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"))
+    return out.select("uid", "id", "text_hash", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"))
+
+
+def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
+    """The rows of ``docs`` as often as the mix takes them, to the nearest whole number, with all columns.
+
+    A row that the mix takes less than half of, or without words, is left out.
+    """
+    share = F.sum("taken") / F.greatest(F.sum("size"), F.lit(1))
+    times = mixed(docs, id_col, text_col, source_col, weights).groupBy("id", "text_hash").agg(F.floor(share + 0.5).cast("int").alias("__times"))
+    times = written(times.where("__times > 0").select(F.col("id").alias("__id"), F.col("text_hash").alias("__of"), "__times"), "times")
+    marked = docs.withColumn("__h", F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
+    found = marked.join(times, (F.col("__h") == F.col("__of")) & F.col(id_col).eqNullSafe(F.col("__id")))
+    return found.withColumn("__copy", F.explode(F.sequence(F.lit(1), "__times"))).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:

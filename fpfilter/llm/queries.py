@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from fpfilter.llm import archives, exact_dedup, language, media, mixing, near_dedup, packing, secrets, toxicity
+from fpfilter.llm import archives, exact_dedup, language, media, mixing, near_dedup, packing, secrets, substring_dedup, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_toxicity": toxicity.op3_toxicity,
         "op4_language": language.op4_language,
         "op5_near_dedup": near_dedup.op5_near_dedup,
+        "op6_substring_dedup": substring_dedup.op6_substring_dedup,
         "op7_media": media.op7_media,
         "op8_warc": archives.op8_warc,
         "op9_packing": packing.op9_packing,
