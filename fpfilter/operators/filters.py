@@ -80,11 +80,13 @@ def _build_once(keys: DataFrame, spec: Spec, filter_id: str) -> DataFrame:
 
         held = [np.zeros(0, np.uint64)]
         for batch in batches:
-            held.append(batch.column(0).to_numpy().view(np.uint64))
+            held.append(batch.column(0).drop_null().to_numpy().view(np.uint64))
         words, stats = build_kernel(np.concatenate(held), spec)
         yield filter_row(filter_id, TaskContext.get().partitionId(), spec, words, stats)  # partition number = sub
 
-    return keys.repartitionById(spec.subs, F.col("sub")).select("h").mapInArrow(place, FILTER_SCHEMA)
+    # a row without a key for each subfilter, so that those without keys are built too
+    marks = keys.sparkSession.range(spec.subs).select(F.lit(None).cast("long").alias("h"), F.col("id").cast("int").alias("sub"))
+    return keys.unionByName(marks).repartitionById(spec.subs, F.col("sub")).select("h").mapInArrow(place, FILTER_SCHEMA)
 
 
 def build_filter(keys: DataFrame, key: Column | str, spec: Spec, n: int | None = None, on_fail: str = "grow", retries: int = 5, filter_id: str | None = None) -> DataFrame:
