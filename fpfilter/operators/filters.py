@@ -123,7 +123,8 @@ def _repaired(table: DataFrame, rows: DataFrame, failed: list[int]) -> DataFrame
         return pa.Table.from_batches([filter_row(was["filter_id"], was["sub"], spec, words, stats)])
 
     bad = table.where(F.col("sub").isin(failed))
-    fixed = bad.groupBy("sub").cogroup(rows.where(F.col("sub").isin(failed)).groupBy("sub")).applyInArrow(rebuild, FILTER_SCHEMA)
+    again = written(rows, "routed").where(F.col("sub").isin(failed))  # a table: the condition stops at its scan
+    fixed = bad.groupBy("sub").cogroup(again.groupBy("sub")).applyInArrow(rebuild, FILTER_SCHEMA)
     return table.where(~F.col("sub").isin(failed)).unionByName(fixed)
 
 
@@ -177,7 +178,8 @@ def probe_udf(table: DataFrame, sort: bool = False):
                 out[at] = _probe(ready[s][1], keys[at].view(np.uint64), ready[s][0], sort)
         return pa.array(out)
 
-    return F.arrow_udf(answer, "boolean")
+    # marked so that no filter on the answer is pushed below the hashes and inlines all their steps
+    return F.arrow_udf(answer, "boolean").asNondeterministic()
 
 
 def contains(df: DataFrame, key: Column | str, table: DataFrame, strategy: str = "auto", to: str = "hit", sort: bool = False) -> DataFrame:

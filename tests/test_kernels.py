@@ -59,7 +59,8 @@ def test_pack_and_fetch_give_back_values(q):
 @pytest.mark.parametrize("name", ALL_VARIANTS)
 @pytest.mark.parametrize("k", [3, 8, 14, 29])
 def test_answers_are_those_of_the_stored_signatures(name, k):
-    spec = sized(variant(name, k), len(KEYS))
+    # tables with one slot an address are far from their limit only at a fraction of the threshold
+    spec = sized(variant(name, k), len(KEYS), load=0.25 if name[2] == "1" else None)
     words, stats = cuckoo.build(KEYS, spec)
     assert stats["status"] == "ok"
     assert cuckoo.contains(words, KEYS, spec).all()
