@@ -29,13 +29,13 @@ from pyspark.sql import functions as F
 from fpfilter.llm.exact_dedup import text_digest
 from fpfilter.llm.near_dedup import MOST_BROADCAST
 from fpfilter.llm.scratch import written
-from fpfilter.llm.textvec import U64, _powers, mix, texts
+from fpfilter.llm.textvec import U64, _powers, chunks, mix, release, texts
 
 LENGTH = 50
 GRAM = 26
 WINDOW = LENGTH - GRAM + 1
 #: Bytes of text for a bucket (these, or a 4096th of all up to the larger figure) and for a shard.
-BUCKET_BYTES, MOST_BUCKET_BYTES, SHARD_BYTES = 2 << 20, 64 << 20, 32 << 20
+BUCKET_BYTES, MOST_BUCKET_BYTES, SHARD_BYTES = 2 << 20, 64 << 20, 8 << 20
 FAN_IN = 512
 _NO_ID = (1 << 63) - 1
 
@@ -63,7 +63,7 @@ def anchors(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
     edge = np.zeros(WINDOW - 1, U64)
     at = np.flatnonzero(h == _slide(np.concatenate([edge, least, edge]), WINDOW, np.maximum))
     at = at[h[at] > 0]
-    return at, h[at] >> U64(24)
+    return at, mix(h[at]) >> U64(24)  # mixed once more: the least of many hashes are not spread over their range
 
 
 def _pack(h: np.ndarray) -> bytes:
@@ -92,7 +92,12 @@ class Bucket:
         self.shards = shards
 
     def find(self) -> None:
-        self.at, self.hash = anchors(self.data, self.offsets)
+        found = [(np.zeros(0, np.int64), np.zeros(0, U64))]
+        for low, high in chunks(self.offsets):
+            first = self.offsets[low]
+            at, h = anchors(self.data[first : self.offsets[high]], self.offsets[low : high + 1] - first)
+            found.append((at + first, h))
+        self.at, self.hash = map(np.concatenate, zip(*found))
         self.distinct, self.which = np.unique(self.hash, return_inverse=True)
         self.cuts = _cuts(self.distinct, self.shards)
         self.row = np.searchsorted(self.offsets, self.at, "right") - 1
@@ -290,14 +295,14 @@ def settle_shard(rows: pa.Table) -> pa.Table:
     ids = np.concatenate(own)[item]
     left = [x for part in lefts for x in part]
     left_n = np.array([len(x) for x in left], np.int64)[item]
-    left_bytes = np.frombuffer(b"".join(x.ljust(WINDOW - 1, b"\0") for x in left), np.uint8).reshape(-1, WINDOW - 1)[item].astype(U64)
+    left_bytes = np.frombuffer(b"".join(x.ljust(WINDOW - 1, b"\0") for x in left), np.uint8).reshape(-1, WINDOW - 1)[item]
     right_n = np.array([len(x) for part in suffixes for x in part], np.int64)[item]
     mask = np.zeros(len(item), np.int64)
     by_id = np.argsort(ids, kind="stable")
     left_hash = np.zeros(len(item), U64)
     for o in range(WINDOW):
         if o:
-            left_hash = mix(left_hash + left_bytes[:, o - 1] + U64(0x9E3779B97F4A7C15))
+            left_hash = mix(left_hash + left_bytes[:, o - 1].astype(U64) + U64(0x9E3779B97F4A7C15))
         length = LENGTH - o
         whole = (right_n >= length) & (left_n >= o)
         klass = np.cumsum(prefix < length).astype(U64)
@@ -310,6 +315,8 @@ def settle_shard(rows: pa.Table) -> pa.Table:
         mask[order[ids[order] > least]] |= 1 << o
     of_item = np.zeros(base[-1], np.int64)
     of_item[item] = mask
+    del left, left_bytes, left_hash, suffixes, lefts
+    release()
     out = []
     for r, (bucket, where, settled) in enumerate(zip(rows["bucket"].to_pylist(), rows["where"].to_pylist(), rows["settled"].to_pylist())):
         n, q = np.frombuffer(where, "<i4").reshape(-1, 2).T
@@ -359,14 +366,18 @@ def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     def hashes(rows: pa.Table) -> pa.Table:
         b = Bucket(rows, shards)
         b.find()
-        return b.hashes(rows["bucket"][0].as_py())
+        out = b.hashes(rows["bucket"][0].as_py())
+        release()
+        return out
 
     def runs(rows: pa.Table, answers: pa.Table) -> pa.Table:
         if not rows.num_rows or not answers.num_rows:
             return _table([], _RUNS)
         b = Bucket(rows, shards)
         b.find()
-        return b.runs(rows["bucket"][0].as_py(), answers)
+        out = b.runs(rows["bucket"][0].as_py(), answers)
+        release()
+        return out
 
     def kept(rows: pa.Table, answers: pa.Table) -> pa.Table:
         return Bucket(rows, shards).kept(answers)

@@ -6,6 +6,7 @@ prefix sum of a polynomial over the whole buffer, so no Python object is made pe
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -13,6 +14,10 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 U64 = np.uint64
+try:
+    _LIBC = ctypes.CDLL("libc.so.6")
+except OSError:  # another C library: nothing to trim
+    _LIBC = None
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 
@@ -38,7 +43,7 @@ def texts(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets - offsets[0]
 
 
-def chunks(offsets: np.ndarray, limit: int = 1 << 21) -> Iterator[tuple[int, int]]:
+def chunks(offsets: np.ndarray, limit: int = 1 << 19) -> Iterator[tuple[int, int]]:
     """Row ranges of about ``limit`` bytes; a longer row is a range of its own."""
     low = 0
     while low < len(offsets) - 1:
@@ -47,6 +52,13 @@ def chunks(offsets: np.ndarray, limit: int = 1 << 21) -> Iterator[tuple[int, int
         low = high
 
 
+def release() -> None:
+    """Give freed memory back to the system: a worker lives on beside the JVM after its largest batch."""
+    pa.default_memory_pool().release_unused()
+    if _LIBC is not None:
+        _LIBC.malloc_trim(0)
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """A bijection of 64-bit words with good avalanche."""
     h = h ^ (h >> U64(30))
@@ -105,6 +117,16 @@ class Words:
         return np.repeat(np.arange(len(self.of) - 1), np.diff(self.of))
 
 
+def word_hashes(data: np.ndarray, offsets: np.ndarray, table: np.ndarray = NOT_SPACE) -> tuple[np.ndarray, np.ndarray]:
+    """The hashes of all words, and each row's range of them; worked off in chunks."""
+    found, ends = [np.zeros(0, U64)], [np.zeros(1, np.int64)]
+    for low, high in chunks(offsets):
+        words = Words(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], table)
+        found.append(words.hashes())
+        ends.append(words.of[1:] + ends[-1][-1])
+    return np.concatenate(found), np.concatenate(ends)
+
+
 _STEP = [U64(x) for x in (0x8CB92BA72F3D8DD7, 0xA24BAED4963EE407, 0x9FB21C651E98DF25, 0xC6A4A7935BD1E995, 0xD1B54A32D192ED03, 0xF1357AEA2E62A9C5, 0xAAF291635B9A5C0B, 0xE7037ED1A0B428DB)]
 
 
