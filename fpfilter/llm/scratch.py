@@ -2,41 +2,6 @@
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
+from fpfilter.sources.tables import shared_dir, written
 
-from pyspark.sql import DataFrame, SparkSession
-
-_OWN: dict[str, str] = {}
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The session's ``spark.checkpoint.dir``; a temporary folder only where that is unset (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found.rstrip("/")
-    if "dir" not in _OWN:
-        _OWN["dir"] = "file://" + tempfile.mkdtemp(prefix="fpfilter-")
-        spark.sparkContext.setCheckpointDir(_OWN["dir"])
-    return _OWN["dir"]
-
-
-def written(df: DataFrame, name: str, codec: str | None = None) -> DataFrame:
-    """``df`` as a Parquet table in the shared folder, read back: lineage ends here and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tables/{name}-{uuid.uuid4().hex}"
-    writer = df.write
-    if codec:
-        writer = writer.option("compression", codec)
-    writer.parquet(path)
-    atexit.register(_drop, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def _drop(spark: SparkSession, path: str) -> None:
-    try:
-        where = spark._jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
-    except Exception:  # the session may be gone at exit; nothing else to tidy
-        pass
+__all__ = ["shared_dir", "written"]
