@@ -3,15 +3,17 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from fpfilter.llm import exact_dedup, mixing, near_dedup, packing, toxicity
-from fpfilter.llm.scratch import written
+from fpfilter.llm.scratch import fresh, written
 
 
 def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity machine, fitted on the labels of these documents, does not reject."""
     machine = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return toxicity.scored(docs, machine, to="__score").where("__score < 0.5").drop("__score")
+    (score,) = fresh(docs, "score")
+    return toxicity.scored(docs, machine, to=score).where(F.col(score) < 0.5).drop(score)
 
 
 def unique(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

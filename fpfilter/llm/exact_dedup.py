@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fpfilter.llm.scratch import written
+from fpfilter.llm.scratch import fresh, written
 
 BITS_PER_ROW = 16
 MOST_BITS = 1 << 29
@@ -133,19 +133,20 @@ def survivors(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     Only rows that may repeat are shuffled; equal ones are reduced before the shuffle, so a hot text costs one row
     a task.
     """
-    hashed = docs.withColumn("__digest", text_digest(F.col(text_col)))
-    hashed = hashed.withColumn("__h", _digest_hash(F.col("__digest")))
-    keys = written(hashed.select(F.col("__h").alias("h")), "hashes")
+    digest, h, again, row = fresh(docs, "digest", "h", "again", "row")
+    hashed = docs.withColumn(digest, text_digest(F.col(text_col)))
+    hashed = hashed.withColumn(h, _digest_hash(F.col(digest)))
+    keys = written(hashed.select(F.col(h).alias("h")), "hashes")
     bitmap, bits = repeat_bits(keys, "h", keys.count())
-    marked = flagged(hashed, "__h", bitmap, bits, "__again")
-    names = docs.columns
+    marked = flagged(hashed, h, bitmap, bits, again)
+    names = [F.col(f"`{c}`") for c in docs.columns]
     met = (
-        marked.where("__again")
-        .groupBy("__digest")
-        .agg(F.max_by(F.struct(*[F.col(f"`{c}`") for c in names]), F.struct(F.col(id_col))).alias("row"))
-        .select(*[F.col(f"row.`{c}`").alias(c) for c in names])
+        marked.where(F.col(again))
+        .groupBy(digest)
+        .agg(F.max_by(F.struct(*names), F.struct(F.col(id_col))).alias(row))
+        .select(*[F.col(row)[c].alias(c) for c in docs.columns])
     )
-    return marked.where("not __again").select(*[F.col(f"`{c}`") for c in names]).unionByName(met)
+    return marked.where(~F.col(again)).select(*names).unionByName(met)
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from fpfilter.llm.scratch import fresh
 from fpfilter.llm.toxicity import in_fold
 
 TRAIN_ROWS = 3_000
@@ -152,8 +153,9 @@ def identified(docs: DataFrame, model: Model, text_col: str = "text") -> DataFra
         langs, scores = zip(*found) if found else ((), ())
         return pa.StructArray.from_arrays([pa.array(langs, pa.string()), pa.array(scores, pa.float64())], ["lang_pred", "score"])
 
-    got = docs.withColumn("__found", predict(F.col(text_col)))
-    return got.withColumn("lang_pred", F.col("__found.lang_pred")).withColumn("score", F.col("__found.score")).drop("__found")
+    (found,) = fresh(docs, "found")
+    got = docs.withColumn(found, predict(F.col(text_col)))
+    return got.withColumn("lang_pred", F.col(found)["lang_pred"]).withColumn("score", F.col(found)["score"]).drop(found)
 
 
 def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:

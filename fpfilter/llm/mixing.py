@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from fpfilter.llm.scratch import written
+from fpfilter.llm.scratch import fresh, written
 
 #: Fixed value: the golden ratio's fraction in 52 bits, as two limbs of 26.
 GOLDEN_HIGH, GOLDEN_LOW = divmod(int((math.sqrt(5) - 1) / 2 * (1 << 52)) | 1, 1 << 26)
@@ -173,11 +173,12 @@ def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", so
     A row that the mix takes less than half of, or without words, is left out.
     """
     share = F.sum("taken") / F.greatest(F.sum("size"), F.lit(1))
-    times = mixed(docs, id_col, text_col, source_col, weights).groupBy("id", "text_hash").agg(F.floor(share + 0.5).cast("int").alias("__times"))
-    times = written(times.where("__times > 0").select(F.col("id").alias("__id"), F.col("text_hash").alias("__of"), "__times"), "times")
-    marked = docs.withColumn("__h", F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
-    found = marked.join(times, (F.col("__h") == F.col("__of")) & F.col(id_col).eqNullSafe(F.col("__id")))
-    return found.withColumn("__copy", F.explode(F.sequence(F.lit(1), "__times"))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    h, of_id, of_h, times, copy = fresh(docs, "h", "of_id", "of_h", "times", "copy")
+    taken = mixed(docs, id_col, text_col, source_col, weights).groupBy("id", "text_hash").agg(F.floor(share + 0.5).cast("int").alias(times))
+    taken = written(taken.where(F.col(times) > 0).select(F.col("id").alias(of_id), F.col("text_hash").alias(of_h), times), "times")
+    marked = docs.withColumn(h, F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
+    found = marked.join(taken, (F.col(h) == F.col(of_h)) & F.col(id_col).eqNullSafe(F.col(of_id)))
+    return found.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:

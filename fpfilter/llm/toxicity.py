@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fpfilter.llm.textvec import ALNUM, U64, Words, chunks, texts
+from fpfilter.llm.textvec import ALNUM, U64, Words, chunks, release, texts
 
 #: Labelled rows that the fit takes, about: a hash of the id picks them evenly.
 TRAIN_ROWS = 12_000
@@ -146,6 +146,7 @@ def scored(docs: DataFrame, machine: Machine, text_col: str = "text", to: str =
         for low, high in chunks(offsets):
             terms, of = document_terms(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low])
             got.append(1 / (1 + np.exp(-np.clip(shared.value.raw(terms, of), -30, 30))))
+        release()
         return pa.array(np.concatenate(got))
 
     return docs.withColumn(to, score(F.col(text_col)))
