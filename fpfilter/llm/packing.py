@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from fpfilter.llm.textvec import ALNUM, Words, texts
+from fpfilter.llm.textvec import ALNUM, release, texts, word_hashes
 
 WINDOW = 1024
 SHARD_DOCS = 2048
@@ -62,11 +62,11 @@ class Index:
     """BM25 over the rows of one shard."""
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray):
-        words = Words(data, offsets, ALNUM)
+        hashes, of = word_hashes(data, offsets, ALNUM)
         n = len(offsets) - 1
-        length = np.maximum(1, np.diff(words.of))
-        _, term = np.unique(words.hashes(), return_inverse=True)
-        pairs, tf = np.unique(term.astype(np.int64) * n + words.row(), return_counts=True)
+        length = np.maximum(1, np.diff(of))
+        _, term = np.unique(hashes, return_inverse=True)
+        pairs, tf = np.unique(term.astype(np.int64) * n + np.repeat(np.arange(n), np.diff(of)), return_counts=True)
         term, doc = np.divmod(pairs, max(1, n))
         df = np.bincount(term)
         idf = np.log1p((n - df + 0.5) / (df + 0.5))
@@ -159,6 +159,7 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
                     out, first = shard(_one(held), first)
                     yield out
                     held, rows, size = [], 0, 0
+                    release()
         if held:
             yield shard(_one(held), first)[0]
 
