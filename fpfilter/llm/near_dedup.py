@@ -3,12 +3,16 @@
 A document is the set of its word shingles, as 64-bit hashes; documents with equal sets are one class, and classes are
 what the rest works on. A class's sketch has one minimum for each of ``REGISTERS`` permutations, stored as its number
 of leading zeros and the next ``MANTISSA`` bits. ``BANDS`` bands of registers make candidates: within a band's bucket
-each class is paired with the bucket's smallest class, never all with all. Pairs whose Jaccard similarity, estimated
-from equal registers and corrected for chance collisions, is within ``SLACK`` of the threshold are verified on whole
-sets. Components of the verified links follow by alternating star contractions.
+each class is paired with the bucket's centre, never all with all. The centre is the class that shares most buckets
+with others: the original among its copies, for copies are more alike to it than to each other. Pairs whose Jaccard
+similarity, estimated from equal registers and corrected for chance collisions, is within ``SLACK`` of the threshold
+are verified on whole sets. Components of the verified links follow by alternating star contractions.
 
 No link is lost to the pairing with one class: a bucket that still spans several components afterwards is searched
-between its components, in blocks of bounded size by sketch, until no untested candidate is left.
+between its components, in blocks of bounded size. Sketches tell which of its classes have a candidate there; their
+whole sets then meet in a task, which verifies candidates, the likeliest first, skips those that links found so far
+have connected, and returns links that connect components: fewer than classes. A pair is tested in the first bucket
+that it shares.
 """
 
 from __future__ import annotations
@@ -20,16 +24,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fpfilter.llm.scratch import written
-from fpfilter.llm.textvec import U64, chunks, mix, shingle_sets, texts
+from fpfilter.llm.scratch import fresh, written
+from fpfilter.llm.textvec import U64, chunks, mix, release, shingle_sets, texts
 
 SHINGLE = 5
 THRESHOLD = (80, 100)
 BANDS, ROWS = 32, 4
 REGISTERS = BANDS * ROWS
 MANTISSA = 10
-SLACK = 0.2
-BLOCK = 2048
+#: Over three standard errors of the estimate at the threshold.
+SLACK = 0.12
+BLOCK = 1024
 #: Rows of a few numbers that a join may broadcast; beyond that both sides are shuffled.
 MOST_BROADCAST = 2_000_000
 
@@ -88,6 +93,7 @@ def sketch_table(docs: DataFrame, shingle: int, id_col: str, text_col: str) -> D
                     digest[some], regs[some] = [x.tobytes() for x in d], [x.tobytes() for x in r]
                 part = batch.slice(low, high - low)
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.array(regs, pa.binary())], ["id", "h", "n", "digest", "regs"])
+            release()
 
     kind = docs.schema[id_col].dataType.simpleString()
     return _rows(docs, id_col, text_col).mapInArrow(run, f"id {kind}, h long, n long, digest binary, regs binary")
@@ -107,15 +113,27 @@ def set_table(rows: DataFrame, shingle: int) -> DataFrame:
                     _, d = sketches(sets, starts)
                     lists = pa.ListArray.from_arrays(pa.array(starts, pa.int32()), pa.array(sets.view(np.int64)))
                     yield pa.RecordBatch.from_arrays([pa.array([x.tobytes() for x in d], pa.binary()), lists], ["digest", "shingles"])
+            release()
 
     return rows.select("text").mapInArrow(run, "digest binary, shingles array<long>")
 
 
-def _bands(classes: DataFrame, *keep: str) -> DataFrame:
-    """Each class in its buckets: ``band, digest`` and the columns to keep."""
+def bucket_table(classes: DataFrame) -> DataFrame:
+    """``band, nth, cid, size``: each class in its buckets, those of one class left out; ``nth`` is the band's number."""
     step = 2 * ROWS
     keys = F.array(*[F.xxhash64(F.lit(i), F.substring("regs", step * i + 1, step)) for i in range(BANDS)])
-    return classes.select(F.explode(keys).alias("band"), "digest", *keep)
+    rows = classes.select(F.posexplode(keys).alias("nth", "band"), "cid")
+    sizes = written(rows.groupBy("band").agg(F.count(F.lit(1)).alias("size")).where("size > 1"), "sizes")
+    return written(rows.join(sizes, "band").select("band", "nth", "cid", "size"), "buckets")
+
+
+def _star(buckets: DataFrame) -> DataFrame:
+    """``a, b``: each class with the centre of each of its buckets, once."""
+    degree = written(buckets.groupBy("cid").agg(F.sum("size").alias("degree")), "degrees")
+    centre = buckets.join(degree, "cid").groupBy("band").agg(F.max(F.struct("degree", "cid")).alias("m"))
+    centre = written(centre.select("band", F.col("m.cid").alias("centre")), "centres")
+    pairs = buckets.join(centre, "band").where("cid <> centre")
+    return pairs.select(F.least("cid", "centre").alias("a"), F.greatest("cid", "centre").alias("b")).distinct()
 
 
 def _estimated(pairs: DataFrame, classes: DataFrame, least: float) -> DataFrame:
@@ -127,8 +145,8 @@ def _estimated(pairs: DataFrame, classes: DataFrame, least: float) -> DataFrame:
         x, y = (np.frombuffer(b"".join(r.to_pylist()), np.uint16).reshape(-1, REGISTERS) for r in (ra, rb))
         return pa.array(jaccard_estimate((x == y).sum(1), na.to_numpy(), nb.to_numpy(), chance))
 
-    left = classes.select(F.col("digest").alias("a"), F.col("regs").alias("ra"), F.col("n").alias("na"))
-    right = classes.select(F.col("digest").alias("b"), F.col("regs").alias("rb"), F.col("n").alias("nb"))
+    left = classes.select(F.col("cid").alias("a"), F.col("regs").alias("ra"), F.col("n").alias("na"))
+    right = classes.select(F.col("cid").alias("b"), F.col("regs").alias("rb"), F.col("n").alias("nb"))
     got = pairs.join(right, "b").join(left, "a").where(F.least("na", "nb") * THRESHOLD[1] >= F.greatest("na", "nb") * THRESHOLD[0])
     return got.select("a", "b", "na", "nb", estimate("ra", "rb", "na", "nb").alias("est")).where(F.col("est") >= least)
 
@@ -137,16 +155,23 @@ def _small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= MOST_BROADCAST else df
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
-    """Those of the pairs whose whole sets are similar enough."""
-    need = pairs.select(F.explode(F.array("a", "b")).alias("digest")).distinct()
-    owner = written(classes.join(need, "digest", "left_semi").select("owner.id", "owner.h"), "needed")
+def _sets(need: DataFrame, docs: DataFrame, classes: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
+    """``cid, shingles`` of the classes in ``need``, from the text of one document each."""
+    named = written(classes.join(need, "cid").select("cid", "digest", "owner.id", "owner.h"), "needed")
+    n = named.count()
     rows = _rows(docs, id_col, text_col)
-    owner = _small(owner.select(F.col("id").alias("oid"), F.col("h").alias("oh")).distinct(), owner.count())
+    owner = _small(named.select(F.col("id").alias("oid"), F.col("h").alias("oh")).distinct(), n)
     rows = rows.join(owner, (F.col("h") == F.col("oh")) & F.col("id").eqNullSafe(F.col("oid")), "left_semi")
-    sets = written(set_table(rows, shingle), "sets")
-    left = sets.select(F.col("digest").alias("a"), F.col("shingles").alias("sa"))
-    right = sets.select(F.col("digest").alias("b"), F.col("shingles").alias("sb"))
+    few = _small(named.select("cid", "digest"), n)
+    return written(set_table(rows, shingle).join(few, "digest").select("cid", "shingles"), "sets")
+
+
+def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
+    """Those of the pairs whose whole sets are similar enough."""
+    need = pairs.select(F.explode(F.array("a", "b")).alias("cid")).distinct()
+    sets = _sets(need, docs, classes, shingle, id_col, text_col)
+    left = sets.select(F.col("cid").alias("a"), F.col("shingles").alias("sa"))
+    right = sets.select(F.col("cid").alias("b"), F.col("shingles").alias("sb"))
     both = pairs.join(right, "b").join(left, "a")
     common = F.size(F.array_intersect("sa", "sb"))
     ok = common * THRESHOLD[1] >= (F.size("sa") + F.size("sb") - common) * THRESHOLD[0]
@@ -167,53 +192,85 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         low = written(large.groupBy("u").agg(F.min("v").alias("m")), "low")
         small = large.join(low, "u")
         small = small.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").unionByName(low.select("u", F.col("m").alias("v"))).distinct()
-        new = written(small, "edges")
-        same = new.count() == edges.count() and new.join(edges, ["u", "v"], "left_anti").isEmpty()
-        edges = new
-        if same:
+        edges = written(small, "edges")
+        # steps keep components; when each node has one link, to a node without, every component is a star
+        if edges.count() == edges.select("u").distinct().count() and edges.join(edges.select(F.col("u").alias("v")), "v", "left_semi").isEmpty():
             break
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
 
 
-def _across(classes: DataFrame, of: DataFrame, low: int, high: int, least: float) -> DataFrame:
-    """Candidates between components of one bucket: for each class and other component those ranked ``low`` to ``high``.
+def _candidates(k: int, own: np.ndarray, comp: np.ndarray, n: np.ndarray, regs: np.ndarray, nth: int, split: bool, least: float, chance: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of a bucket after row ``k`` that may be similar to it, are of another component and meet it here first."""
+    others = (comp[k + 1 :] != comp[k]) & (np.minimum(n[k + 1 :], n[k]) * THRESHOLD[1] >= np.maximum(n[k + 1 :], n[k]) * THRESHOLD[0])
+    if split:
+        others &= own[k + 1 :] != own[k]
+    others = np.flatnonzero(others) + k + 1
+    if not len(others):
+        return others, np.zeros(0)
+    same = regs[others] == regs[k]
+    est = jaccard_estimate(same.sum(1), n[others], np.full(len(others), n[k]), chance)
+    first = same.reshape(-1, BANDS, ROWS).all(2).argmax(1) == nth
+    keep = first & (est >= least)
+    return others[keep], est[keep]
+
+
+def _across(buckets: DataFrame, docs: DataFrame, classes: DataFrame, of: DataFrame, least: float, shingle: int, id_col: str, text_col: str) -> DataFrame:
+    """Links ``a, b`` between components that have classes in one bucket.
 
     Buckets larger than ``BLOCK`` are cut into blocks, and every two blocks are searched in a task of their own.
     """
     chance = chance_collisions()
-    known = classes.join(of, F.col("digest") == F.col("node"), "left").select("digest", "n", "regs", F.coalesce("component", "digest").alias("comp"))
-    known = written(known, "known")
-    tops = _bands(known, "comp").groupBy("band").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min("digest").alias("first"), F.count(F.lit(1)).alias("size"))
-    open_ = written(tops.where("x != y and size > 2").select("band", "first", "size"), "open")
-    rows = _bands(known, "comp", "n", "regs").join(open_, "band").where("digest != first")
+    rows = buckets.join(of, F.col("cid") == F.col("node"), "left").select("band", "nth", "cid", "size", F.coalesce("component", "cid").alias("comp"))
+    rows = written(rows, "known")
+    tops = rows.where("size > 2").groupBy("band").agg(F.min("comp").alias("x"), F.max("comp").alias("y"))
+    rows = rows.join(written(tops.where("x <> y").select("band"), "open"), "band")
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    rows = rows.withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("digest"), "blocks").cast("int"))
-    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("band", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "digest", "comp", "n", "regs")
+    rows = rows.withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("cid"), "blocks").cast("int"))
+    rows = rows.join(classes.select("cid", "n", "regs"), "cid")  # sketches go to open buckets only
 
-    def search(group: pa.Table) -> pa.Table:
-        group = group.sort_by("digest")
-        digest, comp = (np.array(group[c].to_pylist(), object) for c in ("digest", "comp"))
-        n, own = group["n"].to_numpy(), group["own"].to_numpy()
-        i, j = group["i"][0].as_py(), group["j"][0].as_py()
+    def spread(df: DataFrame, *more: str) -> DataFrame:
+        df = df.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        return df.select("band", "nth", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "cid", "comp", "n", "regs", *more)
+
+    def parts(group: pa.Table) -> tuple:
+        columns = [group[c].to_numpy() for c in ("cid", "own", "comp", "n")]
         regs = np.frombuffer(b"".join(group["regs"].to_pylist()), np.uint16).reshape(-1, REGISTERS)
-        _, c = np.unique(comp.astype("S16"), return_inverse=True)
-        found: list[tuple[bytes, bytes]] = []
-        for k in range(len(digest)):
-            others = np.flatnonzero((c != c[k]) & ((own != own[k]) if i != j else True) & (np.minimum(n, n[k]) * THRESHOLD[1] >= np.maximum(n, n[k]) * THRESHOLD[0]))
-            if not len(others):
-                continue
-            est = jaccard_estimate((regs[others] == regs[k]).sum(1), n[others], np.full(len(others), n[k]), chance)
-            others, est = others[est >= least], est[est >= least]
-            order = np.lexsort((-est, c[others]))
-            others = others[order]
-            _, first = np.unique(c[others], return_index=True)
-            rank = np.arange(len(others)) - np.repeat(first, np.diff(np.append(first, len(others))))
-            found += [(min(digest[k], digest[x]), max(digest[k], digest[x])) for x in others[(rank >= low) & (rank < high)]]
-        a, b = zip(*found) if found else ((), ())
-        return pa.table({"a": pa.array(a, pa.binary()), "b": pa.array(b, pa.binary())})
-
-    return rows.groupBy("band", "i", "j").applyInArrow(search, "a binary, b binary").distinct()
+        return *columns, regs, group["nth"][0].as_py(), group["i"][0].as_py() != group["j"][0].as_py()
+
+    def flag(group: pa.Table) -> pa.Table:
+        cid, own, comp, n, regs, nth, split = parts(group.sort_by("cid"))
+        marked = np.zeros(len(cid), bool)
+        for k in range(len(cid)):
+            others, _ = _candidates(k, own, comp, n, regs, nth, split, least, chance)
+            if len(others):
+                marked[others] = marked[k] = True
+        return pa.table({"band": pa.array([group["band"][0].as_py()] * int(marked.sum()), pa.int64()), "cid": cid[marked]})
+
+    marked = written(spread(rows).groupBy("band", "i", "j").applyInArrow(flag, "band long, cid long").distinct(), "marked")
+    sets = _sets(marked.select("cid").distinct(), docs, classes, shingle, id_col, text_col)
+
+    def search(group: pa.Table) -> pa.Table:
+        group = group.sort_by("cid")
+        cid, own, comp, n, regs, nth, split = parts(group)
+        shingles = group["shingles"].combine_chunks()
+        of_set, values = shingles.offsets.to_numpy(), shingles.values.to_numpy().view(U64)
+        sets_ = [values[a:b] for a, b in zip(of_set[:-1], of_set[1:])]
+        comp, links = comp.copy(), []
+        for k in range(len(cid)):
+            others, est = _candidates(k, own, comp, n, regs, nth, split, least, chance)
+            for x in others[np.argsort(-est, kind="stable")].tolist():
+                if comp[x] == comp[k]:
+                    continue
+                at = np.searchsorted(sets_[k], sets_[x])
+                common = int((sets_[k][np.minimum(at, n[k] - 1)] == sets_[x]).sum())
+                if common * THRESHOLD[1] >= (n[k] + n[x] - common) * THRESHOLD[0]:
+                    links.append((min(cid[k], cid[x]), max(cid[k], cid[x])))
+                    comp[comp == comp[x]] = comp[k]
+        a, b = zip(*links) if links else ((), ())
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    whole = spread(rows.join(marked, ["band", "cid"]).join(sets, "cid"), "shingles")
+    return written(whole.groupBy("band", "i", "j").applyInArrow(search, "a long, b long").distinct(), "links")
 
 
 def classified(docs: DataFrame, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -224,28 +281,26 @@ def classified(docs: DataFrame, shingle: int = SHINGLE, id_col: str = "doc_id",
     """
     rows = written(sketch_table(docs, shingle, id_col, text_col), "sketches")
     some = rows.where("digest is not null")
-    classes = written(some.groupBy("digest").agg(F.min(F.struct("id", "h")).alias("owner"), F.min("id").alias("id"), F.max("n").alias("n"), F.max("regs").alias("regs")), "classes")
+    classes = some.groupBy("digest").agg(F.min(F.struct("id", "h")).alias("owner"), F.min("id").alias("id"), F.max("n").alias("n"), F.max("regs").alias("regs"))
+    classes = written(classes.withColumn("cid", F.monotonically_increasing_id()), "classes")
     least = THRESHOLD[0] / THRESHOLD[1] - SLACK
 
-    buckets = written(_bands(classes).groupBy("band").agg(F.min("digest").alias("a"), F.count(F.lit(1)).alias("c")).where("c > 1").drop("c"), "buckets")
-    star = _bands(classes).join(buckets, "band").where("a != digest").select("a", F.col("digest").alias("b")).distinct()
-    star = written(_estimated(star, classes, least), "candidates")
+    buckets = bucket_table(classes)
+    star = written(_estimated(_star(buckets), classes, least), "candidates")
     # first each class with its best partner only; then whatever still joins two components
-    best = star.groupBy("b").agg(F.max_by("a", F.struct("est", "a")).alias("a"))
+    ends = star.select("a", "b", "est", F.explode(F.array("a", "b")).alias("end"))
+    best = written(ends.groupBy("end").agg(F.max(F.struct("est", "a", "b")).alias("m")).select("m.a", "m.b").distinct(), "best")
     links = _verified(best, docs, classes, shingle, id_col, text_col)
     of = written(components(links), "components")
-    rest = star.join(best.withColumn("done", F.lit(1)), ["a", "b"], "left_anti")
-    pairs, low, high = written(_between(rest.select("a", "b"), of), "rest"), 0, 4
-    while True:
-        if not pairs.isEmpty():
-            links = links.unionByName(_verified(pairs, docs, classes, shingle, id_col, text_col))
-            of = written(components(links), "components")
-        elif low:
-            break
-        pairs = written(_across(classes, of, low, high, least), "across")
-        low, high = high, high * 8
-    mapping = of.select(F.col("node").alias("digest"), "component")
-    own = classes.join(mapping, "digest", "left").select("digest", "id", F.coalesce("component", "digest").alias("component"))
+    rest = written(_between(star.select("a", "b").join(best, ["a", "b"], "left_anti"), of), "rest")
+    if not rest.isEmpty():
+        links = links.unionByName(_verified(rest, docs, classes, shingle, id_col, text_col))
+        of = written(components(links), "components")
+    more = _across(buckets, docs, classes, of, least, shingle, id_col, text_col)
+    if not more.isEmpty():
+        of = written(components(links.unionByName(more)), "components")
+    mapping = of.select(F.col("node").alias("cid"), "component")
+    own = classes.join(mapping, "cid", "left").select("digest", "id", F.coalesce("component", "cid").alias("component"))
     own = written(own, "own")
     smallest = written(own.groupBy("component").agg(F.min("id").alias("component_id")), "smallest")
     named = written(own.join(smallest, "component").select("digest", "component_id"), "named")
@@ -264,11 +319,12 @@ def _between(pairs: DataFrame, of: DataFrame) -> DataFrame:
 
 def survivors(docs: DataFrame, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that are kept, with all columns; one of each component."""
-    gone = written(classified(docs, shingle, id_col, text_col).where("not kept").select(F.col("id").alias("__id"), F.col("h").alias("__gone")), "gone")
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    marked = docs.withColumn("__h", F.xxhash64(text))
+    h, gone_id, gone_h = fresh(docs, "h", "gone_id", "gone_h")
+    gone = classified(docs, shingle, id_col, text_col).where("not kept").select(F.col("id").alias(gone_id), F.col("h").alias(gone_h))
+    gone = written(gone, "gone")
+    marked = docs.withColumn(h, F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
     few = _small(gone, gone.count())
-    return marked.join(few, (F.col("__h") == F.col("__gone")) & F.col(id_col).eqNullSafe(F.col("__id")), "left_anti").drop("__h")
+    return marked.join(few, (F.col(h) == F.col(gone_h)) & F.col(id_col).eqNullSafe(F.col(gone_id)), "left_anti").drop(h)
 
 
 def op5_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
