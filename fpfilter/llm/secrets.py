@@ -148,7 +148,9 @@ def build_index(docs: DataFrame, vocabulary: list[str], id_col: str = "doc_id",
     text = F.coalesce(F.col(text_col), F.lit(""))
     blocks = -(-docs.count() // BLOCK_DOCS) or 1
     folded = docs.select(_key(id_col, text).alias("key"), F.lower(text).alias("folded"))
-    held = folded.select("key", F.filter(F.array(*map(F.lit, vocabulary)), lambda t: F.contains(F.col("folded"), t)).alias("held"))
+    # one expression a trigram: the folded text is used often, so it is made once and not inlined into a lambda
+    tests = [F.when(F.contains("folded", F.lit(t)), F.lit(t)) for t in vocabulary]
+    held = folded.select("key", F.array_compact(F.array(*tests)).alias("held"))
     pairs = held.select("key", F.pmod("key", F.lit(blocks)).alias("block"), F.explode("held").alias("trigram"))
     return pairs.groupBy("block", "trigram").agg(F.sort_array(F.collect_list("key")).alias("rows"))
 
