@@ -131,7 +131,7 @@ def _repaired(table: DataFrame, rows: DataFrame, failed: list[int]) -> DataFrame
 def _grown_baseline(spec: BaselineSpec) -> BaselineSpec:
     from dataclasses import replace
 
-    return replace(spec, n_addr=spec.n_addr * 2 if spec.kind in ("quotient", "vector_quotient") else int(spec.n_addr * 1.05) + 3, extra=spec.extra * 2, seed=spec.seed + 1_000_003)
+    return replace(spec, n_addr=spec.n_addr * 2 if spec.kind in ("quotient", "vector_quotient") else int(spec.n_addr * 1.05) + 3, extra=spec.extra * 2)
 
 
 def size_of(table: DataFrame) -> int:

@@ -105,9 +105,9 @@ def sized(spec: FilterSpec, n: int, load: float | None = None, z: float = 4.0) -
 
 
 def grown(spec: FilterSpec, factor: float = 1.02) -> FilterSpec:
-    """A larger table with other hash factors, for the next attempt."""
+    """A larger table for the next attempt; the seed stays, as it also routes keys to subfilters."""
     n = spec.n_addr * 2 if spec.rule.startswith("xor") else max(spec.n_addr + 1, math.ceil(spec.n_addr * factor))
-    return replace(spec, n_addr=n, seed=spec.seed + 1_000_003)
+    return replace(spec, n_addr=n)
 
 
 def variant(name: str, k: int, **more: object) -> FilterSpec:
