@@ -25,8 +25,6 @@ WINDOW = 1024
 SHARD_DOCS = 2048
 SHARD_BYTES = 32 << 20
 END = 0
-#: The words of a seed that are looked up: those of the highest weight.
-QUERY_TERMS = 24
 K1, B = 1.2, 0.75
 _PROBE = "It's 3 o'clock;\n\n  déjà vu — naïve  testing\tof 12345 ids_and.dots 日本語 🙂 x = [1, 2]\r\n"
 
@@ -75,12 +73,12 @@ class Index:
         self.n, self.doc, self.weight = n, doc[useful], weight[useful]
         term = term[useful]
         self.start = np.searchsorted(term, np.arange(len(df) + 1))
-        # each row's own terms, heaviest first
-        order = np.lexsort((-self.weight, self.doc))
+        # each row's own terms; all of them are looked up
+        order = np.argsort(self.doc, kind="stable")
         self.terms, self.of = term[order], np.searchsorted(self.doc[order], np.arange(n + 1))
 
     def scores(self, row: int) -> np.ndarray:
-        terms = self.terms[self.of[row] : self.of[row + 1]][:QUERY_TERMS]
+        terms = self.terms[self.of[row] : self.of[row + 1]]
         low, high = self.start[terms], self.start[terms + 1]
         n = high - low
         at = np.arange(n.sum()) + np.repeat(low - np.concatenate(([0], np.cumsum(n)[:-1])), n)

@@ -413,6 +413,14 @@ def test_seeds_take_their_lexical_neighbours():
     assert order == [0, 2, 1, 3]
 
 
+def test_every_word_of_a_seed_is_looked_up():
+    rare = [f"r{i}" for i in range(40)]  # in the seed and one more text: heavier than what follows
+    texts = [" ".join(rare + ["plain"] * 2), *(f"{w} " * 2 for w in rare), *["plain other"] * 60, "plain", "none of these"]
+    index = packing.Index(*textvec.texts(pa.array(texts)))
+    scores = index.scores(0)
+    assert (scores[:-1] > 0).all() and scores[-1] == 0
+
+
 def test_packing_awkward_rows(spark, nothing):
     unique = [r for n, r in enumerate(AWKWARD) if r[0] is not None and r[0] not in (3, 20)]
     pieces = packing.packed(spark.createDataFrame(unique, SCHEMA)).collect()
