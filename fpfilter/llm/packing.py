@@ -1,9 +1,13 @@
 """Packing documents into training sequences by lexical retrieval.
 
-Documents are taken in shards of a bounded number. A shard has a BM25 inverted index of its documents' words; the
-document that opens a sequence is the seed, and the unused documents that the index ranks highest for it fill the
-sequence. A document that does not fit is cut, its rest opens the next sequence and is that one's seed. So only the
-last sequence of a shard can be short of the window. Shards are consecutive rows of a scan task: nothing is shuffled.
+The document that opens a sequence is the seed, and the unused documents of the whole table that BM25 ranks highest
+for it fill the sequence. A document that does not fit is cut, its rest opens the next sequence and is that one's seed.
+
+A table of one shard is packed by one task. A larger one has an index in shards, with word statistics of all
+documents. Seeds are searched in rounds: each round looks up the next seeds in every shard, and the driver, which
+holds a size and a mark for each document, fills their sequences in file order of the seeds. A seed whose ranked
+documents have all gone to others is looked up again in the next round. Sequences still short when no document is left
+are laid one after the other, so that only the last can be short of the window.
 
 Token ids are those of the ``tokenizers`` file named; they are computed by the same merges with the faster encoder of
 ``tiktoken``, whose ids each worker compares with the library's on a probe text before use.
@@ -18,13 +22,20 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from fpfilter.llm.scratch import written
 from fpfilter.llm.textvec import ALNUM, release, texts, word_hashes
 
 WINDOW = 1024
 SHARD_DOCS = 2048
-SHARD_BYTES = 32 << 20
+SHARD_BYTES = 8 << 20
 END = 0
+#: Seeds that one round looks up, and the documents it ranks for each.
+SEEDS = 16_384
+RANKED = 16
+#: Pieces that the driver holds before it writes them.
+HELD_PIECES = 1 << 20
 K1, B = 1.2, 0.75
 _PROBE = "It's 3 o'clock;\n\n  déjà vu — naïve  testing\tof 12345 ids_and.dots 日本語 🙂 x = [1, 2]\r\n"
 
@@ -121,6 +132,7 @@ def pack(sizes: np.ndarray, index: Index, window: int = WINDOW) -> Iterator[tupl
 
 
 _OUT = "start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
+_NAMES = ["id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
 
 
 def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, tokenizer: str | None = None) -> DataFrame:
@@ -130,39 +142,300 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
     Ids of rows may be null or repeat. Extra columns are not read. An empty table gives no rows.
     """
     path = tokenizer or default_tokenizer()
+    docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    kind = docs.schema["id"].dataType.simpleString()
+    rows, size = docs.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    out = _in_one_shard(docs, kind, window, path) if rows <= SHARD_DOCS and size <= SHARD_BYTES else _over_shards(docs, kind, window, path)
+    return out.withColumnRenamed("id", id_col)
 
-    def shard(rows: pa.RecordBatch, first: int) -> tuple[pa.RecordBatch, int]:
-        encode = encoder(path)
-        ids = [np.array([*encode(x.as_py() or ""), END], "<u4") for x in rows.column(1)]
-        sizes = np.array([len(x) for x in ids])
-        pieces = np.array(list(pack(sizes, Index(*texts(rows.column(1))), window)), np.int64)
-        row, start, length, sequence, offset = pieces.T
-        crc = [zlib.crc32(ids[r][s : s + n].tobytes()) for r, s, n in zip(row.tolist(), start.tolist(), length.tolist())]
-        columns = [rows.column(0).take(pa.array(row)), *map(pa.array, (start, length, np.array(crc, np.int64), sizes[row], sequence + first, offset))]
-        names = ["id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
-        return pa.RecordBatch.from_arrays(columns, names), first + int(sequence[-1]) + 1
+
+def _in_one_shard(docs: DataFrame, kind: str, window: int, path: str) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if b.num_rows]
+        if held:
+            rows = _one(held)
+            ids = _token_ids(rows.column(1), path)
+            sizes = np.array([len(x) for x in ids])
+            row, *piece = np.array(list(pack(sizes, Index(*texts(rows.column(1))), window)), np.int64).T
+            yield _pieces(rows.column(0), ids, sizes, row, *piece)
+
+    return docs.coalesce(1).mapInArrow(run, f"id {kind}, {_OUT}")
+
+
+def _token_ids(column: pa.Array, path: str) -> list[np.ndarray]:
+    encode = encoder(path)
+    return [np.array([*encode(x.as_py() or ""), END], "<u4") for x in column]
+
+
+def _pieces(keys: pa.Array, ids: list[np.ndarray], sizes: np.ndarray, row: np.ndarray, start: np.ndarray, length: np.ndarray, sequence: np.ndarray, offset: np.ndarray) -> pa.RecordBatch:
+    crc = [zlib.crc32(ids[r][s : s + n].tobytes()) for r, s, n in zip(row.tolist(), start.tolist(), length.tolist())]
+    columns = [keys.take(pa.array(row)), *(pa.array(np.asarray(x, np.int64)) for x in (start, length, crc, sizes[row], sequence, offset))]
+    return pa.RecordBatch.from_arrays(columns, _NAMES)
+
+
+def _over_shards(docs: DataFrame, kind: str, window: int, path: str) -> DataFrame:
+    spark = docs.sparkSession
+    shards = written(_shards(docs, kind, path), "packing-shards", "zstd")
+    known = shards.select("part", "sizes", "words").toArrow().sort_by("part")
+    parts = known["part"].to_numpy()
+    sizes = [np.frombuffer(x.as_py(), "<i4") for x in known["sizes"]]
+    first = np.concatenate(([0], np.cumsum([len(x) for x in sizes])))  # rows are numbered in file order
+    base = dict(zip(parts.tolist(), first.tolist()))
+    sizes = np.concatenate(sizes)
+    index = written(_index(shards, len(sizes), known["words"].to_numpy().sum() / len(sizes)), "packing-index", "zstd")
+    tables, held = [], []
+
+    def keep(at_end: bool = False) -> None:
+        if held and (at_end or len(held) >= HELD_PIECES):
+            row, *rest = np.array(held, np.int64).T
+            at = np.searchsorted(first, row, "right") - 1
+            columns = [parts[at], row - first[at], *rest]
+            table = pa.table([pa.array(x) for x in columns], ["part", "at", "start", "length", "sequence", "offset"])
+            tables.append(written(spark.createDataFrame(table), "packing-pieces"))
+            held.clear()
+
+    filled = Filling(sizes, window)
+    while filled.remaining:
+        seeds = filled.seeds()
+        held.extend(filled.round(seeds, _search(spark, shards, index, base, seeds, filled.used)))
+        keep()
+    held.extend(filled.rest())
+    keep(at_end=True)
+    pieces = tables[0]
+    for table in tables[1:]:
+        pieces = pieces.unionByName(table)
+
+    def finish(shard: pa.Table, own: pa.Table) -> pa.Table:
+        keys, size = shard["keys"].combine_chunks(), np.frombuffer(shard["sizes"][0].as_py(), "<i4")
+        ids = np.split(np.frombuffer(shard["ids"][0].as_py(), "<u4"), np.cumsum(size)[:-1])
+        columns = [own[x].to_numpy() for x in ("at", "start", "length", "sequence", "offset")]
+        return pa.Table.from_batches([_pieces(keys.flatten(), ids, size, *columns)])
+
+    shards = shards.select("part", "keys", "sizes", "ids")
+    return shards.groupBy("part").cogroup(pieces.groupBy("part")).applyInArrow(finish, f"id {kind}, {_OUT}")
+
+
+def _shards(docs: DataFrame, kind: str, path: str) -> DataFrame:
+    """A row for each shard: its documents' ids, sizes, token ids, and distinct words with their numbers."""
+    schema = f"part long, keys array<{kind}>, sizes binary, ids binary, of binary, terms binary, tf binary, length binary, words long"
+
+    def shard(rows: pa.RecordBatch, part: int) -> pa.RecordBatch:
+        ids = _token_ids(rows.column(1), path)
+        hashes, of = word_hashes(*texts(rows.column(1)), ALNUM)
+        n = len(ids)
+        known, term = np.unique(hashes, return_inverse=True)
+        pairs, tf = np.unique(np.repeat(np.arange(n), np.diff(of)) * max(1, len(known)) + term, return_counts=True)
+        doc, term = np.divmod(pairs, max(1, len(known)))
+        binary = [np.array([len(x) for x in ids], "<i4"), np.concatenate(ids), np.searchsorted(doc, np.arange(n + 1)).astype("<i8"), known[term], tf.astype("<u4"), np.maximum(1, np.diff(of)).astype("<i4")]
+        keys = pa.ListArray.from_arrays(pa.array([0, n], pa.int32()), rows.column(0))
+        columns = [pa.array([part]), keys, *(pa.array([x.tobytes()], pa.binary()) for x in binary), pa.array([int(np.maximum(1, np.diff(of)).sum())])]
+        return pa.RecordBatch.from_arrays(columns, ["part", "keys", "sizes", "ids", "of", "terms", "tf", "length", "words"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        first = TaskContext.get().partitionId() << 36
+        part = TaskContext.get().partitionId() << 32
         held, rows, size = [], 0, 0
         for batch in batches:
             low = 0
             while low < batch.num_rows:
-                part = batch.slice(low, min(SHARD_DOCS - rows, 256))
-                held.append(part)
-                low, rows, size = low + part.num_rows, rows + part.num_rows, size + part.nbytes
+                some = batch.slice(low, min(SHARD_DOCS - rows, 256))
+                held.append(some)
+                low, rows, size = low + some.num_rows, rows + some.num_rows, size + some.nbytes
                 if rows >= SHARD_DOCS or size >= SHARD_BYTES:
-                    out, first = shard(_one(held), first)
-                    yield out
-                    held, rows, size = [], 0, 0
+                    yield shard(_one(held), part)
+                    held, rows, size, part = [], 0, 0, part + 1
                     release()
         if held:
-            yield shard(_one(held), first)[0]
+            yield shard(_one(held), part)
+
+    return docs.mapInArrow(run, schema)
 
-    kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"id {kind}, {_OUT}").withColumnRenamed("id", id_col)
+
+def _index(shards: DataFrame, n: int, mean: float) -> DataFrame:
+    """A row for each shard: its words that two documents of the table or more have, and their BM25 postings."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, terms in zip(batch.column(0).to_pylist(), batch.column(1)):
+                term, df = np.unique(np.frombuffer(terms.as_py(), "<i8"), return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(term), part)), pa.array(term), pa.array(df)], ["part", "term", "n"])
+
+    local = written(shards.select("part", "terms").mapInArrow(count, "part long, term long, n long"), "packing-words", "zstd")
+    df = local.groupBy("term").agg(F.sum("n").alias("df")).where("df > 1")
+    words = local.join(df, "term").select("part", "term", "df")
+
+    def build(shard: pa.Table, words: pa.Table) -> pa.Table:
+        if not shard.num_rows:
+            return pa.table({"part": pa.array([], pa.int64()), **{x: pa.array([], pa.binary()) for x in ("terms", "start", "doc", "weight")}})
+        term, tf, of, length = (np.frombuffer(shard[x][0].as_py(), t) for x, t in (("terms", "<i8"), ("tf", "<u4"), ("of", "<i8"), ("length", "<i4")))
+        doc = np.repeat(np.arange(len(length)), np.diff(of))
+        words = words.sort_by("term")
+        known, df = words["term"].to_numpy(), words["df"].to_numpy()
+        at = np.searchsorted(known, term)
+        useful = at < len(known)
+        useful[useful] = known[at[useful]] == term[useful]
+        at, doc, tf = at[useful], doc[useful], tf[useful].astype(float)
+        order = np.argsort(at, kind="stable")
+        at, doc, tf = at[order], doc[order], tf[order]
+        idf = np.log1p((n - df + 0.5) / (df + 0.5))
+        weight = idf[at] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length[doc] / mean))
+        binary = {"terms": known, "start": np.searchsorted(at, np.arange(len(known) + 1)), "doc": doc.astype("<i4"), "weight": weight}
+        return pa.table({"part": shard["part"], **{k: pa.array([v.tobytes()], pa.binary()) for k, v in binary.items()}})
+
+    shards = shards.select("part", "of", "terms", "tf", "length")
+    return shards.groupBy("part").cogroup(words.groupBy("part")).applyInArrow(build, "part long, terms binary, start binary, doc binary, weight binary")
+
+
+def _search(spark: SparkSession, shards: DataFrame, index: DataFrame, base: dict[int, int], seeds: np.ndarray, used: np.ndarray) -> dict[int, list[int]]:
+    """The unused rows of all shards that rank highest for each row of ``seeds``, best first, ``RANKED`` at most."""
+    wanted = spark.sparkContext.broadcast((base, np.sort(seeds)))
+
+    def take(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        base, rows = wanted.value
+        for batch in batches:
+            for part, of, terms in zip(*(c.to_pylist() for c in batch.columns)):
+                of, terms = np.frombuffer(of, "<i8"), np.frombuffer(terms, "<i8")
+                low, high = np.searchsorted(rows, [base[part], base[part] + len(of) - 1])
+                own = rows[low:high] - base[part]
+                got = [terms[of[r] : of[r + 1]].tobytes() for r in own.tolist()]
+                yield pa.RecordBatch.from_arrays([pa.array(own + base[part]), pa.array(got, pa.binary())], ["seed", "terms"])
+
+    queries = shards.select("part", "of", "terms").mapInArrow(take, "seed long, terms binary").toArrow().sort_by("seed")
+    terms = [np.frombuffer(x.as_py(), "<i8") for x in queries["terms"]]
+    asked = spark.sparkContext.broadcast((base, queries["seed"].to_numpy(), terms, np.packbits(used)))
+    top = RANKED
+
+    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        base, seeds, queries, bits = asked.value
+        best, rows = np.zeros((len(seeds), top)), np.full((len(seeds), top), -1)
+        gone = np.unpackbits(bits).astype(bool)
+        for batch in batches:
+            for part, *binary in zip(*(c.to_pylist() for c in batch.columns)):
+                known, start, doc, weight = (np.frombuffer(x, t) for x, t in zip(binary, ("<i8", "<i8", "<i4", "<f8")))
+                if not len(known):
+                    continue
+                n, low = int(doc.max()) + 1, base[part]
+                here = gone[low : low + n]
+                for q, terms in enumerate(queries):
+                    at = np.minimum(np.searchsorted(known, terms), len(known) - 1)
+                    at = at[known[at] == terms]
+                    begin, many = start[at], start[at + 1] - start[at]
+                    where = np.arange(many.sum()) + np.repeat(begin - np.cumsum(many) + many, many)
+                    scores = np.bincount(doc[where], weight[where], n)
+                    scores[here] = 0
+                    if low <= seeds[q] < low + n:
+                        scores[seeds[q] - low] = 0
+                    found = np.flatnonzero(scores > best[q].min())
+                    if len(found):
+                        score, row = np.concatenate([best[q], scores[found]]), np.concatenate([rows[q], found + low])
+                        order = np.lexsort((row, -score))[:top]
+                        best[q], rows[q] = score[order], row[order]
+        q, k = np.nonzero(best > 0)
+        yield pa.RecordBatch.from_arrays([pa.array(seeds[q]), pa.array(rows[q, k]), pa.array(best[q, k])], ["seed", "row", "score"])
+        release()
+
+    found = index.mapInArrow(look, "seed long, row long, score double")
+    ranked = F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("s"), "row"))), 1, top)["row"]
+    got = {r["seed"]: r["rows"] for r in found.groupBy("seed").agg(ranked.alias("rows")).collect()}
+    wanted.destroy()
+    asked.destroy()
+    return got
+
+
+class Filling:
+    """Sequences filled from rows of ``sizes`` tokens, round by round. Pieces are row, start, length, sequence, offset."""
+
+    def __init__(self, sizes: np.ndarray, window: int):
+        self.sizes, self.window = sizes.tolist(), window
+        self.used = np.zeros(len(sizes), bool)
+        self.remaining, self.unseen, self.next = len(sizes), 0, 0
+        self.open: list[tuple[int, list]] = []  # seed and pieces of sequences that are short
+
+    def seeds(self) -> np.ndarray:
+        """Those of short sequences, and unused rows in file order: an eighth of all, so that some are left to rank."""
+        many = max(0, min(SEEDS, max(16, self.remaining // 8)) - len(self.open))
+        fresh = self._unused(many or (not self.open))
+        return np.unique(np.concatenate([np.array([s for s, _ in self.open[:SEEDS]], np.int64), fresh]))
+
+    def _unused(self, many: int) -> np.ndarray:
+        while self.unseen < len(self.used) and self.used[self.unseen]:
+            self.unseen += 1
+        low, got = self.unseen, np.zeros(0, np.int64)
+        while len(got) < many and low < len(self.used):
+            got = np.concatenate([got, low + np.flatnonzero(~self.used[low : low + 65_536])])
+            low += 65_536
+        return got[:many]
+
+    def round(self, seeds: np.ndarray, ranked: dict[int, list[int]]) -> Iterator[tuple[int, int, int, int, int]]:
+        waiting, self.open = self.open, []
+        asked = set(seeds.tolist())
+        for seed, pieces in waiting:
+            if seed in asked:
+                yield from self._fill(seed, pieces, ranked.get(seed, []))
+            else:
+                self.open.append((seed, pieces))
+        for seed in seeds.tolist():
+            if not self.used[seed]:
+                closed, pieces, last = self._place([], seed)
+                yield from closed
+                if pieces:
+                    yield from self._fill(last, pieces, ranked.get(seed, []))
+
+    def _fill(self, seed: int, pieces: list, rows: list[int]) -> Iterator[tuple[int, int, int, int, int]]:
+        for row in rows:
+            if not self.used[row]:
+                closed, pieces, _ = self._place(pieces, row)
+                yield from closed
+                if closed:
+                    if pieces:
+                        self.open.append((row, pieces))
+                    return
+        while len(rows) < RANKED and self.remaining:  # no other row has a word of the seed: file order
+            row = int(self._unused(1)[0])
+            closed, pieces, _ = self._place(pieces, row)
+            yield from closed
+            if closed:
+                if pieces:
+                    self.open.append((row, pieces))
+                return
+        self.open.append((seed, pieces))
+
+    def _place(self, pieces: list, row: int) -> tuple[list, list, int]:
+        """The pieces of sequences that ``row`` closes, and those of the one left short."""
+        self.used[row] = True
+        self.remaining -= 1
+        return *self._lay(pieces, row, 0, self.sizes[row]), row
+
+    def _lay(self, pieces: list, row: int, start: int, left: int) -> tuple[list, list]:
+        closed, pieces = [], list(pieces)
+        fill = sum(n for _, _, n in pieces)
+        while left:
+            take = min(left, self.window - fill)
+            pieces.append((row, start, take))
+            start, left, fill = start + take, left - take, fill + take
+            if fill == self.window:
+                closed += self._numbered(pieces)
+                pieces, fill = [], 0
+        return closed, pieces
+
+    def _numbered(self, pieces: list) -> list:
+        offset, out = 0, []
+        for row, start, n in pieces:
+            out.append((row, start, n, self.next, offset))
+            offset += n
+        self.next += 1
+        return out
+
+    def rest(self) -> Iterator[tuple[int, int, int, int, int]]:
+        """Sequences left short, one after the other."""
+        last: list = []
+        for _, pieces in self.open:
+            for row, start, n in pieces:
+                closed, last = self._lay(last, row, start, n)
+                yield from closed
+        if last:
+            yield from self._numbered(last)
 
 
 def _one(parts: list[pa.RecordBatch]) -> pa.RecordBatch:

@@ -421,6 +421,36 @@ def test_every_word_of_a_seed_is_looked_up():
     assert (scores[:-1] > 0).all() and scores[-1] == 0
 
 
+def test_neighbours_are_found_in_every_shard(spark, monkeypatch):
+    monkeypatch.setattr(packing, "SHARD_DOCS", 8)
+    texts = [f"topic{i % 40} word{i % 40} thing{i % 40} same" for i in range(120)]  # 40 texts three times, never in one shard
+    docs = spark.createDataFrame(rows(*texts), SCHEMA).repartitionByRange(5, "doc_id")
+    size = len(packing.encoder(packing.default_tokenizer())(texts[0])) + 1
+    pieces = packing.packed(docs, window=3 * size).collect()
+    sequences = check_pieces(pieces, list(enumerate(texts)), 3 * size)
+    alike = sum(len({p["doc_id"] % 40 for p in s}) == 1 for s in sequences.values() if len(s) == 3)
+    assert alike >= 30
+
+
+def test_shards_rank_as_one_index_does(spark, sf_dir, documents, monkeypatch):
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    whole = packing.Index(*textvec.texts(pa.array([r["text"] for r in documents])))
+    monkeypatch.setattr(packing, "SHARD_DOCS", 16)
+    seen = []
+    search = packing._search
+    monkeypatch.setattr(packing, "_search", lambda *a: (seen.append((a[4], a[5].copy(), search(*a))), seen[-1][2])[1])
+    pieces = packing.packed(docs.coalesce(1)).collect()
+    check_pieces(pieces, [tuple(r) for r in documents])
+    total = sum(p["length"] for p in pieces)
+    assert len({p["sequence_id"] for p in pieces}) == -(-total // 1024)
+    for seeds, used, got in seen:
+        for seed in seeds.tolist():
+            scores = whole.scores(seed)
+            scores[used] = scores[seed] = 0
+            found = np.sort(scores[got.get(seed, [])])[::-1]
+            assert found == pytest.approx(np.sort(scores)[::-1][: len(found)]) and len(found) == min(packing.RANKED, (scores > 0).sum())
+
+
 def test_packing_awkward_rows(spark, nothing):
     unique = [r for n, r in enumerate(AWKWARD) if r[0] is not None and r[0] not in (3, 20)]
     pieces = packing.packed(spark.createDataFrame(unique, SCHEMA)).collect()
