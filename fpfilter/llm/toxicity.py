@@ -3,7 +3,8 @@
 Terms are words and their first bytes, hashed; a document is the set of its terms. The machine adds to the linear
 weights of the terms a product of factor vectors for every pair of them, so that words which are harmless alone but
 not together count. It is fitted on the driver on a bounded sample of labelled rows (``TRAIN_ROWS``) in which terms
-are screened for association with the label first; scoring is one pass over all texts.
+are screened first: those associated with the label are kept, and those that occur together with another one in rows
+which the former leave unexplained, all to one side. Scoring is one pass over all texts.
 """
 
 from __future__ import annotations
@@ -27,6 +28,9 @@ FACTORS = 8
 _PREFIXES = (4, 5)
 _LEAST_Z = 4.0
 _LEAST_DOCS = 4
+#: What two terms together must reach, and the error from which a row counts as unexplained.
+_PAIR_Z = 6.0
+_UNEXPLAINED = 0.1
 
 
 @dataclass
@@ -77,6 +81,47 @@ def fit(terms: np.ndarray, of: np.ndarray, label: np.ndarray, steps: int = 150)
     z[with_term < min(_LEAST_DOCS, max(1, n1 // 4))] = 0
     kept = np.argsort(-z, kind="stable")[:MOST_TERMS]
     kept = np.sort(kept[z[kept] >= _LEAST_Z])
+    machine, error = _fitted(kept, terms, of, label, steps)
+    more = np.setdiff1d(paired(terms, of, error), kept)
+    return _fitted(np.union1d(kept, more), terms, of, label, steps)[0] if len(more) else machine
+
+
+def paired(terms: np.ndarray, of: np.ndarray, error: np.ndarray) -> np.ndarray:
+    """Terms of pairs whose common rows have ``error`` to one side: sum over root of squares of ``_PAIR_Z`` or more.
+
+    That needs as many common rows as its square, so no pair is lost by leaving rarer terms out.
+    """
+    least = _PAIR_Z**2
+    doc = np.repeat(np.arange(len(error)), np.diff(of))
+    some = np.abs(error[doc]) >= _UNEXPLAINED
+    terms, doc = terms[some], doc[some]
+    often = np.flatnonzero(np.bincount(terms, minlength=TERMS) >= least)
+    at = np.full(TERMS, -1, np.int32)
+    at[often] = np.arange(len(often))
+    at = at[terms]
+    at, doc = at[at >= 0], doc[at >= 0]
+    ends = np.searchsorted(doc, np.arange(len(error) + 1))
+    order = np.argsort(at, kind="stable")
+    starts = np.searchsorted(at[order], np.arange(len(often) + 1))
+    found = np.zeros(len(often), bool)
+    for a in range(len(often)):
+        rows = doc[order[starts[a] : starts[a + 1]]]
+        n = ends[rows + 1] - ends[rows]
+        other = at[np.arange(n.sum()) + np.repeat(ends[rows] - np.cumsum(n) + n, n)]
+        e = np.repeat(error[rows], n)
+        z = np.abs(np.bincount(other, e, len(often))) / np.sqrt(np.maximum(np.bincount(other, e * e, len(often)), 1e-12))
+        z[a] = 0
+        if z.max() >= _PAIR_Z:
+            found |= z >= _PAIR_Z
+            found[a] = True
+    return often[found]
+
+
+def _fitted(kept: np.ndarray, terms: np.ndarray, of: np.ndarray, label: np.ndarray, steps: int) -> tuple[Machine, np.ndarray]:
+    """The machine of the terms ``kept``, and its weighted error in each row."""
+    n, n1 = len(label), int(label.sum())
+    index = np.full(TERMS, -1, np.int32)
+    doc = np.repeat(np.arange(n), np.diff(of))
     index[kept] = np.arange(len(kept))
     at = index[terms]
     doc, at = doc[at >= 0], at[at >= 0]
@@ -102,7 +147,7 @@ def fit(terms: np.ndarray, of: np.ndarray, label: np.ndarray, steps: int = 150)
             m += 0.1 * (g - m)
             v += 0.01 * (g * g - v)
             x -= 0.1 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
-    return Machine(index, float(params[0][0]), params[1], params[2])
+    return Machine(index, float(params[0][0]), params[1], params[2]), slope * n
 
 
 def in_fold(id_col: str, of: int, fold: int) -> Column:

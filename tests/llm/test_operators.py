@@ -172,6 +172,19 @@ def test_pairs_count_where_single_terms_do_not():
     assert ((raw > 0) == (label > 0)).mean() > 0.95
 
 
+def test_pairs_count_with_the_settings_of_the_query():
+    rng = np.random.default_rng(2)
+    n = 4000
+    has = rng.random((n, 2)) < 0.5
+    label = (has[:, 0] == has[:, 1]).astype(float)
+    terms = [np.concatenate([np.flatnonzero(np.concatenate([h, ~h])), 4 + rng.choice(300, 5, False)]) for h in has]  # and terms of no meaning
+    of = np.concatenate(([0], np.cumsum([len(t) for t in terms])))
+    train, test = of[: n // 2 + 1], of[n // 2 :] - of[n // 2]
+    terms = np.concatenate(terms)
+    machine = toxicity.fit(terms[: train[-1]], train, label[: n // 2])
+    assert ((machine.raw(terms[train[-1] :], test) > 0) == (label[n // 2 :] > 0)).mean() > 0.95
+
+
 def test_scores_of_awkward_rows(spark, awkward, nothing):
     labels = spark.createDataFrame([(0, 1), (3, 0), (None, 1), (20, None)], "doc_id long, toxic int")
     machine = toxicity.train(awkward, labels)
