@@ -194,6 +194,11 @@ SELECT role, count(*) AS words, count(DISTINCT word) AS distinct_words FROM c SE
 SELECT host, count(*) AS pages FROM p WHERE page_id % 2 = 1 AND host IN (SELECT host FROM p WHERE page_id % 2 = 0) GROUP BY host""",
     "a05_duplicate_documents": """SELECT o.doc_id, min(e.doc_id) AS first_even, count(*) AS copies FROM documents o JOIN documents e ON o.text = e.text
 WHERE o.doc_id % 2 = 1 AND e.doc_id % 2 = 0 GROUP BY o.doc_id""",
+    "a05_first_seen_pages": """WITH p AS (SELECT page_id, regexp_replace(url, '#.*$', '') AS url FROM pages), h AS (SELECT *, regexp_extract(url, '^[A-Za-z]+://[^/?]*', 0) AS head FROM p),
+n AS (SELECT page_id, lower(head) || regexp_replace(substring(url, length(head) + 1), '/+$', '') AS url FROM h)
+SELECT page_id, min(page_id) OVER w AS first_id, count(*) OVER w AS copies, page_id = min(page_id) OVER w AS first_seen FROM n WINDOW w AS (PARTITION BY url)""",
+    "a05_first_seen_documents": """SELECT doc_id, min(doc_id) OVER w AS first_id, count(*) OVER w AS copies, doc_id = min(doc_id) OVER w AS first_seen
+FROM documents WINDOW w AS (PARTITION BY text)""",
     "unseen_by_hour": """SELECT date_trunc('hour', ts)::TIMESTAMP AS start, count(*) AS rows, sum((user_id % 2 = 1)::BIGINT)::BIGINT AS unseen FROM events GROUP BY 1""",
     "a06_first_seen": FIRST_SEEN_SQL,
     "e02_staircase": _STAIRCASE_SQL,
@@ -209,7 +214,7 @@ def queries() -> dict[str, Query]:
     found["membership_partitioned"] = partial(workloads.membership, spec=variant("w22", 8, subs=4), strategy="partitioned")
     found["membership_relational"] = relational
     experiments = ("e01_overhead", "e02_staircase", "e03_thresholds", "e04_walk_caps", "e05_load_by_size", "e06_time_memory", "e07_actual_properties", "e07_orders", "e08_throughput", "e09_lookahead", "e10_comparison", "e11_query_types", "e12_balance", "e13_kernels")
-    applications = ("a01_revenue", "a02_segments", "a03_contamination", "a04_vocabulary", "a05_seen_pages", "a05_duplicate_documents", "a07_confusion")
+    applications = ("a01_revenue", "a02_segments", "a03_contamination", "a04_vocabulary", "a05_seen_pages", "a05_duplicate_documents", "a05_first_seen_pages", "a05_first_seen_documents", "a07_confusion")
     for name in (*experiments, *applications, "choice_profile", "walk_lengths", "cache_lines", "random_key_accuracy"):
         found[name] = getattr(workloads, name)
     return found | {"a06_first_seen": first_seen, "unseen_by_hour": unseen_by_hour}

@@ -430,6 +430,30 @@ def a05_duplicate_documents(spark: SparkSession, sf_dir: str, k: int = 14) -> Da
     return pairs.groupBy("doc_id").agg(F.min("other").alias("first_even"), F.count(F.lit(1)).alias("copies"))
 
 
+def _first_seen(rows: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
+    """For each row the least id of its text, its copies and whether it is the first; only hits of a filter of repeated hashes are compared."""
+    rows = rows.withColumn("key", F.xxhash64(text_col))
+    again = written(rows.groupBy("key").count().where("count > 1").select("key"), "again")
+    probed = contains(rows, "key", build_filter(again, "key", variant("w22", k, subs=2)))
+    same = W.partitionBy(text_col)
+    maybe = probed.where("hit").select(id_col, F.min(id_col).over(same).alias("first_id"), F.count(F.lit(1)).over(same).alias("copies"))
+    single = probed.where("not hit").select(id_col, F.col(id_col).alias("first_id"), F.lit(1).cast("long").alias("copies"))
+    return maybe.unionByName(single).withColumn("first_seen", F.col(id_col) == F.col("first_id"))
+
+
+def a05_first_seen_pages(spark: SparkSession, sf_dir: str, k: int = 14) -> DataFrame:
+    """First-seen flags of all pages by their whole URL: scheme and host in small letters, no fragment, no slash at the end."""
+    pages = read(spark, sf_dir, "pages").select("page_id", F.regexp_replace("url", "#.*$", "").alias("url"))
+    head = F.regexp_extract("url", "^[A-Za-z]+://[^/?]*", 0)
+    rest = F.regexp_replace(F.col("url").substr(F.length(head) + 1, F.length("url")), "/+$", "")
+    return _first_seen(pages.select("page_id", F.concat(F.lower(head), rest).alias("url")), "page_id", "url", k)
+
+
+def a05_first_seen_documents(spark: SparkSession, sf_dir: str, k: int = 14) -> DataFrame:
+    """First-seen flags of all documents by their whole text."""
+    return _first_seen(read(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id", "text", k)
+
+
 def a07_confusion(spark: SparkSession, sf_dir: str, k: int = 6) -> DataFrame:
     """Hits and misses of a small filter in front of the exact set of finished orders."""
     orders = read(spark, sf_dir, "orders").where("o_orderstatus = 'F'").select("o_orderkey")

@@ -175,3 +175,14 @@ def test_entry_and_registry(spark):
 
     assert entry.entry(spark).count() == 5
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_first_seen_flags_of_every_row(spark, tmp_path):
+    texts = ["a", "b", "a", "c", "b", "a", "d", None, "e", None]  # copies at odd, even and mixed numbers
+    spark.createDataFrame([(2 * i + 1, t) for i, t in enumerate(texts)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    urls = ["http://A.org/x/", "http://a.org/x#top", "http://a.org/X", "http://a.org/y", "http://a.org", "HTTP://a.org/", "http://a.org/x?p=1"]
+    spark.createDataFrame([(2 * i, u) for i, u in enumerate(urls)], "page_id long, url string").write.parquet(f"{tmp_path}/pages.parquet")
+    for query, id_, same in ((workloads.a05_first_seen_documents, "doc_id", [0, 1, 0, 3, 1, 0, 6, 7, 8, 7]), (workloads.a05_first_seen_pages, "page_id", [0, 0, 2, 3, 4, 4, 6])):
+        place = (lambda i: 2 * i + 1) if id_ == "doc_id" else (lambda i: 2 * i)
+        want = {(place(i), place(s), same.count(s), i == s) for i, s in enumerate(same)}
+        assert {tuple(r) for r in query(spark, str(tmp_path)).select(id_, "first_id", "copies", "first_seen").collect()} == want
