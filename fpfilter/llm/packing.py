@@ -1,22 +1,28 @@
 """Packing documents into training sequences by lexical retrieval.
 
-The document that opens a sequence is the seed, and the unused documents of the whole table that BM25 ranks highest
-for it fill the sequence. A document that does not fit is cut, its rest opens the next sequence and is that one's seed.
-
-A table of one shard is packed by one task. A larger one has an index in shards, with word statistics of all
-documents. Seeds are searched in rounds: each round looks up the next seeds in every shard, and the driver, which
-holds a size and a mark for each document, fills their sequences in file order of the seeds. A seed whose ranked
-documents have all gone to others is looked up again in the next round. Sequences still short when no document is left
-are laid one after the other, so that only the last can be short of the window.
-
-Token ids are those of the ``tokenizers`` file named; they are computed by the same merges with the faster encoder of
-``tiktoken``, whose ids each worker compares with the library's on a probe text before use.
+The document that opens a sequence is the seed; the unused documents that BM25 ranks highest for all of its words fill
+the sequence. A document that does not fit is cut, its rest opens the next sequence and is that one's seed.
+
+* Statistics. One pass over the table counts, for each of ``TERMS`` hashed terms, the documents that have it, and all
+  documents and words. They are bounded by the number of terms, not by the table, and are what every rank is made of.
+* Shards. The inverted index is sharded by content: documents are sorted by their heaviest common term, then by their
+  heaviest term at all, and each run of ``SHARD_DOCS`` of them (fewer if long) is a shard, so that what a seed ranks
+  highest tends to lie in its own shard. A term that very many documents share just spans several shards: the third
+  sort key is a row number, so no key is too hot to be cut.
+* Search. A seed is looked up with every word in its shard's whole index, as often as it needs further neighbours.
+  Documents of other shards are not ranked for it: a search of everything for every seed grows with the square of the
+  table. The README has what that loses.
+
+Token ids are those of the ``tokenizers`` file named. The faster encoder of ``tiktoken`` computes the same merges; it
+gets the texts that hold none of the file's added tokens and no very long run, and all others go to the library.
 """
 
 from __future__ import annotations
 
+import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
@@ -25,19 +31,24 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fpfilter.llm.scratch import written
-from fpfilter.llm.textvec import ALNUM, release, texts, word_hashes
+from fpfilter.llm.textvec import ALNUM, U64, Words, chunks, release, texts
 
 WINDOW = 1024
-SHARD_DOCS = 2048
-SHARD_BYTES = 8 << 20
+SHARD_DOCS = 4096
+SHARD_BYTES = 16 << 20
+#: Text of a task, which works off its shards one after the other: a shard's, or more where tasks would be too many.
+TASK_BYTES, MOST_TASKS = SHARD_BYTES, 50_000
 END = 0
-#: Seeds that one round looks up, and the documents it ranks for each.
-SEEDS = 16_384
-RANKED = 16
-#: Pieces that the driver holds before it writes them.
-HELD_PIECES = 1 << 20
+#: Words are hashed to so many terms: the bound of the statistics.
+TERM_BITS = 22
+TERMS = 1 << TERM_BITS
+#: A common term is one that this many shards could be made of.
+COMMON_SHARDS = 4
+RANKED = 8
 K1, B = 1.2, 0.75
 _PROBE = "It's 3 o'clock;\n\n  déjà vu — naïve  testing\tof 12345 ids_and.dots 日本語 🙂 x = [1, 2]\r\n"
+#: Runs from which on a text goes to the library: the other encoder recurses over them.
+_LONG_RUN = r"\s{256}|\S{1024}"
 
 
 def default_tokenizer() -> str:
@@ -47,87 +58,178 @@ def default_tokenizer() -> str:
 
 
 @lru_cache(2)
-def encoder(path: str):
+def encoder(path: str) -> Callable[[str], list[int]]:
     """A function from text to ids, equal to ``Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids``."""
     import tiktoken
     from public_tokenizers import PATTERN
     from tokenizers import Tokenizer
 
     library = Tokenizer.from_file(path)
-    library.encode_special_tokens = True
+    added = {t.content for t in library.get_added_tokens_decoder().values()}
     # byte-level vocabularies print each byte as one visible character: itself, or the next free one from 256 on
     shown = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
     hidden = [b for b in range(256) if b not in shown]
     byte_of = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
-    special = {t.content for t in library.get_added_tokens_decoder().values()}
-    ranks = {bytes(byte_of[c] for c in token): i for token, i in library.get_vocab().items() if token not in special}
-    fast = tiktoken.Encoding("same", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
-    if fast.encode_ordinary(_PROBE) != library.encode(_PROBE, add_special_tokens=False).ids:
-        return lambda text: library.encode(text, add_special_tokens=False).ids
-    return fast.encode_ordinary
+
+    def by_library(text: str) -> list[int]:
+        return library.encode(text, add_special_tokens=False).ids
+
+    try:
+        ranks = {bytes(byte_of[c] for c in token): i for token, i in library.get_vocab().items() if token not in added}
+        fast = tiktoken.Encoding("same", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
+    except (KeyError, ValueError):  # not a byte-level vocabulary
+        return by_library
+    if fast.encode_ordinary(_PROBE) != by_library(_PROBE):
+        return by_library
+    special = re.compile("|".join([*map(re.escape, sorted(added)), _LONG_RUN]))
+    return lambda text: by_library(text) if special.search(text) else fast.encode_ordinary(text)
+
+
+@dataclass
+class Statistics:
+    """Of all documents: their number, their words, and for each term the documents that have it."""
+
+    docs: int
+    words: int
+    bytes: int
+    df: np.ndarray
+
+    def idf(self, terms: np.ndarray) -> np.ndarray:
+        df = self.df[terms]
+        return np.log1p((self.docs - df + 0.5) / (df + 0.5))
+
+    def weights(self, terms: np.ndarray, tf: np.ndarray, length: np.ndarray) -> np.ndarray:
+        mean = self.words / max(1, self.docs)
+        return self.idf(terms) * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length / max(1.0, mean)))
+
+
+def document_terms(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """``doc, term, tf`` of each distinct term of each row, sorted by row, and the rows' lengths in words (1 at least)."""
+    pairs, tf, length = [np.zeros(0, U64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    for low, high in chunks(offsets):
+        words = Words(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], ALNUM)
+        term = words.hashes() >> U64(64 - TERM_BITS)
+        got, n = np.unique((words.row() + low).astype(U64) << U64(TERM_BITS) | term, return_counts=True)
+        pairs.append(got)
+        tf.append(n)
+        length.append(np.diff(words.of))
+    joined = np.concatenate(pairs)
+    doc, term = (joined >> U64(TERM_BITS)).astype(np.int64), (joined & U64(TERMS - 1)).astype(np.int64)
+    return doc, term, np.concatenate(tf), np.maximum(1, np.concatenate(length))
+
+
+def statistics(docs: DataFrame) -> Statistics:
+    """One pass over ``docs`` (``text``); a task sends a row for each term that it has met."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        df, docs, words, size = np.zeros(TERMS, np.int64), 0, 0, 0
+        for batch in batches:
+            data, offsets = texts(batch.column(0))
+            for low, high in chunks(offsets, 1 << 22):
+                _, term, _, length = document_terms(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low])
+                df += np.bincount(term, minlength=TERMS)
+                docs, words = docs + high - low, words + int(length.sum())
+            size += len(data)
+        at = np.flatnonzero(df)
+        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, [-1, -2, -3])), pa.array(np.append(df[at], [docs, words, size]))], ["term", "n"])
+        release()
+
+    got = docs.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()  # TERMS + 3 rows at most
+    term, n = got["term"].to_numpy(), got["n"].to_numpy()
+    known = {t: int(n[term == t].sum()) for t in (-1, -2, -3)}
+    df = np.zeros(TERMS, np.int32)
+    df[term[term >= 0]] = np.minimum(n[term >= 0], (1 << 31) - 1)
+    return Statistics(known[-1], known[-2], known[-3], df)
+
+
+def lexical_keys(data: np.ndarray, offsets: np.ndarray, known: Statistics) -> tuple[np.ndarray, np.ndarray]:
+    """Of each row the heaviest common term and the heaviest term of all that two documents have; -1 without."""
+    doc, term, tf, length = document_terms(data, offsets)
+    weight = known.weights(term, tf, length[doc]) if len(doc) else np.zeros(0)
+    out = []
+    for least in (COMMON_SHARDS * SHARD_DOCS, 2):
+        some = np.flatnonzero(known.df[term] >= least)
+        some = some[np.lexsort((term[some], -weight[some], doc[some]))]
+        row, first = np.unique(doc[some], return_index=True)
+        key = np.full(len(offsets) - 1, -1, np.int64)
+        key[row] = term[some[first]]
+        out.append(key)
+    return out[0], out[1]
 
 
 class Index:
-    """BM25 over the rows of one shard."""
-
-    def __init__(self, data: np.ndarray, offsets: np.ndarray):
-        hashes, of = word_hashes(data, offsets, ALNUM)
-        n = len(offsets) - 1
-        length = np.maximum(1, np.diff(of))
-        _, term = np.unique(hashes, return_inverse=True)
-        pairs, tf = np.unique(term.astype(np.int64) * n + np.repeat(np.arange(n), np.diff(of)), return_counts=True)
-        term, doc = np.divmod(pairs, max(1, n))
-        df = np.bincount(term)
-        idf = np.log1p((n - df + 0.5) / (df + 0.5))
-        weight = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length[doc] / length.mean())) if len(term) else np.zeros(0)
-        useful = df[term] > 1
-        self.n, self.doc, self.weight = n, doc[useful], weight[useful]
-        term = term[useful]
-        self.start = np.searchsorted(term, np.arange(len(df) + 1))
-        # each row's own terms; all of them are looked up
-        order = np.argsort(self.doc, kind="stable")
-        self.terms, self.of = term[order], np.searchsorted(self.doc[order], np.arange(n + 1))
+    """The inverted index of one shard: BM25 weights by statistics of the whole table."""
+
+    def __init__(self, data: np.ndarray, offsets: np.ndarray, known: Statistics):
+        self.n = len(offsets) - 1
+        doc, term, tf, length = document_terms(data, offsets)
+        weight = known.weights(term, tf, length[doc]).astype(np.float32) if len(doc) else np.zeros(0, np.float32)
+        names, term = np.unique(term, return_inverse=True)
+        useful = np.bincount(term, minlength=len(names))[term] > 1  # what one row of the shard has finds no other
+        doc, term, weight = doc[useful], term[useful], weight[useful]
+        self.terms, self.of = term, np.searchsorted(doc, np.arange(self.n + 1))
+        order = np.argsort(term, kind="stable")
+        self.doc, self.weight, self._term, self._names = doc[order].astype(np.int32), weight[order], term[order], len(names)
+        self._starts()
+
+    def _starts(self) -> None:
+        self.start = np.searchsorted(self._term, np.arange(self._names + 1))
+
+    def drop(self, used: np.ndarray) -> None:
+        """Leave the postings of used rows out; they stay seeds."""
+        keep = ~used[self.doc]
+        self.doc, self.weight, self._term = self.doc[keep], self.weight[keep], self._term[keep]
+        self._starts()
 
     def scores(self, row: int) -> np.ndarray:
         terms = self.terms[self.of[row] : self.of[row + 1]]
-        low, high = self.start[terms], self.start[terms + 1]
-        n = high - low
-        at = np.arange(n.sum()) + np.repeat(low - np.concatenate(([0], np.cumsum(n)[:-1])), n)
+        low = self.start[terms]
+        n = self.start[terms + 1] - low
+        at = np.arange(n.sum()) + np.repeat(low - np.cumsum(n) + n, n)
         return np.bincount(self.doc[at], self.weight[at], self.n)
 
 
-def pack(sizes: np.ndarray, index: Index, window: int = WINDOW) -> Iterator[tuple[int, int, int, int, int]]:
+@dataclass
+class Open:
+    """The sequence that is being filled, which the next shard of a task continues."""
+
+    sequence: int = 0
+    fill: int = 0
+
+
+def pack(sizes: np.ndarray, index: Index, window: int = WINDOW, state: Open | None = None) -> Iterator[tuple[int, int, int, int, int]]:
     """``row, start, length, sequence, offset`` of each piece; ``sizes`` are the rows' numbers of tokens."""
+    state = state or Open()
     used = np.zeros(len(sizes), bool)
-    unseen = 0
-    sequence, fill, seed, ranked = 0, 0, -1, []
-    for _ in range(len(sizes)):
+    unseen, left_in, seed, ranked = 0, len(sizes), -1, []
+    for n in range(len(sizes)):
+        if 2 * (len(sizes) - n) <= left_in:  # postings of used rows only cost time
+            index.drop(used)
+            left_in = len(sizes) - n
         row = -1
-        while ranked and row < 0:
-            got = ranked.pop()
-            row = got if not used[got] else -1
-        if row < 0 and seed >= 0 and ranked is not None:
-            scores = index.scores(seed)
-            scores[used] = 0
-            best = np.argpartition(-scores, min(8, len(scores) - 1))[:8]
-            best = best[scores[best] > 0]
-            ranked = best[np.argsort(scores[best], kind="stable")].tolist()
+        if seed >= 0:
+            if not ranked:
+                scores = index.scores(seed)
+                scores[used] = 0
+                best = np.argpartition(-scores, min(RANKED, len(scores) - 1))[:RANKED]
+                best = best[scores[best] > 0]
+                ranked = best[np.lexsort((-best, scores[best]))].tolist()
             if ranked:
                 row = ranked.pop()
-        if row < 0:
+        if row < 0:  # no unused row shares a word with the seed: the next in lexical order
             while used[unseen]:
                 unseen += 1
             row = unseen
         used[row] = True
         start, left = 0, int(sizes[row])
-        if fill == 0:
+        if state.fill == 0 or seed < 0:
             seed, ranked = row, []
         while left:
-            take = min(left, window - fill)
-            yield row, start, take, sequence, fill
-            start, left, fill = start + take, left - take, fill + take
-            if fill == window:
-                sequence, fill = sequence + 1, 0
+            take = min(left, window - state.fill)
+            yield row, start, take, state.sequence, state.fill
+            start, left, state.fill = start + take, left - take, state.fill + take
+            if state.fill == window:
+                state.sequence, state.fill = state.sequence + 1, 0
                 seed, ranked = (row, []) if left else (-1, [])
 
 
@@ -139,27 +241,67 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
     """The pieces of all rows of ``docs``: id, start, length, ids_crc32, doc_tokens, sequence_id, offset.
 
     A row's ids are its text's and the end id; a null or empty text has the end id alone. Each id lies in one piece.
-    Ids of rows may be null or repeat. Extra columns are not read. An empty table gives no rows.
+    Only the last sequence of a task may be short. Ids of rows may be null or repeat, equal rows are packed each for
+    itself, a very long text fills sequences of its own. Rows that rank alike come in lexical order. Extra columns,
+    whatever their names, are not read. An empty table gives no rows.
     """
     path = tokenizer or default_tokenizer()
     docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     kind = docs.schema["id"].dataType.simpleString()
-    rows, size = docs.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
-    out = _in_one_shard(docs, kind, window, path) if rows <= SHARD_DOCS and size <= SHARD_BYTES else _over_shards(docs, kind, window, path)
-    return out.withColumnRenamed("id", id_col)
+    known = statistics(docs)
+    shared = docs.sparkSession.sparkContext.broadcast(known)  # TERMS numbers
+
+    @F.arrow_udf("struct<common:long,heaviest:long>")
+    def keys(column: pa.Array) -> pa.Array:
+        found = [(np.zeros(0, np.int64),) * 2]
+        data, offsets = texts(column)
+        for low, high in chunks(offsets, 1 << 22):
+            found.append(lexical_keys(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], shared.value))
+        release()
+        return pa.StructArray.from_arrays([pa.array(np.concatenate(x)) for x in zip(*found)], ["common", "heaviest"])
 
+    routed = written(docs.select("id", "text", F.monotonically_increasing_id().alias("row"), keys("text").alias("key")), "packing-routed", "zstd")
+    tasks = -(-known.bytes // max(TASK_BYTES, known.bytes // MOST_TASKS)) or 1
+    ranged = routed.repartitionByRange(tasks, F.col("key.common"), F.col("key.heaviest"), F.col("row"))
+    ranged = ranged.sortWithinPartitions("key.common", "key.heaviest", "row").select("id", "text")
 
-def _in_one_shard(docs: DataFrame, kind: str, window: int, path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [b for b in batches if b.num_rows]
-        if held:
-            rows = _one(held)
+        from pyspark import TaskContext
+
+        state = Open(TaskContext.get().partitionId() << 40)
+        for rows in _shards(batches):
             ids = _token_ids(rows.column(1), path)
             sizes = np.array([len(x) for x in ids])
-            row, *piece = np.array(list(pack(sizes, Index(*texts(rows.column(1))), window)), np.int64).T
+            index = Index(*texts(rows.column(1)), shared.value)
+            row, *piece = np.array(list(pack(sizes, index, window, state)), np.int64).T
             yield _pieces(rows.column(0), ids, sizes, row, *piece)
+            release()
+
+    return ranged.mapInArrow(run, f"id {kind}, {_OUT}").withColumnRenamed("id", id_col)
+
+
+def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The rows of a task in runs of ``SHARD_DOCS`` or about ``SHARD_BYTES``; a longer text is a run of its own."""
+    held, rows, size = [], 0, 0
+    for batch in batches:
+        _, offsets = texts(batch.column(1))
+        low = 0
+        while low < batch.num_rows:
+            room = int(np.searchsorted(offsets, offsets[low] + SHARD_BYTES - size, "right")) - 1 - low
+            some = min(max(room, 0 if rows else 1), SHARD_DOCS - rows, batch.num_rows - low)
+            if some:
+                held.append(batch.slice(low, some))
+                rows, size = rows + some, size + int(offsets[low + some] - offsets[low])
+                low += some
+            if low < batch.num_rows or rows == SHARD_DOCS:
+                yield _one(held)
+                held, rows, size = [], 0, 0
+    if held:
+        yield _one(held)
 
-    return docs.coalesce(1).mapInArrow(run, f"id {kind}, {_OUT}")
+
+def _one(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+    return pa.Table.from_batches(parts).combine_chunks().to_batches()[0]
 
 
 def _token_ids(column: pa.Array, path: str) -> list[np.ndarray]:
@@ -173,275 +315,5 @@ def _pieces(keys: pa.Array, ids: list[np.ndarray], sizes: np.ndarray, row: np.nd
     return pa.RecordBatch.from_arrays(columns, _NAMES)
 
 
-def _over_shards(docs: DataFrame, kind: str, window: int, path: str) -> DataFrame:
-    spark = docs.sparkSession
-    shards = written(_shards(docs, kind, path), "packing-shards", "zstd")
-    known = shards.select("part", "sizes", "words").toArrow().sort_by("part")
-    parts = known["part"].to_numpy()
-    sizes = [np.frombuffer(x.as_py(), "<i4") for x in known["sizes"]]
-    first = np.concatenate(([0], np.cumsum([len(x) for x in sizes])))  # rows are numbered in file order
-    base = dict(zip(parts.tolist(), first.tolist()))
-    sizes = np.concatenate(sizes)
-    index = written(_index(shards, len(sizes), known["words"].to_numpy().sum() / len(sizes)), "packing-index", "zstd")
-    tables, held = [], []
-
-    def keep(at_end: bool = False) -> None:
-        if held and (at_end or len(held) >= HELD_PIECES):
-            row, *rest = np.array(held, np.int64).T
-            at = np.searchsorted(first, row, "right") - 1
-            columns = [parts[at], row - first[at], *rest]
-            table = pa.table([pa.array(x) for x in columns], ["part", "at", "start", "length", "sequence", "offset"])
-            tables.append(written(spark.createDataFrame(table), "packing-pieces"))
-            held.clear()
-
-    filled = Filling(sizes, window)
-    while filled.remaining:
-        seeds = filled.seeds()
-        held.extend(filled.round(seeds, _search(spark, shards, index, base, seeds, filled.used)))
-        keep()
-    held.extend(filled.rest())
-    keep(at_end=True)
-    pieces = tables[0]
-    for table in tables[1:]:
-        pieces = pieces.unionByName(table)
-
-    def finish(shard: pa.Table, own: pa.Table) -> pa.Table:
-        keys, size = shard["keys"].combine_chunks(), np.frombuffer(shard["sizes"][0].as_py(), "<i4")
-        ids = np.split(np.frombuffer(shard["ids"][0].as_py(), "<u4"), np.cumsum(size)[:-1])
-        columns = [own[x].to_numpy() for x in ("at", "start", "length", "sequence", "offset")]
-        return pa.Table.from_batches([_pieces(keys.flatten(), ids, size, *columns)])
-
-    shards = shards.select("part", "keys", "sizes", "ids")
-    return shards.groupBy("part").cogroup(pieces.groupBy("part")).applyInArrow(finish, f"id {kind}, {_OUT}")
-
-
-def _shards(docs: DataFrame, kind: str, path: str) -> DataFrame:
-    """A row for each shard: its documents' ids, sizes, token ids, and distinct words with their numbers."""
-    schema = f"part long, keys array<{kind}>, sizes binary, ids binary, of binary, terms binary, tf binary, length binary, words long"
-
-    def shard(rows: pa.RecordBatch, part: int) -> pa.RecordBatch:
-        ids = _token_ids(rows.column(1), path)
-        hashes, of = word_hashes(*texts(rows.column(1)), ALNUM)
-        n = len(ids)
-        known, term = np.unique(hashes, return_inverse=True)
-        pairs, tf = np.unique(np.repeat(np.arange(n), np.diff(of)) * max(1, len(known)) + term, return_counts=True)
-        doc, term = np.divmod(pairs, max(1, len(known)))
-        binary = [np.array([len(x) for x in ids], "<i4"), np.concatenate(ids), np.searchsorted(doc, np.arange(n + 1)).astype("<i8"), known[term], tf.astype("<u4"), np.maximum(1, np.diff(of)).astype("<i4")]
-        keys = pa.ListArray.from_arrays(pa.array([0, n], pa.int32()), rows.column(0))
-        columns = [pa.array([part]), keys, *(pa.array([x.tobytes()], pa.binary()) for x in binary), pa.array([int(np.maximum(1, np.diff(of)).sum())])]
-        return pa.RecordBatch.from_arrays(columns, ["part", "keys", "sizes", "ids", "of", "terms", "tf", "length", "words"])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
-
-        part = TaskContext.get().partitionId() << 32
-        held, rows, size = [], 0, 0
-        for batch in batches:
-            low = 0
-            while low < batch.num_rows:
-                some = batch.slice(low, min(SHARD_DOCS - rows, 256))
-                held.append(some)
-                low, rows, size = low + some.num_rows, rows + some.num_rows, size + some.nbytes
-                if rows >= SHARD_DOCS or size >= SHARD_BYTES:
-                    yield shard(_one(held), part)
-                    held, rows, size, part = [], 0, 0, part + 1
-                    release()
-        if held:
-            yield shard(_one(held), part)
-
-    return docs.mapInArrow(run, schema)
-
-
-def _index(shards: DataFrame, n: int, mean: float) -> DataFrame:
-    """A row for each shard: its words that two documents of the table or more have, and their BM25 postings."""
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part, terms in zip(batch.column(0).to_pylist(), batch.column(1)):
-                term, df = np.unique(np.frombuffer(terms.as_py(), "<i8"), return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(term), part)), pa.array(term), pa.array(df)], ["part", "term", "n"])
-
-    local = written(shards.select("part", "terms").mapInArrow(count, "part long, term long, n long"), "packing-words", "zstd")
-    df = local.groupBy("term").agg(F.sum("n").alias("df")).where("df > 1")
-    words = local.join(df, "term").select("part", "term", "df")
-
-    def build(shard: pa.Table, words: pa.Table) -> pa.Table:
-        if not shard.num_rows:
-            return pa.table({"part": pa.array([], pa.int64()), **{x: pa.array([], pa.binary()) for x in ("terms", "start", "doc", "weight")}})
-        term, tf, of, length = (np.frombuffer(shard[x][0].as_py(), t) for x, t in (("terms", "<i8"), ("tf", "<u4"), ("of", "<i8"), ("length", "<i4")))
-        doc = np.repeat(np.arange(len(length)), np.diff(of))
-        words = words.sort_by("term")
-        known, df = words["term"].to_numpy(), words["df"].to_numpy()
-        at = np.searchsorted(known, term)
-        useful = at < len(known)
-        useful[useful] = known[at[useful]] == term[useful]
-        at, doc, tf = at[useful], doc[useful], tf[useful].astype(float)
-        order = np.argsort(at, kind="stable")
-        at, doc, tf = at[order], doc[order], tf[order]
-        idf = np.log1p((n - df + 0.5) / (df + 0.5))
-        weight = idf[at] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length[doc] / mean))
-        binary = {"terms": known, "start": np.searchsorted(at, np.arange(len(known) + 1)), "doc": doc.astype("<i4"), "weight": weight}
-        return pa.table({"part": shard["part"], **{k: pa.array([v.tobytes()], pa.binary()) for k, v in binary.items()}})
-
-    shards = shards.select("part", "of", "terms", "tf", "length")
-    return shards.groupBy("part").cogroup(words.groupBy("part")).applyInArrow(build, "part long, terms binary, start binary, doc binary, weight binary")
-
-
-def _search(spark: SparkSession, shards: DataFrame, index: DataFrame, base: dict[int, int], seeds: np.ndarray, used: np.ndarray) -> dict[int, list[int]]:
-    """The unused rows of all shards that rank highest for each row of ``seeds``, best first, ``RANKED`` at most."""
-    wanted = spark.sparkContext.broadcast((base, np.sort(seeds)))
-
-    def take(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        base, rows = wanted.value
-        for batch in batches:
-            for part, of, terms in zip(*(c.to_pylist() for c in batch.columns)):
-                of, terms = np.frombuffer(of, "<i8"), np.frombuffer(terms, "<i8")
-                low, high = np.searchsorted(rows, [base[part], base[part] + len(of) - 1])
-                own = rows[low:high] - base[part]
-                got = [terms[of[r] : of[r + 1]].tobytes() for r in own.tolist()]
-                yield pa.RecordBatch.from_arrays([pa.array(own + base[part]), pa.array(got, pa.binary())], ["seed", "terms"])
-
-    queries = shards.select("part", "of", "terms").mapInArrow(take, "seed long, terms binary").toArrow().sort_by("seed")
-    terms = [np.frombuffer(x.as_py(), "<i8") for x in queries["terms"]]
-    asked = spark.sparkContext.broadcast((base, queries["seed"].to_numpy(), terms, np.packbits(used)))
-    top = RANKED
-
-    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        base, seeds, queries, bits = asked.value
-        best, rows = np.zeros((len(seeds), top)), np.full((len(seeds), top), -1)
-        gone = np.unpackbits(bits).astype(bool)
-        for batch in batches:
-            for part, *binary in zip(*(c.to_pylist() for c in batch.columns)):
-                known, start, doc, weight = (np.frombuffer(x, t) for x, t in zip(binary, ("<i8", "<i8", "<i4", "<f8")))
-                if not len(known):
-                    continue
-                n, low = int(doc.max()) + 1, base[part]
-                here = gone[low : low + n]
-                for q, terms in enumerate(queries):
-                    at = np.minimum(np.searchsorted(known, terms), len(known) - 1)
-                    at = at[known[at] == terms]
-                    begin, many = start[at], start[at + 1] - start[at]
-                    where = np.arange(many.sum()) + np.repeat(begin - np.cumsum(many) + many, many)
-                    scores = np.bincount(doc[where], weight[where], n)
-                    scores[here] = 0
-                    if low <= seeds[q] < low + n:
-                        scores[seeds[q] - low] = 0
-                    found = np.flatnonzero(scores > best[q].min())
-                    if len(found):
-                        score, row = np.concatenate([best[q], scores[found]]), np.concatenate([rows[q], found + low])
-                        order = np.lexsort((row, -score))[:top]
-                        best[q], rows[q] = score[order], row[order]
-        q, k = np.nonzero(best > 0)
-        yield pa.RecordBatch.from_arrays([pa.array(seeds[q]), pa.array(rows[q, k]), pa.array(best[q, k])], ["seed", "row", "score"])
-        release()
-
-    found = index.mapInArrow(look, "seed long, row long, score double")
-    ranked = F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("s"), "row"))), 1, top)["row"]
-    got = {r["seed"]: r["rows"] for r in found.groupBy("seed").agg(ranked.alias("rows")).collect()}
-    wanted.destroy()
-    asked.destroy()
-    return got
-
-
-class Filling:
-    """Sequences filled from rows of ``sizes`` tokens, round by round. Pieces are row, start, length, sequence, offset."""
-
-    def __init__(self, sizes: np.ndarray, window: int):
-        self.sizes, self.window = sizes.tolist(), window
-        self.used = np.zeros(len(sizes), bool)
-        self.remaining, self.unseen, self.next = len(sizes), 0, 0
-        self.open: list[tuple[int, list]] = []  # seed and pieces of sequences that are short
-
-    def seeds(self) -> np.ndarray:
-        """Those of short sequences, and unused rows in file order: an eighth of all, so that some are left to rank."""
-        many = max(0, min(SEEDS, max(16, self.remaining // 8)) - len(self.open))
-        fresh = self._unused(many or (not self.open))
-        return np.unique(np.concatenate([np.array([s for s, _ in self.open[:SEEDS]], np.int64), fresh]))
-
-    def _unused(self, many: int) -> np.ndarray:
-        while self.unseen < len(self.used) and self.used[self.unseen]:
-            self.unseen += 1
-        low, got = self.unseen, np.zeros(0, np.int64)
-        while len(got) < many and low < len(self.used):
-            got = np.concatenate([got, low + np.flatnonzero(~self.used[low : low + 65_536])])
-            low += 65_536
-        return got[:many]
-
-    def round(self, seeds: np.ndarray, ranked: dict[int, list[int]]) -> Iterator[tuple[int, int, int, int, int]]:
-        waiting, self.open = self.open, []
-        asked = set(seeds.tolist())
-        for seed, pieces in waiting:
-            if seed in asked:
-                yield from self._fill(seed, pieces, ranked.get(seed, []))
-            else:
-                self.open.append((seed, pieces))
-        for seed in seeds.tolist():
-            if not self.used[seed]:
-                closed, pieces, last = self._place([], seed)
-                yield from closed
-                if pieces:
-                    yield from self._fill(last, pieces, ranked.get(seed, []))
-
-    def _fill(self, seed: int, pieces: list, rows: list[int]) -> Iterator[tuple[int, int, int, int, int]]:
-        for row in rows:
-            if not self.used[row]:
-                closed, pieces, _ = self._place(pieces, row)
-                yield from closed
-                if closed:
-                    if pieces:
-                        self.open.append((row, pieces))
-                    return
-        while len(rows) < RANKED and self.remaining:  # no other row has a word of the seed: file order
-            row = int(self._unused(1)[0])
-            closed, pieces, _ = self._place(pieces, row)
-            yield from closed
-            if closed:
-                if pieces:
-                    self.open.append((row, pieces))
-                return
-        self.open.append((seed, pieces))
-
-    def _place(self, pieces: list, row: int) -> tuple[list, list, int]:
-        """The pieces of sequences that ``row`` closes, and those of the one left short."""
-        self.used[row] = True
-        self.remaining -= 1
-        return *self._lay(pieces, row, 0, self.sizes[row]), row
-
-    def _lay(self, pieces: list, row: int, start: int, left: int) -> tuple[list, list]:
-        closed, pieces = [], list(pieces)
-        fill = sum(n for _, _, n in pieces)
-        while left:
-            take = min(left, self.window - fill)
-            pieces.append((row, start, take))
-            start, left, fill = start + take, left - take, fill + take
-            if fill == self.window:
-                closed += self._numbered(pieces)
-                pieces, fill = [], 0
-        return closed, pieces
-
-    def _numbered(self, pieces: list) -> list:
-        offset, out = 0, []
-        for row, start, n in pieces:
-            out.append((row, start, n, self.next, offset))
-            offset += n
-        self.next += 1
-        return out
-
-    def rest(self) -> Iterator[tuple[int, int, int, int, int]]:
-        """Sequences left short, one after the other."""
-        last: list = []
-        for _, pieces in self.open:
-            for row, start, n in pieces:
-                closed, last = self._lay(last, row, start, n)
-                yield from closed
-        if last:
-            yield from self._numbered(last)
-
-
-def _one(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
-    table = pa.Table.from_batches(parts).combine_chunks()
-    return table.to_batches()[0]
-
-
 def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed(spark.read.parquet(f"{sf_dir}/documents.parquet"))
