@@ -39,15 +39,17 @@ def _either_case(word: str) -> str:
 
 
 _NAMES = "|".join([*map(_either_case, ("password", "passwd", "secret", "token")), _either_case("api") + "_?" + _either_case("key")])
-#: Base kinds in the order in which spans that start together are listed, then the kinds this method adds.
+#: Base kinds in the order in which spans that start together are listed, then the kinds this method adds. Loops are over
+#: single characters (Java recurses over repeated groups), and what precedes a required character is bounded, so that
+#: matching takes time in proportion to the text however often it repeats itself.
 RULES = (
     Rule("assign", rf"({_NAMES})[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", 2, 6, True),
     Rule("access", r"AKIA[A-Z0-9]+", 0, 20, True),
     Rule("hex", r"[0-9a-f]+", 0, 24, True),
-    Rule("private_key", r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----"),
+    Rule("private_key", r"-----BEGIN [A-Z ]*PRIVATE KEY-----"),
     Rule("hub_token", r"gh[oprsu]_[A-Za-z0-9]{36,}"),
     Rule("chat_token", r"xox[abprs]-[A-Za-z0-9-]{10,}"),
-    Rule("web_token", r"eyJ[A-Za-z0-9_-]+\.eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+"),
+    Rule("web_token", r"eyJ[A-Za-z0-9_-]{1,255}\.eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+"),
     Rule("map_key", r"AIza[A-Za-z0-9_-]{35}"),
 )
 
@@ -174,14 +176,20 @@ def candidates(index: DataFrame, queries: dict[int, object]) -> DataFrame:
     return pairs.groupBy("p.key").agg(F.bit_or("p.bit").alias("mask"))
 
 
+def _long_enough(rule: Rule) -> str:
+    """The rule's pattern; for a run of one class with the least length in it, which finds the same spans."""
+    run = rule.pattern.startswith("[") and rule.pattern.endswith("]+") and rule.pattern.count("[") == 1
+    return f"{rule.pattern[:-1]}{{{rule.least},}}" if run and rule.least else rule.pattern
+
+
 def _spans(text: Column, rule: Rule, order: int) -> Column:
     """The rule's spans ``start, order, end`` in code points, leftmost and non-overlapping.
 
     The pieces between matches and the matches alternate, so their lengths give every position.
     """
-    pattern = F.lit(rule.pattern)
+    pattern = F.lit(_long_enough(rule))
     matches = F.regexp_extract_all(text, pattern, F.lit(0))
-    gaps = F.split(text, rule.pattern, -1)
+    gaps = F.split(text, _long_enough(rule), -1)
     groups = F.regexp_extract_all(text, pattern, F.lit(rule.group))
     steps = F.zip_with(F.slice(gaps, 1, F.size(matches)), F.arrays_zip(matches.alias("m"), groups.alias("g")), lambda gap, m: F.struct(F.length(gap).alias("gap"), F.length(m["m"]).alias("n"), F.length(m["g"]).alias("size")))
     start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,order:int,end:int>>").alias("out"))
@@ -198,8 +206,9 @@ def _spans(text: Column, rule: Rule, order: int) -> Column:
 def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs``' ids with ``spans``: an array of ``start, order, end`` by start, then rule; one row per row of ``docs``.
 
-    Whole texts are scanned; null text is empty and has no spans. Null ids are keyed by their text, repeated ids by
-    the id: more rows may be verified, never fewer. Extra columns are not read. An empty table gives no rows.
+    Whole texts are scanned, of any length and with any repeats; null and empty texts have no spans. Null ids are keyed
+    by their text, repeated ids by the id: more rows may be verified, never fewer. Spans that start together come in
+    the order of the rules. Extra columns, whatever their names, are not read. An empty table gives no rows.
     """
     none = F.array().cast("array<struct<start:int,order:int,end:int>>")
     queries = {i: trigram_query(r.pattern) for i, r in enumerate(rules)}
@@ -214,8 +223,7 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id
         rows = rows.withColumn("mask", F.lit(0))
     parts = []
     for i, rule in enumerate(rules):
-        least = f"(?:{rule.pattern[:-1]}{{{rule.least},}})" if rule.pattern.endswith("+") and rule.pattern.startswith("[") else rule.pattern
-        worth = F.col("text").rlike(least)
+        worth = F.col("text").rlike(_long_enough(rule))
         if i in queries:
             worth = ((F.coalesce("mask", F.lit(0)).bitwiseAND(1 << i)) != 0) & worth
         parts.append(F.when(worth, _spans(F.col("text"), rule, i)).otherwise(none))

@@ -87,6 +87,34 @@ def test_secrets_in_tricky_and_awkward_texts(spark, awkward, nothing):
     assert secrets.scan(awkward).count() == len(AWKWARD) and secrets.scan(nothing).count() == 0
 
 
+MANY = 1_000_000
+ENDLESS = [
+    "-----BEGIN " + "ABC " * (MANY // 4) + "x PRIVATE KEY-----",
+    "-----BEGIN " + "ABC " * (MANY // 4) + "PRIVATE KEY-----",
+    "-----BEGIN " * (MANY // 11),
+    "password" + " " * MANY + "x",
+    "password =" + " " * MANY + "abcdef",
+    "token=" * (MANY // 6),
+    "secret: " * (MANY // 8) + "abcdefg",
+    "AKIA" * (MANY // 4),
+    "0123456789abcdef" * (MANY // 16),
+    "0123456789abcdefabcdefa " * (MANY // 24),
+    "eyJ" * (MANY // 3),
+    "eyJa.eyJ" + "eyJ" * (MANY // 3),
+    "gho_" * (MANY // 4),
+    "ghp_" + "a" * MANY,
+    "xoxb-" * (MANY // 5),
+    "AIza" * (MANY // 4),
+    "é" * MANY + " token: abcdefgh",
+]
+
+
+def test_secrets_in_very_long_and_repetitive_texts(spark):
+    listed = secrets._listed(F.col("spans"), secrets.RULES)
+    got = secrets.scan(spark.createDataFrame(rows(*ENDLESS), SCHEMA).repartition(4)).select("id", listed.alias("s")).collect()
+    assert {r["id"]: r["s"] for r in got} == {i: ",".join(spans_of(t)) for i, t in enumerate(ENDLESS)}
+
+
 def test_trigram_queries_hold_for_matches():
     query = secrets.trigram_query(secrets.RULES[0].pattern)
     assert query is not True and "tok" in secrets.trigrams(query)
