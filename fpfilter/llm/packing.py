@@ -14,14 +14,14 @@ the sequence. A document that does not fit is cut, its rest opens the next seque
   table. The README has what that loses.
 
 Token ids are those of the ``tokenizers`` file named. The faster encoder of ``tiktoken`` computes the same merges; it
-gets the texts that hold none of the file's added tokens and no very long run, and all others go to the library.
+gets the words of texts that hold none of the file's added tokens and no very long run; all others go to the library.
 """
 
 from __future__ import annotations
 
 import re
 import zlib
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fpfilter.llm.scratch import written
-from fpfilter.llm.textvec import ALNUM, U64, Words, chunks, release, texts
+from fpfilter.llm.textvec import ALNUM, NOT_SPACE, U64, Words, chunks, release, texts
 
 WINDOW = 1024
 SHARD_DOCS = 4096
@@ -42,13 +42,20 @@ END = 0
 #: Words are hashed to so many terms: the bound of the statistics.
 TERM_BITS = 22
 TERMS = 1 << TERM_BITS
+#: Terms that more than one in so many rows of a shard have are scored by matrix products.
+DENSE = 16
 #: A common term is one that this many shards could be made of.
 COMMON_SHARDS = 4
 RANKED = 8
 K1, B = 1.2, 0.75
 _PROBE = "It's 3 o'clock;\n\n  déjà vu — naïve  testing\tof 12345 ids_and.dots 日本語 🙂 x = [1, 2]\r\n"
-#: Runs from which on a text goes to the library: the other encoder recurses over them.
-_LONG_RUN = r"\s{256}|\S{1024}"
+#: Bytes of a word, and of white space between two, from which on a text goes to the library: the other
+#: encoder recurses over long runs.
+LONG_WORD, LONG_BLANK = 1024, 256
+#: Fixed value: white space beyond ASCII, in UTF-8.
+_WIDE_SPACE = [chr(c).encode() for c in (0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)]
+_WIDE_LEAD = np.isin(np.arange(256), [x[0] for x in _WIDE_SPACE])
+_WIDE_CODES = np.array([int.from_bytes(x, "big") for x in _WIDE_SPACE])
 
 
 def default_tokenizer() -> str:
@@ -57,32 +64,123 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+class Encoder:
+    """Ids equal to ``Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids``, for a column at a time.
+
+    A byte-level pattern never joins what stands before white space to what follows, so a text's ids are those of its
+    chunks (white space and the word after it), one after the other. Equal chunks are encoded once: all different ones
+    of a column as one text, whose ids are cut by their lengths in bytes.
+    """
+
+    def __init__(self, path: str):
+        import tiktoken
+        from public_tokenizers import PATTERN
+        from tokenizers import Tokenizer
+
+        self.library, self.fast = Tokenizer.from_file(path), None
+        self.added = sorted(t.content for t in self.library.get_added_tokens_decoder().values())
+        # byte-level vocabularies print each byte as one visible character: itself, or the next free one from 256 on
+        shown = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
+        hidden = [b for b in range(256) if b not in shown]
+        byte_of = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
+        try:
+            ranks = {bytes(byte_of[c] for c in token): i for token, i in self.library.get_vocab().items() if token not in self.added}
+            fast = tiktoken.Encoding("same", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
+        except (KeyError, ValueError):  # not a byte-level vocabulary
+            return
+        if fast.encode_ordinary(_PROBE) == self.by_library(_PROBE):
+            self.fast = fast
+            self.width = np.zeros(max(ranks.values()) + 1, np.int64)
+            self.width[list(ranks.values())] = [len(x) for x in ranks]
+
+    def by_library(self, text: str) -> list[int]:
+        return self.library.encode(text, add_special_tokens=False).ids
+
+    def odd_rows(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+        """Rows with added tokens or white space beyond ASCII, which the library takes whole."""
+        spots = [np.zeros(0, np.int64)]
+        raw = data.tobytes()
+        for content in self.added:
+            spots.append(np.array([m.start() for m in re.finditer(re.escape(content.encode()), raw)], np.int64))
+        lead = np.flatnonzero(_WIDE_LEAD[data])
+        after = np.concatenate([data, np.zeros(2, np.uint8)]).astype(np.int64)
+        two = after[lead] << 8 | after[lead + 1]
+        spots.append(lead[np.isin(two, _WIDE_CODES) | np.isin(two << 8 | after[lead + 2], _WIDE_CODES)])
+        odd = np.zeros(len(offsets) - 1, bool)
+        odd[np.searchsorted(offsets, np.concatenate(spots), "right") - 1] = True
+        return odd
+
+    def rows(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all rows, each with ``END`` behind, and int64 offsets."""
+        if self.fast is None:
+            return _joined([np.array([*self.by_library(x.as_py() or ""), END], "<u4") for x in column])
+        data, offsets = texts(column)
+        out = [(np.zeros(0, "<u4"), np.zeros(1, np.int64))]
+        for low, high in chunks(offsets, 4 << 20):
+            out.append(self._some(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low]))
+        ids, ends = np.concatenate([x for x, _ in out]), [out[0][1]]
+        for _, of in out[1:]:
+            ends.append(of[1:] + ends[-1][-1])
+        return ids, np.concatenate(ends)
+
+    def _some(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        n = len(offsets) - 1
+        words = Words(data, offsets, lower=False)
+        odd, row = self.odd_rows(data, offsets), words.row()
+        start = np.concatenate(([0], words.end[:-1])) if len(words) else words.end
+        start = np.maximum(start, offsets[row])  # the white space before a word is its chunk's
+        last = np.maximum(offsets[:-1], np.concatenate(([0], words.end))[words.of[1:]] if len(words) else 0)
+        tail = np.flatnonzero(last < offsets[1:])  # white space at the end of a row is a chunk of its own
+        row, start, end = np.concatenate([row, tail]), np.concatenate([start, last[tail]]), np.concatenate([words.end, offsets[1:][tail]])
+        word = np.concatenate([words.end - words.start, np.zeros(len(tail), np.int64)])
+        odd[row[(word >= LONG_WORD) | (end - start - word >= LONG_BLANK)]] = True
+        keep = ~odd[row]
+        row, start, end = row[keep], start[keep], end[keep]
+        order = np.argsort(row, kind="stable")
+        row, start, end = row[order], start[order], end[order]
+        _, first, which = np.unique(words.range_hashes(start, end), return_index=True, return_inverse=True)
+        ids, begin, size = self._distinct(data, start[first], end[first])
+        n_ids = np.bincount(row, size[which], n).astype(np.int64)
+        whole = {r: np.array(self.by_library(data[offsets[r] : offsets[r + 1]].tobytes().decode()), "<u4") for r in np.flatnonzero(odd).tolist()}
+        for r, x in whole.items():
+            n_ids[r] = len(x)
+        ends = np.concatenate(([0], np.cumsum(n_ids + 1)))
+        out = np.full(ends[-1], END, "<u4")
+        free = np.repeat(~odd, n_ids + 1)
+        free[ends[1:] - 1] = False
+        out[free] = ids[_spans(begin[which], size[which])]
+        for r, x in whole.items():
+            out[ends[r] : ends[r] + len(x)] = x
+        return out, ends
+
+    def _distinct(self, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids, and where those of each of the different chunks begin and how many they are."""
+        inner = ~NOT_SPACE[data[start]] & NOT_SPACE[data[end - 1]] if len(start) else np.zeros(0, bool)
+        at = np.flatnonzero(inner)  # from white space to a word: encoded as one text
+        length = (end - start)[at]
+        ids = np.array(self.fast.encode_ordinary(data[_spans(start[at], length)].tobytes().decode()), "<u4")
+        cut = np.searchsorted(np.cumsum(self.width[ids]), np.cumsum(length)) + 1 if len(at) else np.zeros(0, np.int64)
+        begin, size = np.zeros(len(start), np.int64), np.zeros(len(start), np.int64)
+        begin[at], size[at] = np.concatenate(([0], cut[:-1])) if len(at) else cut, np.diff(cut, prepend=0)
+        other = np.flatnonzero(~inner)
+        more, of = _joined([np.array(self.fast.encode_ordinary(data[a:b].tobytes().decode()), "<u4") for a, b in zip(start[other].tolist(), end[other].tolist())])
+        begin[other], size[other] = len(ids) + of[:-1], np.diff(of)
+        return np.concatenate([ids, more]), begin, size
+
+
+def _joined(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    ends = np.concatenate(([0], np.cumsum([len(x) for x in parts], dtype=np.int64)))
+    return (np.concatenate(parts) if parts else np.zeros(0, "<u4")), ends
+
+
+def _spans(start: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """The positions of ranges, one range after the other."""
+    return np.arange(length.sum()) + np.repeat(start - np.cumsum(length) + length, length)
+
+
 @lru_cache(2)
-def encoder(path: str) -> Callable[[str], list[int]]:
-    """A function from text to ids, equal to ``Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids``."""
-    import tiktoken
-    from public_tokenizers import PATTERN
-    from tokenizers import Tokenizer
-
-    library = Tokenizer.from_file(path)
-    added = {t.content for t in library.get_added_tokens_decoder().values()}
-    # byte-level vocabularies print each byte as one visible character: itself, or the next free one from 256 on
-    shown = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
-    hidden = [b for b in range(256) if b not in shown]
-    byte_of = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
-
-    def by_library(text: str) -> list[int]:
-        return library.encode(text, add_special_tokens=False).ids
-
-    try:
-        ranks = {bytes(byte_of[c] for c in token): i for token, i in library.get_vocab().items() if token not in added}
-        fast = tiktoken.Encoding("same", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
-    except (KeyError, ValueError):  # not a byte-level vocabulary
-        return by_library
-    if fast.encode_ordinary(_PROBE) != by_library(_PROBE):
-        return by_library
-    special = re.compile("|".join([*map(re.escape, sorted(added)), _LONG_RUN]))
-    return lambda text: by_library(text) if special.search(text) else fast.encode_ordinary(text)
+def encoder(path: str) -> Encoder:
+    return Encoder(path)
 
 
 @dataclass
@@ -94,13 +192,14 @@ class Statistics:
     bytes: int
     df: np.ndarray
 
-    def idf(self, terms: np.ndarray) -> np.ndarray:
-        df = self.df[terms]
-        return np.log1p((self.docs - df + 0.5) / (df + 0.5))
+    def __post_init__(self) -> None:
+        self.idf = np.log1p((self.docs - self.df + 0.5) / (self.df + 0.5)).astype(np.float32)
 
-    def weights(self, terms: np.ndarray, tf: np.ndarray, length: np.ndarray) -> np.ndarray:
+    def weights(self, doc: np.ndarray, terms: np.ndarray, tf: np.ndarray, length: np.ndarray) -> np.ndarray:
         mean = self.words / max(1, self.docs)
-        return self.idf(terms) * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length / max(1.0, mean)))
+        own = (K1 * (1 - B + B * length / max(1.0, mean))).astype(np.float32)
+        tf = tf.astype(np.float32)
+        return self.idf[terms] * tf * np.float32(K1 + 1) / (tf + own[doc])
 
 
 def document_terms(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -145,48 +244,52 @@ def statistics(docs: DataFrame) -> Statistics:
 def lexical_keys(data: np.ndarray, offsets: np.ndarray, known: Statistics) -> tuple[np.ndarray, np.ndarray]:
     """Of each row the heaviest common term and the heaviest term of all that two documents have; -1 without."""
     doc, term, tf, length = document_terms(data, offsets)
-    weight = known.weights(term, tf, length[doc]) if len(doc) else np.zeros(0)
-    out = []
+    weight, df, out = known.weights(doc, term, tf, length), known.df[term], []
     for least in (COMMON_SHARDS * SHARD_DOCS, 2):
-        some = np.flatnonzero(known.df[term] >= least)
-        some = some[np.lexsort((term[some], -weight[some], doc[some]))]
+        some = np.flatnonzero(df >= least)
         row, first = np.unique(doc[some], return_index=True)
         key = np.full(len(offsets) - 1, -1, np.int64)
-        key[row] = term[some[first]]
+        if len(row):
+            most = np.maximum.reduceat(weight[some], first)
+            best = some[weight[some] == np.repeat(most, np.diff(np.append(first, len(some))))]
+            row, first = np.unique(doc[best], return_index=True)
+            key[row] = term[best[first]]
         out.append(key)
     return out[0], out[1]
 
 
 class Index:
-    """The inverted index of one shard: BM25 weights by statistics of the whole table."""
+    """The inverted index of one shard: BM25 weights by statistics of the whole table.
+
+    Postings of terms that many rows have are kept as a dense matrix, whose products score all rows for all at once.
+    """
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, known: Statistics):
-        self.n = len(offsets) - 1
+        n = self.n = len(offsets) - 1
         doc, term, tf, length = document_terms(data, offsets)
-        weight = known.weights(term, tf, length[doc]).astype(np.float32) if len(doc) else np.zeros(0, np.float32)
-        names, term = np.unique(term, return_inverse=True)
-        useful = np.bincount(term, minlength=len(names))[term] > 1  # what one row of the shard has finds no other
-        doc, term, weight = doc[useful], term[useful], weight[useful]
-        self.terms, self.of = term, np.searchsorted(doc, np.arange(self.n + 1))
+        weight = known.weights(doc, term, tf, length)
+        names, term, df = np.unique(term, return_inverse=True, return_counts=True)
+        dense = np.flatnonzero(df > max(2, n // DENSE))
+        self.common = np.zeros((n, n), np.float32)
+        for low in range(0, len(dense), 2048):
+            place = np.full(len(names), -1)
+            place[dense[low : low + 2048]] = np.arange(len(dense[low : low + 2048]))
+            at = np.flatnonzero(place[term] >= 0)
+            has, weighs = (np.zeros((n, min(2048, len(dense) - low)), np.float32) for _ in range(2))
+            has[doc[at], place[term[at]]], weighs[doc[at], place[term[at]]] = 1, weight[at]
+            self.common += has @ weighs.T
+        rare = (df > 1) & (df <= max(2, n // DENSE))  # what one row of the shard has finds no other
+        some = rare[term]
+        doc, term, weight = doc[some], term[some], weight[some]
+        self.terms, self.of = term, np.searchsorted(doc, np.arange(n + 1))
         order = np.argsort(term, kind="stable")
-        self.doc, self.weight, self._term, self._names = doc[order].astype(np.int32), weight[order], term[order], len(names)
-        self._starts()
-
-    def _starts(self) -> None:
-        self.start = np.searchsorted(self._term, np.arange(self._names + 1))
-
-    def drop(self, used: np.ndarray) -> None:
-        """Leave the postings of used rows out; they stay seeds."""
-        keep = ~used[self.doc]
-        self.doc, self.weight, self._term = self.doc[keep], self.weight[keep], self._term[keep]
-        self._starts()
+        self.doc, self.weight, self.start = doc[order], weight[order], np.searchsorted(term[order], np.arange(len(names) + 1))
 
     def scores(self, row: int) -> np.ndarray:
         terms = self.terms[self.of[row] : self.of[row + 1]]
         low = self.start[terms]
-        n = self.start[terms + 1] - low
-        at = np.arange(n.sum()) + np.repeat(low - np.cumsum(n) + n, n)
-        return np.bincount(self.doc[at], self.weight[at], self.n)
+        at = _spans(low, self.start[terms + 1] - low)
+        return self.common[row] + np.bincount(self.doc[at], self.weight[at], self.n)
 
 
 @dataclass
@@ -201,11 +304,8 @@ def pack(sizes: np.ndarray, index: Index, window: int = WINDOW, state: Open | No
     """``row, start, length, sequence, offset`` of each piece; ``sizes`` are the rows' numbers of tokens."""
     state = state or Open()
     used = np.zeros(len(sizes), bool)
-    unseen, left_in, seed, ranked = 0, len(sizes), -1, []
-    for n in range(len(sizes)):
-        if 2 * (len(sizes) - n) <= left_in:  # postings of used rows only cost time
-            index.drop(used)
-            left_in = len(sizes) - n
+    unseen, seed, ranked = 0, -1, []
+    for _ in range(len(sizes)):
         row = -1
         if seed >= 0:
             if not ranked:
@@ -270,11 +370,10 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
 
         state = Open(TaskContext.get().partitionId() << 40)
         for rows in _shards(batches):
-            ids = _token_ids(rows.column(1), path)
-            sizes = np.array([len(x) for x in ids])
+            ids, of = encoder(path).rows(rows.column(1))
             index = Index(*texts(rows.column(1)), shared.value)
-            row, *piece = np.array(list(pack(sizes, index, window, state)), np.int64).T
-            yield _pieces(rows.column(0), ids, sizes, row, *piece)
+            row, *piece = np.array(list(pack(np.diff(of), index, window, state)), np.int64).T
+            yield _pieces(rows.column(0), ids, of, row, *piece)
             release()
 
     return ranged.mapInArrow(run, f"id {kind}, {_OUT}").withColumnRenamed("id", id_col)
@@ -304,14 +403,10 @@ def _one(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
     return pa.Table.from_batches(parts).combine_chunks().to_batches()[0]
 
 
-def _token_ids(column: pa.Array, path: str) -> list[np.ndarray]:
-    encode = encoder(path)
-    return [np.array([*encode(x.as_py() or ""), END], "<u4") for x in column]
-
-
-def _pieces(keys: pa.Array, ids: list[np.ndarray], sizes: np.ndarray, row: np.ndarray, start: np.ndarray, length: np.ndarray, sequence: np.ndarray, offset: np.ndarray) -> pa.RecordBatch:
-    crc = [zlib.crc32(ids[r][s : s + n].tobytes()) for r, s, n in zip(row.tolist(), start.tolist(), length.tolist())]
-    columns = [keys.take(pa.array(row)), *(pa.array(np.asarray(x, np.int64)) for x in (start, length, crc, sizes[row], sequence, offset))]
+def _pieces(keys: pa.Array, ids: np.ndarray, of: np.ndarray, row: np.ndarray, start: np.ndarray, length: np.ndarray, sequence: np.ndarray, offset: np.ndarray) -> pa.RecordBatch:
+    low = of[row] + start
+    crc = [zlib.crc32(ids[a:b].tobytes()) for a, b in zip(low.tolist(), (low + length).tolist())]
+    columns = [keys.take(pa.array(row)), *(pa.array(np.asarray(x, np.int64)) for x in (start, length, crc, np.diff(of)[row], sequence, offset))]
     return pa.RecordBatch.from_arrays(columns, _NAMES)
 
 

@@ -101,16 +101,19 @@ class Words:
 
     def hashes(self, most: int | None = None) -> np.ndarray:
         """A 64-bit hash of each word, or of its first ``most`` bytes."""
-        if not len(self.start):
+        return self.range_hashes(self.start, self.end if most is None else np.minimum(self.end, self.start + most))
+
+    def range_hashes(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """A 64-bit hash of each of these byte ranges."""
+        if not len(start):
             return np.zeros(0, U64)
         up, down = _powers(len(self._data) + 1)
         if self._sums is None:
             data = _LOWER[self._data] if self._lower else self._data
             self._sums = np.zeros(len(data) + 1, U64)
             np.cumsum((data.astype(U64) + U64(1)) * up[: len(data)], out=self._sums[1:])
-        end = self.end if most is None else np.minimum(self.end, self.start + most)
-        h = (self._sums[end] - self._sums[self.start]) * down[self.start]
-        return mix(h ^ ((end - self.start).astype(U64) * U64(0xD6E8FEB86659FD93)))
+        h = (self._sums[end] - self._sums[start]) * down[start]
+        return mix(h ^ ((end - start).astype(U64) * U64(0xD6E8FEB86659FD93)))
 
     def row(self) -> np.ndarray:
         """The row number of each word."""

@@ -9,6 +9,8 @@ from collections import Counter, defaultdict
 import numpy as np
 import pyarrow as pa
 import pytest
+from hypothesis import given, settings
+from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 import corpus_pipeline
@@ -449,10 +451,26 @@ def library():
     return Tokenizer.from_file(packing.default_tokenizer())  # as the file has it, no setting changed
 
 
-def test_ids_are_those_of_the_tokenizers_library(documents, library):
+ODD = ["a <|endoftext|> b", "<|endoftext|><|endoftext|>", "日本\r\n\t 🙂🙂", "  a  b ", "'S don'T I'll", "x y\u00a0 z\u2003\n q", "\u3000", " ", "\n\n  ", "", None, " " * 255 + "x", " " * 256, "b" * 1023, "b" * 1024, "a\x0b\x0cb\x1c c", "“quoted” — dash", "one", "two "]
+
+
+def test_ids_are_those_of_the_tokenizers_library(spark, documents, library):
     encode = packing.encoder(packing.default_tokenizer())
-    for text in [*(r["text"] or "" for r in documents), "a <|endoftext|> b", "<|endoftext|><|endoftext|>", "日本\r\n\t 🙂🙂", "  a  b ", "'S don'T I'll", " x y", " " * 255 + "x", " " * 256, "b" * 1023, *RUNS]:
-        assert encode(text) == library.encode(text, add_special_tokens=False).ids
+    assert encode.fast is not None
+    texts = [*(r["text"] for r in documents), *(r["text"] for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("text").collect()), *ODD, *RUNS, *ODD]
+    ids, of = encode.rows(pa.array(texts))
+    for i, text in enumerate(texts):
+        assert ids[of[i] : of[i + 1]].tolist() == [*library.encode(text or "", add_special_tokens=False).ids, packing.END]
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.text(st.sampled_from(" \t\n\r\x0b\x85\xa0\u1680\u2003\u3000ab'sé日9.!<|>endoftext") | st.characters(codec="utf-8"), max_size=30), max_size=6))
+def test_ids_of_any_texts(texts):
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(packing.default_tokenizer())
+    ids, of = packing.encoder(packing.default_tokenizer()).rows(pa.array(texts, pa.string()))
+    assert [ids[a:b].tolist() for a, b in zip(of[:-1], of[1:])] == [[*library.encode(t, add_special_tokens=False).ids, packing.END] for t in texts]
 
 
 def test_packing_of_added_tokens_and_long_runs(spark, library):
@@ -520,7 +538,7 @@ def test_neighbours_of_a_large_table_share_shards(spark, monkeypatch):
     monkeypatch.setattr(packing, "SHARD_DOCS", 8)
     texts = [f"topic{i % 40} word{i % 40} thing{i % 40} same" for i in range(120)]  # 40 texts three times, far apart
     docs = spark.createDataFrame(rows(*texts), SCHEMA).repartitionByRange(5, "doc_id")
-    size = len(packing.encoder(packing.default_tokenizer())(texts[0])) + 1
+    size = len(packing.encoder(packing.default_tokenizer()).rows(pa.array(texts[:1]))[0])
     pieces = packing.packed(docs, window=3 * size).collect()
     sequences = check_pieces(pieces, list(enumerate(texts)), 3 * size)
     alike = sum(len({p["doc_id"] % 40 for p in s}) == 1 for s in sequences.values() if len(s) == 3)
