@@ -34,10 +34,10 @@ from fpfilter.llm.scratch import written
 from fpfilter.llm.textvec import ALNUM, NOT_SPACE, U64, Words, chunks, release, texts
 
 WINDOW = 1024
-SHARD_DOCS = 4096
-SHARD_BYTES = 16 << 20
-#: Text of a task, which works off its shards one after the other: a shard's, or more where tasks would be too many.
-TASK_BYTES, MOST_TASKS = SHARD_BYTES, 50_000
+SHARD_DOCS = 2048
+SHARD_BYTES = 8 << 20
+#: Text of a task, which works off its shards one after the other: more where tasks would be too many.
+TASK_BYTES, MOST_TASKS = 2 * SHARD_BYTES, 50_000
 END = 0
 #: Words are hashed to so many terms: the bound of the statistics.
 TERM_BITS = 22
