@@ -31,6 +31,7 @@ ARC_FIELDS = {
     "2": ("url", "ip", "date", "mime", "status", "checksum", "location", "offset", "filename", "length"),
 }
 SEGMENT = 4 << 20
+_STEP = 16 << 10
 SMALLEST_REVISIT = 1000
 _DATE = "20240101000000"
 
@@ -102,26 +103,44 @@ def _digest(data: bytes) -> str:
     return "sha1:" + base64.b32encode(hashlib.sha1(data).digest()).decode()
 
 
-def warc_record(record: ArcRecord, refers_to: str | None = None, extra: dict[str, str] | None = None) -> bytes:
+@dataclass(frozen=True)
+class Owner:
+    """The record that a revisit refers to: its row, target and date."""
+
+    row: str
+    url: str
+    date: str = _DATE
+
+
+def record_id(url: str, date: str, payload_digest: str, row: str = "") -> str:
+    """The identifier of a record, a name of what tells it apart; so whoever knows that can refer to it."""
+    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'{url} {date} {payload_digest} {row}')}>"
+
+
+def _timestamp(date: str) -> str:
+    d = (date + "00000000000000")[:14]
+    return f"{d[:4]}-{d[4:6]}-{d[6:8]}T{d[8:10]}:{d[10:12]}:{d[12:14]}Z"
+
+
+def warc_record(record: ArcRecord, refers_to: Owner | None = None, extra: dict[str, str] | None = None) -> bytes:
     """The WARC/1.1 record for an ARC record; with ``refers_to`` a revisit, which keeps the HTTP header only."""
     payload = http_payload(record.body)
     is_http = record.body.startswith(b"HTTP/")
     block = record.body[: len(record.body) - len(payload)] if refers_to is not None else record.body
     kind = "revisit" if refers_to is not None else "response" if is_http else "resource"
-    d = (record.date + "00000000000000")[:14]
-    at = f"{d[:4]}-{d[4:6]}-{d[6:8]}T{d[8:10]}:{d[10:12]}:{d[12:14]}Z"
     whole = _digest(payload)
-    name = uuid.uuid5(uuid.NAMESPACE_URL, f"{record.url} {record.date} {whole} {(extra or {}).get('X-Row', '')}")
     head = {
         "WARC-Type": kind,
-        "WARC-Record-ID": f"<urn:uuid:{name}>",
-        "WARC-Date": at,
+        "WARC-Record-ID": record_id(record.url, record.date, whole, (extra or {}).get("X-Row", "")),
+        "WARC-Date": _timestamp(record.date),
         "WARC-Target-URI": record.url,
         "WARC-IP-Address": record.ip if record.ip not in ("", "-", "0.0.0.0") else None,
         "WARC-Payload-Digest": whole,
         "WARC-Block-Digest": _digest(block),
         "WARC-Profile": "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest" if kind == "revisit" else None,
-        "WARC-Refers-To": f"<urn:page:{refers_to}>" if refers_to is not None else None,
+        "WARC-Refers-To": record_id(refers_to.url, refers_to.date, whole, refers_to.row) if refers_to is not None else None,
+        "WARC-Refers-To-Target-URI": refers_to.url if refers_to is not None else None,
+        "WARC-Refers-To-Date": _timestamp(refers_to.date) if refers_to is not None else None,
         "Content-Type": "application/http; msgtype=response" if is_http else record.mime,
         "Content-Length": str(len(block)),
     } | (extra or {})
@@ -136,16 +155,21 @@ def gzip_member(data: bytes) -> bytes:
 
 def parse_warc(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
     """Headers and block of each record in a segment of gzip members."""
-    while data:
-        z = zlib.decompressobj(31)
-        raw = z.decompress(data)
-        data = z.unused_data
-        head, _, rest = raw.partition(b"\r\n\r\n")
+    view, at = memoryview(data), 0
+    while at < len(view):
+        z, raw = zlib.decompressobj(31), []
+        while not z.eof and at < len(view):
+            some = view[at : at + _STEP]
+            raw.append(z.decompress(some))
+            at += len(some) - len(z.unused_data)
+        if not z.eof:
+            raise ArcError("the segment ends within a record")
+        head, _, rest = b"".join(raw).partition(b"\r\n\r\n")
         fields = dict(x.split(": ", 1) for x in head.decode().split("\r\n")[1:])
         yield fields, rest[: int(fields["Content-Length"])]
 
 
-def convert(arc: io.BufferedIOBase, refers_to: dict[str, str] | None = None) -> Iterator[bytes]:
+def convert(arc: io.BufferedIOBase, refers_to: dict[str, Owner] | None = None) -> Iterator[bytes]:
     """Gzip members of WARC records, one for each record of an ARC stream.
 
     A record whose HTTP header names its row (``X-Row``) in ``refers_to`` becomes a revisit.
@@ -157,27 +181,32 @@ def convert(arc: io.BufferedIOBase, refers_to: dict[str, str] | None = None) ->
         yield gzip_member(warc_record(record, (refers_to or {}).get(row), extra))
 
 
+def _target(url: str | None) -> str:
+    return "-" if not url else "".join(c if " " < c < "\x7f" else "%" + "%".join(f"{b:02X}" for b in c.encode()) for c in url)
+
+
 def _arc_of_page(row: str, url: str | None, payload: bytes) -> ArcRecord:
-    target = "-" if not url else "".join(c if " " < c < "\x7f" else "%" + "%".join(f"{b:02X}" for b in c.encode()) for c in url)
     body = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nX-Row: {row}\r\nContent-Length: {len(payload)}\r\n\r\n".encode() + payload
-    return ArcRecord(target, "0.0.0.0", _DATE, "text/html", body, {"status": "200"})
+    return ArcRecord(_target(url), "0.0.0.0", _DATE, "text/html", body, {"status": "200"})
 
 
-def write_archives(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+def write_archives(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", versions: tuple[str, ...] = ("2", "1")) -> DataFrame:
     """The table of WARC archives ``(archive, part, body)`` of ``pages``.
 
-    Each page becomes an ARC record (version 2), which the converter turns into a WARC record. Of pages with equal
-    payloads of at least ``SMALLEST_REVISIT`` bytes the one with the largest id is the response (rows that tie in id
-    all are), the others revisit it. Null html is an empty payload; a null url is written as ``-``; null ids stay
-    null and are never referred to. Extra columns are not read.
+    Each page becomes an ARC record, of ``versions`` in turn by archive, which the converter turns into a WARC record.
+    Of pages with equal payloads of at least ``SMALLEST_REVISIT`` bytes the one with the largest id is the response
+    (rows that tie in id all are), the others revisit it and name its identifier, target and date. Null html is an
+    empty payload; a null url is written as ``-``; null ids stay null and are never referred to; rows equal in all of
+    id, url and html have records with equal identifiers. Payloads may be of any length. Extra columns, whatever their
+    names, are not read. An empty table gives no rows.
     """
     base = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url_col).alias("url"), F.coalesce(F.col(html_col), F.lit("")).alias("html"))
     base = base.withColumn("n", F.octet_length("html")).withColumn("digest", F.sha1(F.col("html").cast("binary")))
     owners = written(
-        base.where(F.col("n") >= SMALLEST_REVISIT).groupBy("digest", "n").agg(F.max("id").alias("owner"), F.count(F.lit(1)).alias("c")).where("c > 1 and owner is not null").drop("c"),
+        base.where(F.col("n") >= SMALLEST_REVISIT).groupBy("digest", "n").agg(F.max(F.struct("id", "url")).alias("o"), F.count(F.lit(1)).alias("c")).where("c > 1 and o.id is not null").select("digest", "n", F.col("o.id").alias("owner"), F.col("o.url").alias("owner_url")),
         "owners",
     )
-    rows = base.join(owners, ["digest", "n"], "left").select("id", "url", "html", "owner")
+    rows = base.join(owners, ["digest", "n"], "left").select("id", "url", "html", "owner", "owner_url")
 
     def archive(batches):
         from pyspark import TaskContext
@@ -188,13 +217,14 @@ def write_archives(pages: DataFrame, id_col: str = "page_id", url_col: str = "ur
             return pa.RecordBatch.from_pydict({"archive": [f"pages-{part:06d}"], "part": [count], "body": [b"".join(out)]}, schema=pa.schema([("archive", pa.string()), ("part", pa.int32()), ("body", pa.binary())]))
 
         for batch in batches:
-            arc, refers = io.BytesIO(), {}
-            arc.write(arc_version_block("2"))
-            for i, url, html, owner in zip(*(c.to_pylist() for c in batch.columns)):
+            arc, refers, version = io.BytesIO(), {}, versions[part % len(versions)]
+            arc.write(arc_version_block(version))
+            for i, url, html, owner, owner_url in zip(*(c.to_pylist() for c in batch.columns)):
                 row = "null" if i is None else str(i)
                 if owner is not None and owner != i:
-                    refers[row] = str(owner)
-                arc.write(arc_record("2", _arc_of_page(row, url, html.encode())))
+                    row = f"{row}@{len(refers)}"  # of rows with one id only some may be revisits
+                    refers[row] = Owner(str(owner), _target(owner_url))
+                arc.write(arc_record(version, _arc_of_page(row, url, html.encode())))
             arc.seek(0)
             for member in convert(arc, refers):
                 out.append(member)
@@ -211,9 +241,11 @@ def write_archives(pages: DataFrame, id_col: str = "page_id", url_col: str = "ur
 def read_archives(archives: DataFrame) -> DataFrame:
     """The records of WARC archives: target, row id, record type, digest in hex and length of the full payload, owner.
 
-    A revisit's payload is not in its record: digest and length are those that its header and HTTP header declare.
-    A response's are computed from the bytes read.
+    A revisit's payload is not in its record: digest and length are those that its header and HTTP header declare, and
+    its owner is the row of the record whose identifier it names. A response's are computed from the bytes read. Every
+    record gives one row, also where identifiers repeat; archives without records give none.
     """
+    names = ["target", "id", "payload_bytes", "payload_digest", "record_type", "record_id", "refers"]
 
     def records(batches):
         for batch in batches:
@@ -226,11 +258,17 @@ def read_archives(archives: DataFrame) -> DataFrame:
                         size = int(block.split(b"Content-Length: ", 1)[1].split(b"\r\n", 1)[0])
                     else:
                         size, digest = len(payload), hashlib.sha1(payload).hexdigest()
-                    row, owner = head["X-Row"], head.get("WARC-Refers-To")
-                    got.append((head["WARC-Target-URI"], None if row == "null" else int(row), size, digest, head["WARC-Type"], int(owner[10:-1]) if owner else None))
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*got), (pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()))], ["target", "id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
-
-    return archives.select("body").mapInArrow(records, "target string, id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
+                    row = head["X-Row"].split("@")[0]
+                    got.append((head["WARC-Target-URI"], None if row == "null" else int(row), size, digest, head["WARC-Type"], head["WARC-Record-ID"], head.get("WARC-Refers-To")))
+                kinds = (pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.string())
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*got), kinds)], names)
+
+    rows = written(archives.select("body").mapInArrow(records, "target string, id long, payload_bytes long, payload_digest string, record_type string, record_id string, refers string"), "records")
+    revisits = rows.where("refers is not null")
+    named = revisits.select(F.col("refers").alias("named")).distinct()  # one an owner, however many revisit it
+    owners = rows.join(named, F.col("record_id") == F.col("named"), "left_semi").groupBy(F.col("record_id").alias("named")).agg(F.max("id").alias("refers_to"))
+    met = revisits.join(written(owners, "named"), F.col("refers") == F.col("named"), "left").drop("named")
+    return rows.where("refers is null").withColumn("refers_to", F.lit(None).cast("long")).unionByName(met).drop("refers")
 
 
 def export_archives(archives: DataFrame, folder: str) -> DataFrame:

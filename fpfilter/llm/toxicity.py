@@ -2,9 +2,10 @@
 
 Terms are words and their first bytes, hashed; a document is the set of its terms. The machine adds to the linear
 weights of the terms a product of factor vectors for every pair of them, so that words which are harmless alone but
-not together count. It is fitted on the driver on a bounded sample of labelled rows (``TRAIN_ROWS``) in which terms
-are screened first: those associated with the label are kept, and those that occur together with another one in rows
-which the former leave unexplained, all to one side. Scoring is one pass over all texts.
+not together count. It is fitted on the driver on a sample of labelled rows bounded in number and size (``TRAIN_ROWS``,
+``TRAIN_BYTES``). Weights are learned for the terms which that sample tells something about: those associated with the
+label by themselves, and those that occur together with another one in rows which the former leave unexplained, all to
+one side. Both are tests of significance, without a cap on how many terms pass. Scoring is one pass over all texts.
 """
 
 from __future__ import annotations
@@ -19,11 +20,11 @@ from pyspark.sql import functions as F
 
 from fpfilter.llm.textvec import ALNUM, U64, Words, chunks, release, texts
 
-#: Labelled rows that the fit takes, about: a hash of the id picks them evenly.
+#: Labelled rows that the fit takes, and bytes of their texts, about: a hash of the id picks them evenly.
 TRAIN_ROWS = 12_000
-#: Hashed terms, and the most of them that have weights.
+TRAIN_BYTES = 128 << 20
+#: Hashed terms.
 TERMS = 1 << 20
-MOST_TERMS = 8192
 FACTORS = 8
 _PREFIXES = (4, 5)
 _LEAST_Z = 4.0
@@ -79,8 +80,7 @@ def fit(terms: np.ndarray, of: np.ndarray, label: np.ndarray, steps: int = 150)
     spread = np.sqrt(np.maximum(p * (1 - p), 1e-12) * (1 / n1 + 1 / (n - n1)))
     z = np.abs(toxic / n1 - (with_term - toxic) / (n - n1)) / spread
     z[with_term < min(_LEAST_DOCS, max(1, n1 // 4))] = 0
-    kept = np.argsort(-z, kind="stable")[:MOST_TERMS]
-    kept = np.sort(kept[z[kept] >= _LEAST_Z])
+    kept = np.flatnonzero(z >= _LEAST_Z)
     machine, error = _fitted(kept, terms, of, label, steps)
     more = np.setdiff1d(paired(terms, of, error), kept)
     return _fitted(np.union1d(kept, more), terms, of, label, steps)[0] if len(more) else machine
@@ -156,11 +156,18 @@ def in_fold(id_col: str, of: int, fold: int) -> Column:
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", most: int = TRAIN_ROWS) -> Machine:
-    """Fit on labelled rows outside fold 0 of 5. A row that several labels name takes the largest; null ones count not."""
+    """Fit on labelled rows outside fold 0 of 5; the same rows give the same machine, in whatever order they come.
+
+    A row that several labels name takes the largest; null labels and ids do not count. Null and empty texts are rows
+    without terms, repeated rows count each. Without rows, or with one label only, every text gets the same score.
+    """
     known = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull() & ~in_fold(id_col, 5, 0)).groupBy(F.col(id_col).alias("id")).agg(F.max(label_col).alias("label"))
-    share = min(1.0, most / max(1, labels.count()))
+    text = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    n, size = text.join(known, "id").agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    share = min(1.0, most / max(1, n), TRAIN_BYTES / max(1, size))
     picked = known.where(F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < int(share * (1 << 30)))
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(F.broadcast(picked), "id")  # about ``most`` rows of two numbers
+    rows = text.join(F.broadcast(picked), "id") if n else text.limit(0).withColumn("label", F.lit(0))  # ``most`` rows of two numbers, about
+    rows = rows.select("id", "text", "label", F.xxhash64("text").alias("h"))
 
     def take(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -170,10 +177,10 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
                 terms, of = document_terms(data[offsets[low] : offsets[high]], own)
                 part = batch.slice(low, high - low)
                 got = pa.ListArray.from_arrays(pa.array(of, pa.int32()), pa.array(terms, pa.int32()))
-                yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), part.column(2).cast(pa.int32()), got], ["id", "label", "terms"])
+                yield pa.RecordBatch.from_arrays([part.column(3), part.column(2).cast(pa.int32()), got], ["h", "label", "terms"])
 
-    got = rows.select("id", "text", "label").mapInArrow(take, "id long, label int, terms array<int>").toArrow()
-    got = got.sort_by("id")
+    got = rows.mapInArrow(take, "h long, label int, terms array<int>").toArrow()
+    got = got.sort_by([("h", "ascending"), ("label", "ascending")])  # rows that tie in both have the same terms
     lists = got["terms"].combine_chunks()
     of = lists.offsets.to_numpy().astype(np.int64) if len(got) else np.zeros(1, np.int64)
     terms = lists.values.to_numpy().astype(np.int64) if len(got) else np.zeros(0, np.int64)
@@ -181,7 +188,11 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
 
 def scored(docs: DataFrame, machine: Machine, text_col: str = "text", to: str = "score") -> DataFrame:
-    """``docs`` with the score of each whole text, 0 to 1; null and empty texts get the score of no terms."""
+    """``docs`` with the score of each whole text, 0 to 1, in the column ``to``, which replaces one of that name.
+
+    Null and empty texts get the score of no terms, equal texts equal scores, texts of any length one score each. All
+    other columns stay as they are. An empty table gives no rows.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(machine)
 
     @F.arrow_udf("double")

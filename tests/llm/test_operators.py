@@ -9,6 +9,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pyarrow as pa
 import pytest
+import regex
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
@@ -186,20 +187,36 @@ def test_toxicity_on_held_out_documents(spark):
     assert got.score.between(0, 1).all()
 
 
-def test_pairs_count_where_single_terms_do_not():
-    rng = np.random.default_rng(1)
-    n = 4000
-    has = rng.random((n, 2)) < 0.5
-    label = (has[:, 0] == has[:, 1]).astype(float)  # neither term says anything alone
-    terms = [np.flatnonzero(np.concatenate([h, ~h])) for h in has]
-    of = np.concatenate(([0], np.cumsum([len(t) for t in terms])))
-    old, toxicity._LEAST_Z = toxicity._LEAST_Z, 0.0
-    try:
-        machine = toxicity.fit(np.concatenate(terms), of, label, steps=400)
-    finally:
-        toxicity._LEAST_Z = old
-    raw = machine.raw(np.concatenate(terms), of)
-    assert ((raw > 0) == (label > 0)).mean() > 0.95
+def test_scores_are_those_of_all_pairs(spark, sf_dir, documents):
+    """Every score again from the machine's weights, pair by pair."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    machine = toxicity.train(docs, spark.read.parquet("/root/testdata/sf0.01/labels.parquet"))
+    got = toxicity.scored(docs.select("doc_id", "text"), machine).collect()
+    assert len(machine.linear) > 10
+    hashed = {}
+
+    def term(word):
+        if word not in hashed:
+            hashed[word] = int(textvec.word_hashes(*textvec.texts(pa.array([word])), textvec.ALNUM)[0][0] % np.uint64(toxicity.TERMS))
+        return hashed[word]
+
+    for r in sorted(got, key=lambda r: r["doc_id"])[:300]:
+        words = [w.encode() for w in re.findall("[0-9a-z\x80-\U0010ffff]+", (r["text"] or "").translate({i: i + 32 for i in range(65, 91)}))]
+        parts = {w[:n] for w in words for n in (4, 5)} | set(words)
+        at = [machine.index[t] for t in {term(p.decode("utf-8", "surrogateescape")) for p in parts if p.decode("utf-8", "ignore").encode() == p}]
+        if any(p.decode("utf-8", "ignore").encode() != p for p in parts):
+            continue  # cut within a character: the plain way cannot hash it
+        at = [x for x in at if x >= 0]
+        raw = machine.bias + sum(machine.linear[x] for x in at)
+        raw += sum(float(machine.factors[a] @ machine.factors[b]) for i, a in enumerate(at) for b in at[:i])
+        assert r["score"] == pytest.approx(1 / (1 + np.exp(-raw)), abs=1e-6)
+
+
+def test_fit_does_not_depend_on_the_order_of_rows(spark, sf_dir):
+    docs, labels = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "labels"))
+    docs = docs.unionByName(docs.limit(20).withColumn("text", F.lit("another text of the same id")))
+    one, two = (toxicity.train(x, labels) for x in (docs.coalesce(1), docs.orderBy(F.rand(3))))
+    assert (one.index == two.index).all() and np.array_equal(one.linear, two.linear) and np.array_equal(one.factors, two.factors)
 
 
 def test_pairs_count_with_the_settings_of_the_query():
@@ -234,9 +251,55 @@ def test_language_of_held_out_documents_and_awkward_rows(spark, awkward, nothing
     assert {r["lang_pred"] for r in language.identified(awkward, empty).collect()} == {"und"}
 
 
+def plain_language(model, known, text):
+    """Every word by itself: its own scores, or those of its longest known n-grams."""
+    words = regex.findall(r"\p{L}+", (text or "").lower())
+    if not words:
+        return "und", 0.0
+    total = np.array(model.prior)
+    for w in words:
+        if w in known:
+            total = total + known[w]
+            continue
+        padded, found = f"<{w}>", []
+        while padded:
+            size = next((n for n in (4, 3, 2, 1) if n <= len(padded) and padded[:n] in model.grams and padded[:n] not in ("<", ">")), 0)
+            if size:
+                found.append(model.gram_scores[model.grams[padded[:size]]])
+            padded = padded[max(1, size) :]
+        total = total + (0.5 * np.mean(found, 0) if found else 0)
+    total = total / np.sqrt(len(words))
+    return model.langs[int(total.argmax())], float(1 / np.exp(total - total.max()).sum())
+
+
+def test_predictions_are_those_of_word_after_word(spark, awkward):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    model = language.train(docs)
+    rows_ = [(r["doc_id"], r["text"]) for r in docs.select("doc_id", "text").collect()] + [(r["doc_id"], r["text"]) for r in awkward.collect()]
+    vocabulary = sorted({w for _, t in rows_ for w in regex.findall(r"\p{L}+", (t or "").lower())})
+    keys = language.word_keys(vocabulary)
+    at = np.minimum(np.searchsorted(model.keys, keys), len(model.keys) - 1)
+    known = {w: model.word_scores[i] for w, i, k in zip(vocabulary, at, keys) if model.keys[i] == k}
+    got = language.identified(docs.select("doc_id", "text").unionByName(awkward.select("doc_id", "text")), model).collect()
+    assert 0 < len(known) < len(vocabulary) and len(got) == len(rows_)
+    want = Counter((i, t, plain_language(model, known, t)[0]) for i, t in rows_)
+    assert Counter((r["doc_id"], r["text"], r["lang_pred"]) for r in got) == want
+    for r in got[:200]:
+        assert r["score"] == pytest.approx(plain_language(model, known, r["text"])[1], abs=1e-9)
+
+
+def test_every_language_is_learned_and_columns_are_replaced(spark):
+    names = [f"l{i:03d}" for i in range(130)]
+    made = lambda i, k: " ".join(f"{chr(97 + i % 26)}{chr(97 + i // 26)}{chr(97 + j)}ing" for j in range(k, k + 20))
+    docs = spark.createDataFrame([(1000 * i + k, made(i, k), n, 7) for i, n in enumerate(names) for k in range(6)], "doc_id long, text string, lang string, score int")
+    got = language.identified(docs, language.train(docs))
+    assert got.columns == ["doc_id", "text", "lang", "score", "lang_pred"] and got.where("lang = lang_pred").count() > 0.95 * 780
+
+
 def test_unseen_words_fall_back_to_shorter_grams():
     model = language.build([("en", "thing", 5), ("de", "schule", 5)], {"en": 1, "de": 1})
-    assert model.predict("things")[0] == "en" and model.predict("schulen")[0] == "de"
+    best, _ = model.predict(pa.array(["things", "schulen", None, "12 !", "zzz"]))
+    assert [model.langs[b] if b >= 0 else None for b in best[:4]] == ["en", "de", None, None]
     assert model.unseen("zzz").tolist() == [0, 0]
 
 
@@ -394,6 +457,33 @@ def test_archives(spark, sf_dir):
     assert archives.read_archives(archives.write_archives(df.limit(0))).count() == 0
 
 
+def test_revisits_name_identifiers_of_records(spark):
+    big = "y" * 2000
+    pages = [(i, f"http://a/{i}", big if i % 2 else f"small {i}", "t") for i in range(40)] + [(39, "http://a/39", big, "t"), (7, "http://b", "another", "t")]
+    table = archives.write_archives(spark.createDataFrame(pages, PAGE).repartition(3))
+    heads = [head for r in table.select("body").collect() for head, _ in archives.parse_warc(bytes(r["body"]))]
+    assert len(heads) == len(pages)
+    known = {h["WARC-Record-ID"]: h for h in heads}
+    revisits = [h for h in heads if h["WARC-Type"] == "revisit"]
+    assert len(revisits) == 19
+    for h in revisits:
+        owner = known[h["WARC-Refers-To"]]
+        assert (owner["WARC-Type"], owner["X-Row"]) == ("response", "39") and owner["WARC-Payload-Digest"] == h["WARC-Payload-Digest"]
+        assert (owner["WARC-Target-URI"], owner["WARC-Date"]) == (h["WARC-Refers-To-Target-URI"], h["WARC-Refers-To-Date"])
+    got = archives.read_archives(table).collect()
+    assert Counter((r["id"], r["refers_to"]) for r in got) == Counter((i, 39 if i % 2 and i != 39 and h == big else None) for i, _, h, _ in pages)
+
+
+def test_segments_of_many_small_records_and_cut_ones():
+    members = [archives.gzip_member(archives.warc_record(archives.ArcRecord(f"http://x/{i}", "-", "2001", "text/plain", b"body %d" % i))) for i in range(20_000)]
+    got = list(archives.parse_warc(b"".join(members)))
+    assert [b for _, b in got] == [b"body %d" % i for i in range(20_000)]
+    big = archives.gzip_member(archives.warc_record(archives.ArcRecord("u", "-", "2001", "text/plain", np.random.default_rng(1).bytes(300_000))))
+    assert len(list(archives.parse_warc(big + members[0] + big))) == 3
+    with pytest.raises(archives.ArcError):
+        list(archives.parse_warc(members[0] + members[1][:-4]))
+
+
 @pytest.mark.parametrize("version", ["1", "2"])
 def test_arc_streams_of_both_versions(version):
     records = [archives.ArcRecord(f"http://x/{i}", "1.2.3.4", "20010203040506", "text/html; charset=x", b"HTTP/1.0 200 OK\r\nA: b\r\n\r\nbody\n\n%d" % i) for i in range(3)]
