@@ -163,7 +163,8 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     """
     known = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull() & ~in_fold(id_col, 5, 0)).groupBy(F.col(id_col).alias("id")).agg(F.max(label_col).alias("label"))
     text = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    n, size = text.join(known, "id").agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    sizes = text.select("id", F.octet_length("text").alias("size")).join(known, "id")  # numbers only are shuffled
+    n, size = sizes.agg(F.count(F.lit(1)), F.coalesce(F.sum("size"), F.lit(0))).first()
     share = min(1.0, most / max(1, n), TRAIN_BYTES / max(1, size))
     picked = known.where(F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < int(share * (1 << 30)))
     rows = text.join(F.broadcast(picked), "id") if n else text.limit(0).withColumn("label", F.lit(0))  # ``most`` rows of two numbers, about
