@@ -53,18 +53,24 @@ def pack(values: np.ndarray, q: int) -> np.ndarray:
     if q in (8, 16, 32, 64):  # lanes are whole machine words
         words.view(f"<u{q // 8}")[:n] = values
         return words
-    at = np.arange(n, dtype=np.int64) * q
-    word, shift = at >> 6, (at & 63).astype(U)
-    np.bitwise_or.at(words, word, values << shift)
-    spill = np.flatnonzero((at & 63) + q > 64)
-    np.bitwise_or.at(words, word[spill] + 1, values[spill] >> (U(64) - shift[spill]))
+    put(words, np.arange(n, dtype=np.int64), values, q)
     return words
 
 
+def byte_aligned(q: int, lanes: int) -> bool:
+    """Whether ``lanes`` slots are a machine word of their own, at whole bytes."""
+    return q % 8 == 0 and q * lanes in (8, 16, 32, 64)
+
+
 def fetch(words: np.ndarray, slot: np.ndarray, q: int, lanes: int = 1) -> np.ndarray:
-    """``lanes`` consecutive slots from ``slot`` on, in one word; lanes * q is 64 at most."""
-    if lanes == 1 and q in (8, 16, 32, 64):
-        return words.view(f"<u{q // 8}")[slot].astype(U)
+    """``lanes`` consecutive slots from ``slot`` on, in one word; lanes * q is 64 at most.
+
+    Slots of whole bytes are read in one go through a view of overlapping words, one for each slot; others are put
+    together from two words.
+    """
+    if byte_aligned(q, lanes):
+        size, step = q * lanes // 8, q // 8
+        return np.ndarray((words.nbytes - size) // step + 1, f"<u{size}", words, strides=step)[slot].astype(U)
     at = slot * q
     word, shift = at >> 6, (at & 63).astype(U)
     low = words[word] >> shift
@@ -73,5 +79,14 @@ def fetch(words: np.ndarray, slot: np.ndarray, q: int, lanes: int = 1) -> np.nda
     return (low | high) & U((1 << width) - 1)
 
 
+def put(words: np.ndarray, slot: np.ndarray, values: np.ndarray, q: int) -> None:
+    """Write values into different slots that are empty."""
+    at, values = slot * q, values.astype(U)
+    word, shift = at >> 6, (at & 63).astype(U)
+    np.bitwise_or.at(words, word, values << shift)
+    spill = np.flatnonzero((at & 63) + q > 64)
+    np.bitwise_or.at(words, word[spill] + 1, values[spill] >> (U(64) - shift[spill]))
+
+
 def unpack(words: np.ndarray, n: int, q: int) -> np.ndarray:
     return fetch(words, np.arange(n, dtype=np.int64), q)

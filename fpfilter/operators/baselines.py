@@ -72,12 +72,30 @@ def bloom_bits(n: float, k: int) -> int:
     return max(2, math.ceil(n * k / math.log(2)))
 
 
+def _bloom_walk(h: np.ndarray, spec: BaselineSpec) -> tuple[np.ndarray, np.ndarray]:
+    """The first of a key's k positions, and the step from each to the next."""
+    m = spec.n_addr
+    return linear_np(h, spec.factor("address", m), m), 1 + linear_np(h, spec.factor("offset", m - 1), m - 1)
+
+
 def bloom_positions(h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
     """k positions by double hashing, shape (k, n)."""
-    m = spec.n_addr
-    first = linear_np(h, spec.factor("address", m), m)
-    step = 1 + linear_np(h, spec.factor("offset", m - 1), m - 1)
-    return (first + np.arange(spec.k, dtype=np.int64)[:, None] * step) % m
+    first, step = _bloom_walk(h, spec)
+    return (first + np.arange(spec.k, dtype=np.int64)[:, None] * step) % spec.n_addr
+
+
+def _bloom_contains(words: np.ndarray, h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
+    """Keys leave at the first position that is not set."""
+    at, step = _bloom_walk(h, spec)
+    left = np.arange(len(h))
+    for _ in range(spec.k):
+        stay = np.flatnonzero(_get_bits(words, at))
+        left, at, step = left[stay], at[stay], step[stay]
+        at = at + step
+        at[at >= spec.n_addr] -= spec.n_addr
+    out = np.zeros(len(h), bool)
+    out[left] = True
+    return out
 
 
 def _set_bits(at: np.ndarray, m: int) -> np.ndarray:
@@ -90,9 +108,40 @@ def _get_bits(words: np.ndarray, at: np.ndarray) -> np.ndarray:
     return (words[at >> 6] >> (at & 63).astype(U) & U(1)).astype(bool)
 
 
+def _blocked_contains(words: np.ndarray, h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
+    out = np.zeros(len(h), bool)
+    for block in _blocks(h, spec):
+        left = np.flatnonzero(~out)
+        for i in range(spec.k):
+            left = left[_get_bits(words, block[left] * LINE_BITS + _block_position(h[left], i))]
+        out[left] = True
+    return out
+
+
+def _choice_build(h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
+    """Each key goes to the block that is emptier with it; keys of a batch see the blocks as it began."""
+    lines = np.zeros((spec.n_addr, LINE_BITS // 64), U)
+    one, two = _blocks(h, spec)
+    size = max(64, spec.n_addr // 4)
+    for low in range(0, len(h), size):
+        some = h[low : low + size]
+        marks = np.zeros((len(some), LINE_BITS // 64), U)
+        for i in range(spec.k):
+            at = _block_position(some, i)
+            marks[np.arange(len(some)), at >> 6] |= U(1) << (at & 63).astype(U)
+        a, b = one[low : low + size], two[low : low + size]
+        full = [np.bitwise_count(marks | lines[x]).sum(1) for x in (a, b)]
+        np.bitwise_or.at(lines, np.where(full[0] <= full[1], a, b), marks)
+    return lines.ravel()
+
+
+def _block_position(h: np.ndarray, i: int) -> np.ndarray:
+    return (mix_np(h + U(0x9E3779B97F4A7C15 * (i + 1) & (1 << 64) - 1)) >> U(55)).astype(np.int64)
+
+
 def block_positions(h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
     """k independent positions within a line, shape (k, n)."""
-    return np.stack([(mix_np(h + U(0x9E3779B97F4A7C15 * (i + 1) & (1 << 64) - 1)) >> U(55)).astype(np.int64) for i in range(spec.k)])
+    return np.stack([_block_position(h, i) for i in range(spec.k)])
 
 
 def _blocks(h: np.ndarray, spec: BaselineSpec) -> list[np.ndarray]:
@@ -133,76 +182,166 @@ def quotient_positions(sorted_quotients: np.ndarray) -> np.ndarray:
 
 
 def _quotient_build(h: np.ndarray, spec: BaselineSpec) -> tuple[np.ndarray, dict]:
+    """Planes one after the other: occupied quotients, ends of runs, 8 bits a 64 slots for shifts, remainders."""
     keys = np.unique(_quotient_parts(h, spec))
     quotient = keys >> spec.k
     at = quotient_positions(quotient)
-    n_slots = int(max(spec.n_addr, at.max(initial=-1) + 1))
-    # per slot: remainder, then occupied (by number), continuation, shifted
-    slots = np.zeros(n_slots, U)
-    slots[at] = (keys & (1 << spec.k) - 1).astype(U)
-    flags = np.zeros((3, n_slots), bool)
-    flags[0, quotient] = True
-    flags[1, at[1:][quotient[1:] == quotient[:-1]]] = True
-    flags[2, at[at != quotient]] = True
-    for i in range(3):
-        slots |= flags[i].astype(U) << U(spec.k + i)
-    return lanes.pack(slots, spec.k + 3), _stats(len(h), len(keys), spec.n_addr * (spec.k + QUOTIENT_META_BITS), n_slots)
+    n_slots = -(-int(max(spec.n_addr, at.max(initial=-1) + 1)) // 64) * 64
+    last = np.ones(len(keys), bool)
+    last[:-1] = quotient[1:] != quotient[:-1]
+    occupied, ends = _set_bits(quotient, n_slots), _set_bits(at[last], n_slots)
+    # what a block's first run is shifted by: how many runs that began before it end in it or later
+    reach = np.zeros(n_slots // 64, np.int64)
+    np.maximum.at(reach, quotient[last] >> 6, at[last] + 1)
+    reach = np.maximum.accumulate(reach)
+    shift = np.clip(np.concatenate(([0], reach[:-1] - 64 * np.arange(1, len(reach)))), 0, 255).astype(np.uint8)
+    remainders = np.zeros(n_slots, U)
+    remainders[at] = (keys & (1 << spec.k) - 1).astype(U)
+    words = np.concatenate([np.array([n_slots], U), occupied, ends, _words(shift), lanes.pack(remainders, spec.k)])
+    return words, _stats(len(h), len(keys), n_slots * (spec.k + QUOTIENT_META_BITS), n_slots)
+
+
+def select_bit(words: np.ndarray, rank: np.ndarray) -> np.ndarray:
+    """The position of the set bit with ``rank`` set bits below it, in each word."""
+    words, rank, at = words.copy(), rank.copy(), np.zeros(len(words), np.int64)
+    for width in (32, 16, 8, 4, 2, 1):
+        low = words & U((1 << width) - 1)
+        below = np.bitwise_count(low).astype(np.int64)
+        up = rank >= below
+        rank -= np.where(up, below, 0)
+        at += np.where(up, width, 0)
+        words = np.where(up, words >> U(width), low)
+    return at
 
 
 def _quotient_contains(words: np.ndarray, h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
-    n_slots = (len(words) - 1) * 64 // (spec.k + 3)
-    slots = lanes.unpack(words, n_slots, spec.k + 3)
-    occupied, continued, shifted = ((slots >> U(spec.k + i) & U(1)).astype(bool) for i in range(3))
-    used = occupied | continued | shifted
-    at = np.flatnonzero(used)
-    run = np.cumsum(~continued[at]) - 1  # the i-th run belongs to the i-th occupied quotient
-    keys = np.flatnonzero(occupied)[run] << spec.k | (slots[at] & U((1 << spec.k) - 1)).astype(np.int64) if len(at) else np.zeros(0, np.int64)
-    probe = _quotient_parts(h, spec)
-    found = np.searchsorted(keys, probe)
-    return (found < len(keys)) & (keys[np.minimum(found, len(keys) - 1)] == probe) if len(keys) else np.zeros(len(h), bool)
+    """The run of a quotient ends at the end of a run that has as many before it as there are occupied quotients."""
+    n = int(words[0]) // 64
+    occupied, ends, remainders = words[1 : 1 + n], words[1 + n : 1 + 2 * n], words[1 + 2 * n + -(-n // 8) :]
+    n_occupied, n_ends = (np.concatenate(([0], np.cumsum(np.bitwise_count(x), dtype=np.int64))) for x in (occupied, ends))
+    parts = _quotient_parts(h, spec)
+    out = np.zeros(len(h), bool)
+    left = np.flatnonzero(_get_bits(occupied, parts >> spec.k))
+    quotient = parts[left] >> spec.k
+    below = occupied[quotient >> 6] & (U(1) << (quotient & 63).astype(U)) - U(1)
+    rank = n_occupied[quotient >> 6] + np.bitwise_count(below).astype(np.int64)
+
+    def end_of(rank: np.ndarray) -> np.ndarray:
+        word = np.searchsorted(n_ends, rank, "right") - 1
+        return word * 64 + select_bit(ends[word], rank - n_ends[word])
+
+    at = end_of(rank)
+    first = np.where(rank > 0, np.maximum(quotient, end_of(np.maximum(rank, 1) - 1) + 1), quotient) if len(rank) else at
+    wanted = (parts[left] & (1 << spec.k) - 1).astype(U)
+    while len(left):  # back through the run
+        same = lanes.fetch(remainders, at, spec.k) == wanted
+        out[left[same]] = True
+        go = ~same & (at > first)
+        left, at, first, wanted = left[go], at[go] - 1, first[go], wanted[go]
+    return out
+
+
+# Blocks of short lists: in each, tags sorted by list, and their lists as one bit an entry and a gap after each list
+
+
+def _lists_pack(block: np.ndarray, of_list: np.ndarray, tag: np.ndarray, n_blocks: int, head: int, size: int, tag_bits: int) -> np.ndarray:
+    """Blocks of ``head`` bytes of list bits and ``size`` tags; entries must fit."""
+    order = np.lexsort((tag, of_list, block))
+    block, of_list, tag = block[order], of_list[order], tag[order]
+    rank = np.arange(len(block)) - np.searchsorted(block, np.arange(n_blocks))[block]
+    bits = np.zeros((n_blocks, 8 * head), np.uint8)
+    bits[block, of_list + rank] = 1
+    tags = np.zeros((n_blocks, size), f"<u{tag_bits // 8}")
+    tags[block, rank] = tag
+    return np.concatenate([np.packbits(bits, axis=1, bitorder="little"), tags.view(np.uint8)], axis=1)
+
+
+def _list_of(heads: np.ndarray, rank: np.ndarray) -> np.ndarray:
+    """The list of the entry with ``rank`` entries before it, for rows of list bits."""
+    count = np.cumsum(np.unpackbits(heads, axis=1, bitorder="little"), axis=1, dtype=np.uint8)
+    return (count <= rank[:, None].astype(np.uint8)).sum(1) - rank
+
+
+def _lists_contain(blocks: np.ndarray, at: np.ndarray, of_list: np.ndarray, tag: np.ndarray, head: int, size: int, tag_bits: int) -> np.ndarray:
+    """Whether block ``at`` has ``tag`` in list ``of_list``: all tags are compared, lists looked up for equal ones only."""
+    rows = blocks[at]
+    tags = np.ascontiguousarray(rows[:, head : head + size * tag_bits // 8]).view(f"<u{tag_bits // 8}")
+    key, rank = np.nonzero(tags == tag.astype(tags.dtype)[:, None])
+    heads = rows[key, :head]
+    known = rank < np.bitwise_count(heads).sum(1)  # other places are free
+    key, rank, heads = key[known], rank[known], heads[known]
+    out = np.zeros(len(at), bool)
+    out[key[_list_of(heads, rank) == of_list[key]]] = True
+    return out
 
 
 # Vector quotient
 
 
 def vector_entries(h: np.ndarray, spec: BaselineSpec) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Both blocks and the code (bucket and tag, from 1) of each key; the blocks' pair is symmetric."""
+    """Both blocks and the code (bucket and tag) of each key; the blocks' pair is symmetric."""
     slots, buckets = VECTOR_BLOCK[spec.k]
     one = linear_np(h, spec.factor("block", spec.n_addr), spec.n_addr)
     span = buckets << spec.k
     code = linear_np(h, spec.factor("tag", span), span)
     other = one ^ ((1 + linear_np(code, spec.factor("partner", spec.n_addr - 1), spec.n_addr - 1)) if spec.n_addr > 1 else 0)
-    return one, other, code + 1
+    return one, other, code
+
+
+def two_choices(one: np.ndarray, other: np.ndarray, n_blocks: int, size: int) -> np.ndarray:
+    """A block for each entry, the emptier of its two; entries of a batch see the loads as it began.
+
+    Blocks that are too full afterwards hand entries on to their other blocks; -1 where that does not help either.
+    """
+    load, out = np.zeros(n_blocks, np.int64), np.zeros(len(one), np.int64)
+    step = max(1, n_blocks // 4)
+    for low in range(0, len(one), step):
+        a, b = one[low : low + step], other[low : low + step]
+        out[low : low + step] = np.where(load[a] <= load[b], a, b)
+        load += np.bincount(out[low : low + step], minlength=n_blocks)
+    for _ in range(64):
+        if not (load > size).any():
+            return out
+        over = np.flatnonzero(load[out] > size)
+        order = over[np.argsort(out[over], kind="stable")]
+        place = np.arange(len(order)) - np.searchsorted(out[order], out[order])
+        to = one[order] ^ other[order] ^ out[order] if len(order) else order
+        move = order[(place < load[out[order]] - size) & (load[to] < size)]
+        if not len(move):
+            move = order[place < load[out[order]] - size]
+        target = one[move] + other[move] - out[move]
+        out[move] = target
+        load = np.bincount(out, minlength=n_blocks)
+    order = np.argsort(out, kind="stable")
+    out[order[np.arange(len(order)) - np.searchsorted(out[order], out[order]) >= size]] = -1
+    return out
+
+
+def _vector_shape(spec: BaselineSpec) -> tuple[int, int, int]:
+    """Bytes of list bits, slots and tag bits of a block of 64 bytes."""
+    size, buckets = VECTOR_BLOCK[spec.k]
+    return (size + buckets) // 8, size, spec.k
 
 
 def _vector_build(h: np.ndarray, spec: BaselineSpec) -> tuple[np.ndarray, dict]:
-    size, _ = VECTOR_BLOCK[spec.k]
+    head, size, tag_bits = _vector_shape(spec)
     one, other, code = vector_entries(h, spec)
-    load, blocks, ok, stored = [0] * spec.n_addr, np.zeros((spec.n_addr, size), np.uint32), True, 0
-    where = []
-    for a, b in zip(one.tolist(), other.tolist()):
-        target = a if load[a] <= load[b] else b
-        if load[target] == size:
-            ok = False
-            where.append((0, 0, False))
-            continue
-        where.append((target, load[target], True))
-        load[target] += 1
-        stored += 1
-    if where:
-        b, s, put = map(np.array, zip(*where))
-        blocks[b[put], s[put]] = code[put]
-    return _words(blocks), _stats(len(h), stored, spec.n_addr * LINE_BITS, spec.n_addr * size, ok)
+    block = two_choices(one, other, spec.n_addr, size)
+    put = block >= 0
+    blocks = _lists_pack(block[put], code[put] >> spec.k, code[put] & (1 << spec.k) - 1, spec.n_addr, head, size, tag_bits)
+    return _words(blocks), _stats(len(h), int(put.sum()), spec.n_addr * LINE_BITS, spec.n_addr * size, bool(put.all()))
 
 
 def _vector_contains(words: np.ndarray, h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
-    size, _ = VECTOR_BLOCK[spec.k]
-    blocks = words.view(np.uint32)[: spec.n_addr * size].reshape(spec.n_addr, size)
+    blocks = words.view(np.uint8)[: spec.n_addr * LINE_BITS // 8].reshape(spec.n_addr, -1)
     out = np.zeros(len(h), bool)
-    for low in range(0, len(h), 1 << 16):
-        one, other, code = vector_entries(h[low : low + (1 << 16)], spec)
-        code = code.astype(np.uint32)[:, None]
-        out[low : low + (1 << 16)] = (blocks[one] == code).any(1) | (blocks[other] == code).any(1)
+    for low in range(0, len(h), 1 << 15):
+        one, other, code = vector_entries(h[low : low + (1 << 15)], spec)
+        bucket, tag = code >> spec.k, code & (1 << spec.k) - 1
+        hit = _lists_contain(blocks, one, bucket, tag, *_vector_shape(spec))
+        left = np.flatnonzero(~hit)
+        hit[left] = _lists_contain(blocks, other[left], bucket[left], tag[left], *_vector_shape(spec))
+        out[low : low + (1 << 15)] = hit
     return out
 
 
@@ -219,36 +358,41 @@ def _spare_spec(spec: BaselineSpec) -> BaselineSpec | FilterSpec:
     return variant("b24", 9, n_addr=spec.extra, seed=spec.seed + 1)  # 12-bit slots
 
 
+#: Bytes of a bin before its tags: a bit an entry and a list, then the mark of a bin that has forwarded some.
+_BIN_HEAD = BIN_BITS // 8 - BIN_SLOTS
+_FORWARDS = 0x80
+
+
 def _prefix_build(h: np.ndarray, spec: BaselineSpec) -> tuple[np.ndarray, dict]:
     bins, fp = bin_entries(h, spec)
     keys = np.unique(bins * BIN_RANGE + fp)
-    own = keys // BIN_RANGE
-    first = np.searchsorted(own, np.arange(spec.n_addr))
-    rank = np.arange(len(keys)) - first[own]
-    table = np.full((spec.n_addr, BIN_SLOTS + 1), 0, np.uint16)
+    own, fp = np.divmod(keys, BIN_RANGE)
+    rank = np.arange(len(keys)) - np.searchsorted(own, np.arange(spec.n_addr))[own]
     inside = rank < BIN_SLOTS
-    table[own[inside], rank[inside]] = (keys[inside] % BIN_RANGE + 1).astype(np.uint16)
-    table[np.unique(own[~inside]), BIN_SLOTS] = 1  # has forwarded some
-    rest = mix_np(keys[~inside])
+    table = _lists_pack(own[inside], fp[inside] >> 8, fp[inside] & 255, spec.n_addr, _BIN_HEAD, BIN_SLOTS, 8)
+    table[np.unique(own[~inside]), _BIN_HEAD - 1] |= _FORWARDS
     spare = _spare_spec(spec)
-    words, stats = build_kernel(rest, spare)
-    ok = stats["status"] == "ok"
+    words, stats = build_kernel(mix_np(keys[~inside]), spare)
     raw = _words(table)
-    head = np.array([len(raw)], U)
     bits = spec.n_addr * BIN_BITS + stats["payload_bits"]
-    return np.concatenate([head, raw, words]), _stats(len(h), int(inside.sum()) + stats["n_stored"], bits, spec.n_addr * BIN_SLOTS + stats["n_slots"], ok)
+    return np.concatenate([raw, words]), _stats(len(h), int(inside.sum()) + stats["n_stored"], bits, spec.n_addr * BIN_SLOTS + stats["n_slots"], stats["status"] == "ok")
 
 
 def _prefix_contains(words: np.ndarray, h: np.ndarray, spec: BaselineSpec) -> np.ndarray:
-    n = int(words[0])
-    table = words[1 : 1 + n].view(np.uint16)[: spec.n_addr * (BIN_SLOTS + 1)].reshape(spec.n_addr, BIN_SLOTS + 1)
-    bins, fp = bin_entries(h, spec)
-    rows = table[bins]
-    forward = (rows[:, BIN_SLOTS] == 1) & (fp + 1 > rows[:, :BIN_SLOTS].max(1, initial=0))
-    hit = (rows[:, :BIN_SLOTS] == (fp + 1).astype(np.uint16)[:, None]).any(1)
-    at = np.flatnonzero(forward)
-    hit[at] = contains_kernel(words[1 + n :], mix_np(bins[at] * BIN_RANGE + fp[at]), _spare_spec(spec))
-    return hit
+    n = spec.n_addr * BIN_BITS // 64
+    table, spare = words[:n].view(np.uint8).reshape(spec.n_addr, -1), words[n:]
+    out = np.zeros(len(h), bool)
+    for low in range(0, len(h), 1 << 15):
+        bins, fp = bin_entries(h[low : low + (1 << 15)], spec)
+        hit = _lists_contain(table, bins, fp >> 8, fp & 255, _BIN_HEAD, BIN_SLOTS, 8)
+        maybe = np.flatnonzero(~hit & (table[bins, _BIN_HEAD - 1] >= _FORWARDS))
+        rows = table[bins[maybe]]
+        rows[:, _BIN_HEAD - 1] &= _FORWARDS - 1
+        most = _list_of(rows[:, :_BIN_HEAD], np.full(len(maybe), BIN_SLOTS - 1)) << 8 | rows[:, -1]
+        at = maybe[fp[maybe] > most]
+        hit[at] = contains_kernel(spare, mix_np(bins[at] * BIN_RANGE + fp[at]), _spare_spec(spec))
+        out[low : low + (1 << 15)] = hit
+    return out
 
 
 # Static
@@ -260,35 +404,34 @@ def _static_slots(h: np.ndarray, spec: BaselineSpec, seed: int) -> np.ndarray:
     return np.stack([linear_np(mix_np(x + U(i + 1)), multiplier(seed + i, "address", third), third) + i * third for i in range(3)], 1)
 
 
+def peeled(at: np.ndarray, n_slots: int) -> list[tuple[np.ndarray, np.ndarray]] | None:
+    """Rounds of keys and the slots that each is alone in once earlier rounds are gone; None if some never are."""
+    degree = np.bincount(at.ravel(), minlength=n_slots)
+    sums = np.zeros(n_slots, np.int64)
+    np.add.at(sums, at.ravel(), np.repeat(np.arange(len(at)), 3))
+    rounds, left, slots = [], len(at), np.flatnonzero(degree == 1)
+    while len(slots):
+        keys, first = np.unique(sums[slots], return_index=True)
+        rounds.append((keys, slots[first]))
+        left -= len(keys)
+        touched = at[keys].ravel()
+        np.subtract.at(degree, touched, 1)
+        np.subtract.at(sums, touched, np.repeat(keys, 3))
+        slots = np.unique(touched[degree[touched] == 1])
+    return None if left else rounds
+
+
 def _static_build(h: np.ndarray, spec: BaselineSpec) -> tuple[np.ndarray, dict]:
     h = np.unique(h)
     fp = linear_np(h, spec.factor("fingerprint", 1 << spec.k), 1 << spec.k)
     for seed in range(spec.seed, spec.seed + 50):
         at = _static_slots(h, spec, seed)
-        degree = np.bincount(at.ravel(), minlength=spec.n_addr)
-        acc = np.zeros(spec.n_addr, np.int64)
-        for c in range(3):
-            np.bitwise_xor.at(acc, at[:, c], np.arange(len(h)))
-        order, alone = [], np.flatnonzero(degree == 1).tolist()
-        degree, acc, rows = degree.tolist(), acc.tolist(), at.tolist()
-        while alone:  # peel keys that own a slot
-            slot = alone.pop()
-            if degree[slot] != 1:
-                continue
-            key = acc[slot]
-            order.append((key, slot))
-            for s in rows[key]:
-                degree[s] -= 1
-                acc[s] ^= key
-                if degree[s] == 1:
-                    alone.append(s)
-        if len(order) == len(h):
-            values, prints = [0] * spec.n_addr, fp.tolist()
-            for key, slot in reversed(order):
-                a, b, c = rows[key]
-                values[slot] = 0
-                values[slot] = values[a] ^ values[b] ^ values[c] ^ prints[key]
-            packed = lanes.pack(np.array(values, U), spec.k)
+        rounds = peeled(at, spec.n_addr)
+        if rounds is not None:
+            values = np.zeros(spec.n_addr, np.int64)
+            for keys, slots in reversed(rounds):  # the slots of later rounds have their values already
+                values[slots] = np.bitwise_xor.reduce(values[at[keys]], axis=1) ^ fp[keys]
+            packed = lanes.pack(values.astype(U), spec.k)
             return np.concatenate([np.array([seed], U), packed]), _stats(len(h), len(h), spec.n_addr * spec.k, spec.n_addr)
     return np.zeros(2, U), _stats(len(h), 0, 0, spec.n_addr, False)
 
@@ -348,20 +491,9 @@ def build_kernel(h: np.ndarray, spec: FilterSpec | BaselineSpec) -> tuple[np.nda
     if spec.kind == "bloom":
         return _set_bits(bloom_positions(h, spec), spec.n_addr), _stats(len(h), len(h), spec.n_addr, spec.n_addr)
     if spec.kind in ("blocked_bloom", "choice_bloom"):
-        blocks, inside = _blocks(h, spec), block_positions(h, spec)
-        if spec.kind == "blocked_bloom":
-            words = _set_bits(blocks[0] * LINE_BITS + inside, spec.n_addr * LINE_BITS)
-        else:
-            lines = [0] * spec.n_addr
-            marks = [0] * len(h)
-            for row in inside:
-                for i, p in enumerate(row.tolist()):
-                    marks[i] |= 1 << p
-            for a, b, m in zip(blocks[0].tolist(), blocks[1].tolist(), marks):
-                target = a if (m | lines[a]).bit_count() <= (m | lines[b]).bit_count() else b
-                lines[target] |= m
-            words = np.frombuffer(b"".join(x.to_bytes(LINE_BITS // 8, "little") for x in lines), U)
-        return words, _stats(len(h), len(h), spec.n_addr * LINE_BITS, spec.n_addr * LINE_BITS)
+        bits = spec.n_addr * LINE_BITS
+        words = _choice_build(h, spec) if spec.kind == "choice_bloom" else _set_bits(_blocks(h, spec)[0] * LINE_BITS + block_positions(h, spec), bits)
+        return words, _stats(len(h), len(h), bits, bits)
     if spec.kind == "quotient":
         return _quotient_build(h, spec)
     if spec.kind == "vector_quotient":
@@ -381,10 +513,9 @@ def contains_kernel(words: np.ndarray, h: np.ndarray, spec: FilterSpec | Baselin
     if spec.kind == "cuckoo":
         return cuckoo.contains(words, h, spec)
     if spec.kind == "bloom":
-        return _get_bits(words, bloom_positions(h, spec)).all(0)
+        return _bloom_contains(words, h, spec)
     if spec.kind in ("blocked_bloom", "choice_bloom"):
-        inside = block_positions(h, spec)
-        return np.logical_or.reduce([_get_bits(words, b * LINE_BITS + inside).all(0) for b in _blocks(h, spec)])
+        return _blocked_contains(words, h, spec)
     if spec.kind == "quotient":
         return _quotient_contains(words, h, spec)
     if spec.kind == "vector_quotient":

@@ -178,10 +178,10 @@ def build(h: np.ndarray, spec: FilterSpec, codes: np.ndarray | None = None) -> t
     if codes is not None:
         known = decode(codes, spec)
         old = known["address"] if spec.rule == "signed" else np.minimum(known["address"], partner(known["address"], known["fp"], spec))
-        if spec.mode == "lookup_insert":
-            new = np.stack([address, fp], 1)
-            seen = {(a, f) for a, f in zip(old.tolist(), known["fp"].tolist())}
-            keep = np.array([(a, f) not in seen for a, f in new.tolist()], bool) if len(new) else np.zeros(0, bool)
+        if spec.mode == "lookup_insert" and len(fp):
+            both = np.stack([np.concatenate([old, address]), np.concatenate([known["fp"], fp])], 1)
+            _, first = np.unique(both, axis=0, return_index=True)
+            keep = first[first >= len(old)] - len(old)
             address, fp = address[keep], fp[keep]
     if spec.mode == "lookup_insert":
         address, fp = distinct_entries(address, fp)
@@ -208,32 +208,89 @@ def build(h: np.ndarray, spec: FilterSpec, codes: np.ndarray | None = None) -> t
     return lanes.pack(table, spec.slot_bits), stats
 
 
-def contains(words: np.ndarray, h: np.ndarray, spec: FilterSpec) -> np.ndarray:
-    """Whether each key's fingerprint, choice and offset are found at any of its places."""
-    address, fp = first_address(h, spec), fingerprints(h, spec)
+def _patterns(fp: np.ndarray, choice: int, spec: FilterSpec) -> list[np.ndarray]:
+    """What each slot of an address must hold for a fingerprint."""
+    head = fp.astype(np.uint64) | np.uint64((choice << (spec.fp_bits + spec.offset_bits)) if spec.choice_bits else 0)
+    return [head | np.uint64(o << spec.fp_bits if spec.layout == "window" else 0) for o in range(spec.l)]
+
+
+def _joined(parts: list[np.ndarray], q: int) -> np.ndarray:
+    out = parts[0].copy()
+    for o, part in enumerate(parts[1:], 1):
+        out |= part << np.uint64(q * o)
+    return out
+
+
+def one_word(spec: FilterSpec) -> bool:
+    """Whether both addresses' slots fit into one word together, and no faster way reads them one by one."""
+    return 2 * spec.l * spec.slot_bits <= 64 and not lanes.byte_aligned(spec.slot_bits, spec.l)
+
+
+def _match_at(words: np.ndarray, address: np.ndarray, fp: np.ndarray, choice: int, spec: FilterSpec) -> np.ndarray:
+    """Whether the slots of these addresses hold the fingerprints with this choice."""
     q, l = spec.slot_bits, spec.l  # noqa: E741
-    hit = np.zeros(len(h), bool)
-    for choice in (0, 1):
-        todo = np.flatnonzero(~hit)
-        at, print_ = address[todo], fp[todo].astype(np.uint64)
-        if choice:
-            at = partner(at, fp[todo], spec)
-        slot = base_slots(at, l, spec.layout)
-        head = print_ | np.uint64((choice << (spec.fp_bits + spec.offset_bits)) if spec.choice_bits else 0)
-        offsets = [np.uint64(o << spec.fp_bits if spec.layout == "window" else 0) for o in range(l)]
-        if l * q <= 64:
-            pattern = np.zeros(len(todo), np.uint64)
-            for o in range(l):
-                pattern |= (head | offsets[o]) << np.uint64(q * o)
-            found = lanes.match_lanes(lanes.fetch(words, slot, q, l), pattern, q, l) != 0
-        else:  # slots too wide for one word
-            found = np.zeros(len(todo), bool)
-            for o in range(l):
-                found |= lanes.fetch(words, slot + o, q) == (head | offsets[o])
-        hit[todo] = found
+    slot, parts = base_slots(address, l, spec.layout), _patterns(fp, choice, spec)
+    if l * q <= 64:
+        return lanes.match_lanes(lanes.fetch(words, slot, q, l), _joined(parts, q), q, l) != 0
+    return np.logical_or.reduce([lanes.fetch(words, slot + o, q) == parts[o] for o in range(l)])  # slots too wide for one word
+
+
+def contains(words: np.ndarray, h: np.ndarray, spec: FilterSpec, way: str = "auto") -> np.ndarray:
+    """Whether each key's fingerprint, choice and offset are found at any of its places.
+
+    ``way``: ``joint`` tests the slots of both addresses in one word, ``split`` those of the second only for keys that
+    the first does not hold, ``auto`` chooses by the widths.
+    """
+    address, fp = first_address(h, spec), fingerprints(h, spec)
+    if way == "joint" or (way == "auto" and one_word(spec)):
+        q, l = spec.slot_bits, spec.l  # noqa: E741
+        both = (address, partner(address, fp, spec))
+        found, pattern = (
+            parts[0] | parts[1] << np.uint64(l * q)
+            for parts in (
+                [lanes.fetch(words, base_slots(at, l, spec.layout), q, l) for at in both],
+                [_joined(_patterns(fp, choice, spec), q) for choice in (0, 1)],
+            )
+        )
+        return lanes.match_lanes(found, pattern, q, 2 * l) != 0
+    hit = _match_at(words, address, fp, 0, spec)
+    todo = np.flatnonzero(~hit)
+    hit[todo] = _match_at(words, partner(address[todo], fp[todo], spec), fp[todo], 1, spec)
     return hit
 
 
+def insert_free(words: np.ndarray, h: np.ndarray, spec: FilterSpec) -> tuple[np.ndarray, np.ndarray, int]:
+    """Insert keys into free slots of their addresses, the first address before the second, on the packed words.
+
+    Returns the new words, the keys for which no slot was free, and the number of entries written. Nothing is evicted:
+    the test of whole words for empty slots finds a place, and one key wins each slot.
+    """
+    words, q, l = words.copy(), spec.slot_bits, spec.l  # noqa: E741
+    if l * q > 64:
+        return words, h, 0
+    if spec.mode == "lookup_insert":
+        h = h[~contains(words, h, spec)]
+        if len(h):
+            _, first = np.unique(np.stack(entries(h, spec), 1), axis=0, return_index=True)
+            h = h[np.sort(first)]
+    written, left = 0, h
+    for choice in (0, 1):
+        todo, full = left, []
+        while len(todo):
+            address, fp = first_address(todo, spec), fingerprints(todo, spec)
+            slot = base_slots(partner(address, fp, spec) if choice else address, l, spec.layout)
+            lane = lanes.first_lane(lanes.has_empty(lanes.fetch(words, slot, q, l), q, l), q)
+            full.append(todo[lane < 0])
+            todo, slot, lane, fp = todo[lane >= 0], (slot + lane)[lane >= 0], lane[lane >= 0], fp[lane >= 0]
+            _, won = np.unique(slot, return_index=True)
+            parts = _patterns(fp[won], choice, spec)
+            lanes.put(words, slot[won], np.choose(lane[won], parts) if l > 1 else parts[0], q)
+            written += len(won)
+            todo = np.delete(todo, won)
+        left = np.concatenate(full) if full else left
+    return words, left, written
+
+
 def delete(words: np.ndarray, h: np.ndarray, spec: FilterSpec) -> tuple[np.ndarray, np.ndarray]:
     """Remove one entry for each key; only for tables of plain insertions of distinct keys.
 
@@ -247,14 +304,17 @@ def delete(words: np.ndarray, h: np.ndarray, spec: FilterSpec) -> tuple[np.ndarr
     if spec.rule != "signed":
         known["address"] = np.minimum(known["address"], partner(known["address"], known["fp"], spec))
         address = np.minimum(address, partner(address, fp, spec))
-    places: dict[tuple[int, int], list[int]] = {}
-    for a, f, s in zip(known["address"].tolist(), known["fp"].tolist(), known["slot"].tolist()):
-        places.setdefault((a, f), []).append(s)
-    done = np.zeros(len(h), bool)
-    for i, pair in enumerate(zip(address.tolist(), fp.tolist())):
-        if places.get(pair):
-            codes[places[pair].pop()] = 0
-            done[i] = True
+    n = len(known["slot"])
+    both = np.stack([np.concatenate([known["address"], address]), np.concatenate([known["fp"], fp])], 1)
+    _, entry = np.unique(both, axis=0, return_inverse=True)
+    entry = entry.ravel()
+    stored, wanted = entry[:n], entry[n:]
+    by_entry, by_key = np.argsort(stored, kind="stable"), np.argsort(wanted, kind="stable")
+    nth = np.empty(len(h), np.int64)  # the i-th key of an entry takes the i-th slot that holds it
+    nth[by_key] = np.arange(len(h)) - np.searchsorted(wanted[by_key], wanted[by_key])
+    first, after = (np.searchsorted(stored[by_entry], wanted, side) for side in ("left", "right"))
+    done = nth < after - first
+    codes[known["slot"][by_entry[(first + nth)[done]]]] = 0
     return lanes.pack(codes, spec.slot_bits), done
 
 
@@ -269,16 +329,71 @@ def lines_touched(h: np.ndarray, spec: FilterSpec, line_bits: int = 512) -> np.n
     return 1 + (lines[:, 1:] != lines[:, :-1]).sum(1)
 
 
+# Values beside the slots
+
+
+def build_values(h: np.ndarray, values: np.ndarray, spec: FilterSpec) -> tuple[np.ndarray, np.ndarray, dict]:
+    """Packed words of keys and of their values, ``value_bits`` wide, and statistics.
+
+    Keys with one entry share a value: their sum, up to the largest that fits. So a count is never too small, unless
+    it is the largest one.
+    """
+    address, fp = entries(h, spec)
+    pairs, of = np.unique(np.stack([address, fp], 1), axis=0, return_inverse=True) if len(fp) else (np.zeros((0, 2), np.int64), np.zeros(0, np.int64))
+    most = (1 << spec.value_bits) - 1
+    total = np.minimum(np.bincount(of.ravel(), values, len(pairs)), most).astype(np.uint64)
+    address, fp = pairs[:, 0], pairs[:, 1]
+    placed = place(_bases(address, fp, spec), spec.l, spec.n_slots, spec.max_walk, spec.seed)
+    beside = np.zeros(spec.n_slots, np.uint64)
+    some = placed.slots >= 0
+    beside[some] = total[placed.slots[some]]
+    stats = {
+        "n_keys": len(h), "n_stored": int(some.sum()), "n_skipped": len(h) - len(fp), "max_walk": int(placed.steps.max(initial=0)), "sum_walk": int(placed.steps.sum()),
+        "status": "ok" if placed.ok else "failed", "n_slots": spec.n_slots, "payload_bits": spec.n_slots * (spec.slot_bits + spec.value_bits),
+    }
+    return lanes.pack(encode(placed.slots, address, fp, spec), spec.slot_bits), lanes.pack(beside, spec.value_bits), stats
+
+
+def lookup_values(words: np.ndarray, beside: np.ndarray, h: np.ndarray, spec: FilterSpec) -> np.ndarray:
+    """The value of each key's entry; -1 for keys surely absent."""
+    address, fp = first_address(h, spec), fingerprints(h, spec)
+    out = np.full(len(h), -1, np.int64)
+    for choice in (0, 1):
+        todo = np.flatnonzero(out < 0)
+        at = partner(address[todo], fp[todo], spec) if choice else address[todo]
+        slot = base_slots(at, spec.l, spec.layout)
+        for o, pattern in enumerate(_patterns(fp[todo], choice, spec)):
+            same = np.flatnonzero(lanes.fetch(words, slot + o, spec.slot_bits) == pattern)
+            out[todo[same]] = lanes.fetch(beside, slot[same] + o, spec.value_bits).astype(np.int64)
+    return out
+
+
 # Exact tables
 
 
-def exact_table(keys: np.ndarray, n_addr: int, l: int, layout: str, d: int = 2, max_walk: int = 10_000, seed: int = 1) -> Placed:  # noqa: E741
-    """A table of whole keys with ``d`` hash functions; item ``i`` of the slots is ``keys[i]``."""
+def exact_addresses(keys: np.ndarray, n_addr: int, d: int = 2, seed: int = 1) -> np.ndarray:
+    """The ``d`` addresses of each key, shape (n, d)."""
     from fpfilter.functions.hashing import mix_np, multiplier
 
     h = mix_np(keys)
-    columns = [linear_np(mix_np(h + np.uint64(i)), multiplier(seed + i, "address", n_addr), n_addr) for i in range(d)]
-    base = base_slots(np.stack(columns, 1), l, layout)
+    return np.stack([linear_np(mix_np(h + np.uint64(i)), multiplier(seed + i, "address", n_addr), n_addr) for i in range(d)], 1)
+
+
+def exact_lookup(slots_key: np.ndarray, filled: np.ndarray, keys: np.ndarray, n_addr: int, l: int, layout: str, d: int = 2, seed: int = 1) -> np.ndarray:  # noqa: E741
+    """The slot of each key in a table of whole keys, -1 where it is absent."""
+    out = np.full(len(keys), -1, np.int64)
+    base = base_slots(exact_addresses(keys, n_addr, d, seed), l, layout)
+    for c in range(d):
+        for o in range(l):
+            slot = base[:, c] + o
+            same = filled[slot] & (slots_key[slot] == keys)
+            out[same] = slot[same]
+    return out
+
+
+def exact_table(keys: np.ndarray, n_addr: int, l: int, layout: str, d: int = 2, max_walk: int = 10_000, seed: int = 1) -> Placed:  # noqa: E741
+    """A table of whole keys with ``d`` hash functions; item ``i`` of the slots is ``keys[i]``."""
+    base = base_slots(exact_addresses(keys, n_addr, d, seed), l, layout)
     n_slots = n_addr + l - 1 if layout == "window" else n_addr * l
     return place(base, l, n_slots, max_walk, seed)
 

@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Iterator
+from dataclasses import replace
 from functools import reduce
 
 import numpy as np
@@ -44,6 +45,17 @@ def with_mixed(df: DataFrame, key: Column, spec: Spec, to: str = "h") -> DataFra
     return with_premix(df, key, to) if spec.premix else df.withColumn(to, key.cast("long"))
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """Column names like these that ``df`` does not have, in any case of letters."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        out.append(name)
+        taken.add(name.lower())
+    return out
+
+
 def sub_of(h: Column, spec: Spec) -> Column:
     return linear(h, spec.factor("sub", spec.subs), spec.subs).cast("int")
 
@@ -92,13 +104,19 @@ def _build_once(keys: DataFrame, spec: Spec, filter_id: str) -> DataFrame:
 def build_filter(keys: DataFrame, key: Column | str, spec: Spec, n: int | None = None, on_fail: str = "grow", retries: int = 5, filter_id: str | None = None) -> DataFrame:
     """The filter table of the non-null keys of a DataFrame.
 
-    ``n`` is the number of keys to size for (counted if not given and needed). With lookup-and-insert repeated keys
+    ``n`` is the number of keys to size for (counted if not given and needed); a table of more than ``SUB_BYTES`` is
+    split into subfilters unless ``spec`` says how many. With lookup-and-insert repeated keys
     are stored once; plain insertion expects distinct keys. ``on_fail``: ``grow`` rebuilds failed subfilters,
     ``error`` raises, ``keep`` returns them marked as failed.
     """
     key = F.col(key) if isinstance(key, str) else key
     if not spec.n_addr:
-        spec = sized_any(spec, keys.where(key.isNotNull()).count() if n is None else n)
+        n = keys.where(key.isNotNull()).count() if n is None else n
+        if spec.subs == 1:  # a table too large for one task is split
+            bits = sized_any(spec, 1 << 20).n_addr if isinstance(spec, BaselineSpec) else 0
+            per_key = 64 if spec.kind == "exact" else bits / (1 << 20) if spec.kind == "bloom" else spec.k + 6
+            spec = replace(spec, subs=subs_for(n, per_key, keys.sparkSession.sparkContext.defaultParallelism))
+        spec = sized_any(spec, n)
     filter_id = filter_id or f"{spec.name}-k{spec.k}-{uuid.uuid4().hex[:8]}"
     rows = routed(keys, key, spec)
     table = written(_build_once(rows, spec, filter_id), "filter")
@@ -129,8 +147,6 @@ def _repaired(table: DataFrame, rows: DataFrame, failed: list[int]) -> DataFrame
 
 
 def _grown_baseline(spec: BaselineSpec) -> BaselineSpec:
-    from dataclasses import replace
-
     return replace(spec, n_addr=spec.n_addr * 2 if spec.kind in ("quotient", "vector_quotient") else int(spec.n_addr * 1.05) + 3, extra=spec.extra * 2)
 
 
@@ -157,8 +173,10 @@ def _first_spec(table: DataFrame) -> Spec:
 
 
 def probe_udf(table: DataFrame, sort: bool = False):
-    """An Arrow function of (h, sub) for a filter that is collected and broadcast."""
+    """An Arrow function of (h, sub) for a filter of a checked size that is collected and broadcast."""
     spark = table.sparkSession
+    if size_of(table) > MOST_BROADCAST:
+        raise ValueError("the filter is too large to broadcast; probe it in its partitions")
     parts = {r["sub"]: (r["spec"], bytes(r["bits"])) for r in table.select("sub", "spec", "bits").toLocalIterator()}
     shared = spark.sparkContext.broadcast(parts)
     ready: dict[int, tuple[Spec, np.ndarray]] = {}
@@ -183,25 +201,26 @@ def probe_udf(table: DataFrame, sort: bool = False):
 
 
 def contains(df: DataFrame, key: Column | str, table: DataFrame, strategy: str = "auto", to: str = "hit", sort: bool = False) -> DataFrame:
-    """``df`` with a boolean column: false for keys surely absent, true for members and few others, null for null.
+    """``df`` with a boolean column ``to``: false for keys surely absent, true for members and few others, null for null.
 
-    ``strategy``: ``broadcast``, ``partitioned``, or ``auto``: broadcast up to MOST_BROADCAST bytes.
+    A column named ``to`` is replaced, all others stay. ``strategy``: ``broadcast``, ``partitioned``, or ``auto``: broadcast up to MOST_BROADCAST bytes.
     """
     key = F.col(key) if isinstance(key, str) else key
     spec = _first_spec(table)
     if strategy == "auto":
         strategy = "broadcast" if size_of(table) <= MOST_BROADCAST else "partitioned"
+    mixed, sub, found, known = fresh(df, "h", "sub", "known", "in_filter")
     if strategy == "broadcast":
         hit = probe_udf(table, sort)
-        got = with_mixed(df, key, spec, "__h").withColumn("__sub", sub_of(F.col("__h"), spec))
-        return got.withColumn(to, F.when(key.isNotNull(), hit("__h", "__sub"))).drop("__h", "__sub")
+        got = with_mixed(df, key, spec, mixed).withColumn(sub, sub_of(F.col(mixed), spec))
+        return got.withColumn(to, F.when(key.isNotNull(), hit(mixed, sub))).drop(mixed, sub)
     # only distinct keys travel to the filter, and a hot key is one of them; the hits come back by a join
     keys = with_mixed(df.where(key.isNotNull()).select(key.cast("long").alias("key")).distinct(), F.col("key"), spec)
     keys = keys.select("h", sub_of(F.col("h"), spec).alias("sub"))
-    hits = written(stream_probe(keys, table, spec.subs, sort).where("hit").select(F.col("h").alias("__key")), "hits")
-    marked = with_mixed(df, key, spec, "__h")
-    got = marked.join(hits.withColumn("__in", F.lit(True)), F.col("__h") == F.col("__key"), "left")
-    return got.withColumn(to, F.when(key.isNotNull(), F.coalesce("__in", F.lit(False)))).drop("__h", "__key", "__in")
+    hits = written(stream_probe(keys, table, spec.subs, sort).where("hit").select(F.col("h").alias(found)), "hits")
+    marked = with_mixed(df, key, spec, mixed)
+    got = marked.join(hits.withColumn(known, F.lit(True)), F.col(mixed) == F.col(found), "left")
+    return got.withColumn(to, F.when(key.isNotNull(), F.coalesce(known, F.lit(False)))).drop(mixed, found, known)
 
 
 def stream_probe(keys: DataFrame, table: DataFrame, subs: int, sort: bool = False) -> DataFrame:
@@ -237,8 +256,11 @@ def insert_into(table: DataFrame, keys: DataFrame, key: Column | str) -> DataFra
             return old.cast(_ROW)
         h = new["h"].to_numpy().view(np.uint64)
         if spec.kind == "cuckoo":
-            codes = lanes.unpack(words, spec.n_slots, spec.slot_bits)
-            words, stats = cuckoo.build(h, spec, codes)
+            words, rest, new_ = cuckoo.insert_free(words, h, spec)
+            stats = {"n_keys": len(h), "n_stored": was["n_stored"] + new_, "n_skipped": len(h) - len(rest) - new_, "max_walk": 0, "sum_walk": 0, "status": "ok", "n_slots": spec.n_slots, "payload_bits": was["payload_bits"]}
+            if len(rest):  # no slot is free for these: the table is decoded and entries move
+                words, more = cuckoo.build(rest, spec, lanes.unpack(words, spec.n_slots, spec.slot_bits))
+                stats = more | {"n_keys": len(h), "n_skipped": stats["n_skipped"] + more["n_skipped"]}
         elif spec.kind in ("bloom", "blocked_bloom"):
             more, stats = build_kernel(h, spec)
             words = words | more
@@ -312,6 +334,40 @@ def dump_slots(table: DataFrame) -> DataFrame:
     return table.select("sub", "spec", "bits").mapInArrow(decode, "sub int, slot long, fp long, choice long, win_offset long, address long")
 
 
+def register_slots(spark: SparkSession, name: str = "stored_slots") -> None:
+    """A SQL table function ``name(sub, spec, bits)`` with the stored entries of one subfilter's row."""
+
+    class Slots:
+        def eval(self, sub: int, spec: str, bits: bytes) -> Iterator[tuple]:
+            known = spec_from_json(spec)
+            got = cuckoo.decode(lanes.unpack(np.frombuffer(bits, np.uint64), known.n_slots, known.slot_bits), known)
+            yield from zip(*([sub] * len(got["slot"]), *(got[c].tolist() for c in ("slot", "fp", "choice", "win_offset", "address"))))
+
+    spark.udtf.register(name, F.udtf(Slots, returnType="sub int, slot long, fp long, choice long, win_offset long, address long"))
+
+
+def register_all(spark: SparkSession, tables: DataFrame, name: str = "in_filter") -> None:
+    """A SQL function ``name(filter_id, key)`` over all filters of a table that may be broadcast together; null if unknown."""
+    if size_of(tables) > MOST_BROADCAST:
+        raise ValueError("the filters are too large to broadcast; use contains()")
+    probes = {}
+    for row in tables.groupBy("filter_id").agg(F.first("spec").alias("spec")).collect():  # one a filter
+        probes[row["filter_id"]] = (spec_from_json(row["spec"]), probe_udf(tables.where(F.col("filter_id") == row["filter_id"])).func)
+
+    def answer(filter_id: pa.Array, key: pa.Array) -> pa.Array:
+        ids, known = np.array(filter_id.to_pylist(), object), key.is_valid().to_numpy(zero_copy_only=False)
+        h, out, met = key.fill_null(0).to_numpy().view(np.uint64), np.zeros(len(key), bool), np.zeros(len(key), bool)
+        for name, (spec, probe) in probes.items():
+            at = np.flatnonzero((ids == name) & known)
+            if len(at):
+                mixed = mix_np(h[at]) if spec.premix else h[at]
+                sub = linear_np(mixed, spec.factor("sub", spec.subs), spec.subs).astype(np.int32)
+                out[at], met[at] = probe(pa.array(mixed.view(np.int64)), pa.array(sub)).to_numpy(zero_copy_only=False), True
+        return pa.array(out, mask=~met)
+
+    spark.udf.register(name, F.arrow_udf(answer, "boolean"))
+
+
 def register(spark: SparkSession, name: str, table: DataFrame) -> None:
     """A SQL function ``name(key)`` for a filter that may be broadcast."""
     if size_of(table) > MOST_BROADCAST:
@@ -343,6 +399,35 @@ def filter_per_group(df: DataFrame, group: str, key: Column | str, spec: Spec, n
     return rows.select("g", "h").groupBy("g").applyInArrow(build, FILTER_SCHEMA)
 
 
-def union_hits(*columns: str) -> Column:
-    """Hit in any of several filters (for instance, generations of one)."""
-    return reduce(lambda a, b: a | b, [F.col(c) for c in columns])
+def in_any(df: DataFrame, key: Column | str, tables: list[DataFrame], to: str = "hit") -> DataFrame:
+    """As :func:`contains` for the union of several filters, such as the generations of one: their rates add."""
+    names = fresh(df, *(f"hit_{i}" for i in range(len(tables))))
+    for name, table in zip(names, tables):
+        df = contains(df, key, table, to=name)
+    return df.withColumn(to, reduce(lambda a, b: a | b, [F.col(c) for c in names])).drop(*[c for c in names if c != to])
+
+
+def overlap(one: DataFrame, keys: DataFrame, key: Column | str) -> DataFrame:
+    """``keys, hits, estimate``: how many distinct keys a filter holds, corrected for its false positives.
+
+    Of m keys with c members c + (m - c) * rate are hits, where the rate is that of the load (cuckoo tables only).
+    """
+    from fpfilter.plans.models import predicted_fpr
+
+    key = F.col(key) if isinstance(key, str) else key
+    spec = _first_spec(one)
+    load = one.agg(F.sum("n_stored") / F.sum("n_slots")).first()[0]
+    rate = predicted_fpr(spec, load)
+    got = contains(keys.where(key.isNotNull()).select(key.cast("long").alias("key")).distinct(), "key", one)
+    got = got.agg(F.count(F.lit(1)).alias("keys"), F.coalesce(F.sum(F.col("hit").cast("long")), F.lit(0)).alias("hits"))
+    return got.withColumn("estimate", F.greatest(F.lit(0.0), (F.col("hits") - rate * F.col("keys")) / (1 - rate)))
+
+
+def hottest(keys: DataFrame, key: Column | str, spec: FilterSpec, most: int = 20) -> DataFrame:
+    """The ``most`` first addresses with most keys, repeats included: ``sub, w0, keys, entries``."""
+    from fpfilter.operators.signature import with_signature
+
+    key = F.col(key) if isinstance(key, str) else key
+    rows = with_signature(keys.where(key.isNotNull()).select(key.cast("long").alias("key")), F.col("key"), spec)
+    got = rows.groupBy("sub", "w0", "fp").agg(F.count(F.lit(1)).alias("n")).groupBy("sub", "w0").agg(F.sum("n").alias("keys"), F.count(F.lit(1)).alias("entries"))
+    return got.orderBy(F.desc("keys"), "sub", "w0").limit(most)

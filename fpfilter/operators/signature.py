@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fpfilter.functions.hashing import linear
-from fpfilter.operators.filters import sub_of, with_mixed
+from fpfilter.operators.filters import fresh, sub_of, with_mixed
 from fpfilter.operators.spec import FilterSpec
 
 
@@ -36,15 +36,16 @@ def other_address(at: Column, fp: Column, spec: FilterSpec) -> Column:
 
 
 def with_signature(df: DataFrame, key: Column, spec: FilterSpec) -> DataFrame:
-    """``df`` with ``sub, w0, fp``; where the partner rule is symmetric w0 is the smaller address."""
+    """``df`` with ``sub, w0, fp``, which replace columns of these names; where the partner rule is symmetric w0 is the smaller address."""
     # never null, so that a join on them infers no filter, whose descent would inline all the steps of the hash
     known = lambda c: F.coalesce(c, F.lit(-1).cast("long"))
-    got = with_mixed(df, key, spec, "__h")
-    got = got.withColumn("sub", F.coalesce(sub_of(F.col("__h"), spec), F.lit(-1)))
-    got = got.withColumn("w0", known(address(F.col("__h"), spec))).withColumn("fp", known(fingerprint(F.col("__h"), spec)))
+    (h,) = fresh(df, "h")
+    got = with_mixed(df, key, spec, h)
+    got = got.withColumn("sub", F.coalesce(sub_of(F.col(h), spec), F.lit(-1)))
+    got = got.withColumn("w0", known(address(F.col(h), spec))).withColumn("fp", known(fingerprint(F.col(h), spec)))
     if spec.rule != "signed":
         got = got.withColumn("w0", known(F.least("w0", other_address(F.col("w0"), F.col("fp"), spec))))
-    return got.drop("__h")
+    return got.drop(h)
 
 
 def signature_set(keys: DataFrame, key: Column, spec: FilterSpec) -> DataFrame:
@@ -54,6 +55,7 @@ def signature_set(keys: DataFrame, key: Column, spec: FilterSpec) -> DataFrame:
 
 def contains_relational(df: DataFrame, key: Column, members: DataFrame, member_key: Column, spec: FilterSpec) -> DataFrame:
     """As the packed filter's ``contains``, by a join."""
-    stored = signature_set(members, member_key, spec).withColumn("__in", F.lit(True))
+    (known,) = fresh(df, "known")
+    stored = signature_set(members, member_key, spec).withColumn(known, F.lit(True))
     marked = with_signature(df, key, spec).join(stored, ["sub", "w0", "fp"], "left")
-    return marked.withColumn("hit", F.when(key.isNotNull(), F.coalesce("__in", F.lit(False)))).drop("sub", "w0", "fp", "__in")
+    return marked.withColumn("hit", F.when(key.isNotNull(), F.coalesce(known, F.lit(False)))).drop("sub", "w0", "fp", known)

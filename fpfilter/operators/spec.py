@@ -26,7 +26,10 @@ MAX_WALK = 10_000
 
 @dataclass(frozen=True)
 class FilterSpec:
-    """``rule`` is the partner rule: signed offset, xor of the hashed or raw fingerprint, or mirrored sum."""
+    """``rule`` is the partner rule: signed offset, xor of the hashed or raw fingerprint, or mirrored sum.
+
+    ``value_bits`` is the width of a value beside each slot, for tables that count or map.
+    """
 
     k: int
     l: int  # noqa: E741
@@ -38,6 +41,7 @@ class FilterSpec:
     premix: bool = True
     max_walk: int = MAX_WALK
     mode: str = "lookup_insert"
+    value_bits: int = 0
 
     @property
     def offset_bits(self) -> int:

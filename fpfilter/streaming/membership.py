@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fpfilter.operators.filters import Spec, build_filter, contains, insert_into
+from fpfilter.operators.filters import build_filter, contains, insert_into
 from fpfilter.operators.signature import with_signature
 from fpfilter.operators.spec import FilterSpec
 from fpfilter.sources.tables import FILTER_SCHEMA, save_filter
@@ -78,8 +78,3 @@ def unseen_counts(stream: DataFrame, key: Column | str, table: DataFrame, time:
     window = F.session_window(time, width) if session else F.window(time, width, slide) if slide else F.window(time, width)
     got = marked.groupBy(window.alias("w")).agg(F.count(F.lit(1)).alias("rows"), F.sum((~F.col("hit")).cast("long")).alias("unseen"))
     return got.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "rows", "unseen")
-
-
-def rebuilt(table: DataFrame, keys: DataFrame, key: str, spec: Spec, n: int) -> DataFrame:
-    """A larger generation from the keys themselves, for when a filter has reached its capacity."""
-    return build_filter(keys, key, spec, n)
