@@ -170,7 +170,11 @@ def mix_steps_sql(source: str, key: str, to: str = "mixed") -> str:
 
 def linear_sql(x: str, a: int, b: int | str) -> str:
     """Hash into ``b`` values; ``b`` may be an expression, for tables whose size depends on the data."""
-    p = product_sql(x, a)
+    return reduced_sql(product_sql(x, a), b)
+
+
+def reduced_sql(p: str, b: int | str) -> str:
+    """The hash into ``b`` values of a key whose product with the factor is ``p``."""
     if isinstance(b, str):
         power = f"({p} >> (64 - length(bin({b})) + 1)::UBIGINT)"
         folded = f"(xor({p}, {p} >> 32) % {b}::UBIGINT)"

@@ -10,11 +10,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fpfilter.functions.hashing import linear, linear_sql, mix_steps_sql, with_premix
-from fpfilter.operators.baselines import baseline, sized_any
+from fpfilter.operators.baselines import BaselineSpec, baseline, sized_any
 from fpfilter.operators.signature import address, contains_relational, fingerprint, other_address
 from fpfilter.operators.filters import build_filter, sub_of, with_mixed
-from fpfilter.operators.spec import FilterSpec, VARIANTS, sized, variant
-from fpfilter.plans import models, oracles, workloads
+from fpfilter.operators.spec import VARIANTS, FilterSpec, threshold, variant
+from fpfilter.plans import models, oracles, reports, workloads
 from fpfilter.sources.tables import hashed_key, shared_dir
 from fpfilter.streaming.membership import OnlineFilter, unseen_counts
 
@@ -117,38 +117,49 @@ FIRST_SEEN_SQL = "SELECT min(event_id) AS event_id, user_id, event_type FROM eve
 
 
 def unseen_by_hour(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Events and those of users outside a filter of even users, by hour (the batch form of the stream query)."""
+    """Events, and those of users not seen in the first half hour, by hour (the batch form of the stream query)."""
     events = workloads.read(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    table = build_filter(events.where("user_id % 2 = 0").select("user_id").distinct(), "user_id", variant("w22", 20))
+    start = events.agg(F.min("ts").alias("start"))  # one row
+    early = events.crossJoin(F.broadcast(start)).where(F.col("ts") < F.col("start") + F.expr("INTERVAL 30 MINUTES"))
+    table = build_filter(early.select("user_id").distinct(), "user_id", variant("w22", 20))
     got = unseen_counts(events, "user_id", table, "ts", "1 hour", "10 minutes")
     return got.select(F.col("start").cast("timestamp_ntz").alias("start"), "rows", "unseen")
 
 
-def _membership_sql(spec: FilterSpec) -> str:
-    ctes = oracles.bloom_ctes if getattr(spec, "kind", "") == "bloom" else oracles.signature_ctes
+def _membership_sql(spec: FilterSpec | BaselineSpec) -> str:
+    ctes = {"bloom": oracles.bloom_ctes, "blocked_bloom": oracles.blocked_ctes, "prefix": oracles.prefix_ctes}.get(spec.kind, oracles.signature_ctes)
     return f"WITH {ctes(spec, _FINISHED, _LINES)} SELECT l_returnflag, count(*) AS probes, sum(hit::BIGINT)::BIGINT AS hits FROM answers GROUP BY l_returnflag"
 
 
+_ORDER_KEYS = "SELECT o_orderkey AS key FROM orders"
+
+
 def _e07_sql(ks: tuple[int, ...] = (3, 4, 5, 8, 10), subs: int = 5) -> str:
-    base = f"""WITH members AS (SELECT o_orderkey AS key FROM orders), probes AS (SELECT o_orderkey + {workloads.OUTSIDE} AS key FROM orders),
-c AS (SELECT count(*) AS n FROM orders),
-{mix_steps_sql('members', 'key', 'mm')},
-{mix_steps_sql('probes', 'key', 'pm')}"""
+    specs = [variant(v, k, subs=subs) for v in VARIANTS for k in ks]
+    return oracles.accuracy_sql(_ORDER_KEYS, f"SELECT key + {workloads.OUTSIDE} AS key FROM ({_ORDER_KEYS})", specs, False)
+
+
+def _e07_lines_sql(subs: int = 5) -> str:
+    keys = f"SELECT {_LINE_KEY} AS key FROM lineitem"
+    return oracles.accuracy_sql(keys, f"SELECT key + {workloads.OUTSIDE} AS key FROM ({keys})", [variant(v, k, subs=subs) for v in VARIANTS for k in range(3, 17)])
+
+
+def _random_sql(n: int = 60_000) -> str:
+    def keys(low: int, high: int) -> str:
+        return f"SELECT h AS key FROM (WITH {mix_steps_sql(f'(SELECT i AS id FROM range({low}, {high}) r(i))', 'id', 'made')} SELECT h FROM made)"
+
+    return oracles.accuracy_sql(keys(0, n), keys(n, 2 * n), [variant(v, k) for v in VARIANTS for k in (4, 8, 12)])
+
+
+def _memory_sql(k: int = 10, loads: tuple[float, ...] = (0.8, 0.85, 0.9, 0.93, 0.97)) -> str:
     parts = []
     for v in VARIANTS:
-        for k in ks:
-            spec = variant(v, k, subs=subs)
-            e = oracles.entry_sql(spec)
-            i = f"{v}_{k}"
-            slots = f"(n_addr + {spec.l - 1})" if spec.layout == "window" else f"(n_addr * {spec.l})"
-            base += f""",
-z_{i} AS (SELECT {oracles.addresses_sql(spec, 'n')} AS n_addr, n FROM c),
-s_{i} AS MATERIALIZED (SELECT DISTINCT {e['sub']} AS sub, {e['w0']} AS w0, {e['fp']} AS fp FROM mm, z_{i}),
-p_{i} AS (SELECT {e['sub']} AS sub, {e['w0']} AS w0, {e['fp']} AS fp FROM pm, z_{i})"""
-            parts.append(f"""SELECT '{v}' AS variant, {k} AS k, n AS n_keys, x.n_stored, {slots} * {subs} AS n_slots,
-round(x.n_stored / ({slots} * {subs}), 9) AS load, round(({slots} * {subs * spec.slot_bits}) / (n * {k}), 9) AS overhead,
-n AS probes, y.positives, 0 AS false_negatives FROM z_{i}, (SELECT count(*) AS n_stored FROM s_{i}) x, (SELECT count(*) AS positives FROM p_{i} SEMI JOIN s_{i} USING (sub, w0, fp)) y""")
-    return base + "\n" + "\nUNION ALL\n".join(parts)
+        spec = variant(v, k)
+        for load in loads:
+            slots = f"greatest({spec.l + 1}, ceil(n / {load!r}::DOUBLE)::BIGINT)"
+            n_slots = slots if spec.layout == "window" else f"({slots} + {spec.l - 1}) // {spec.l} * {spec.l}"
+            parts.append(f"SELECT '{v}' AS variant, {k} AS k, {load!r}::DOUBLE AS target_load, '{'ok' if load < threshold(spec.layout, spec.l) else 'failed'}' AS status, {n_slots} * {spec.slot_bits} AS payload_bits FROM c")
+    return f"WITH c AS (SELECT count(*) AS n FROM lineitem) {' UNION ALL '.join(parts)}"
 
 
 def _overhead_sql(top: int = 20) -> str:
@@ -190,16 +201,12 @@ JOIN customer ON o_custkey = c_custkey WHERE c_mktsegment = 'BUILDING' GROUP BY
 SELECT doc_id, count(*) AS hits FROM d SEMI JOIN b USING (gram) GROUP BY doc_id""",
     "a04_vocabulary": """WITH d AS (SELECT DISTINCT unnest(string_split(text, ' ')) AS word FROM documents), c AS (SELECT role, unnest(string_split(text, ' ')) AS word FROM conversations)
 SELECT role, count(*) AS words, count(DISTINCT word) AS distinct_words FROM c SEMI JOIN d USING (word) GROUP BY role""",
-    "a05_seen_pages": """WITH p AS (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host FROM pages)
-SELECT host, count(*) AS pages FROM p WHERE page_id % 2 = 1 AND host IN (SELECT host FROM p WHERE page_id % 2 = 0) GROUP BY host""",
-    "a05_duplicate_documents": """SELECT o.doc_id, min(e.doc_id) AS first_even, count(*) AS copies FROM documents o JOIN documents e ON o.text = e.text
-WHERE o.doc_id % 2 = 1 AND e.doc_id % 2 = 0 GROUP BY o.doc_id""",
     "a05_first_seen_pages": """WITH p AS (SELECT page_id, regexp_replace(url, '#.*$', '') AS url FROM pages), h AS (SELECT *, regexp_extract(url, '^[A-Za-z]+://[^/?]*', 0) AS head FROM p),
 n AS (SELECT page_id, lower(head) || regexp_replace(substring(url, length(head) + 1), '/+$', '') AS url FROM h)
 SELECT page_id, min(page_id) OVER w AS first_id, count(*) OVER w AS copies, page_id = min(page_id) OVER w AS first_seen FROM n WINDOW w AS (PARTITION BY url)""",
     "a05_first_seen_documents": """SELECT doc_id, min(doc_id) OVER w AS first_id, count(*) OVER w AS copies, doc_id = min(doc_id) OVER w AS first_seen
 FROM documents WINDOW w AS (PARTITION BY text)""",
-    "unseen_by_hour": """SELECT date_trunc('hour', ts)::TIMESTAMP AS start, count(*) AS rows, sum((user_id % 2 = 1)::BIGINT)::BIGINT AS unseen FROM events GROUP BY 1""",
+    "unseen_by_hour": """SELECT date_trunc('hour', ts)::TIMESTAMP AS start, count(*) AS rows, sum((user_id NOT IN (SELECT user_id FROM events WHERE ts < (SELECT min(ts) FROM events) + INTERVAL 30 MINUTE))::BIGINT)::BIGINT AS unseen FROM events GROUP BY 1""",
     "a06_first_seen": FIRST_SEEN_SQL,
     "e02_staircase": _STAIRCASE_SQL,
 }
@@ -213,10 +220,11 @@ def queries() -> dict[str, Query]:
         found[f"membership_{name}"] = partial(workloads.membership, spec=spec)
     found["membership_partitioned"] = partial(workloads.membership, spec=variant("w22", 8, subs=4), strategy="partitioned")
     found["membership_relational"] = relational
-    experiments = ("e01_overhead", "e02_staircase", "e03_thresholds", "e04_walk_caps", "e05_load_by_size", "e06_time_memory", "e07_actual_properties", "e07_orders", "e08_throughput", "e09_lookahead", "e10_comparison", "e11_query_types", "e12_balance", "e13_kernels")
-    applications = ("a01_revenue", "a02_segments", "a03_contamination", "a04_vocabulary", "a05_seen_pages", "a05_duplicate_documents", "a05_first_seen_pages", "a05_first_seen_documents", "a07_confusion")
+    experiments = ("e01_overhead", "e02_staircase", "e03_thresholds", "e04_walk_caps", "e05_load_by_size", "e06_time_memory", "e06_memory", "e07_actual_properties", "e07_orders", "e08_throughput", "e08_speedup", "e09_lookahead", "e10_comparison", "e10_space", "e11_query_types", "e12_balance", "e13_kernels")
+    applications = ("a01_revenue", "a02_segments", "a03_contamination", "a04_vocabulary", "a05_first_seen_pages", "a05_first_seen_documents", "a07_confusion")
     for name in (*experiments, *applications, "choice_profile", "walk_lengths", "cache_lines", "random_key_accuracy"):
         found[name] = getattr(workloads, name)
+    found |= {query.__name__: query for query in reports.QUERIES}
     return found | {"a06_first_seen": first_seen, "unseen_by_hour": unseen_by_hour}
 
 
@@ -227,9 +235,18 @@ def oracle_sql() -> dict[str, str]:
     found["stored_entries"] = f"WITH {oracles.signature_ctes(spec, 'SELECT o_orderkey AS key FROM orders', 'SELECT 0::BIGINT AS key')} SELECT sub, w0, fp FROM stored"
     for v in _MEMBERS:
         found[f"membership_{v}"] = _membership_sql(variant(v, 8, subs=4))
-    for name in ("bloom", "quotient", "vector_quotient"):
+    for name in ("bloom", "blocked_bloom", "quotient", "vector_quotient", "prefix_vector", "prefix_cuckoo"):
         found[f"membership_{name}"] = _membership_sql(baseline(name, 8, subs=2))
     found["membership_exact"] = f"WITH p AS ({_LINES}) SELECT l_returnflag, count(*) AS probes, count(*) FILTER (key IN ({_FINISHED})) AS hits FROM p GROUP BY 1"
     found["membership_partitioned"] = found["membership_relational"] = found["membership_w22"]
     found |= {"e01_overhead": _overhead_sql(), "e07_orders": _e07_sql(), "e12_balance": _balance_sql(), "a07_confusion": _confusion_sql()}
+    compared = [workloads.any_spec(name, k) for k, names in workloads.COMPARED.items() for name in names]
+    found |= {
+        "e06_memory": _memory_sql(),
+        "e07_actual_properties": _e07_lines_sql(),
+        "e10_space": oracles.space_sql(compared, f"SELECT DISTINCT {_LINE_KEY} AS key FROM lineitem"),
+        "random_key_accuracy": _random_sql(),
+        "cache_lines": oracles.lines_sql([variant(v, k) for v in VARIANTS for k in (6, 13, 14)], _ORDER_KEYS),
+    }
+    found |= reports.oracle_sql(found["e07_orders"], found["stored_entries"])
     return found

@@ -11,10 +11,11 @@ from collections.abc import Sequence
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from fpfilter.functions.grams import gram_hashes
 from fpfilter.functions.hashing import mix_np
 from fpfilter.operators import cuckoo
 from fpfilter.operators.baselines import BaselineSpec, baseline, build_kernel, contains_kernel, sized_any
@@ -170,7 +171,7 @@ def _picked(got: DataFrame, configs: Sequence[dict], *names: str) -> DataFrame:
     return got
 
 
-def e03_thresholds(spark: SparkSession, sf_dir: str, cap: int = LINE_CAP, runs: int = 3) -> DataFrame:
+def e03_thresholds(spark: SparkSession, sf_dir: str, cap: int = LINE_CAP, runs: int = 5) -> DataFrame:
     """Exact tables of order keys: the load at the first failure beside the threshold, for d = 2 (and 3, 4 hashes)."""
     configs = [{"layout": lay, "l": l, "d": 2, "cap": cap, "seed": s} for lay in ("bucket", "window") for l in (1, 2, 3, 4) for s in range(runs)]  # noqa: E741
     configs += [{"layout": "bucket", "l": 1, "d": d, "cap": cap, "seed": s} for d in (3, 4) for s in range(runs)]
@@ -186,20 +187,24 @@ def _thresholds() -> dict[tuple[str, int], float]:
 
 
 def e04_walk_caps(spark: SparkSession, sf_dir: str, k: int = 14, caps: Sequence[int] = (1, 10, 100, 1000, 10_000), runs: int = 5) -> DataFrame:
-    """Achievable load by the longest walk allowed."""
+    """Achievable load by the longest walk allowed, for packed line items and as many keys that look random."""
     configs = [{"variant": v, "layout": variant(v, k).layout, "l": variant(v, k).l, "k": k, "cap": c, "seed": s} for v in VARIANTS for c in caps for s in range(1, runs + 1)]
-    got = _picked(_filled(lineitem_keys(spark, sf_dir), configs), configs, "variant", "cap")
-    return got.groupBy("variant", "cap").agg(F.count(F.lit(1)).alias("runs"), F.min("load").alias("load_min"), F.avg("load").alias("load_avg"), F.max("load").alias("load_max"))
+    lines = lineitem_keys(spark, sf_dir)
+    parts = [
+        _picked(_filled(keys, configs), configs, "variant", "cap").withColumn("keys", F.lit(name))
+        for name, keys in (("line items", lines), ("random", random_keys(spark, 0, lines.count())))
+    ]
+    got = parts[0].unionByName(parts[1])
+    return got.groupBy("keys", "variant", "cap").agg(F.count(F.lit(1)).alias("runs"), F.min("load").alias("load_min"), F.avg("load").alias("load_avg"), F.max("load").alias("load_max"))
 
 
-def e05_load_by_size(spark: SparkSession, sf_dir: str, ks: Sequence[int] = (4, 8, 12, 16), cap: int = LINE_CAP, runs: int = 3) -> DataFrame:
-    """Achievable load by k and table size: orders and line items as key sets."""
+def e05_load_by_size(spark: SparkSession, sf_dir: str, ks: Sequence[int] = (4, 8, 12, 16), cap: int = LINE_CAP, runs: int = 5) -> DataFrame:
+    """Achievable load by k and table size: customers, orders and line items as key sets, five runs each."""
     configs = [{"variant": v, "layout": variant(v, k).layout, "l": variant(v, k).l, "k": k, "cap": cap, "seed": s} for v in VARIANTS for k in ks for s in range(1, runs + 1)]
-    parts = []
-    for keys in (read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("key")), lineitem_keys(spark, sf_dir)):
-        parts.append(_picked(_filled(keys, configs), configs, "variant", "k"))
-    got = parts[0].unionByName(parts[1])
-    return got.groupBy("variant", "k", "slots").agg(F.min("load").alias("load_min"), F.avg("load").alias("load_avg"), F.max("load").alias("load_max"))
+    named_keys = {t: read(spark, sf_dir, t).select(F.col(c).alias("key")) for t, c in (("customer", "c_custkey"), ("orders", "o_orderkey"))}
+    parts = [_picked(_filled(keys, configs), configs, "variant", "k").withColumn("keys", F.lit(name)) for name, keys in (named_keys | {"lineitem": lineitem_keys(spark, sf_dir)}).items()]
+    got = parts[0].unionByName(parts[1]).unionByName(parts[2])
+    return got.groupBy("keys", "variant", "k", "slots").agg(F.count(F.lit(1)).alias("runs"), F.min("load").alias("load_min"), F.avg("load").alias("load_avg"), F.max("load").alias("load_max"))
 
 
 def e06_time_memory(spark: SparkSession, sf_dir: str, k: int = 10, loads: Sequence[float] = (0.8, 0.85, 0.9, 0.93, 0.97)) -> DataFrame:
@@ -213,12 +218,23 @@ def e06_time_memory(spark: SparkSession, sf_dir: str, k: int = 10, loads: Sequen
     return got.select("variant", "k", target.alias("target_load"), "status", F.col("insert_s").alias("seconds"), "payload_bits", "max_walk", "sum_walk")
 
 
+def e06_memory(spark: SparkSession, sf_dir: str, k: int = 10, loads: Sequence[float] = (0.8, 0.85, 0.9, 0.93, 0.97)) -> DataFrame:
+    """What E6 has to say without a clock: which variants can be filled to a load, and the memory of each."""
+    got = e06_time_memory(spark, sf_dir, k, loads)
+    return got.select("variant", "k", F.col("target_load"), "status", "payload_bits")
+
+
 def e07_actual_properties(spark: SparkSession, sf_dir: str, ks: Sequence[int] = tuple(range(3, 17)), subs: int = 5, variants: Sequence[str] = VARIANTS) -> DataFrame:
     """Overhead, load and false-positive rate by k at 98 % of the threshold, lookup-and-insert."""
     keys = lineitem_keys(spark, sf_dir)
     n = keys.count()
     specs = [sized_any(variant(v, k, subs=subs), n) for v in variants for k in ks]
-    return summary(sweep(keys, keys.select((F.col("key") + OUTSIDE).alias("key")), specs), specs)
+    return exact_part(summary(sweep(keys, keys.select((F.col("key") + OUTSIDE).alias("key")), specs), specs))
+
+
+def exact_part(got: DataFrame) -> DataFrame:
+    """The columns of a summary that the set of keys decides."""
+    return got.select("variant", "k", "n_keys", "n_stored", "n_slots", F.round("load", 9).alias("load"), F.round("overhead", 9).alias("overhead"), "probes", "positives", "false_negatives", F.round("log2_ratio", 6).alias("log2_ratio"))
 
 
 def e07_orders(spark: SparkSession, sf_dir: str, ks: Sequence[int] = (3, 4, 5, 8, 10), subs: int = 5) -> DataFrame:
@@ -230,51 +246,87 @@ def e07_orders(spark: SparkSession, sf_dir: str, ks: Sequence[int] = (3, 4, 5, 8
     return got.select("variant", "k", "n_keys", "n_stored", "n_slots", F.round("load", 9).alias("load"), F.round("overhead", 9).alias("overhead"), "probes", "positives", "false_negatives")
 
 
-def e08_throughput(spark: SparkSession, sf_dir: str, ks: Sequence[int] = (5, 8, 10, 13, 14, 16), threads: Sequence[int] = (1, 2, 5), repeats: int = 3) -> DataFrame:
-    """Million keys per second of insertion and lookups of members and others, by k; and with several subfilters."""
+def e08_throughput(spark: SparkSession, sf_dir: str, ks: Sequence[int] = tuple(range(3, 17)), repeats: int = 3) -> DataFrame:
+    """Million keys per second of insertion and of lookups of members and others, by k; one subfilter, kernels alone."""
     keys = lineitem_keys(spark, sf_dir)
     n = keys.count()
-    specs = [sized_any(variant(v, k), n) for v in VARIANTS for k in ks] + [sized_any(variant(v, 10, subs=t), n) for v in VARIANTS for t in threads]
-    got = sweep(keys, keys.select((F.col("key") + OUTSIDE).alias("key")), specs, repeats)
-    got = named(got, specs).withColumn("subs", F.element_at(F.array(*[F.lit(s.subs) for s in specs]), F.col("cfg") + 1))
-    rate = lambda rows, s: F.sum(rows) / F.max(s) / 1e6  # noqa: E731 - subfilters run side by side
-    return got.groupBy("cfg", "variant", "k", "subs").agg(
-        rate("n_keys", "insert_s").alias("insert_mkeys_s"), rate("n_keys", "member_s").alias("member_mkeys_s"), rate("probes", "other_s").alias("other_mkeys_s")
-    ).drop("cfg")
+    specs = [sized_any(variant(v, k), n) for v in VARIANTS for k in ks]
+    got = named(sweep(keys, keys.select((F.col("key") + OUTSIDE).alias("key")), specs, repeats), specs)
+    rate = lambda rows, s: (F.col(rows) / F.col(s) / 1e6)
+    slots = F.element_at(F.array(*[F.lit(s.slot_bits) for s in specs]), F.col("cfg") + 1)
+    return got.select("variant", "k", slots.alias("slot_bits"), rate("n_keys", "insert_s").alias("insert_mkeys_s"), rate("n_keys", "member_s").alias("member_mkeys_s"), rate("probes", "other_s").alias("other_mkeys_s"))
+
+
+def e08_speedup(spark: SparkSession, sf_dir: str, k: int = 10, threads: Sequence[int] = (1, 2, 3, 4, 5), runs: int = 5) -> DataFrame:
+    """Rates with several subfilters that are worked off side by side, a task each, over the wall clock.
+
+    The clock runs from when the first task starts to work until the last one has ended, for insertion and for
+    lookups of members and others; the fastest of ``runs`` jobs counts. Each job runs alone, hence a loop here.
+    """
+    keys = written(lineitem_keys(spark, sf_dir), "speedup-keys")
+    n, out = keys.count(), []
+    for v in VARIANTS:
+        for t in threads:
+            spec = sized_any(variant(v, k, subs=t), n)
+            rows = keys.select("key", F.lit(True).alias("member")).unionByName(keys.select((F.col("key") + OUTSIDE).alias("key"), F.lit(False).alias("member")))
+            rows = with_mixed(rows, F.col("key"), spec).select("h", "member", sub_of(F.col("h"), spec).alias("sub"))
+
+            def run(batches, spec=spec):
+                held = [(b.column(0).to_numpy().view(np.uint64), b.column(1).to_numpy(zero_copy_only=False)) for b in batches]
+                h, member = (np.concatenate(x) for x in zip(*held))
+                own, other = h[member], h[~member]
+                t0 = time.time()
+                words, _ = build_kernel(own, spec)
+                t1 = time.time()
+                inside = contains_kernel(words, own, spec)
+                t2 = time.time()
+                outside = contains_kernel(words, other, spec)
+                t3 = time.time()
+                yield pa.RecordBatch.from_pydict({"n": [len(own)], "t0": [t0], "t1": [t1], "t2": [t2], "t3": [t3], "missed": [int((~inside).sum())], "found": [int(outside.sum())]})
+
+            placed = rows.repartitionById(t, F.col("sub")).select("h", "member").mapInArrow(run, "n long, t0 double, t1 double, t2 double, t3 double, missed long, found long")
+            best = {}
+            for _ in range(runs):
+                got = placed.agg(F.sum("n").alias("n"), F.sum("missed").alias("missed"), *[f(c).alias(f"{f.__name__}_{c}") for c in ("t0", "t1", "t2", "t3") for f in (F.min, F.max)]).first()
+                for op, a, b in (("insert", "t0", "t1"), ("member", "t1", "t2"), ("other", "t2", "t3")):
+                    best[op] = max(best.get(op, 0.0), got["n"] / (got[f"max_{b}"] - got[f"min_{a}"]) / 1e6)
+            out.append((v, t, int(got["missed"]), *best.values()))
+    rates = spark.createDataFrame(out, "variant string, threads int, false_negatives long, insert_mkeys_s double, member_mkeys_s double, other_mkeys_s double")
+    one = W.partitionBy("variant").orderBy("threads")
+    for op in ("insert", "member", "other"):
+        rates = rates.withColumn(f"{op}_speedup", F.col(f"{op}_mkeys_s") / F.first(f"{op}_mkeys_s").over(one))
+    return rates
 
 
 def e09_lookahead(spark: SparkSession, sf_dir: str, batches: Sequence[int] = (0, 4, 8, 16, 32, 64, 128, 256)) -> DataFrame:
     """Lookups in batches of so many times 1024 keys, half of them members; sorted by address or not.
 
-    The counterpart of prefetching: larger batches amortise the interpreter, sorting makes reads regular.
+    The counterpart of prefetching: larger batches amortise the interpreter, sorting makes reads regular. Every
+    setting looks all keys up, so ``hits`` must be the same for all settings of a variant.
     """
-    keys = lineitem_keys(spark, sf_dir)
+    keys = lineitem_keys(spark, sf_dir).distinct()
     n = keys.count()
-    mixed_ = keys.unionByName(keys.select((F.col("key") + OUTSIDE).alias("key")))
     specs = [sized_any(variant(v, 14 if variant(v, 14).l == 2 else 13), n) for v in VARIANTS]
-    rows = keys.select("key", F.lit(True).alias("m")).unionByName(mixed_.select("key", F.lit(False).alias("m")))
+    rows = keys.select("key", F.lit(True).alias("m")).unionByName(keys.select((F.col("key") + OUTSIDE).alias("key"), F.lit(False).alias("m")))
     rows = rows.withColumn("cfg", F.explode(F.array(*[F.lit(i) for i in range(len(specs))])))
 
     def run(part: pa.Table) -> pa.Table:
         cfg = part["cfg"][0].as_py()
         spec, h, m = specs[cfg], mix_np(part["key"].to_numpy().view(np.uint64)), part["m"].to_numpy()
         words, _ = build_kernel(h[m], spec)
-        probe = np.random.default_rng(3).permutation(h[~m])
+        probe = np.random.default_rng(3).permutation(h)
         out = []
         for sort in (False, True):
             for b in batches:
-                size, done, start = max(64, b * 1024), 0, time.perf_counter()
+                size, hits, start = max(64, b * 1024), 0, time.perf_counter()
                 for low in range(0, len(probe), size):
                     x = probe[low : low + size]
-                    contains_kernel(words, x[np.argsort(cuckoo.first_address(x, spec))] if sort else x, spec)
-                    done += len(x)
-                    if time.perf_counter() - start > 1.0:
-                        break
-                out.append((spec.name, b, sort, done / (time.perf_counter() - start) / 1e6))
-        v, b, s, r = zip(*out)
-        return pa.table({"variant": v, "lookahead": pa.array(b, pa.int32()), "sorted": s, "mkeys_s": r})
+                    hits += int(contains_kernel(words, x[np.argsort(cuckoo.first_address(x, spec))] if sort else x, spec).sum())
+                out.append((spec.name, b, sort, len(probe), hits, len(probe) / (time.perf_counter() - start) / 1e6))
+        v, b, s, p, x, r = zip(*out)
+        return pa.table({"variant": v, "lookahead": pa.array(b, pa.int32()), "sorted": s, "probes": p, "hits": x, "mkeys_s": r})
 
-    return rows.groupBy("cfg").applyInArrow(run, "variant string, lookahead int, sorted boolean, mkeys_s double")
+    return rows.groupBy("cfg").applyInArrow(run, "variant string, lookahead int, sorted boolean, probes long, hits long, mkeys_s double")
 
 
 #: The filters of the comparison, by k: only eight bits suit the block-based ones.
@@ -303,6 +355,12 @@ def e10_comparison(spark: SparkSession, sf_dir: str, repeats: int = 2) -> DataFr
     )
 
 
+def e10_space(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the comparison has to say without a clock: overhead by the bits that are stored, and members missed."""
+    got = e10_comparison(spark, sf_dir, 1)
+    return got.select("variant", "k", "status", F.round("overhead", 9).alias("overhead"), "false_negatives")
+
+
 def e11_query_types(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The comparison's lookups by type of query, ranked within each type."""
     got = written(e10_comparison(spark, sf_dir).where("k = 8"), "compared")
@@ -386,19 +444,34 @@ def a02_segments(spark: SparkSession, sf_dir: str, segment: str = "BUILDING", k:
     return joined.groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("lines"), F.sum(F.col("l_quantity").cast("long")).alias("quantity"))
 
 
-def char_grams(text: Column, n: int) -> Column:
-    """All n-character substrings of a text."""
-    return F.when(F.length(text) >= n, F.transform(F.sequence(F.lit(1), F.length(text) - n + 1), lambda i: F.substring(text, i, F.lit(n)))).otherwise(F.array().cast("array<string>"))
+def grams_of(df: DataFrame, text: str, n: int, *keep: str) -> DataFrame:
+    """``keep, key, check, n``: the n-character substrings of each row's text, hashed to 128 bits, and how often each occurs."""
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.select(*keep).schema)
+
+    def run(batches):
+        for batch in batches:
+            for low in range(0, batch.num_rows, 256):
+                part = batch.slice(low, 256)
+                row, key, check = gram_hashes(part.column(0), n)
+                order = np.lexsort((check, key, row))
+                row, key, check = row[order], key[order], check[order]
+                new = np.ones(len(row), bool)
+                new[1:] = (row[1:] != row[:-1]) | (key[1:] != key[:-1]) | (check[1:] != check[:-1])
+                at = np.flatnonzero(new)
+                count = np.diff(np.append(at, len(row)))
+                kept = [part.column(1 + i).take(pa.array(row[at])) for i in range(len(keep))]
+                yield pa.RecordBatch.from_arrays([*kept, pa.array(key[at]), pa.array(check[at]), pa.array(count, pa.int64())], [*keep, "key", "check", "n"])
+
+    return df.select(text, *keep).mapInArrow(run, ", ".join(filter(None, [kinds, "key long, check long, n long"])))
 
 
 def a03_contamination(spark: SparkSession, sf_dir: str, n: int = 13, k: int = 12) -> DataFrame:
-    """Documents that share n-grams with the benchmark: a filter of the benchmark's n-grams, hits checked exactly."""
-    known = read(spark, sf_dir, "benchmark").select(F.explode(char_grams(F.col("text"), n)).alias("gram")).distinct()
-    known = written(known, "grams")
-    table = build_filter(known.select(hashed_key("gram").alias("key")), "key", variant("w22", k, subs=2))
-    grams = read(spark, sf_dir, "documents").select("doc_id", F.explode(char_grams(F.col("text"), n)).alias("gram"))
-    maybe = contains(grams, hashed_key("gram"), table).where("hit")
-    return maybe.join(known, "gram", "left_semi").groupBy("doc_id").agg(F.count(F.lit(1)).alias("hits"))
+    """Documents that share n-grams with the benchmark: a filter of the benchmark's n-grams, hits checked on 128 bits."""
+    known = written(grams_of(read(spark, sf_dir, "benchmark"), "text", n).select("key", "check").distinct(), "grams")
+    table = build_filter(known.select("key"), "key", variant("w22", k, subs=2))
+    grams = grams_of(read(spark, sf_dir, "documents"), "text", n, "doc_id")
+    maybe = contains(grams, "key", table).where("hit")
+    return maybe.join(known, ["key", "check"], "left_semi").groupBy("doc_id").agg(F.sum("n").alias("hits"))
 
 
 def a04_vocabulary(spark: SparkSession, sf_dir: str, k: int = 12) -> DataFrame:
@@ -410,26 +483,6 @@ def a04_vocabulary(spark: SparkSession, sf_dir: str, k: int = 12) -> DataFrame:
     return joined.where("word = known").groupBy("role").agg(F.sum("count").alias("words"), F.count(F.lit(1)).alias("distinct_words"))
 
 
-def a05_seen_pages(spark: SparkSession, sf_dir: str, k: int = 14) -> DataFrame:
-    """Pages whose host was seen among pages with an even number: a seen-set of hosts, answers checked exactly."""
-    host = F.regexp_extract("url", r"^[a-z]+://([^/]+)", 1)
-    pages = read(spark, sf_dir, "pages").select("page_id", host.alias("host"))
-    seen = written(pages.where("page_id % 2 = 0").select("host").distinct(), "hosts")
-    probe = pages.where("page_id % 2 = 1").withColumn("key", hashed_key("host"))
-    joined = filtered_join(probe, seen.withColumn("key", hashed_key("host")).withColumnRenamed("host", "known"), "key", variant("w22", k))
-    return joined.where("host = known").groupBy("host").agg(F.count(F.lit(1)).alias("pages"))
-
-
-def a05_duplicate_documents(spark: SparkSession, sf_dir: str, k: int = 14) -> DataFrame:
-    """Texts that occur twice or more: texts of even documents in a filter pre-select candidates among odd ones."""
-    docs = read(spark, sf_dir, "documents").select("doc_id", "text", F.xxhash64("text").alias("key"))
-    even, odd = docs.where("doc_id % 2 = 0"), docs.where("doc_id % 2 = 1")
-    table = build_filter(even, "key", variant("w22", k, subs=2))
-    maybe = contains(odd, "key", table).where("hit").drop("hit", "key")
-    pairs = maybe.join(even.select(F.col("doc_id").alias("other"), F.col("text").alias("t")), F.col("text") == F.col("t"))
-    return pairs.groupBy("doc_id").agg(F.min("other").alias("first_even"), F.count(F.lit(1)).alias("copies"))
-
-
 def _first_seen(rows: DataFrame, id_col: str, text_col: str, k: int) -> DataFrame:
     """For each row the least id of its text, its copies and whether it is the first; only hits of a filter of repeated hashes are compared."""
     rows = rows.withColumn("key", F.xxhash64(text_col))
@@ -498,7 +551,7 @@ def walk_lengths(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
 
 
 def cache_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lines of 64 bytes that lookups touch, average, by variant and slot width."""
+    """Lines of 64 bytes that lookups of all keys touch when both addresses are read, by variant and slot width."""
     keys = read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("key"))
     n = keys.count()
     specs = [sized_any(variant(v, k), n) for v in VARIANTS for k in (6, 13, 14)]
@@ -508,15 +561,15 @@ def cache_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
         cfg = part["cfg"][0].as_py()
         spec = specs[cfg]
         lines = cuckoo.lines_touched(mix_np(part["key"].to_numpy().view(np.uint64)), spec)
-        return pa.table({"variant": [spec.name], "k": pa.array([spec.k], pa.int32()), "slot_bits": pa.array([spec.slot_bits], pa.int32()), "lines": [float(lines.mean())]})
+        return pa.table({"variant": [spec.name], "k": pa.array([spec.k], pa.int32()), "slot_bits": pa.array([spec.slot_bits], pa.int32()), "keys": [len(lines)], "lines": [int(lines.sum())]})
 
-    return rows.groupBy("cfg").applyInArrow(run, "variant string, k int, slot_bits int, lines double")
+    return rows.groupBy("cfg").applyInArrow(run, "variant string, k int, slot_bits int, keys long, lines long")
 
 
 def random_key_accuracy(spark: SparkSession, sf_dir: str, n: int = 60_000, ks: Sequence[int] = (4, 8, 12)) -> DataFrame:
     """Accuracy on keys that look random, as in the original setting."""
     specs = [sized_any(variant(v, k), n) for v in VARIANTS for k in ks]
-    return summary(sweep(random_keys(spark, 0, n), random_keys(spark, n, 2 * n), specs), specs)
+    return exact_part(summary(sweep(random_keys(spark, 0, n), random_keys(spark, n, 2 * n), specs), specs))
 
 
 def baseline_specs(k: int = 8) -> dict[str, BaselineSpec]:
