@@ -9,10 +9,12 @@ similarity, estimated from equal registers and corrected for chance collisions,
 are verified on whole sets. Components of the verified links follow by alternating star contractions.
 
 No link is lost to the pairing with one class: a bucket that still spans several components afterwards is searched
-between its components, in blocks of bounded size. Sketches tell which of its classes have a candidate there; their
-whole sets then meet in a task, which verifies candidates, the likeliest first, skips those that links found so far
-have connected, and returns links that connect components: fewer than classes. A pair is tested in the first bucket
-that it shares.
+between its components. Sketches tell which of its classes have a candidate there; their whole sets then meet in a
+task, which verifies candidates, the likeliest first, skips those that links found so far have connected, and returns
+links that connect components: fewer than classes. A pair is tested in the first bucket that it shares. A bucket of
+more than ``BLOCK`` classes, such as a band that very many unlike documents share, is split by every further band
+first: similar classes share several bands (at the threshold two or more with a chance of 1 - 1.2e-6), unlike ones
+hardly ever do. What is still larger is searched in pairs of blocks of that size, so no task holds a whole bucket.
 """
 
 from __future__ import annotations
@@ -34,7 +36,7 @@ REGISTERS = BANDS * ROWS
 MANTISSA = 10
 #: Over three standard errors of the estimate at the threshold.
 SLACK = 0.12
-BLOCK = 1024
+BLOCK = 512
 #: Rows of a few numbers that a join may broadcast; beyond that both sides are shuffled.
 MOST_BROADCAST = 2_000_000
 
@@ -199,8 +201,11 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
 
 
-def _candidates(k: int, own: np.ndarray, comp: np.ndarray, n: np.ndarray, regs: np.ndarray, nth: int, split: bool, least: float, chance: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Rows of a bucket after row ``k`` that may be similar to it, are of another component and meet it here first."""
+def _candidates(k: int, own: np.ndarray, comp: np.ndarray, n: np.ndarray, regs: np.ndarray, nth: int, second: int, split: bool, least: float, chance: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of a bucket after row ``k`` that may be similar to it, are of another component and meet it here first.
+
+    ``nth`` is the bucket's band, ``second`` the further one by which it was split, or -1.
+    """
     others = (comp[k + 1 :] != comp[k]) & (np.minimum(n[k + 1 :], n[k]) * THRESHOLD[1] >= np.maximum(n[k + 1 :], n[k]) * THRESHOLD[0])
     if split:
         others &= own[k + 1 :] != own[k]
@@ -209,39 +214,63 @@ def _candidates(k: int, own: np.ndarray, comp: np.ndarray, n: np.ndarray, regs:
         return others, np.zeros(0)
     same = regs[others] == regs[k]
     est = jaccard_estimate(same.sum(1), n[others], np.full(len(others), n[k]), chance)
-    first = same.reshape(-1, BANDS, ROWS).all(2).argmax(1) == nth
-    keep = first & (est >= least)
+    bands = same.reshape(-1, BANDS, ROWS).all(2)
+    keep = (bands.argmax(1) == nth) & (est >= least)
+    if second >= 0:
+        bands[:, nth] = False
+        keep &= bands.argmax(1) == second
     return others[keep], est[keep]
 
 
+def _split_hot(rows: DataFrame, classes: DataFrame) -> DataFrame:
+    """Buckets of at most ``BLOCK`` classes as they are; larger ones by each later band, where those span components.
+
+    ``rows`` and the result have ``band, nth, second, cid, size, comp``.
+    """
+    names = ["band", "nth", "second", "cid", "size", "comp"]
+    cool = rows.where(F.col("size") <= BLOCK).select(*[F.lit(-1).alias(c) if c == "second" else F.col(c) for c in names])
+    hot = rows.where(F.col("size") > BLOCK).where(F.col("nth") < BANDS - 1)
+    if hot.isEmpty():
+        return cool
+    step = 2 * ROWS
+    second = F.explode(F.sequence(F.col("nth") + 1, F.lit(BANDS - 1)))
+    hot = hot.join(classes.select("cid", "regs"), "cid").select("band", "nth", "cid", "comp", "regs", second.alias("second"))
+    key = F.xxhash64("band", "second", F.col("regs").substr(F.col("second") * step + 1, F.lit(step)))
+    hot = written(hot.select(key.alias("band"), "nth", "second", "cid", "comp"), "split")
+    sizes = hot.groupBy("band").agg(F.count(F.lit(1)).alias("size"), F.min("comp").alias("x"), F.max("comp").alias("y"))
+    sizes = written(sizes.where("x <> y").select("band", "size"), "split-sizes")
+    return cool.unionByName(hot.join(sizes, "band").select(*names))
+
+
 def _across(buckets: DataFrame, docs: DataFrame, classes: DataFrame, of: DataFrame, least: float, shingle: int, id_col: str, text_col: str) -> DataFrame:
     """Links ``a, b`` between components that have classes in one bucket.
 
-    Buckets larger than ``BLOCK`` are cut into blocks, and every two blocks are searched in a task of their own.
+    Buckets larger than ``BLOCK`` are split by further bands; those that are larger even then are cut into blocks, and
+    every two blocks are searched in a task of their own.
     """
     chance = chance_collisions()
     rows = buckets.join(of, F.col("cid") == F.col("node"), "left").select("band", "nth", "cid", "size", F.coalesce("component", "cid").alias("comp"))
     rows = written(rows, "known")
     tops = rows.where("size > 2").groupBy("band").agg(F.min("comp").alias("x"), F.max("comp").alias("y"))
-    rows = rows.join(written(tops.where("x <> y").select("band"), "open"), "band")
+    rows = _split_hot(rows.join(written(tops.where("x <> y").select("band"), "open"), "band"), classes)
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
     rows = rows.withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("cid"), "blocks").cast("int"))
     rows = rows.join(classes.select("cid", "n", "regs"), "cid")  # sketches go to open buckets only
 
     def spread(df: DataFrame, *more: str) -> DataFrame:
         df = df.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        return df.select("band", "nth", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "cid", "comp", "n", "regs", *more)
+        return df.select("band", "nth", "second", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "cid", "comp", "n", "regs", *more)
 
     def parts(group: pa.Table) -> tuple:
         columns = [group[c].to_numpy() for c in ("cid", "own", "comp", "n")]
         regs = np.frombuffer(b"".join(group["regs"].to_pylist()), np.uint16).reshape(-1, REGISTERS)
-        return *columns, regs, group["nth"][0].as_py(), group["i"][0].as_py() != group["j"][0].as_py()
+        return *columns, regs, group["nth"][0].as_py(), group["second"][0].as_py(), group["i"][0].as_py() != group["j"][0].as_py()
 
     def flag(group: pa.Table) -> pa.Table:
-        cid, own, comp, n, regs, nth, split = parts(group.sort_by("cid"))
+        cid, own, comp, n, regs, nth, second, split = parts(group.sort_by("cid"))
         marked = np.zeros(len(cid), bool)
         for k in range(len(cid)):
-            others, _ = _candidates(k, own, comp, n, regs, nth, split, least, chance)
+            others, _ = _candidates(k, own, comp, n, regs, nth, second, split, least, chance)
             if len(others):
                 marked[others] = marked[k] = True
         return pa.table({"band": pa.array([group["band"][0].as_py()] * int(marked.sum()), pa.int64()), "cid": cid[marked]})
@@ -251,13 +280,13 @@ def _across(buckets: DataFrame, docs: DataFrame, classes: DataFrame, of: DataFra
 
     def search(group: pa.Table) -> pa.Table:
         group = group.sort_by("cid")
-        cid, own, comp, n, regs, nth, split = parts(group)
+        cid, own, comp, n, regs, nth, second, split = parts(group)
         shingles = group["shingles"].combine_chunks()
         of_set, values = shingles.offsets.to_numpy(), shingles.values.to_numpy().view(U64)
         sets_ = [values[a:b] for a, b in zip(of_set[:-1], of_set[1:])]
         comp, links = comp.copy(), []
         for k in range(len(cid)):
-            others, est = _candidates(k, own, comp, n, regs, nth, split, least, chance)
+            others, est = _candidates(k, own, comp, n, regs, nth, second, split, least, chance)
             for x in others[np.argsort(-est, kind="stable")].tolist():
                 if comp[x] == comp[k]:
                     continue

@@ -364,6 +364,37 @@ def test_chains_hubs_and_awkward_rows(spark, awkward, nothing):
     assert kept.columns == awkward.columns and kept.where("doc_id in (4, 5)").count() == 1
 
 
+def test_buckets_that_unlike_documents_share(spark, monkeypatch):
+    """One band is the same in all classes: pairs are found by further bands, or in blocks, and none is lost."""
+    rng = np.random.default_rng(6)
+    word = lambda: f"u{rng.integers(0, 10**7)}"
+    texts = []
+    for _ in range(60):
+        base = [word() for _ in range(70)]
+        texts.append(" ".join(base))
+        for _ in range(int(rng.integers(0, 4))):
+            at = int(rng.integers(0, 70))
+            texts.append(" ".join(base[:at] + [word()] + base[at + 1 :]))
+    order = rng.permutation(len(texts))
+    texts = [texts[i] for i in order]
+    sketches = near_dedup.sketches
+
+    def one_band(sets, of):
+        regs, digest = sketches(sets, of)
+        regs[:, : 2 * near_dedup.ROWS] = 7
+        return regs, digest
+
+    monkeypatch.setattr(near_dedup, "sketches", one_band)
+    docs = spark.createDataFrame(rows(*texts), SCHEMA)
+    want = components_of(list(enumerate(texts)), 4)
+    monkeypatch.setattr(near_dedup, "SLACK", 0.2)
+    monkeypatch.setattr(near_dedup, "_star", lambda buckets: buckets.select(F.col("cid").alias("a"), F.col("cid").alias("b")).limit(0))
+    for block in (8, 1000):
+        monkeypatch.setattr(near_dedup, "BLOCK", block)
+        got = sorted(((r["id"], r["n"], r["component_id"]) for r in near_dedup.classified(docs, 4).collect()), key=str)
+        assert got == want
+
+
 def test_register_estimates_are_near_the_true_similarity():
     rng = np.random.default_rng(3)
     pool = rng.integers(0, 1 << 62, 3000).astype(np.uint64)
