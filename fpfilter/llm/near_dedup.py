@@ -38,7 +38,7 @@ MANTISSA = 10
 SLACK = 0.12
 BLOCK = 512
 #: Rows of a few numbers that a join may broadcast; beyond that both sides are shuffled.
-MOST_BROADCAST = 2_000_000
+MOST_BROADCAST, MOST_BROADCAST_BYTES = 2_000_000, 64 << 20
 
 _rng = np.random.default_rng(20_24)
 _FACTORS = _rng.integers(0, 1 << 63, REGISTERS, np.int64).astype(U64) << U64(1) | U64(1)
@@ -154,7 +154,13 @@ def _estimated(pairs: DataFrame, classes: DataFrame, least: float) -> DataFrame:
 
 
 def _small(df: DataFrame, rows: int) -> DataFrame:
-    return F.broadcast(df) if rows <= MOST_BROADCAST else df
+    """``df``, broadcast if its rows are few and the text in them, such as ids that are strings, is short."""
+    if rows > MOST_BROADCAST:
+        return df
+    long = [F.coalesce(F.octet_length(f"`{f.name}`"), F.lit(0)) for f in df.schema if f.dataType.typeName() in ("string", "binary")]
+    if long and df.agg(F.coalesce(F.sum(sum(long[1:], long[0])), F.lit(0))).first()[0] > MOST_BROADCAST_BYTES:
+        return df
+    return F.broadcast(df)
 
 
 def _sets(need: DataFrame, docs: DataFrame, classes: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:

@@ -241,11 +241,11 @@ def statistics(docs: DataFrame) -> Statistics:
     return Statistics(known[-1], known[-2], known[-3], df)
 
 
-def lexical_keys(data: np.ndarray, offsets: np.ndarray, known: Statistics) -> tuple[np.ndarray, np.ndarray]:
-    """Of each row the heaviest common term and the heaviest term of all that two documents have; -1 without."""
+def lexical_keys(data: np.ndarray, offsets: np.ndarray, known: Statistics, common: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of each row the heaviest term that ``common`` documents have, and of all that two have; -1 without."""
     doc, term, tf, length = document_terms(data, offsets)
     weight, df, out = known.weights(doc, term, tf, length), known.df[term], []
-    for least in (COMMON_SHARDS * SHARD_DOCS, 2):
+    for least in (common, 2):
         some = np.flatnonzero(df >= least)
         row, first = np.unique(doc[some], return_index=True)
         key = np.full(len(offsets) - 1, -1, np.int64)
@@ -356,7 +356,7 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
         found = [(np.zeros(0, np.int64),) * 2]
         data, offsets = texts(column)
         for low, high in chunks(offsets, 1 << 22):
-            found.append(lexical_keys(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], shared.value))
+            found.append(lexical_keys(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], shared.value, COMMON_SHARDS * SHARD_DOCS))
         release()
         return pa.StructArray.from_arrays([pa.array(np.concatenate(x)) for x in zip(*found)], ["common", "heaviest"])
 
@@ -369,7 +369,7 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
         from pyspark import TaskContext
 
         state = Open(TaskContext.get().partitionId() << 40)
-        for rows in _shards(batches):
+        for rows in _shards(batches, SHARD_DOCS, SHARD_BYTES):
             ids, of = encoder(path).rows(rows.column(1))
             index = Index(*texts(rows.column(1)), shared.value)
             row, *piece = np.array(list(pack(np.diff(of), index, window, state)), np.int64).T
@@ -379,20 +379,20 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
     return ranged.mapInArrow(run, f"id {kind}, {_OUT}").withColumnRenamed("id", id_col)
 
 
-def _shards(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The rows of a task in runs of ``SHARD_DOCS`` or about ``SHARD_BYTES``; a longer text is a run of its own."""
+def _shards(batches: Iterator[pa.RecordBatch], most: int, limit: int) -> Iterator[pa.RecordBatch]:
+    """The rows of a task in runs of ``most`` or about ``limit`` bytes; a longer text is a run of its own."""
     held, rows, size = [], 0, 0
     for batch in batches:
         _, offsets = texts(batch.column(1))
         low = 0
         while low < batch.num_rows:
-            room = int(np.searchsorted(offsets, offsets[low] + SHARD_BYTES - size, "right")) - 1 - low
-            some = min(max(room, 0 if rows else 1), SHARD_DOCS - rows, batch.num_rows - low)
+            room = int(np.searchsorted(offsets, offsets[low] + limit - size, "right")) - 1 - low
+            some = min(max(room, 0 if rows else 1), most - rows, batch.num_rows - low)
             if some:
                 held.append(batch.slice(low, some))
                 rows, size = rows + some, size + int(offsets[low + some] - offsets[low])
                 low += some
-            if low < batch.num_rows or rows == SHARD_DOCS:
+            if low < batch.num_rows or rows == most:
                 yield _one(held)
                 held, rows, size = [], 0, 0
     if held:

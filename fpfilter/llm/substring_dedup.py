@@ -5,8 +5,8 @@ A byte goes if a string of ``LENGTH`` bytes that covers it also starts in a docu
 * Suffixes. Only suffixes at anchors are sorted: positions whose ``GRAM`` first bytes have the least hash in some
   window of ``WINDOW`` positions. A string of ``LENGTH = GRAM + WINDOW - 1`` bytes is such a window, so equal strings
   have an anchor at the same place, and none is missed.
-* Filter. Buckets of documents send their anchors' hashes, sorted and packed; shards of the hash space answer with one
-  bit for each: whether another document has it too. Other anchors cannot matter and are not sorted.
+* Filter. Buckets of documents send their anchors' hashes, sorted and packed, and how many documents have each; shards
+  of the hash space answer whether another document has it too. Other anchors cannot matter and are not sorted.
 * Runs. Each bucket sorts the rest by suffix (``LENGTH`` bytes at most) and sends each shard a front-coded run: the
   length of the prefix that a suffix shares with the one before, and what follows. Suffixes with the same context
   are sent once a bucket, with their smallest document, so a string that is everywhere costs a bucket one entry.
@@ -14,12 +14,17 @@ A byte goes if a string of ``LENGTH`` bytes that covers it also starts in a docu
   entries that differ in it need no comparison, others are compared from there on. The prefix lengths that come out
   say which suffixes agree on how many bytes; with the bytes before each anchor they decide every window around it.
 
+* Hot grams. Where more than ``HOT_DOCS`` documents have a gram, such as one of a phrase in every document, each in
+  other surroundings, every window around it is a suffix of its own, of ``LENGTH`` bytes, and goes to the shard of
+  all its bytes. So a shard gets an entry a bucket for each repeated string, and never all documents' for a phrase.
+
 Documents that equal a document with a smaller id are wholly covered and are settled by their digests alone.
 """
 
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -27,7 +32,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fpfilter.llm.exact_dedup import text_digest
-from fpfilter.llm.near_dedup import MOST_BROADCAST
+from fpfilter.llm.near_dedup import _small as few
 from fpfilter.llm.scratch import written
 from fpfilter.llm.textvec import U64, _powers, chunks, mix, release, texts
 
@@ -37,6 +42,7 @@ WINDOW = LENGTH - GRAM + 1
 #: Bytes of text for a bucket (these, or a 4096th of all up to the larger figure) and for a shard.
 BUCKET_BYTES, MOST_BUCKET_BYTES, SHARD_BYTES = 2 << 20, 64 << 20, 8 << 20
 FAN_IN = 512
+HOT_DOCS = 4096
 _NO_ID = (1 << 63) - 1
 
 
@@ -76,10 +82,29 @@ def _unpack(raw: bytes) -> np.ndarray:
     return out.view("<u8").ravel()
 
 
-def _cuts(h: np.ndarray, shards: int) -> np.ndarray:
-    """Where each shard's range begins in sorted 40-bit hashes."""
-    bounds = [-(-(s << 40) // shards) for s in range(shards)]
-    return np.append(np.searchsorted(h, np.array(bounds, U64)), len(h))
+def _shard_of(h: np.ndarray, shards: int) -> np.ndarray:
+    """The shard of 40-bit hashes: equal ranges of them, in order."""
+    return (h * U64(shards) >> U64(40)).astype(np.int64)
+
+
+def _rounded(count: np.ndarray) -> np.ndarray:
+    """Counts in a byte: exact below 128, powers of two from there on."""
+    return np.where(count < 128, count, 128 + np.log2(np.maximum(1, count)).astype(np.int64)).astype(np.uint8)
+
+
+def _unrounded(raw: np.ndarray) -> np.ndarray:
+    raw = raw.astype(np.int64)
+    return np.where(raw < 128, raw, 1 << np.maximum(0, raw - 128))
+
+
+def _window_hashes(data: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """40-bit hashes of the ``LENGTH`` bytes from each of these positions."""
+    up, _ = _powers(LENGTH)
+    out = np.zeros(len(start), U64)
+    for low in range(0, len(start), 1 << 16):
+        some = start[low : low + (1 << 16)]
+        out[low : low + len(some)] = ((data[some[:, None] + np.arange(LENGTH)].astype(U64) + U64(1)) * up).sum(1, dtype=U64)
+    return mix(out) >> U64(24)
 
 
 class Bucket:
@@ -99,54 +124,47 @@ class Bucket:
             found.append((at + first, h))
         self.at, self.hash = map(np.concatenate, zip(*found))
         self.distinct, self.which = np.unique(self.hash, return_inverse=True)
-        self.cuts = _cuts(self.distinct, self.shards)
+        self.shard = _shard_of(self.distinct, self.shards)
         self.row = np.searchsorted(self.offsets, self.at, "right") - 1
 
+    def _by_shard(self) -> Iterator[tuple[int, int, int]]:
+        """Each shard that this bucket has hashes of, and their range."""
+        first = np.flatnonzero(np.diff(self.shard, prepend=-1))
+        yield from zip(self.shard[first].tolist(), first.tolist(), [*first[1:].tolist(), len(self.shard)])
+
     def hashes(self, key: int) -> pa.Table:
-        """For each shard: the distinct hashes, and a bit for those of several documents."""
+        """For each shard: the distinct hashes, and how many documents have each."""
         pairs = np.unique(self.which.astype(np.int64) * max(1, len(self.ids)) + self.row)
-        again = np.bincount(pairs // max(1, len(self.ids)), minlength=len(self.distinct)) > 1
-        out = [(s, key, _pack(self.distinct[a:b]), np.packbits(again[a:b]).tobytes()) for s, (a, b) in enumerate(zip(self.cuts[:-1], self.cuts[1:])) if a < b]
-        return _table(out, _HASHES)
+        docs = _rounded(np.bincount(pairs // max(1, len(self.ids)), minlength=len(self.distinct)))
+        return _table([(s, key, _pack(self.distinct[a:b]), docs[a:b].tobytes()) for s, a, b in self._by_shard()], _HASHES)
 
     def runs(self, key: int, answers: pa.Table) -> pa.Table:
         """For each shard: the front-coded run of the repeated anchors' suffixes, and what is settled here."""
-        again = np.zeros(len(self.distinct), bool)
+        again, hot = np.zeros(len(self.distinct), bool), np.zeros(len(self.distinct), bool)
+        ranges = {s: (a, b) for s, a, b in self._by_shard()}
         for s, bits in zip(answers["shard"].to_pylist(), answers["bits"].to_pylist()):
-            a, b = self.cuts[s], self.cuts[s + 1]
-            again[a:b] = np.unpackbits(np.frombuffer(bits, np.uint8), count=b - a)
-        keep = np.flatnonzero(again[self.which])
-        if not len(keep):
-            return _table([], _RUNS)
-        at, row = self.at[keep], self.row[keep]
-        shard = np.searchsorted(self.cuts, self.which[keep], "right") - 1
+            a, b = ranges[s]
+            both = np.frombuffer(bits, np.uint8).reshape(2, -1)
+            again[a:b], hot[a:b] = (np.unpackbits(x, count=b - a) for x in both)
+        keep = np.flatnonzero((again & ~hot)[self.which])
+        at, row, shard = self.at[keep], self.row[keep], self.shard[self.which[keep]]
         low, high = np.maximum(self.offsets[row], at - WINDOW + 1), np.minimum(self.offsets[row + 1], at + LENGTH)
-        raw, ids = self.data.tobytes(), self.ids[row]
-        entries = sorted(
-            (s, raw[q:e], raw[b:q][::-1], i, q)
-            for s, q, e, b, i in zip(shard.tolist(), at.tolist(), high.tolist(), low.tolist(), ids.tolist())
-        )
-        out, run, own, where, settled, last, n = [], [], [], [], [], None, 0
-        before = b""
-
-        def close() -> None:
-            out.append((last[0], key, b"".join(run), np.array(own, "<i8").tobytes(), np.array(where, "<i4").tobytes(), np.array(settled, "<i4").tobytes()))
-
-        for s, suffix, left, i, q in entries:
-            if last is not None and s != last[0]:
-                close()
-                run, own, where, settled, last, n, before = [], [], [], [], None, 0, b""
-            if last is None or (suffix, left) != last[1:3]:
-                same = _shared(before, suffix, 0)
-                run.append(bytes((same, len(suffix) - same, len(left))) + suffix[same:] + left)
-                own.append(i)
-                before, last, n = suffix, (s, suffix, left, i), n + 1
-                where += (n - 1, q)
-            elif i == last[3]:
-                where += (n - 1, q)
-            else:  # a smaller document of this bucket has all of its windows
-                settled += (q, _windows(len(left), len(suffix)))
-        close()
+        near = np.flatnonzero(hot[self.which])
+        if len(near):
+            start = (self.at[near][:, None] - np.arange(WINDOW)).ravel()
+            of = np.repeat(self.row[near], WINDOW)
+            inside = (start >= self.offsets[of]) & (start + LENGTH <= self.offsets[of + 1])
+            start, first = np.unique(start[inside], return_index=True)
+            of = of[inside][first]
+            at, row, low, high = np.append(at, start), np.append(row, of), np.append(low, start), np.append(high, start + LENGTH)
+            shard = np.append(shard, _shard_of(_window_hashes(self.data, start), self.shards))
+        order = np.argsort(shard, kind="stable")
+        cuts = np.flatnonzero(np.diff(shard[order], prepend=-1)).tolist()
+        raw, out = self.data.tobytes(), []
+        for a, b in zip(cuts, [*cuts[1:], len(order)]):  # a shard at a time: few entries are Python objects at once
+            some = order[a:b]
+            entries = sorted((raw[q:e], raw[p:q][::-1], i, q) for q, e, p, i in zip(at[some].tolist(), high[some].tolist(), low[some].tolist(), self.ids[row[some]].tolist()))
+            out.append((int(shard[some[0]]), key, *_run(entries)))
         return _table(out, _RUNS)
 
     def kept(self, answers: pa.Table) -> pa.Table:
@@ -169,7 +187,25 @@ class Bucket:
         return _table(out, _KEPT)
 
 
-_HASHES = pa.schema([("shard", pa.int32()), ("bucket", pa.int32()), ("once", pa.binary()), ("again", pa.binary())])
+def _run(entries: list[tuple[bytes, bytes, int, int]]) -> tuple[bytes, bytes, bytes, bytes]:
+    """A front-coded run of sorted entries (suffix, reversed left context, document, position): the run, its documents,
+    the places of each entry, and the places that an equal entry of a smaller document of this bucket settles."""
+    run, own, where, settled, last, before = [], [], [], [], None, b""
+    for suffix, left, i, q in entries:
+        if last is None or (suffix, left) != last[:2]:
+            same = _shared(before, suffix, 0)
+            run.append(bytes((same, len(suffix) - same, len(left))) + suffix[same:] + left)
+            own.append(i)
+            before, last = suffix, (suffix, left, i)
+            where += (len(own) - 1, q)
+        elif i == last[2]:
+            where += (len(own) - 1, q)
+        else:
+            settled += (q, _windows(len(left), len(suffix)))
+    return b"".join(run), np.array(own, "<i8").tobytes(), np.array(where, "<i4").tobytes(), np.array(settled, "<i4").tobytes()
+
+
+_HASHES = pa.schema([("shard", pa.int32()), ("bucket", pa.int32()), ("once", pa.binary()), ("docs", pa.binary())])
 _BITS = pa.schema([("shard", pa.int32()), ("bucket", pa.int32()), ("bits", pa.binary())])
 _RUNS = pa.schema([("shard", pa.int32()), ("bucket", pa.int32()), ("run", pa.binary()), ("own", pa.binary()), ("where", pa.binary()), ("settled", pa.binary())])
 _FOUND = pa.schema([("bucket", pa.int32()), ("found", pa.binary())])
@@ -327,28 +363,31 @@ def settle_shard(rows: pa.Table) -> pa.Table:
     return _table(out, _FOUND)
 
 
-def answer_hashes(rows: pa.Table) -> pa.Table:
-    """For each bucket's hashes in a shard, in their order: a bit for those that several documents have."""
+def answer_hashes(rows: pa.Table, hot: int) -> pa.Table:
+    """For each bucket's hashes in a shard, in their order, two planes of bits: several documents have it; more than ``hot``."""
     parts = [_unpack(x) for x in rows["once"].to_pylist()]
-    again = [np.unpackbits(np.frombuffer(x, np.uint8), count=len(p)).astype(bool) for x, p in zip(rows["again"].to_pylist(), parts)]
+    docs = [_unrounded(np.frombuffer(x, np.uint8)) for x in rows["docs"].to_pylist()]
     h = np.concatenate(parts)
     order = np.argsort(h, kind="stable")
-    s, known = h[order], np.concatenate(again)[order]
+    s = h[order]
     start = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1])))
     size = np.diff(np.append(start, len(s)))
-    repeated = (size > 1) | np.logical_or.reduceat(known, start)
-    flags = np.zeros(len(h), bool)
-    flags[order] = np.repeat(repeated, size)
-    ends = np.cumsum([len(p) for p in parts])
-    bits = [np.packbits(x).tobytes() for x in np.split(flags, ends[:-1])]
+    total = np.add.reduceat(np.concatenate(docs)[order], start)
+    planes = []
+    for known in (total > 1, total > hot):
+        flags = np.zeros(len(h), bool)
+        flags[order] = np.repeat(known, size)
+        planes.append(np.split(flags, np.cumsum([len(p) for p in parts])[:-1]))
+    bits = [np.packbits(a).tobytes() + np.packbits(b).tobytes() for a, b in zip(*planes)]
     return pa.Table.from_arrays([rows["shard"].combine_chunks(), rows["bucket"].combine_chunks(), pa.array(bits, pa.binary())], schema=_BITS)
 
 
 def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per row of ``docs``: id, n_bytes, n_removed, n_spans, kept_sha256.
 
-    Null text is empty; null ids count as the largest; rows with equal ids never remove from each other. Texts of
-    fewer than ``LENGTH`` bytes keep all. Extra columns are not read. An empty table gives no rows.
+    Null text is empty; null ids count as the largest; rows with equal ids never remove from each other, so of
+    repeated rows all are kept alike. Texts of fewer than ``LENGTH`` bytes keep all, texts may be of any length. Extra
+    columns, whatever their names, are not read. An empty table gives no rows.
     """
     base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(_NO_ID)).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
     known = written(base.select("id", "h", F.octet_length("text").cast("long").alias("n"), text_digest(F.col("text")).alias("digest")), "texts")
@@ -359,8 +398,7 @@ def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     per_bucket = min(MOST_BUCKET_BYTES, max(BUCKET_BYTES, size // 4096))
     buckets, shards = size // per_bucket + 1, size // SHARD_BYTES + 1
     gone = copies.select(F.col("id").alias("cid"), F.col("h").alias("ch")).distinct()
-    gone = F.broadcast(gone) if n_copies <= MOST_BROADCAST else gone
-    rest = base.join(gone, (F.col("h") == F.col("ch")) & (F.col("id") == F.col("cid")), "left_anti")
+    rest = base.join(few(gone, n_copies), (F.col("h") == F.col("ch")) & (F.col("id") == F.col("cid")), "left_anti")
     rest = rest.select(F.pmod(F.xxhash64("id", "h"), F.lit(buckets)).cast("int").alias("bucket"), "id", "h", "text").repartition("bucket")
 
     def hashes(rows: pa.Table) -> pa.Table:
@@ -379,11 +417,14 @@ def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         release()
         return out
 
+    def answer(rows: pa.Table) -> pa.Table:
+        return answer_hashes(rows, HOT_DOCS)
+
     def kept(rows: pa.Table, answers: pa.Table) -> pa.Table:
         return Bucket(rows, shards).kept(answers)
 
     sent = rest.groupBy("bucket").applyInArrow(hashes, _ddl(_HASHES))
-    bits = sent.groupBy("shard").applyInArrow(answer_hashes, _ddl(_BITS))
+    bits = sent.groupBy("shard").applyInArrow(answer, _ddl(_BITS))
     sorted_ = rest.groupBy("bucket").cogroup(bits.groupBy("bucket")).applyInArrow(runs, _ddl(_RUNS))
     found = sorted_.groupBy("shard").applyInArrow(settle_shard, _ddl(_FOUND))
     left = rest.groupBy("bucket").cogroup(found.groupBy("bucket")).applyInArrow(kept, _ddl(_KEPT))

@@ -8,6 +8,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 import pytest
 import regex
 from hypothesis import given, settings
@@ -427,6 +428,39 @@ def test_repeats_of_many_shapes(spark):
     assert sorted(map(tuple, substring_dedup.removed(docs).collect())) == sorted(substring_dedup.brute_force(list(enumerate(texts))))
 
 
+def test_a_phrase_in_every_document(spark, monkeypatch):
+    """Phrases shorter and longer than the limit, in all documents and in other surroundings each."""
+    rng = np.random.default_rng(9)
+    letters = lambda n: "".join(rng.choice(list("abcdefgh"), n))
+    short, just, long = letters(45), letters(50), letters(90)
+    texts = [letters(30) + p + letters(30) + q + letters(25) for _ in range(80) for p, q in ((short, long), (just, short), (long[10:75], letters(60)))]
+    docs = spark.createDataFrame(rows(*texts), SCHEMA)
+    want = sorted(substring_dedup.brute_force(list(enumerate(texts))))
+    monkeypatch.setattr(substring_dedup, "BUCKET_BYTES", 4000)
+    monkeypatch.setattr(substring_dedup, "SHARD_BYTES", 3000)
+    largest = []
+    for hot in (10**9, 20):
+        monkeypatch.setattr(substring_dedup, "HOT_DOCS", hot)
+        assert sorted(map(tuple, substring_dedup.removed(docs).collect())) == want
+        buckets = [substring_dedup.Bucket(pa.table({"id": list(range(low, low + 20)), "h": [0] * 20, "text": texts[low : low + 20]}), 64) for low in range(0, len(texts), 20)]
+        for b in buckets:
+            b.find()
+        sent = pa.concat_tables([b.hashes(k) for k, b in enumerate(buckets)])
+        bits = pa.concat_tables([substring_dedup.answer_hashes(sent.filter(pa.compute.equal(sent["shard"], s)), hot) for s in sorted(set(sent["shard"].to_pylist()))])
+        runs = pa.concat_tables([b.runs(k, bits.filter(pa.compute.equal(bits["bucket"], k))) for k, b in enumerate(buckets)])
+        alike = Counter()  # entries of one shard that begin alike
+        for s, run in zip(runs["shard"].to_pylist(), runs["run"].to_pylist()):
+            alike.update((s, x[:26]) for x in substring_dedup.decode_run(run)[1])
+        largest.append(max(alike.values()))
+    assert largest[0] >= 150 and largest[1] <= 30  # without and with the split
+
+
+def test_counts_in_a_byte():
+    n = np.array([0, 1, 127, 128, 200, 5000, 10**6])
+    got = substring_dedup._unrounded(substring_dedup._rounded(n))
+    assert got.tolist() == [0, 1, 127, 128, 128, 4096, 1 << 19]
+
+
 def test_loser_tree_merges_and_knows_prefixes():
     rng = np.random.default_rng(5)
     runs = [sorted(bytes(rng.integers(97, 100, rng.integers(0, 12)).astype(np.uint8)) for _ in range(rng.integers(0, 40))) for _ in range(9)]
