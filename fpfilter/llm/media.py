@@ -1,7 +1,7 @@
 """Media columns: documents as interleaved sequences of text and media references, payloads resolved by digest.
 
 :func:`interleave` parses HTML to an ordered array of structs: a text, or a media reference with its caption at its
-position. :func:`store` keeps payloads losslessly as 8-bit gray images (binary PGM, 64 samples a row), and
+position. :func:`document_pages` makes such a page of each text, around its image. :func:`store` keeps payloads losslessly as 8-bit gray images (binary PGM, 64 samples a row), and
 :func:`resolve` joins features, computed once a digest from the stored bytes, back to every reference.
 """
 
@@ -23,7 +23,6 @@ from fpfilter.llm.scratch import written
 
 WIDTH = 64
 _PART = "struct<position:int,kind:string,text:string,ref:string,caption:string>"
-_CAPTION = 80
 
 
 def to_image(data: bytes) -> bytes:
@@ -129,7 +128,11 @@ def parse_sequence(page: str | None) -> list[dict]:
 
 
 def interleave(pages: DataFrame, html_col: str = "html", to: str = "parts") -> DataFrame:
-    """``pages`` with an array column ``to`` of ``position, kind, text, ref, caption`` structs in document order."""
+    """``pages`` with an array column ``to`` of ``position, kind, text, ref, caption`` structs in document order.
+
+    ``to`` replaces a column of that name, all others stay. Null and empty pages have no parts, equal pages equal ones;
+    broken markup is read as far as it makes sense, pages may be of any length. An empty table gives no rows.
+    """
 
     @F.pandas_udf(f"array<{_PART}>")
     def parse(page: pd.Series) -> pd.Series:
@@ -138,27 +141,49 @@ def interleave(pages: DataFrame, html_col: str = "html", to: str = "parts") -> D
     return pages.withColumn(to, parse(F.col(html_col)))
 
 
+def page_of(text: str, digest: str) -> str:
+    """A page with the whole text, a paragraph a line, and amid the lines the text's image, captioned by the first line."""
+    lines = text.split("\n")
+    half = (len(lines) + 1) // 2
+    body = [f"<p>{html.escape(x)}</p>" for x in lines]
+    figure = f'<figure><img src="sha256:{digest}"><figcaption>{html.escape(lines[0])}</figcaption></figure>'
+    return f"<article>{''.join(body[:half])}{figure}{''.join(body[half:])}</article>"
+
+
+def _payload(text: str | None) -> tuple[bytes, bytes]:
+    """The text's image, and the samples in it."""
+    image = to_image((text or "").encode())
+    return image, from_image(image)
+
+
 def document_pages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``id, html, digest, media``: each text as a page that shows its image, referred to by the payload's digest.
+    """``id, n_bytes, html``: each whole text as a page that shows its image, referred to by the payload's digest.
 
-    The whole text is the payload (null: empty); the page's caption is its beginning, for readers only.
+    Null text is empty. Ids may be null or repeat; rows with equal texts refer to one digest. Texts may be of any
+    length. Extra columns, whatever their names, are not read. An empty table gives no rows.
     """
 
     def pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for low in range(0, batch.num_rows, 512):
-                part, out = batch.slice(low, 512), []
-                for text in part.column(1).to_pylist():
-                    data = (text or "").encode()
-                    image = to_image(data)
-                    digest = hashlib.sha256(from_image(image)).hexdigest()
-                    caption = html.escape((text or "")[:_CAPTION])
-                    out.append((f'<article><figure><img src="sha256:{digest}"><figcaption>{caption}</figcaption></figure></article>', len(data), digest, image))
-                page, n, digest, image = zip(*out)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(page), pa.array(n, pa.int64()), pa.array(digest), pa.array(image, pa.binary())], ["id", "html", "n_bytes", "digest", "media"])
+                part = batch.slice(low, 512)
+                texts = [x or "" for x in part.column(1).to_pylist()]
+                page = [page_of(x, hashlib.sha256(_payload(x)[1]).hexdigest()) for x in texts]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(x.encode()) for x in texts], pa.int64()), pa.array(page, pa.string())], ["id", "n_bytes", "html"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(pages, f"id {kind}, html string, n_bytes long, digest string, media binary")
+    return docs.select(id_col, text_col).mapInArrow(pages, f"id {kind}, n_bytes long, html string")
+
+
+def store(docs: DataFrame, text_col: str = "text") -> DataFrame:
+    """``media``: each whole text (null: empty) as an image; one row a row of ``docs``, in their order."""
+
+    def images(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for low in range(0, batch.num_rows, 512):
+                yield pa.RecordBatch.from_arrays([pa.array([_payload(x)[0] for x in batch.column(0).slice(low, 512).to_pylist()], pa.binary())], ["media"])
+
+    return docs.select(text_col).mapInArrow(images, "media binary")
 
 
 def payload_features(stored: DataFrame) -> DataFrame:
@@ -179,19 +204,26 @@ def payload_features(stored: DataFrame) -> DataFrame:
     return got.dropDuplicates()
 
 
-def resolve(sequences: DataFrame, payloads: DataFrame) -> DataFrame:
-    """Each media reference of ``sequences`` (``id, parts``) with its payload's features; unknown ones keep nulls.
+def resolve(sequences: DataFrame, payloads: DataFrame, *keep: str) -> DataFrame:
+    """Each media reference of ``sequences`` (``parts`` and columns ``keep``) with its payload's features.
 
+    Columns ``position``, ``caption``, ``ref`` and ``n_parts`` tell its place in its sequence. References to unknown
+    payloads keep nulls; sequences without references, or without parts, give no rows; repeated references one each.
     ``payloads`` should be a written table, so that the join can split a digest that very many references share.
     """
-    refs = sequences.select("id", "n_bytes", F.explode("parts").alias("part")).where("part.ref is not null")
-    refs = refs.select("id", "n_bytes", "part.position", "part.caption", "part.ref")
-    return refs.join(payloads, "ref", "left")
+    refs = F.filter("parts", lambda p: p["ref"].isNotNull())
+    rows = sequences.select(*keep, F.size("parts").alias("n_parts"), F.explode(refs).alias("part"))
+    return rows.select(*keep, "n_parts", "part.position", "part.caption", "part.ref").join(payloads, "ref", "left")
+
+
+def page_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every part of every page of ``pages`` in order: the parser on raw web pages."""
+    pages = interleave(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "html"))
+    return pages.select("page_id", F.explode("parts").alias("p")).select("page_id", "p.position", "p.kind", "p.text", "p.ref", "p.caption")
 
 
 def op7_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    stored = written(document_pages(docs), "media", "zstd")
-    payloads = written(payload_features(stored), "features")
-    found = resolve(interleave(stored.select("id", "n_bytes", "html")), payloads)
-    return found.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "position", "caption")
+    payloads = written(payload_features(written(store(docs), "media", "zstd")), "features")
+    found = resolve(interleave(document_pages(docs)), payloads, "id", "n_bytes")
+    return found.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "position", "n_parts", "caption")

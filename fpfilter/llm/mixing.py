@@ -143,16 +143,19 @@ def schedule(spark: SparkSession, mix: Mix) -> DataFrame:
 
 
 def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
-    """One row per row of ``docs``: uid, id, text_hash, source, size, source_size, target, taken.
+    """One row per row of ``docs``: uid, id, text_hash, source, size, source_size, target, taken, slots.
 
     ``taken`` counts the document's words in the mix, repeats included; it is at most ``MOST_EPOCHS`` times its size.
-    Null texts have no words and take no part; null sources are one source; ids may repeat or be null. Extra columns
-    are not read. An empty table gives no rows.
+    ``slots`` are the places in the schedule, in order, of the first block that the mix takes words of this document
+    from; null where it takes none. Null and empty texts have no words and take no part; null sources are one source;
+    ids may repeat or be null, equal rows are read each for itself, texts may be of any length. Extra columns, whatever
+    their names, are not read. An empty table gives no rows.
     """
     mix = plan(docs, id_col, text_col, source_col, weights)
     slots = schedule(docs.sparkSession, mix)
     uses = slots.groupBy("k", "block").agg(
-        F.sum((F.col("take") == F.col("length")).cast("long")).alias("whole"), F.max(F.when(F.col("take") < F.col("length"), F.col("take"))).alias("cut")
+        F.sum((F.col("take") == F.col("length")).cast("long")).alias("whole"), F.max(F.when(F.col("take") < F.col("length"), F.col("take"))).alias("cut"),
+        F.sort_array(F.collect_list("slot")).alias("slots"),  # one an epoch
     )
     b = mix.block
     rows = written(mix.rows, "rows")
@@ -161,32 +164,39 @@ def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sourc
     high = F.least(F.col("offset") + F.col("size") - F.col("block") * b, F.lit(b))
     pieces = pieces.select("uid", "k", "block", low.alias("low"), high.alias("high")).join(uses, ["k", "block"])
     took = F.col("whole") * (F.col("high") - F.col("low")) + F.greatest(F.least(F.col("high"), F.coalesce("cut", F.lit(0))) - F.col("low"), F.lit(0))
-    taken = pieces.groupBy("uid").agg(F.sum(took).alias("taken"))
+    taken = pieces.withColumn("took", took).groupBy("uid").agg(F.sum("took").alias("taken"), F.min_by("slots", F.when(F.col("took") > 0, F.col("block"))).alias("slots"))
     source = mix.sources.select("k", F.col("size").alias("source_size"), "target")
     out = rows.join(taken, "uid", "left").join(mix.small(source), "k")
-    return out.select("uid", "id", "text_hash", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"))
+    return out.select("uid", "id", "text_hash", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"), F.when(F.col("taken") > 0, F.col("slots")).alias("slots"))
 
 
 def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
     """The rows of ``docs`` as often as the mix takes them, to the nearest whole number, with all columns.
 
-    A row that the mix takes less than half of, or without words, is left out.
+    Rows come in the order of the schedule: partitions are ranges of its slots, each sorted by slot, and a copy stands
+    where its turn is. A row that the mix takes less than half of, or without words, is left out; equal rows come as
+    often each. An empty table gives no rows.
     """
     share = F.sum("taken") / F.greatest(F.sum("size"), F.lit(1))
-    h, of_id, of_h, times, copy = fresh(docs, "h", "of_id", "of_h", "times", "copy")
-    taken = mixed(docs, id_col, text_col, source_col, weights).groupBy("id", "text_hash").agg(F.floor(share + 0.5).cast("int").alias(times))
-    taken = written(taken.where(F.col(times) > 0).select(F.col("id").alias(of_id), F.col("text_hash").alias(of_h), times), "times")
+    h, of_id, of_h, times, slots, copy, slot = fresh(docs, "h", "of_id", "of_h", "times", "slots", "copy", "slot")
+    mix = mixed(docs, id_col, text_col, source_col, weights)
+    taken = mix.groupBy("id", "text_hash").agg(F.floor(share + 0.5).cast("int").alias(times), F.min("slots").alias(slots))
+    taken = written(taken.where(F.col(times) > 0).select(F.col("id").alias(of_id), F.col("text_hash").alias(of_h), times, slots), "times")
     marked = docs.withColumn(h, F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
     found = marked.join(taken, (F.col(h) == F.col(of_h)) & F.col(id_col).eqNullSafe(F.col(of_id)))
-    return found.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    found = found.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times))))
+    found = found.withColumn(slot, F.get(F.col(slots), F.least(F.col(copy), F.size(slots)) - 1))
+    names = [F.col(f"`{c}`") for c in docs.columns]
+    return found.select(*names, slot, h, copy).repartitionByRange(F.col(slot), F.col(h), F.col(copy)).sortWithinPartitions(slot, h, copy).select(*names)
 
 
 def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return mixed(docs).select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken")
+    return mixed(docs).select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken", F.coalesce(F.get("slots", F.lit(0)), F.lit(-1)).alias("first_slot"))
 
 
-#: What the schedule amounts to: each source's line is read in hash order, over and over, up to its target.
+#: Words taken, in closed form: each source's line is read in hash order, over and over, up to its target. The slot of a
+#: document's first block: by drawing all points of the schedule.
 SQL = r"""
 WITH d AS (
     SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size,
@@ -211,9 +221,37 @@ WITH d AS (
     SELECT u.*, source_size, target, round(target)::BIGINT AS words,
            (sum(u.size) OVER (PARTITION BY u.source ORDER BY chunk, h, doc_id ROWS UNBOUNDED PRECEDING) - u.size)::BIGINT AS pos
     FROM u JOIN t ON u.source IS NOT DISTINCT FROM t.source
+),
+b AS (SELECT greatest(1, least(4096, sum(size) // (1024 * greatest(1, count(*)))))::BIGINT AS block FROM s),
+v AS (
+    SELECT r.source, row_number() OVER (ORDER BY r.source NULLS LAST) AS k, r.size, block, round(t.target)::BIGINT AS words, ceil(r.size / block)::BIGINT AS blocks
+    FROM r JOIN t ON r.source IS NOT DISTINCT FROM t.source, b
+), w AS (
+    SELECT *, words // greatest(size, 1) * blocks + ceil(words % greatest(size, 1) / block)::BIGINT AS turns FROM v
+), x AS (
+    SELECT *, (sum(turns) OVER (ORDER BY k) - turns)::BIGINT AS low, (sum(turns) OVER (ORDER BY k))::BIGINT AS high, (sum(turns) OVER ())::BIGINT AS n FROM w
+), y AS (
+    SELECT j AS slot, floor((j::HUGEINT * GOLDEN % 4503599627370496)::DOUBLE / 4503599627370496.0::DOUBLE * (SELECT max(n) FROM x))::BIGINT AS spot FROM range((SELECT max(n) FROM x)) q(j)
+), z AS (
+    SELECT k, slot, row_number() OVER (PARTITION BY k ORDER BY slot) - 1 AS rank FROM y JOIN x ON spot >= low AND spot < high
+), g AS (
+    SELECT k, slot, rank FROM z UNION ALL
+    SELECT x.k, n, unnest(range(coalesce(c, 0), turns)) FROM x LEFT JOIN (SELECT k, count(*) AS c FROM z GROUP BY k) USING (k)
+), h AS (
+    SELECT k, rank % blocks AS cell, slot, least(block, size - rank % blocks * block) AS length,
+           least(least(block, size - rank % blocks * block), words - (rank // blocks * size + rank % blocks * block)) AS take
+    FROM g JOIN x USING (k) WHERE rank < turns
+), i AS (
+    SELECT k, cell, count(*) FILTER (take = length) AS whole, max(take) FILTER (take < length) AS cut, min(slot) AS slot FROM h GROUP BY k, cell
+), p AS (
+    SELECT doc_id, pos, o.size, k, block, unnest(range(pos // block, (pos + o.size - 1) // block + 1)) AS cell FROM o JOIN x ON o.source IS NOT DISTINCT FROM x.source WHERE o.size > 0
+), f AS (
+    SELECT doc_id, min_by(i.slot, cell) AS first_slot FROM p JOIN i USING (k, cell)
+    WHERE whole > 0 OR least(pos + size - cell * block, block, coalesce(cut, 0)) > greatest(pos - cell * block, 0) GROUP BY doc_id
 )
 SELECT doc_id, size, source_size, target,
        CASE WHEN size = 0 THEN 0
-            ELSE words // source_size * size + greatest(0, least(pos + size, words % source_size) - pos) END::BIGINT AS taken
-FROM o
-"""
+            ELSE words // source_size * size + greatest(0, least(pos + size, words % source_size) - pos) END::BIGINT AS taken,
+       coalesce(first_slot, -1) AS first_slot
+FROM o LEFT JOIN f USING (doc_id)
+""".replace("GOLDEN", str(GOLDEN_HIGH << 26 | GOLDEN_LOW))

@@ -18,6 +18,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_near_dedup": near_dedup.op5_near_dedup,
         "op6_substring_dedup": substring_dedup.op6_substring_dedup,
         "op7_media": media.op7_media,
+        "media_page_sequences": media.page_sequences,
         "op8_warc": archives.op8_warc,
         "op9_packing": packing.op9_packing,
         "op10_exact_dedup": exact_dedup.op10_exact_dedup,

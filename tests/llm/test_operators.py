@@ -1,6 +1,7 @@
 """Every operator on whole small tables and on awkward rows, against plain computations."""
 
 import hashlib
+import html
 import io
 import re
 import zlib
@@ -169,12 +170,45 @@ def test_schedule_is_spread_evenly(spark, sf_dir):
         assert abs(len(part) / (len(slots) // 2) - share[k]) < 0.02
 
 
+def test_words_taken_and_slots_are_those_of_reading_the_schedule(spark, sf_dir, awkward):
+    """Every slot in order reads its block; words and first places of each document are counted as they come."""
+    for docs in (spark.read.parquet(f"{sf_dir}/documents.parquet"), awkward):
+        mix = mixing.plan(docs)
+        slots = sorted(mixing.schedule(spark, mix).collect(), key=lambda r: (r["slot"], r["k"], r["rank"]))
+        lines = defaultdict(list)
+        for r in sorted(mix.rows.collect(), key=lambda r: (r["k"], r["offset"], r["uid"])):
+            lines[r["k"]] += [r["uid"]] * r["size"]
+        taken, first = Counter(), {}
+        for r in slots:
+            block = lines[r["k"]][r["block"] * mix.block : (r["block"] + 1) * mix.block]
+            for uid in block[: max(0, r["take"])]:
+                taken[uid] += 1
+                first.setdefault(uid, {}).setdefault(r["block"], r["slot"])
+        got = mixing.mixed(docs).collect()
+        assert Counter({r["uid"]: r["taken"] for r in got if r["taken"]}) == taken
+        for r in got:
+            places = first.get(r["uid"])
+            assert (r["slots"] or [None])[0] == (places[min(places)] if places else None)
+
+
+def test_repeated_documents_come_in_the_order_of_the_schedule(spark, sf_dir):
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    got = [r["doc_id"] for r in mixing.repeated(docs).withColumn("p", F.spark_partition_id()).withColumn("m", F.monotonically_increasing_id()).orderBy("m").collect()]
+    slots = {r["id"]: r["slots"] for r in mixing.mixed(docs).collect()}
+    seen, places = Counter(), []
+    for i in got:
+        places.append(slots[i][min(seen[i], len(slots[i]) - 1)])
+        seen[i] += 1
+    assert places == sorted(places) and len(got) > 0
+
+
 def test_mixing_awkward_rows(awkward, nothing):
     got = mixing.mixed(awkward).collect()
     assert len(got) == len(AWKWARD) and mixing.mixed(nothing).count() == 0
     assert sum(r["size"] for r in got) == sum(len(re.findall(r"[^\x20\x09-\x0D]+", r[1] or "")) for r in AWKWARD)
     kept = mixing.repeated(awkward)
     assert kept.columns == awkward.columns and kept.where("text is null or trim(text) = ''").count() == 0
+    assert mixing.repeated(nothing).count() == 0
 
 
 # 3 and 4
@@ -479,17 +513,72 @@ def test_loser_tree_merges_and_knows_prefixes():
 # 7
 
 
-def test_media_round_trip(spark, sf_dir, documents):
-    got = {r["doc_id"]: r for r in queries.queries()["op7_media"](spark, sf_dir).collect()}
-    assert len(got) == len(documents)
-    for i, text in documents:
-        data = (text or "").encode()
+def plain_features(samples):
+    bins, steps = [0] * 8, 0
+    for i, x in enumerate(samples):
+        bins[x // 32] += 1
+        steps += abs(x - samples[i - 1]) if i else 0
+    return ",".join(map(str, [*bins, sum(samples), steps]))
+
+
+def check_media(got, docs):
+    by = Counter()
+    for r in got:
+        by[r["doc_id"], r["n_bytes"], r["payload_bytes"], r["payload_sha256"], r["tail_crc32"], r["media_bytes"], r["media_sha256"], r["feature"], r["position"], r["n_parts"], r["caption"]] += 1
+    want = Counter()
+    for i, text in docs:
+        text = text or ""
+        data = text.encode()
         padded = data.ljust(max(1, -(-len(data) // 64)) * 64, b"\0")
         image = b"P5\n64 %d\n255\n" % (len(padded) // 64) + padded
-        r = got[i]
-        assert (r["n_bytes"], r["payload_bytes"], r["payload_sha256"]) == (len(data), len(padded), hashlib.sha256(padded).hexdigest())
-        assert r["tail_crc32"] == zlib.crc32(padded[-64:])
-        assert (r["media_bytes"], r["media_sha256"]) == (len(image), hashlib.sha256(image).hexdigest())
+        lines = [" ".join(x.split()) for x in text.split("\n")]
+        before = sum(map(bool, lines[: (len(lines) + 1) // 2]))
+        want[i, len(data), len(padded), hashlib.sha256(padded).hexdigest(), zlib.crc32(padded[-64:]), len(image), hashlib.sha256(image).hexdigest(), plain_features(padded), before, sum(map(bool, lines)) + 1, lines[0]] += 1
+    assert by == want
+
+
+def test_media_round_trip(spark, sf_dir, documents):
+    check_media(queries.queries()["op7_media"](spark, sf_dir).collect(), [tuple(r) for r in documents])
+
+
+def test_media_awkward_rows(spark, nothing, tmp_path):
+    docs = [r for r in AWKWARD if r[1] is None or "\0" not in r[1]] + rows("<b>&amp; \"x\" 'y' </figure>", "one\ntwo\n\n three  four\n", "a" * 300_000, start=50)
+    spark.createDataFrame(docs, SCHEMA).write.parquet(f"{tmp_path}/documents.parquet")
+    check_media(media.op7_media(spark, str(tmp_path)).collect(), [r[:2] for r in docs])
+    for frame in (media.document_pages(nothing), media.store(nothing), media.interleave(nothing, "text"), media.interleave(media.document_pages(nothing))):
+        assert frame.count() == 0
+    pages = spark.createDataFrame([(1, "<p>a<img src=x alt=y>b", "kept", "old"), (2, None, "kept", "old"), (3, "", "kept", "old"), (3, "<img src=x><img src=z>", None, None), (4, "<figure><figcaption>never closed", "k", "o")], "id long, html string, ref string, parts string")
+    got = media.interleave(pages)
+    assert got.columns == pages.columns and [len(r["parts"] or []) for r in got.collect()] == [3, 0, 0, 2, 1]
+    known = spark.createDataFrame([("x", 7)], "ref string, size long")
+    met = media.resolve(got, known, "id").collect()
+    assert sorted((r["id"], r["position"], r["caption"], r["ref"], r["size"]) for r in met if r["ref"] != "z") == sorted([(1, 1, "y", "x", 7), (3, 0, None, "x", 7)], key=str)
+    assert [r["size"] for r in met if r["ref"] == "z"] == [None]
+    assert media.resolve(media.interleave(pages.limit(0)), known, "id").count() == 0
+
+
+def test_sequences_of_documents_hold_the_whole_text(spark, documents):
+    docs = spark.createDataFrame([tuple(r) for r in documents], "doc_id long, text string")
+    got = {r["id"]: r["parts"] for r in media.interleave(media.document_pages(docs)).collect()}
+    for i, text in documents:
+        assert [p["text"] for p in got[i] if p["kind"] == "text"] == [x for x in (" ".join(y.split()) for y in (text or "").split("\n")) if x]
+        assert [p["position"] for p in got[i]] == list(range(len(got[i]))) and sum(p["kind"] == "image" for p in got[i]) == 1
+
+
+def test_sequences_of_web_pages(spark, sf_dir):
+    got = queries.queries()["media_page_sequences"](spark, sf_dir).collect()
+    pages = {r["page_id"]: r["html"] for r in spark.read.parquet(f"{sf_dir}/pages.parquet").collect()}
+    assert {r["page_id"] for r in got} <= set(pages) and len(got) > 3 * len(pages)
+    by = defaultdict(list)
+    for r in got:
+        by[r["page_id"]].append(r)
+    for i, parts in by.items():
+        parts.sort(key=lambda r: r["position"])
+        assert [r["position"] for r in parts] == list(range(len(parts)))
+        plain = re.sub(r"(?s)<(script|style)\b.*?</\1>|<!--.*?-->", " ", pages[i] or "")
+        assert Counter("".join((r["text"] or "") + (r["caption"] or "") for r in parts).replace(" ", "")) <= Counter(html.unescape(plain))
+        media_refs = re.findall(r"<(?:img|audio|video)\b[^>]*?src=[\"']?([^\"'\s>]+)", re.sub(r"(?s)<!--.*?-->", " ", pages[i] or ""))
+        assert [r["ref"] for r in parts if r["ref"]] == [html.unescape(x) for x in media_refs]
 
 
 def test_sequences_keep_order_positions_and_captions():
@@ -499,10 +588,6 @@ def test_sequences_keep_order_positions_and_captions():
     assert media.parse_sequence(None) == media.parse_sequence("") == []
 
 
-def test_media_awkward_rows(awkward, nothing):
-    assert media.document_pages(awkward).count() == len(AWKWARD) and media.document_pages(nothing).count() == 0
-
-
 # 8
 
 PAGE = "page_id long, url string, html string, target string"
