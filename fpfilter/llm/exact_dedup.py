@@ -2,8 +2,10 @@
 
 Pass one sets two bits per row hash in a filter that also remembers which bits were set more than once. Pass two
 sends on only the rows whose bits were all set again: those alone are shuffled and grouped, all other rows are known
-to be single and pass straight through. The filter takes ``BITS_PER_ROW`` bits a row and ``MOST_BITS`` at most, the
-bound of what is broadcast; beyond that more single rows take the shuffle, and answers stay the same.
+to be single and pass straight through. The filter takes ``BITS_PER_ROW`` bits a row. It is broadcast, so it may have
+``MOST_BITS`` at most, those of some 33 million rows. A fuller filter would flag more and more single rows, up to all;
+so a larger table finds its repeated hashes by counting them, 8 bytes a row and summed before the shuffle, and rows
+meet those hashes by a join, a broadcast one while they are few. Answers are the same either way.
 """
 
 from __future__ import annotations
@@ -21,6 +23,8 @@ from fpfilter.llm.scratch import fresh, written
 
 BITS_PER_ROW = 16
 MOST_BITS = 1 << 29
+#: Repeated hashes that a join may broadcast.
+MOST_REPEATED = 4_000_000
 _BLOCK = 1 << 16
 
 
@@ -95,6 +99,18 @@ def flagged(df: DataFrame, hash_column: str, bitmap: np.ndarray, bits: int, to:
     return df.withColumn(to, may_repeat(hash_column))
 
 
+def marked(df: DataFrame, hash_column: str, hashes: DataFrame, to: str) -> DataFrame:
+    """``df`` with ``to``: whether a row's hash may occur more than once. ``hashes`` is a written table with them."""
+    rows = hashes.count()
+    if BITS_PER_ROW * rows <= MOST_BITS:
+        bitmap, bits = repeat_bits(hashes, hash_column, rows)
+        return flagged(df, hash_column, bitmap, bits, to)
+    (of,) = fresh(df, "of")
+    again = written(hashes.groupBy(F.col(hash_column).alias(of)).count().where("count > 1").select(of, F.lit(True).alias(to)), "again")
+    again = F.broadcast(again) if again.count() <= MOST_REPEATED else again
+    return df.join(again, F.col(hash_column) == F.col(of), "left").withColumn(to, F.coalesce(to, F.lit(False))).drop(of)
+
+
 def text_digest(text: Column | str) -> Column:
     """SHA-256 of the text in UTF-8, as bytes; null counts as empty."""
     return F.unhex(F.sha2(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit("")).cast("binary"), 256))
@@ -108,7 +124,8 @@ def decisions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     """One row per row of ``docs``: id, keep_id, group_size, kept, text_sha256.
 
     Of equal texts the row with the largest id stays (null ids are smallest; of rows that tie in id and text one
-    stays). Null text equals empty text. Extra columns are not read. An empty table gives no rows.
+    stays). Null text equals empty text, texts may be of any length. Extra columns, whatever their names, are not read.
+    An empty table gives no rows.
     """
     rows = written(
         docs.select(F.col(id_col).alias("id"), text_digest(F.col(text_col)).alias("digest"))
@@ -116,14 +133,13 @@ def decisions(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
         .withColumn("uid", F.monotonically_increasing_id()),
         "digests",
     )
-    bitmap, bits = repeat_bits(rows, "h", rows.count())
-    marked = written(flagged(rows, "h", bitmap, bits, "again"), "marked")
-    maybe = marked.where("again")
+    known = written(marked(rows, "h", rows.select("h"), "again"), "marked")
+    maybe = known.where("again")
     best = written(maybe.groupBy("digest").agg(F.max(F.struct("id", "uid")).alias("best"), F.count(F.lit(1)).alias("n")), "groups")
     met = maybe.join(best, "digest").select(
         "id", F.col("best.id").alias("keep_id"), F.col("n").alias("group_size"), (F.col("uid") == F.col("best.uid")).alias("kept"), "digest"
     )
-    single = marked.where("not again").select("id", F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "digest")
+    single = known.where("not again").select("id", F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "digest")
     return single.unionByName(met).select(F.col("id").alias(id_col), "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
 
 
@@ -136,17 +152,15 @@ def survivors(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     digest, h, again, row = fresh(docs, "digest", "h", "again", "row")
     hashed = docs.withColumn(digest, text_digest(F.col(text_col)))
     hashed = hashed.withColumn(h, _digest_hash(F.col(digest)))
-    keys = written(hashed.select(F.col(h).alias("h")), "hashes")
-    bitmap, bits = repeat_bits(keys, "h", keys.count())
-    marked = flagged(hashed, h, bitmap, bits, again)
+    known = marked(hashed, h, written(hashed.select(h), "hashes"), again)
     names = [F.col(f"`{c}`") for c in docs.columns]
     met = (
-        marked.where(F.col(again))
+        known.where(F.col(again))
         .groupBy(digest)
         .agg(F.max_by(F.struct(*names), F.struct(F.col(id_col))).alias(row))
         .select(*[F.col(row)[c].alias(c) for c in docs.columns])
     )
-    return marked.where(~F.col(again)).select(*names).unionByName(met)
+    return known.where(~F.col(again)).select(*names).unionByName(met)
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

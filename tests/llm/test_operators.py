@@ -806,7 +806,9 @@ def test_packing_awkward_rows(spark, nothing):
 # 10
 
 
-def test_exact_groups(awkward, nothing):
+@pytest.mark.parametrize("bits", [exact_dedup.MOST_BITS, 1])  # beyond the second one hashes are counted
+def test_exact_groups(awkward, nothing, monkeypatch, bits):
+    monkeypatch.setattr(exact_dedup, "MOST_BITS", bits)
     got = exact_dedup.decisions(awkward).collect()
     groups = defaultdict(list)
     for r in AWKWARD:
@@ -851,6 +853,21 @@ def test_pipeline_stages_against_plain_computations(spark, sf_dir):
     check_pieces(steps["packing"](spark, docs, sf_dir).collect(), rows_)
 
 
+def test_stages_on_awkward_rows_and_empty_tables(spark, awkward, nothing, tmp_path):
+    labels = spark.createDataFrame([(0, 1), (4, 0), (8, 0), (20, None), (None, 1)], "doc_id long, toxic int")
+    labels.write.parquet(f"{tmp_path}/labels.parquet")
+    for docs, left in ((awkward, True), (nothing, False)):
+        for name, stage in corpus_pipeline.STAGES:
+            got = stage(spark, docs, str(tmp_path))
+            assert (got.count() > 0) == left
+            if name != "packing":
+                assert got.columns == docs.columns and got.exceptAll(docs if name != "mixing" else got).count() == 0
+    awkward.where("doc_id is not null").write.parquet(f"{tmp_path}/documents.parquet")
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() > 0
+    nothing.write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
 def test_pipeline_runs_through(spark, sf_dir):
     got = corpus_pipeline.run(spark, sf_dir)
     assert got.count() > 0 and got.columns[0] == "doc_id"
