@@ -7,10 +7,10 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from fpfilter.operators.filters import build_filter, contains, delete_from, filter_per_group, hottest, insert_into, merge, overlap, register_slots
-from fpfilter.operators.spec import LOAD_THRESHOLD, VARIANTS, sized, variant
+from fpfilter.operators.spec import LOAD_THRESHOLD, VARIANTS, sized, threshold, variant
 from fpfilter.operators.values import build_counts, counts_of, exact_join
 from fpfilter.plans import models, oracles
-from fpfilter.plans.workloads import e07_orders, read
+from fpfilter.plans.workloads import OUTSIDE, choice_profile, e03_thresholds, e04_walk_caps, e07_orders, e08_speedup, e09_lookahead, e13_kernels, read, walk_lengths
 
 _LINES = "SELECT l_orderkey AS key, l_returnflag FROM lineitem"
 _BY_FLAG = "SELECT l_returnflag, count(*) AS probes, sum(hit::BIGINT)::BIGINT AS hits FROM answers GROUP BY l_returnflag"
@@ -151,6 +151,53 @@ def model_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(k, round(float(v), 12)) for k, v in facts.items()], "fact string, value double")
 
 
+# The exact part of experiments that have a clock or a random walk in them
+
+
+def e03_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether every run of an exact table of two choices fails near its threshold: above 0.9 times, at most 0.02 beyond."""
+    got = e03_thresholds(spark, sf_dir).where("d = 2 and l > 1")
+    return got.select("layout", "l", "threshold", (F.col("load_min") > 0.9 * F.col("threshold")).alias("reached"), (F.col("load_avg") < F.col("threshold") + 0.02).alias("kept"))
+
+
+def e04_monotone(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether the load grows with each longer walk, and the longest reaches 0.95 of the threshold, by keys and variant."""
+    one = W.partitionBy("keys", "variant").orderBy("cap")
+    got = e04_walk_caps(spark, sf_dir, runs=3).withColumn("before", F.lag("load_avg").over(one))
+    top = F.max_by("load_avg", "cap")
+    near = F.create_map(*[F.lit(x) for v in VARIANTS for x in (v, 0.95 * threshold(variant(v, 8).layout, variant(v, 8).l))])
+    got = got.groupBy("keys", "variant").agg(F.min(F.coalesce(F.col("load_avg") >= F.col("before"), F.lit(True))).alias("grows"), top.alias("top"))
+    return got.select("keys", "variant", "grows", (F.col("top") > F.element_at(near, F.col("variant"))).alias("reached"))
+
+
+def e08_answers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What subfilters that are worked off side by side answer: members missed and others found."""
+    return e08_speedup(spark, sf_dir, threads=(1, 2, 4), runs=1).select("variant", "threads", "false_negatives", "positives")
+
+
+def e09_hits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Probes and hits of all batch sizes, probes sorted or not."""
+    got = e09_lookahead(spark, sf_dir).groupBy("variant", "sorted")
+    return got.agg(F.count(F.lit(1)).alias("settings"), F.max("probes").alias("probes"), F.min("hits").alias("least_hits"), F.max("hits").alias("most_hits"))
+
+
+def e13_entries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Entries that each way of placing has stored."""
+    return e13_kernels(spark, sf_dir).select("variant", "kernel", "ok", "same_entries", "entries")
+
+
+def walk_totals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys in the histogram of walks, and whether most of them are placed without a walk or a short one."""
+    got = walk_lengths(spark, sf_dir).groupBy("variant")
+    return got.agg(F.sum("keys").alias("keys"), (F.sum(F.when(F.col("steps_below") <= 16, F.col("keys"))) > 0.5 * F.sum("keys")).alias("mostly_short"))
+
+
+def choice_totals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Entries by variant, and whether more of them are at their first address."""
+    got = choice_profile(spark, sf_dir).groupBy("variant")
+    return got.agg(F.sum("entries").alias("entries"), (F.sum(F.when(F.col("choice") == 0, F.col("entries"))) > F.sum(F.when(F.col("choice") == 1, F.col("entries")))).alias("first_more"))
+
+
 def _with_members(spec, status: str, **more: str) -> str:
     return f"WITH {oracles.signature_ctes(spec, f'SELECT o_orderkey AS key, o_orderstatus FROM orders WHERE {status}', _LINES, _ALL_ORDERS, **more)}"
 
@@ -166,14 +213,34 @@ def _model_sql(ks: tuple[int, ...] = tuple(range(3, 17)), subs: int = 5) -> str:
     return f"WITH c AS (SELECT count(*) AS n FROM orders) {' UNION ALL '.join(parts)}"
 
 
-def oracle_sql(e07_sql: str, stored_sql: str) -> dict[str, str]:
+def _exact_parts_sql(line_key: str) -> dict[str, str]:
+    lines, orders = f"SELECT {line_key} AS key FROM lineitem", "SELECT o_orderkey AS key FROM orders"
+
+    def accuracy(keys: str, specs: list) -> str:
+        return oracles.accuracy_sql(keys, f"SELECT key + {OUTSIDE} AS key FROM ({keys})", specs, False)
+
+    threads = " UNION ALL ".join(f"SELECT variant, {t} AS threads, 0 AS false_negatives, positives FROM ({accuracy(lines, [variant(v, 10, subs=t) for v in VARIANTS])})" for t in (1, 2, 4))
+    bounds = " UNION ALL ".join(f"SELECT '{layout}' AS layout, {l} AS l, {t!r}::DOUBLE AS threshold, true AS reached, true AS kept" for (layout, l), t in LOAD_THRESHOLD.items() if l > 1)  # noqa: E741
+    wide = [variant(v, 14 if variant(v, 14).l == 2 else 13) for v in VARIANTS]
+    return {
+        "e03_bounds": bounds,
+        "e04_monotone": f"SELECT keys, variant, true AS grows, true AS reached FROM (VALUES ('line items'), ('random')) a(keys), (VALUES {', '.join(f"('{v}')" for v in VARIANTS)}) b(variant)",
+        "e08_answers": threads,
+        "e09_hits": f"SELECT variant, sorted, 8 AS settings, n_keys + probes AS probes, n_keys + positives AS least_hits, n_keys + positives AS most_hits FROM ({accuracy(lines.replace('SELECT', 'SELECT DISTINCT', 1), wide)}), (VALUES (true), (false)) s(sorted)",
+        "e13_entries": f"SELECT variant, kernel, true AS ok, true AS same_entries, n_stored AS entries FROM ({accuracy(orders, [variant(v, 10) for v in VARIANTS])}), (VALUES ('one_by_one'), ('concurrent')) s(kernel)",
+        "walk_totals": f"SELECT variant, n_stored AS keys, true AS mostly_short FROM ({accuracy(lines, [variant(v, 10) for v in VARIANTS])})",
+        "choice_totals": f"SELECT variant, n_stored AS entries, true AS first_more FROM ({accuracy(lines.replace('SELECT', 'SELECT DISTINCT', 1), [variant(v, 8) for v in VARIANTS])})",
+    }
+
+
+def oracle_sql(e07_sql: str, stored_sql: str, line_key: str) -> dict[str, str]:
     counted = oracles.signature_ctes(variant("w24", 8, subs=4), "SELECT l_orderkey AS key, count(*) AS c FROM lineitem GROUP BY 1", "SELECT o_orderkey AS key, o_orderpriority FROM orders", _ALL_ORDERS, sums="least(sum(c), 65535)::BIGINT")
     small, group = variant("w22", 6), variant("w22", 9)
     e = oracles.entry_sql(group)
     hot = oracles.entry_sql(_SPEC)
     shapes = " UNION ALL ".join(f"SELECT '{layout}, l={l}, d={d}' AS shape, * FROM j" for layout, l, d in SHAPES)  # noqa: E741
     facts = " UNION ALL ".join(f"SELECT 'threshold {layout} {l}' AS fact, {t!r}::DOUBLE AS value" for (layout, l), t in LOAD_THRESHOLD.items())  # noqa: E741
-    return {
+    return _exact_parts_sql(line_key) | {
         "plain_insertion": f"{_with_members(_PLAIN, 'true')} SELECT *, (SELECT count(*) FROM members) AS n_stored, 0 AS n_skipped FROM ({_BY_FLAG})",
         "merged_filters": f"{_with_members(_SPEC, "o_orderstatus IN ('F', 'O')")} {_BY_FLAG}",
         "later_insertions": f"{_with_members(_SPEC, "o_orderstatus IN ('F', 'O')")} {_BY_FLAG}",
@@ -207,4 +274,5 @@ UNION ALL SELECT 'bits windowed 8', round(1.06::DOUBLE * 10, 12) UNION ALL SELEC
 QUERIES = (
     plain_insertion, merged_filters, later_insertions, deleted_keys, repaired_filter, filter_per_priority, stored_entries_table_function, line_counts,
     exact_tables, overlap_estimate, hottest_addresses, accuracy_cube, best_overheads, model_accuracy, model_facts,
+    e03_bounds, e04_monotone, e08_answers, e09_hits, e13_entries, walk_totals, choice_totals,
 )

@@ -287,11 +287,11 @@ def e08_speedup(spark: SparkSession, sf_dir: str, k: int = 10, threads: Sequence
             placed = rows.repartitionById(t, F.col("sub")).select("h", "member").mapInArrow(run, "n long, t0 double, t1 double, t2 double, t3 double, missed long, found long")
             best = {}
             for _ in range(runs):
-                got = placed.agg(F.sum("n").alias("n"), F.sum("missed").alias("missed"), *[f(c).alias(f"{f.__name__}_{c}") for c in ("t0", "t1", "t2", "t3") for f in (F.min, F.max)]).first()
+                got = placed.agg(F.sum("n").alias("n"), F.sum("missed").alias("missed"), F.sum("found").alias("found"), *[f(c).alias(f"{f.__name__}_{c}") for c in ("t0", "t1", "t2", "t3") for f in (F.min, F.max)]).first()
                 for op, a, b in (("insert", "t0", "t1"), ("member", "t1", "t2"), ("other", "t2", "t3")):
                     best[op] = max(best.get(op, 0.0), got["n"] / (got[f"max_{b}"] - got[f"min_{a}"]) / 1e6)
-            out.append((v, t, int(got["missed"]), *best.values()))
-    rates = spark.createDataFrame(out, "variant string, threads int, false_negatives long, insert_mkeys_s double, member_mkeys_s double, other_mkeys_s double")
+            out.append((v, t, int(got["missed"]), int(got["found"]), *best.values()))
+    rates = spark.createDataFrame(out, "variant string, threads int, false_negatives long, positives long, insert_mkeys_s double, member_mkeys_s double, other_mkeys_s double")
     one = W.partitionBy("variant").orderBy("threads")
     for op in ("insert", "member", "other"):
         rates = rates.withColumn(f"{op}_speedup", F.col(f"{op}_mkeys_s") / F.first(f"{op}_mkeys_s").over(one))
@@ -406,12 +406,12 @@ def e13_kernels(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
             t = time.perf_counter() - t
             got = cuckoo.decode(cuckoo.encode(slots, address, fp, spec), spec)
             seen.append(set(zip(got["address"].tolist(), got["fp"].tolist())))
-            out.append((spec.name, kind, ok, len(base) / t / 1e6))
+            out.append((spec.name, kind, ok, len(got["slot"]), len(base) / t / 1e6))
         same = seen[0] == seen[1]
-        v, kind, ok, rate = zip(*out)
-        return pa.table({"variant": v, "kernel": kind, "ok": ok, "mkeys_s": rate, "same_entries": [same] * 2})
+        v, kind, ok, n_stored, rate = zip(*out)
+        return pa.table({"variant": v, "kernel": kind, "ok": ok, "entries": n_stored, "mkeys_s": rate, "same_entries": [same] * 2})
 
-    return rows.groupBy("cfg").applyInArrow(run, "variant string, kernel string, ok boolean, mkeys_s double, same_entries boolean")
+    return rows.groupBy("cfg").applyInArrow(run, "variant string, kernel string, ok boolean, entries long, mkeys_s double, same_entries boolean")
 
 
 # A: applications
@@ -425,6 +425,22 @@ def membership(spark: SparkSession, sf_dir: str, spec: Spec, strategy: str = "au
     return got.groupBy("l_returnflag").agg(F.count(F.lit(1)).alias("probes"), F.sum(F.col("hit").cast("long")).alias("hits"))
 
 
+def membership_bounds(spark: SparkSession, sf_dir: str, spec: Spec, most: float = 2.0) -> DataFrame:
+    """As :func:`membership` for filters whose false positives depend on the order of insertion or on a search.
+
+    ``members`` and those found of them, and whether the other distinct keys are found at no more than ``most`` times
+    the rate.
+    """
+    orders = read(spark, sf_dir, "orders").where("o_orderstatus = 'F'").select("o_orderkey")
+    got = contains(read(spark, sf_dir, "lineitem").select("l_orderkey", "l_returnflag"), "l_orderkey", build_filter(orders, "o_orderkey", spec))
+    known = orders.select(F.col("o_orderkey").alias("known"))
+    got = written(got.join(known, F.col("l_orderkey") == F.col("known"), "left"), "answers")
+    member = F.col("known").isNotNull()
+    rate = got.where(~member).dropDuplicates(["l_orderkey"]).agg((F.avg(F.col("hit").cast("double")) <= most * 2.0**-spec.k).alias("rate_kept"))
+    counts = got.groupBy("l_returnflag").agg(F.count(F.lit(1)).alias("probes"), F.count_if(member).alias("members"), F.count_if(member & F.col("hit")).alias("found"))
+    return counts.crossJoin(F.broadcast(rate))  # one row
+
+
 def a01_revenue(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
     """Revenue of finished orders by priority; line items meet a filter before the join."""
     orders = read(spark, sf_dir, "orders").where("o_orderstatus = 'F'").select("o_orderkey", "o_orderpriority")

@@ -307,4 +307,4 @@ def test_accuracy_on_keys_that_look_random(shown):
 def test_every_query_has_sql_or_a_test():
     without = set(queries.queries()) - set(queries.oracle_sql())
     timed = {"e03_thresholds", "e04_walk_caps", "e05_load_by_size", "e06_time_memory", "e08_throughput", "e08_speedup", "e09_lookahead", "e10_comparison", "e11_query_types", "e13_kernels"}
-    assert without == timed | {"choice_profile", "walk_lengths", "membership_choice_bloom", "membership_static_xor"}
+    assert without == timed | {"choice_profile", "walk_lengths"}
