@@ -308,3 +308,22 @@ def test_every_query_has_sql_or_a_test():
     without = set(queries.queries()) - set(queries.oracle_sql())
     timed = {"e03_thresholds", "e04_walk_caps", "e05_load_by_size", "e06_time_memory", "e08_throughput", "e08_speedup", "e09_lookahead", "e10_comparison", "e11_query_types", "e13_kernels"}
     assert without == timed | {"choice_profile", "walk_lengths"}
+
+
+def test_filter_as_state_of_a_stream(spark, tmp_path):
+    from fpfilter.streaming import stateful
+
+    for i, (low, high) in enumerate([(0, 60), (30, 90), (0, 100)]):
+        frame = spark.range(low, high).select(F.col("id").alias("key"), (F.col("id") + 1000 * i).alias("t"), F.lit("x").alias("sub"))
+        frame.unionByName(frame.limit(1).withColumn("key", F.lit(None).cast("long"))).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    spark.conf.set(*stateful.STORE)
+    try:
+        for _ in range(2):  # the second run has nothing new
+            stream = spark.readStream.schema("key long, t long, sub string").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+            first = stateful.first_seen(stream, "key", variant("w24", 20, subs=3), 400)
+            query = first.writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "check")).trigger(availableNow=True).start()
+            query.awaitTermination()
+            got = spark.read.parquet(str(tmp_path / "out"))
+            assert got.columns == ["key", "t", "sub"] and sorted(r["key"] for r in got.collect()) == list(range(100))
+    finally:
+        spark.conf.unset(stateful.STORE[0])
