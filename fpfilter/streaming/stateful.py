@@ -15,7 +15,6 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
-from pyspark.sql.types import LongType, StructField, StructType
 
 from fpfilter.functions import lanes
 from fpfilter.operators import cuckoo
@@ -27,8 +26,8 @@ STORE = ("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.e
 
 
 class _Subfilter(StatefulProcessor):
-    def __init__(self, spec: FilterSpec, mixed: str):
-        self.spec, self.mixed = spec, mixed
+    def __init__(self, spec: FilterSpec, mixed: str, names: list[str]):
+        self.spec, self.mixed, self.names = spec, mixed, names
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.words = handle.getValueState("words", "words binary")
@@ -48,7 +47,7 @@ class _Subfilter(StatefulProcessor):
                 words, stats = cuckoo.build(rest, spec, lanes.unpack(words, spec.n_slots, spec.slot_bits))
                 if stats["status"] != "ok":
                     raise RuntimeError("a subfilter is full: start a new generation and probe both")
-            yield frame.iloc[new].drop(columns=[self.mixed])
+            yield frame.iloc[new][self.names]
         self.words.update((words.tobytes(),))
 
     def close(self) -> None:
@@ -64,6 +63,4 @@ def first_seen(stream: DataFrame, key: str, spec: FilterSpec, n: int) -> DataFra
     mixed, sub = fresh(stream, "h", "sub")
     rows = with_mixed(stream.where(F.col(key).isNotNull()), F.col(key), spec, mixed)
     rows = rows.withColumn(sub, sub_of(F.col(mixed), spec).cast("long"))
-    out = StructType([*stream.schema.fields, StructField(sub, LongType())])
-    got = rows.groupBy(sub).transformWithStateInPandas(_Subfilter(spec, mixed), out, "append", "none")
-    return got.drop(sub)
+    return rows.groupBy(sub).transformWithStateInPandas(_Subfilter(spec, mixed, stream.columns), stream.schema, "append", "none")
