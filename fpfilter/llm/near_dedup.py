@@ -11,10 +11,11 @@ are verified on whole sets. Components of the verified links follow by alternati
 No link is lost to the pairing with one class: a bucket that still spans several components afterwards is searched
 between its components. Sketches tell which of its classes have a candidate there; their whole sets then meet in a
 task, which verifies candidates, the likeliest first, skips those that links found so far have connected, and returns
-links that connect components: fewer than classes. A pair is tested in the first bucket that it shares. A bucket of
-more than ``BLOCK`` classes, such as a band that very many unlike documents share, is split by every further band
-first: similar classes share several bands (at the threshold two or more with a chance of 1 - 1.2e-6), unlike ones
-hardly ever do. What is still larger is searched in pairs of blocks of that size, so no task holds a whole bucket.
+links that connect components: fewer than classes. A pair is tested in the first bucket that it shares. In a bucket
+of more than ``BLOCK`` classes of which one component has all but so many, blocks of that component meet the others.
+Any other such bucket, that of a band which very many unlike documents share, is split by every later band first:
+similar classes share several bands (at the threshold two or more with a chance of 1 - 1.2e-6), unlike ones hardly
+ever do. What is still larger is searched in pairs of blocks, so no task holds a whole bucket.
 """
 
 from __future__ import annotations
@@ -228,24 +229,34 @@ def _candidates(k: int, own: np.ndarray, comp: np.ndarray, n: np.ndarray, regs:
     return others[keep], est[keep]
 
 
-def _split_hot(rows: DataFrame, classes: DataFrame) -> DataFrame:
-    """Buckets of at most ``BLOCK`` classes as they are; larger ones by each later band, where those span components.
+def _dealt(rows: DataFrame, classes: DataFrame) -> DataFrame:
+    """``band, nth, second, cid, comp, blocks, own``: buckets as they are searched, from ``band, nth, cid, size, comp``.
 
-    ``rows`` and the result have ``band, nth, second, cid, size, comp``.
+    ``own`` is a class's block of ``blocks``; every two blocks meet, or, where ``blocks`` is negative, every block of
+    the largest component meets the classes of all others, whose ``own`` is -1.
     """
-    names = ["band", "nth", "second", "cid", "size", "comp"]
-    cool = rows.where(F.col("size") <= BLOCK).select(*[F.lit(-1).alias(c) if c == "second" else F.col(c) for c in names])
-    hot = rows.where(F.col("size") > BLOCK).where(F.col("nth") < BANDS - 1)
+    names = ["band", "nth", "second", "cid", "comp", "blocks", "own"]
+    block = lambda n: F.pmod(F.xxhash64("cid"), n).cast("int")
+    whole = F.lit(-1).alias("second")
+    cool = rows.where(F.col("size") <= BLOCK).select("band", "nth", whole, "cid", "comp", F.lit(1).alias("blocks"), F.lit(0).alias("own"))
+    hot = rows.where(F.col("size") > BLOCK)
     if hot.isEmpty():
         return cool
+    most = hot.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "comp")).alias("m"), F.sum("n").alias("size"))
+    most = written(most.select("band", F.col("m.comp").alias("major"), (F.col("size") - F.col("m.n")).alias("others")), "major")
+    hot = hot.join(most, "band")
+    count = F.ceil(F.col("size") / BLOCK).cast("int")
+    one = hot.where(F.col("others") <= BLOCK).withColumn("n", count)
+    one = one.select("band", "nth", whole, "cid", "comp", (-F.col("n")).alias("blocks"), F.when(F.col("comp") == F.col("major"), block(F.col("n"))).otherwise(-1).alias("own"))
     step = 2 * ROWS
-    second = F.explode(F.sequence(F.col("nth") + 1, F.lit(BANDS - 1)))
-    hot = hot.join(classes.select("cid", "regs"), "cid").select("band", "nth", "cid", "comp", "regs", second.alias("second"))
+    many = hot.where((F.col("others") > BLOCK) & (F.col("nth") < BANDS - 1)).join(classes.select("cid", "regs"), "cid")
+    many = many.withColumn("second", F.explode(F.sequence(F.col("nth") + 1, F.lit(BANDS - 1))))
     key = F.xxhash64("band", "second", F.col("regs").substr(F.col("second") * step + 1, F.lit(step)))
-    hot = written(hot.select(key.alias("band"), "nth", "second", "cid", "comp"), "split")
-    sizes = hot.groupBy("band").agg(F.count(F.lit(1)).alias("size"), F.min("comp").alias("x"), F.max("comp").alias("y"))
+    many = written(many.select(key.alias("band"), "nth", "second", "cid", "comp"), "split")
+    sizes = many.groupBy("band").agg(F.count(F.lit(1)).alias("size"), F.min("comp").alias("x"), F.max("comp").alias("y"))
     sizes = written(sizes.where("x <> y").select("band", "size"), "split-sizes")
-    return cool.unionByName(hot.join(sizes, "band").select(*names))
+    many = many.join(sizes, "band").withColumn("blocks", count).withColumn("own", block(F.col("blocks")))
+    return cool.unionByName(one).unionByName(many.select(*names))
 
 
 def _across(buckets: DataFrame, docs: DataFrame, classes: DataFrame, of: DataFrame, least: float, shingle: int, id_col: str, text_col: str) -> DataFrame:
@@ -258,14 +269,15 @@ def _across(buckets: DataFrame, docs: DataFrame, classes: DataFrame, of: DataFra
     rows = buckets.join(of, F.col("cid") == F.col("node"), "left").select("band", "nth", "cid", "size", F.coalesce("component", "cid").alias("comp"))
     rows = written(rows, "known")
     tops = rows.where("size > 2").groupBy("band").agg(F.min("comp").alias("x"), F.max("comp").alias("y"))
-    rows = _split_hot(rows.join(written(tops.where("x <> y").select("band"), "open"), "band"), classes)
-    blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    rows = rows.withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("cid"), "blocks").cast("int"))
+    rows = _dealt(rows.join(written(tops.where("x <> y").select("band"), "open"), "band"), classes)
     rows = rows.join(classes.select("cid", "n", "regs"), "cid")  # sketches go to open buckets only
 
     def spread(df: DataFrame, *more: str) -> DataFrame:
-        df = df.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        return df.select("band", "nth", "second", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "cid", "comp", "n", "regs", *more)
+        major = F.col("blocks") < 0
+        every = F.sequence(F.lit(0), F.abs("blocks") - 1)
+        df = df.withColumn("other", F.explode(F.when(major & (F.col("own") >= 0), F.array("own")).otherwise(every)))
+        i, j = (F.when(major, F.col("other")).otherwise(f("own", "other")) for f in (F.least, F.greatest))
+        return df.select("band", "nth", "second", i.alias("i"), j.alias("j"), "own", "cid", "comp", "n", "regs", *more)
 
     def parts(group: pa.Table) -> tuple:
         columns = [group[c].to_numpy() for c in ("cid", "own", "comp", "n")]

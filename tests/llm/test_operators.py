@@ -430,6 +430,26 @@ def test_buckets_that_unlike_documents_share(spark, monkeypatch):
         assert got == want
 
 
+def test_a_large_component_and_others_in_its_buckets(spark, monkeypatch):
+    """Many near copies of one text and a few chains off it, in buckets that one component nearly fills."""
+    rng = np.random.default_rng(7)
+    word = lambda: f"u{rng.integers(0, 10**7)}"
+    base = [word() for _ in range(80)]
+    texts = [" ".join(base)]
+    for _ in range(150):
+        at = int(rng.integers(0, 80))
+        texts.append(" ".join(base[:at] + [word()] + base[at + 1 :]))
+    current = list(base)
+    for _ in range(20):
+        current = current[3:] + [word() for _ in range(3)]
+        texts.append(" ".join(current))
+    texts = [texts[i] for i in rng.permutation(len(texts))]
+    docs = spark.createDataFrame(rows(*texts), SCHEMA)
+    monkeypatch.setattr(near_dedup, "BLOCK", 24)
+    got = sorted(((r["id"], r["n"], r["component_id"]) for r in near_dedup.classified(docs, 4).collect()), key=str)
+    assert got == components_of(list(enumerate(texts)), 4)
+
+
 def test_register_estimates_are_near_the_true_similarity():
     rng = np.random.default_rng(3)
     pool = rng.integers(0, 1 << 62, 3000).astype(np.uint64)
