@@ -78,14 +78,18 @@ def place(base: np.ndarray, l: int, n_slots: int, max_walk: int, seed: int, slot
     reach = np.arange(l, dtype=np.int64)
     steps = np.zeros(total, np.int64)  # by walk, which an item starts and its victims continue
     of = np.arange(total)
+    claim = np.zeros(n_slots, np.int64)
     while len(waiting) > few:
+        row = np.arange(len(waiting))
         where = (base[waiting][:, :, None] + reach).reshape(len(waiting), d * l)
         empty = slots[where] < 0
-        can = empty.any(1)
-        first = where[np.arange(len(waiting)), empty.argmax(1)]
-        pick = where[np.arange(len(waiting)), rng.integers(0, d * l, len(waiting))]
-        target = np.where(can, first, pick)
-        _, winner = np.unique(target, return_index=True)
+        lane = empty.argmax(1)
+        can = empty[row, lane]
+        full = np.flatnonzero(~can)
+        lane[full] = rng.integers(0, d * l, len(full))
+        target = where[row, lane]
+        claim[target] = row  # of those that want a slot the last one gets it
+        winner = np.flatnonzero(claim[target] == row)
         evicts = winner[~can[winner]]
         if len(evicts) and steps[of[evicts]].max() >= max_walk:
             return Placed(slots, False, steps, total - len(waiting))
@@ -133,7 +137,12 @@ def entries(h: np.ndarray, spec: FilterSpec) -> tuple[np.ndarray, np.ndarray]:
 
 
 def distinct_entries(address: np.ndarray, fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    pairs = np.unique(np.stack([address, fp], 1), axis=0) if len(fp) else np.zeros((0, 2), np.int64)
+    width = int(fp.max(initial=0)).bit_length()
+    if int(address.max(initial=0)).bit_length() + width < 64:  # both fit into one word, which sorts much faster
+        pairs = np.sort(address << width | fp)
+        pairs = pairs[np.concatenate(([True], pairs[1:] != pairs[:-1]))] if len(pairs) else pairs
+        return pairs >> width, pairs & (1 << width) - 1
+    pairs = np.unique(np.stack([address, fp], 1), axis=0)
     return pairs[:, 0], pairs[:, 1]
 
 

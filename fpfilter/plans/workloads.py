@@ -51,36 +51,53 @@ _RESULT_DDL = ", ".join(f"{f.name} {'int' if f.type == pa.int32() else 'long' if
 def sweep(members: DataFrame, others: DataFrame, specs: Sequence[Spec], repeats: int = 1) -> DataFrame:
     """``cfg`` (number of the specification), ``sub`` and measures of every subfilter of every specification.
 
-    ``others`` are keys that were never inserted. Times are the kernels' alone.
+    ``others`` are keys that were never inserted. Times are the kernels' alone. Keys are copied once a task that works
+    on a subfilter, as many as there are cores, not once a specification: a task takes its keys through its share of
+    the specifications that route keys alike.
     """
     if len({s.premix for s in specs}) != 1:
         raise ValueError("one sweep takes specifications that premix alike")
     tagged = members.select("key", F.lit(True).alias("member")).unionByName(others.select("key", F.lit(False).alias("member")))
     rows = with_mixed(tagged.where("key is not null"), F.col("key"), specs[0]).select("h", "member")
-    routes = {(s.seed, s.subs): s for s in specs}
-    rows = rows.withColumns({f"sub_{a}_{b}": sub_of(F.col("h"), s) for (a, b), s in routes.items()})
-    targets = F.array(*[F.struct(F.lit(i).alias("cfg"), F.col(f"sub_{s.seed}_{s.subs}").alias("sub")) for i, s in enumerate(specs)])
-    rows = rows.withColumn("t", F.explode(targets)).select("t.cfg", "t.sub", "h", "member")
+    routes: dict[tuple[int, int], list[int]] = {}
+    for i, s in enumerate(specs):
+        routes.setdefault((s.seed, s.subs), []).append(i)
+    cores = members.sparkSession.sparkContext.defaultParallelism
+    tasks, targets = [], []  # a task's specifications and subfilter; the task's number by the key's subfilter
+    for numbers in routes.values():
+        shares = min(len(numbers), max(1, cores // specs[numbers[0]].subs))
+        for share in range(shares):
+            targets.append((specs[numbers[0]], len(tasks)))
+            tasks += [(numbers[share::shares], sub) for sub in range(specs[numbers[0]].subs)]
+    rows = rows.withColumn("task", F.explode(F.array(*[sub_of(F.col("h"), s) + first for s, first in targets])))
+    marks = rows.sparkSession.range(len(tasks)).select(F.lit(None).cast("long").alias("h"), F.lit(False).alias("member"), F.col("id").cast("int").alias("task"))
 
-    def run(part: pa.Table) -> pa.Table:
-        cfg, sub = part["cfg"][0].as_py(), part["sub"][0].as_py()
-        spec, h, member = specs[cfg], part["h"].to_numpy().view(np.uint64), part["member"].to_numpy()
+    def run(batches):
+        from pyspark import TaskContext
+
+        numbers, sub = tasks[TaskContext.get().partitionId()]  # partition number = task
+        held = [(b.column(0), b.column(1)) for b in batches]
+        h, member = (pa.chunked_array([x[i] for x in held], t) for i, t in ((0, pa.int64()), (1, pa.bool_())))
+        member = member.filter(h.is_valid()).to_numpy()
+        h = h.drop_null().to_numpy().view(np.uint64)
         own, other = h[member], h[~member]
-        best = {"insert_s": np.inf, "member_s": np.inf, "other_s": np.inf}
-        for _ in range(repeats):
-            t0 = time.perf_counter()
-            words, stats = build_kernel(own, spec)
-            t1 = time.perf_counter()
-            inside = contains_kernel(words, own, spec)
-            t2 = time.perf_counter()
-            outside = contains_kernel(words, other, spec)
-            t3 = time.perf_counter()
-            best = {n: min(best[n], s) for n, s in (("insert_s", t1 - t0), ("member_s", t2 - t1), ("other_s", t3 - t2))}
-        got = {n: stats[n] for n in ("status", "n_keys", "n_stored", "n_slots", "payload_bits", "max_walk", "sum_walk")}
-        got |= {"cfg": cfg, "sub": sub, "probes": len(other), "positives": int(outside.sum()), "false_negatives": int((~inside).sum())} | best
-        return pa.Table.from_pydict({f.name: [got[f.name]] for f in _RESULT}, schema=_RESULT)
-
-    return rows.groupBy("cfg", "sub").applyInArrow(run, _RESULT_DDL)
+        for cfg in numbers:
+            best = {"insert_s": np.inf, "member_s": np.inf, "other_s": np.inf}
+            for _ in range(repeats):
+                t0 = time.perf_counter()
+                words, stats = build_kernel(own, specs[cfg])
+                t1 = time.perf_counter()
+                inside = contains_kernel(words, own, specs[cfg])
+                t2 = time.perf_counter()
+                outside = contains_kernel(words, other, specs[cfg])
+                t3 = time.perf_counter()
+                best = {n: min(best[n], s) for n, s in (("insert_s", t1 - t0), ("member_s", t2 - t1), ("other_s", t3 - t2))}
+            got = {n: stats[n] for n in ("status", "n_keys", "n_stored", "n_slots", "payload_bits", "max_walk", "sum_walk")}
+            got |= {"cfg": cfg, "sub": sub, "probes": len(other), "positives": int(outside.sum()), "false_negatives": int((~inside).sum())} | best
+            yield pa.RecordBatch.from_pydict({f.name: [got[f.name]] for f in _RESULT}, schema=_RESULT)
+
+    placed = rows.unionByName(marks).repartitionById(len(tasks), F.col("task")).select("h", "member")
+    return placed.mapInArrow(run, _RESULT_DDL)
 
 
 def named(result: DataFrame, specs: Sequence[Spec]) -> DataFrame:
