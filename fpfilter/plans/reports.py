@@ -151,6 +151,11 @@ def model_facts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(k, round(float(v), 12)) for k, v in facts.items()], "fact string, value double")
 
 
+def cache_misses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lines that an insertion and a lookup touch, by type of filter, as formulas; ``cache_lines`` has measured ones."""
+    return spark.createDataFrame([(kind, *texts) for kind, texts in models.CACHE_MISSES.items()], "kind string, insertion string, lookup string")
+
+
 # The exact part of experiments that have a clock or a random walk in them
 
 
@@ -265,6 +270,7 @@ SELECT sub::INTEGER AS sub, w0, count(*) AS keys, count(DISTINCT fp) AS entries
         "best_overheads": f"""SELECT k, variant, overhead, row_number() OVER w AS rank, round(overhead - lag(overhead) OVER w, 6) AS behind
 FROM ({e07_sql}) WINDOW w AS (PARTITION BY k ORDER BY overhead, variant)""",
         "model_accuracy": _model_sql(),
+        "cache_misses": f"SELECT * FROM (VALUES {', '.join(f"('{kind}', '{a}', '{b}')" for kind, (a, b) in models.CACHE_MISSES.items())}) t(kind, insertion, lookup)",
         "model_facts": f"""{facts} UNION ALL SELECT 'break even', max(k)::DOUBLE FROM range(1, 1000) r(k) WHERE 106 * (k + 2) < 105 * (k + 3)
 UNION ALL SELECT 'bound 0.25', pow(2.0::DOUBLE, -8) UNION ALL SELECT 'bound 0.9', round(pow(2.0::DOUBLE, -10), 12) UNION ALL SELECT 'mean', 1e8::DOUBLE / 10 UNION ALL SELECT 'spread', round(sqrt(1e8::DOUBLE * 0.1::DOUBLE * 0.9::DOUBLE), 12)
 UNION ALL SELECT 'bits windowed 8', round(1.06::DOUBLE * 10, 12) UNION ALL SELECT 'bits classic 8', round(1.05::DOUBLE * 11, 12) UNION ALL SELECT 'two lines 2 16', 16 / 512.0::DOUBLE UNION ALL SELECT 'two lines 4 16', 48 / 512.0::DOUBLE""",
@@ -273,6 +279,6 @@ UNION ALL SELECT 'bits windowed 8', round(1.06::DOUBLE * 10, 12) UNION ALL SELEC
 
 QUERIES = (
     plain_insertion, merged_filters, later_insertions, deleted_keys, repaired_filter, filter_per_priority, stored_entries_table_function, line_counts,
-    exact_tables, overlap_estimate, hottest_addresses, accuracy_cube, best_overheads, model_accuracy, model_facts,
+    exact_tables, overlap_estimate, hottest_addresses, accuracy_cube, best_overheads, model_accuracy, model_facts, cache_misses,
     e03_bounds, e04_monotone, e08_answers, e09_hits, e13_entries, walk_totals, choice_totals,
 )

@@ -327,3 +327,14 @@ def test_filter_as_state_of_a_stream(spark, tmp_path):
             assert got.columns == ["key", "t", "sub"] and sorted(r["key"] for r in got.collect()) == list(range(100))
     finally:
         spark.conf.unset(stateful.STORE[0])
+
+
+def test_exact_first_seen_rows_of_a_stream(spark, tmp_path):
+    from fpfilter.streaming.membership import exact_first_seen
+
+    rows = [(i % 40, i) for i in range(100)]
+    spark.createDataFrame(rows, "key long, second long").select("key", F.timestamp_seconds("second").alias("ts")).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("key long, ts timestamp").parquet(str(tmp_path / "in"))
+    query = exact_first_seen(stream, ["key"], "ts", "1 hour").writeStream.format("memory").queryName("exact_first").trigger(availableNow=True).start()
+    query.awaitTermination()
+    assert sorted(r["key"] for r in spark.table("exact_first").collect()) == list(range(40))
