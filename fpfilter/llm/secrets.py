@@ -66,7 +66,10 @@ def _join(how: str, parts: list) -> object:
 
 
 def _require(strings: set[str]) -> object:
-    return _join("or", [_join("and", [s[i : i + 3] for i in range(len(s) - 2)]) for s in strings])
+    """One of the strings, by trigrams that cover it; what holds another one of them says no more than that one."""
+    least = [s for s in strings if not any(t != s and t in s for t in strings)]
+    cover = lambda s: sorted({*range(0, len(s) - 2, 3), len(s) - 3}) if len(s) > 2 else []
+    return _join("or", [_join("and", [s[i : i + 3] for i in cover(s)]) for s in least])
 
 
 def _cross(a: set[str], b: set[str]) -> set[str] | None:
