@@ -30,6 +30,8 @@ MOST_BLOCK = 4096
 LEAST_BLOCKS = 1024
 #: The rows of the table of sources that may be broadcast.
 FEW_SOURCES = 10_000
+#: Sources that a task puts in order.
+RANKED_ROWS = 200_000
 
 
 def words(text: Column) -> Column:
@@ -37,24 +39,41 @@ def words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
 
 
+def ranked(df: DataFrame, order: list[Column], rows: int, to: str, per_task: int | None = None) -> DataFrame:
+    """``df`` of ``rows`` rows with their places from 0 in ``order``, which must tell all rows apart.
+
+    Ranges of the order are ranked each in its task; only their sizes go through one.
+    """
+    tasks = rows // (per_task or RANKED_ROWS) + 1
+    part, at, before, of = fresh(df, "part", "at", "before", "of")
+    ranges = df.repartitionByRange(tasks, *order) if tasks > 1 else df.coalesce(1)
+    ranges = written(ranges.withColumn(part, F.spark_partition_id()), "ranges")
+    counts = ranges.groupBy(F.col(part).alias(of)).agg(F.count(F.lit(1)).alias(before))
+    counts = counts.select(of, (F.sum(before).over(W.orderBy(of)) - F.col(before)).alias(before))  # a row a task
+    out = ranges.withColumn(at, F.row_number().over(W.partitionBy(part).orderBy(*order)) - 1).join(F.broadcast(counts), F.col(part) == F.col(of))
+    return out.withColumn(to, F.col(at) + F.col(before)).drop(part, at, before, of)
+
+
 def water_level(sources: DataFrame, weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
     """``source, k, size, target`` for rows ``source, size``: weights repeat over sources by code point, null last.
 
     All sizes are shared by weight; a target stops at ``MOST_EPOCHS`` times its source's size and the excess goes to
-    the others by weight. That is min(cap, weight * level) with one level, found from running sums over the sources
-    in the order of cap / weight. There is one row a source, hence one task for the order.
+    the others by weight. That is min(cap, weight * level) with one level: it rises while sources fill up, from one sum
+    over all sources to the next, until no further source is full.
     """
-    order = W.orderBy(F.col("source").isNull(), F.col("source"))
-    ranked = sources.withColumn("k", F.row_number().over(order) - 1)
-    ranked = ranked.withColumn("weight", F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.col("k") % len(weights) + 1).cast("int")))
-    ranked = ranked.withColumn("cap", (MOST_EPOCHS * F.col("size")).cast("double"))
-    rise = W.orderBy(F.col("cap") / F.col("weight"), "k")
-    every = W.orderBy("k").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
-    below = F.coalesce(F.sum("cap").over(rise.rowsBetween(W.unboundedPreceding, -1)), F.lit(0.0))
-    left = F.sum("weight").over(rise.rowsBetween(W.currentRow, W.unboundedFollowing))
-    out = ranked.withColumn("total", F.sum("size").over(every).cast("double")).withColumn("level", (F.col("total") - below) / left)
-    out = out.withColumn("level", F.max(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(every))
-    return out.select("source", "k", "size", F.when(F.col("size") > 0, F.least("cap", F.col("weight") * F.col("level"))).otherwise(0.0).alias("target"))
+    sources = written(sources, "totals")
+    out = ranked(sources, [F.col("source").isNull(), F.col("source")], sources.count(), "k")
+    out = out.withColumn("weight", F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.col("k") % len(weights) + 1).cast("int")))
+    out = written(out.withColumn("cap", (MOST_EPOCHS * F.col("size")).cast("double")), "caps")
+    total = out.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
+    level, full = 0.0, -1
+    while True:
+        below = F.col("cap") < F.col("weight") * level
+        n, caps, left = out.agg(F.count_if(below), F.coalesce(F.sum(F.when(below, F.col("cap"))), F.lit(0.0)), F.sum(F.when(~below, F.col("weight")))).first()
+        if n == full or not left:
+            break
+        level, full = (float(total) - caps) / left, n
+    return out.select("source", "k", "size", F.when(F.col("size") > 0, F.least("cap", F.col("weight") * F.lit(float(level)))).otherwise(0.0).alias("target"))
 
 
 @dataclass
@@ -98,9 +117,14 @@ def plan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source
         .withColumn("blocks", blocks)
         .withColumn("words", t)
         .withColumn("turns", F.expr("words div greatest(size, 1)") * F.col("blocks") + F.ceil((F.col("words") % line) / block).cast("long"))
-        .withColumn("from", F.coalesce(F.sum("turns").over(W.orderBy("k").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
+        .withColumn("chunk", F.floor(F.col("k") / RANKED_ROWS))
     )
-    sources = written(sources, "sources")
+    sources = written(sources, "turns")
+    chunk = sources.groupBy(F.col("chunk").alias("c")).agg(F.sum("turns").alias("n"))
+    chunk = chunk.select("c", (F.sum("n").over(W.orderBy("c")) - F.col("n")).alias("start"))  # a row for many sources
+    own = F.sum("turns").over(W.partitionBy("chunk").orderBy("k")) - F.col("turns")
+    sources = sources.withColumn("own", own).join(F.broadcast(chunk), F.col("chunk") == F.col("c")).withColumn("from", F.col("own") + F.col("start"))
+    sources = written(sources.drop("chunk", "c", "own", "start"), "sources")
     slots = sources.agg(F.coalesce(F.sum("turns"), F.lit(0))).first()[0]
     mix = Mix(sized, sources, block, slots, few)
 

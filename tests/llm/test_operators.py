@@ -154,6 +154,17 @@ def test_targets_fill_up_to_their_caps(spark):
     assert got == pytest.approx(target)
 
 
+def test_many_sources_are_ranked_in_ranges(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "RANKED_ROWS", 7)
+    names = [None, *(f"host{i * 7919 % 997}" for i in range(100))]
+    docs = spark.createDataFrame([(i, f"{'w ' * (i % 13)}", n) for i, n in enumerate(names)], "doc_id long, text string, source string")
+    got = mixing.mixed(docs).select("id", "size", "source_size", "target", "taken").collect()
+    monkeypatch.setattr(mixing, "RANKED_ROWS", 10**6)
+    assert sorted(got) == sorted(mixing.mixed(docs).select("id", "size", "source_size", "target", "taken").collect())
+    one = mixing.ranked(docs, [F.col("source").isNull(), F.col("source")], 101, "k", 9).collect()
+    assert [r["source"] for r in sorted(one, key=lambda r: r["k"])] == [*sorted(names[1:]), None]
+
+
 def test_mix_meets_targets_and_reads_no_document_too_often(spark, sf_dir):
     got = queries.queries()["op2_mix_sources"](spark, sf_dir).toPandas()
     source = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "source").toPandas()
