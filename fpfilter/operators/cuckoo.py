@@ -37,7 +37,9 @@ def walk(base: np.ndarray, l: int, slots: np.ndarray, items: np.ndarray, max_wal
     Returns whether all were placed, how many were, and the walk length of each. A walk that fails leaves a victim
     out, so the table must then be discarded.
     """
-    table, starts = slots, base.tolist()
+    table = slots
+    places = base.tolist() if 20 * len(items) > len(base) else None
+    starts = places.__getitem__ if places is not None else lambda item: base[item].tolist()
     lengths: list[int] = []
     d = base.shape[1]
     draw = rng.integers(0, d * l, 4096).tolist()
@@ -46,7 +48,7 @@ def walk(base: np.ndarray, l: int, slots: np.ndarray, items: np.ndarray, max_wal
         current = item
         while True:
             free = -1
-            for b in starts[current]:
+            for b in starts(current):
                 for s in range(b, b + l):
                     if table[s] < 0:
                         free = s
@@ -61,7 +63,7 @@ def walk(base: np.ndarray, l: int, slots: np.ndarray, items: np.ndarray, max_wal
             if not draw:
                 draw = rng.integers(0, d * l, 4096).tolist()
             c, o = divmod(draw.pop(), l)
-            s = starts[current][c] + o
+            s = starts(current)[c] + o
             current, table[s] = int(table[s]), current
             length += 1
         lengths.append(length)
