@@ -43,6 +43,8 @@ WINDOW = LENGTH - GRAM + 1
 BUCKET_BYTES, MOST_BUCKET_BYTES, SHARD_BYTES = 2 << 20, 64 << 20, 8 << 20
 FAN_IN = 512
 HOT_DOCS = 4096
+#: Entries of a bucket in one shard that are sorted one by one.
+MOST_ENTRIES = 1 << 14
 _NO_ID = (1 << 63) - 1
 
 
@@ -163,8 +165,8 @@ class Bucket:
         raw, out = self.data.tobytes(), []
         for a, b in zip(cuts, [*cuts[1:], len(order)]):  # a shard at a time: few entries are Python objects at once
             some = order[a:b]
-            entries = sorted((raw[q:e], raw[p:q][::-1], i, q) for q, e, p, i in zip(at[some].tolist(), high[some].tolist(), low[some].tolist(), self.ids[row[some]].tolist()))
-            out.append((int(shard[some[0]]), key, *_run(entries)))
+            make = _run if b - a <= MOST_ENTRIES else _run_of_groups
+            out.append((int(shard[some[0]]), key, *make(raw, at[some], low[some], high[some], self.ids[row[some]])))
         return _table(out, _RUNS)
 
     def kept(self, answers: pa.Table) -> pa.Table:
@@ -187,11 +189,11 @@ class Bucket:
         return _table(out, _KEPT)
 
 
-def _run(entries: list[tuple[bytes, bytes, int, int]]) -> tuple[bytes, bytes, bytes, bytes]:
-    """A front-coded run of sorted entries (suffix, reversed left context, document, position): the run, its documents,
-    the places of each entry, and the places that an equal entry of a smaller document of this bucket settles."""
+def _run(raw: bytes, at: np.ndarray, low: np.ndarray, high: np.ndarray, ids: np.ndarray) -> tuple[bytes, bytes, bytes, bytes]:
+    """The front-coded run of the suffixes ``at`` to ``high`` with left contexts from ``low`` on: the run, its
+    documents, the places of each entry, and the places that an equal entry of a smaller document here settles."""
     run, own, where, settled, last, before = [], [], [], [], None, b""
-    for suffix, left, i, q in entries:
+    for suffix, left, i, q in sorted((raw[q:e], raw[p:q][::-1], i, q) for q, e, p, i in zip(at.tolist(), high.tolist(), low.tolist(), ids.tolist())):
         if last is None or (suffix, left) != last[:2]:
             same = _shared(before, suffix, 0)
             run.append(bytes((same, len(suffix) - same, len(left))) + suffix[same:] + left)
@@ -205,6 +207,46 @@ def _run(entries: list[tuple[bytes, bytes, int, int]]) -> tuple[bytes, bytes, by
     return b"".join(run), np.array(own, "<i8").tobytes(), np.array(where, "<i4").tobytes(), np.array(settled, "<i4").tobytes()
 
 
+def _run_of_groups(raw: bytes, at: np.ndarray, low: np.ndarray, high: np.ndarray, ids: np.ndarray) -> tuple[bytes, bytes, bytes, bytes]:
+    """As :func:`_run`, for very many entries with few different contexts, such as those of a long text of one letter.
+
+    Equal contexts are told by their hashes and compared with the first of them, so that only different ones are
+    objects.
+    """
+    data, width = np.frombuffer(raw, np.uint8), LENGTH + WINDOW - 1
+    up, _ = _powers(width + 2)
+    key = np.zeros(len(at), U64)
+
+    def bytes_of(some: np.ndarray) -> np.ndarray:
+        spot = low[some][:, None] + np.arange(width)
+        return np.where(spot < high[some][:, None], data[np.minimum(spot, len(data) - 1)], 0)
+
+    for a in range(0, len(at), 1 << 15):
+        some = np.arange(a, min(len(at), a + (1 << 15)))
+        h = ((bytes_of(some).astype(U64) + U64(1)) * up[:width]).sum(1, dtype=U64)
+        key[some] = mix(h + (at[some] - low[some]).astype(U64) * up[width] + (high[some] - at[some]).astype(U64) * up[width + 1])
+    _, first, group = np.unique(key, return_index=True, return_inverse=True)
+    like = first[group]
+    for a in range(0, len(at), 1 << 15):
+        some = np.arange(a, min(len(at), a + (1 << 15)))
+        same = ((at - low)[some] == (at - low)[like[some]]) & ((high - at)[some] == (high - at)[like[some]])
+        if not (same & (bytes_of(some) == bytes_of(like[some])).all(1)).all():
+            return _run(raw, at, low, high, ids)  # two contexts with one hash
+    least = np.full(len(first), _NO_ID)
+    np.minimum.at(least, group, ids)
+    run, own, _, _ = _run(raw, at[first], low[first], high[first], np.arange(len(first)))
+    rank = np.empty(len(first), np.int64)
+    rank[np.frombuffer(own, "<i8")] = np.arange(len(first))
+    kept = ids == least[group]
+    where = np.stack([rank[group[kept]], at[kept]], 1)
+    gone = np.flatnonzero(~kept)
+    shape = np.stack([(at - low)[gone], (high - at)[gone]], 1)
+    shapes, of = np.unique(shape, axis=0, return_inverse=True)
+    masks = np.array([_windows(a, b) for a, b in shapes.tolist()], np.int64)
+    settled = np.stack([at[gone], masks[of.ravel()]], 1) if len(gone) else np.zeros((0, 2))
+    return run, least[np.frombuffer(own, "<i8")].astype("<i8").tobytes(), where.astype("<i4").tobytes(), settled.astype("<i4").tobytes()
+
+
 _HASHES = pa.schema([("shard", pa.int32()), ("bucket", pa.int32()), ("once", pa.binary()), ("docs", pa.binary())])
 _BITS = pa.schema([("shard", pa.int32()), ("bucket", pa.int32()), ("bits", pa.binary())])
 _RUNS = pa.schema([("shard", pa.int32()), ("bucket", pa.int32()), ("run", pa.binary()), ("own", pa.binary()), ("where", pa.binary()), ("settled", pa.binary())])

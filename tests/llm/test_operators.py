@@ -520,6 +520,52 @@ def test_a_phrase_in_every_document(spark, monkeypatch):
     assert largest[0] >= 150 and largest[1] <= 30  # without and with the split
 
 
+def test_runs_of_groups_are_runs():
+    rng = np.random.default_rng(11)
+    for alphabet, n in (("a", 400), ("ab", 300), ("abcdefgh", 300)):
+        texts = ["".join(rng.choice(list(alphabet), n)) for _ in range(6)] * 2
+        raw = "".join(texts).encode()
+        offsets = np.arange(len(texts) + 1) * n
+        row = np.repeat(np.arange(len(texts)), n)
+        at = np.arange(len(raw))
+        low, high = np.maximum(offsets[row], at - substring_dedup.WINDOW + 1), np.minimum(offsets[row + 1], at + substring_dedup.LENGTH)
+        some = rng.permutation(len(at))
+        one = substring_dedup._run(raw, at[some], low[some], high[some], row[some])
+        two = substring_dedup._run_of_groups(raw, at[some], low[some], high[some], row[some])
+        assert one[:2] == two[:2]
+        for a, b in zip(one[2:], two[2:]):
+            assert sorted(np.frombuffer(a, "<i4").reshape(-1, 2).tolist()) == sorted(np.frombuffer(b, "<i4").reshape(-1, 2).tolist())
+
+
+MEGA = 1_000_000
+VAST = ["a" * MEGA, " " * MEGA, "word " * (MEGA // 5), "é" * (MEGA // 2), "\n" * (MEGA // 2), "日本" * (MEGA // 6), " ".join(f"w{i * 7919 % 50_021}" for i in range(MEGA // 7)), "ab" * (MEGA // 2)]
+
+
+@pytest.fixture(scope="module")
+def vast(spark):
+    return spark.createDataFrame(rows(*VAST, *VAST[:3], VAST[6] + " one more"), SCHEMA).repartition(4)
+
+
+def test_every_operator_on_texts_of_a_million_characters(spark, vast):
+    texts = [*VAST, *VAST[:3], VAST[6] + " one more"]
+    labels = spark.createDataFrame([(i, i % 2) for i in range(12)], "doc_id long, toxic int")
+    assert toxicity.scored(vast, toxicity.train(vast, labels), to="s").where("s between 0 and 1").count() == 12
+    model = language.train(spark.read.parquet("/root/testdata/sf0.001/documents.parquet"))
+    got = {r["doc_id"]: r["lang_pred"] for r in language.identified(vast, model).select("doc_id", "lang_pred").collect()}
+    assert {i for i, x in got.items() if x == "und"} == {i for i, t in enumerate(texts) if not re.search(r"\w", t)}
+    near = {r["id"]: (r["n"], r["component_id"]) for r in near_dedup.classified(vast).collect()}
+    assert near[8] == (1, 0) and near[9] == (0, 9) and near[2] == near[10] == (1, 2) and near[11][1] == near[6][1] == 6
+    gone = {r["id"]: (r["n_bytes"], r["n_removed"]) for r in substring_dedup.removed(vast).collect()}
+    assert gone[8] == (MEGA, MEGA) and gone[0] == (MEGA, 0) and gone[7] == (MEGA, 0) and gone[11][1] >= len(VAST[6])
+    assert {r["size"] for r in mixing.mixed(vast).collect()} == {len(re.findall(r"[^\x20\x09-\x0D]+", t)) for t in texts}
+    found = media.resolve(media.interleave(media.document_pages(vast)), media.payload_features(media.store(vast)), "id", "n_bytes")
+    assert {r["id"]: r["payload_bytes"] // 64 for r in found.select("id", "payload_bytes").collect()} == {i: -(-len(t.encode()) // 64) for i, t in enumerate(texts)}
+    assert {r["doc_id"]: r["keep_id"] for r in exact_dedup.decisions(vast).collect()} == {i: {0: 8, 1: 9, 2: 10}.get(i, i) for i in range(12)}
+    pages = vast.select(F.col("doc_id").alias("page_id"), F.lit("http://x/").alias("url"), F.col("text").alias("html"))
+    read = {r["id"]: (r["payload_bytes"], r["refers_to"]) for r in archives.read_archives(archives.write_archives(pages)).collect()}
+    assert read == {i: (len(t.encode()), {0: 8, 1: 9, 2: 10}.get(i)) for i, t in enumerate(texts)}
+
+
 def test_counts_in_a_byte():
     n = np.array([0, 1, 127, 128, 200, 5000, 10**6])
     got = substring_dedup._unrounded(substring_dedup._rounded(n))
