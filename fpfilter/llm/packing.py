@@ -116,7 +116,7 @@ class Encoder:
             return _joined([np.array([*self.by_library(x.as_py() or ""), END], "<u4") for x in column])
         data, offsets = texts(column)
         out = [(np.zeros(0, "<u4"), np.zeros(1, np.int64))]
-        for low, high in chunks(offsets, 4 << 20):
+        for low, high in chunks(offsets, (1 << 21) - 2):  # tables of powers have a power of two entries
             out.append(self._some(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low]))
         ids, ends = np.concatenate([x for x, _ in out]), [out[0][1]]
         for _, of in out[1:]:
@@ -185,15 +185,24 @@ def encoder(path: str) -> Encoder:
 
 @dataclass
 class Statistics:
-    """Of all documents: their number, their words, and for each term the documents that have it."""
+    """Of all documents: their number, words and bytes, and each term's weight, which falls with the documents that have it."""
 
     docs: int
     words: int
     bytes: int
-    df: np.ndarray
+    idf: np.ndarray
 
-    def __post_init__(self) -> None:
-        self.idf = np.log1p((self.docs - self.df + 0.5) / (self.df + 0.5)).astype(np.float32)
+    @classmethod
+    def of(cls, docs: int, words: int, size: int, df: np.ndarray) -> Statistics:
+        return cls(docs, words, size, cls._idf(docs, df))
+
+    @staticmethod
+    def _idf(docs: int, df: np.ndarray | int) -> np.ndarray:
+        return np.log1p((docs - df + 0.5) / (df + np.float64(0.5))).astype(np.float32)
+
+    def frequent(self, terms: np.ndarray, least: int) -> np.ndarray:
+        """Whether so many documents have each of these terms."""
+        return self.idf[terms] <= self._idf(self.docs, least)
 
     def weights(self, doc: np.ndarray, terms: np.ndarray, tf: np.ndarray, length: np.ndarray) -> np.ndarray:
         mean = self.words / max(1, self.docs)
@@ -221,12 +230,13 @@ def statistics(docs: DataFrame) -> Statistics:
     """One pass over ``docs`` (``text``); a task sends a row for each term that it has met."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        df, docs, words, size = np.zeros(TERMS, np.int64), 0, 0, 0
+        df, docs, words, size = np.zeros(TERMS, np.int32), 0, 0, 0
         for batch in batches:
             data, offsets = texts(batch.column(0))
             for low, high in chunks(offsets, 1 << 22):
                 _, term, _, length = document_terms(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low])
-                df += np.bincount(term, minlength=TERMS)
+                met, n = np.unique(term, return_counts=True)
+                df[met] += n.astype(np.int32)
                 docs, words = docs + high - low, words + int(length.sum())
             size += len(data)
         at = np.flatnonzero(df)
@@ -236,17 +246,17 @@ def statistics(docs: DataFrame) -> Statistics:
     got = docs.select("text").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).toArrow()  # TERMS + 3 rows at most
     term, n = got["term"].to_numpy(), got["n"].to_numpy()
     known = {t: int(n[term == t].sum()) for t in (-1, -2, -3)}
-    df = np.zeros(TERMS, np.int32)
-    df[term[term >= 0]] = np.minimum(n[term >= 0], (1 << 31) - 1)
-    return Statistics(known[-1], known[-2], known[-3], df)
+    df = np.zeros(TERMS, np.int64)
+    df[term[term >= 0]] = n[term >= 0]
+    return Statistics.of(known[-1], known[-2], known[-3], df)
 
 
 def lexical_keys(data: np.ndarray, offsets: np.ndarray, known: Statistics, common: int) -> tuple[np.ndarray, np.ndarray]:
     """Of each row the heaviest term that ``common`` documents have, and of all that two have; -1 without."""
     doc, term, tf, length = document_terms(data, offsets)
-    weight, df, out = known.weights(doc, term, tf, length), known.df[term], []
+    weight, out = known.weights(doc, term, tf, length), []
     for least in (common, 2):
-        some = np.flatnonzero(df >= least)
+        some = np.flatnonzero(known.frequent(term, least))
         row, first = np.unique(doc[some], return_index=True)
         key = np.full(len(offsets) - 1, -1, np.int64)
         if len(row):

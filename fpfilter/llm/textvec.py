@@ -54,6 +54,9 @@ def chunks(offsets: np.ndarray, limit: int = 1 << 19) -> Iterator[tuple[int, int
 
 def release() -> None:
     """Give freed memory back to the system: a worker lives on beside the JVM after its largest batch."""
+    if _POWERS["n"] > 1 << 20:
+        _POWERS.clear()
+        _POWERS["n"] = 0
     pa.default_memory_pool().release_unused()
     if _LIBC is not None:
         _LIBC.malloc_trim(0)
