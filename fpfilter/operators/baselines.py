@@ -447,6 +447,21 @@ def _static_contains(words: np.ndarray, h: np.ndarray, spec: BaselineSpec) -> np
 # All kinds
 
 
+def lines_touched(h: np.ndarray, spec: FilterSpec | BaselineSpec) -> np.ndarray:
+    """Distinct 64-byte lines that a lookup of each key reads when all its places are searched."""
+    if spec.kind == "cuckoo":
+        return cuckoo.lines_touched(h, spec)
+    if spec.kind == "bloom":
+        lines = np.sort(bloom_positions(h, spec) // LINE_BITS, axis=0)
+        return 1 + (lines[1:] != lines[:-1]).sum(0)
+    if spec.kind == "blocked_bloom":
+        return np.ones(len(h), np.int64)
+    if spec.kind in ("choice_bloom", "vector_quotient"):
+        one, other = _blocks(h, spec) if spec.kind == "choice_bloom" else vector_entries(h, spec)[:2]
+        return 1 + (one != other)
+    raise ValueError(f"the lines of a {spec.kind} lookup depend on what is stored")
+
+
 def baseline(kind: str, k: int, **more: object) -> BaselineSpec:
     spare = "vector"
     if kind.startswith("prefix_"):

@@ -155,8 +155,14 @@ def size_of(table: DataFrame) -> int:
     return int(table.agg(F.coalesce(F.sum("padded_bits"), F.lit(0))).first()[0]) // 8
 
 
-def _probe(words: np.ndarray, h: np.ndarray, spec: Spec, sort: bool) -> np.ndarray:
-    """With ``sort`` keys are probed in address order, the counterpart here of looking ahead in a batch."""
+def _probe(words: np.ndarray, h: np.ndarray, spec: Spec, sort: bool, lookahead: int = 0) -> np.ndarray:
+    """Keys are looked up ``lookahead`` times 1024 together (0: all), with ``sort`` in address order.
+
+    That is what there is here of looking ahead in a batch.
+    """
+    if lookahead:
+        step = 1024 * lookahead
+        return np.concatenate([np.zeros(0, bool), *(_probe(words, h[low : low + step], spec, sort) for low in range(0, len(h), step))])
     if not sort or spec.kind != "cuckoo":
         return contains_kernel(words, h, spec)
     order = np.argsort(cuckoo.first_address(h, spec))
@@ -172,7 +178,7 @@ def _first_spec(table: DataFrame) -> Spec:
     return spec_from_json(row["spec"])
 
 
-def probe_udf(table: DataFrame, sort: bool = False):
+def probe_udf(table: DataFrame, sort: bool = False, lookahead: int = 0):
     """An Arrow function of (h, sub) for a filter of a checked size that is collected and broadcast."""
     spark = table.sparkSession
     if size_of(table) > MOST_BROADCAST:
@@ -193,17 +199,18 @@ def probe_udf(table: DataFrame, sort: bool = False):
                 if s not in ready:
                     text, raw = shared.value[s]
                     ready[s] = spec_from_json(text), np.frombuffer(raw, np.uint64)
-                out[at] = _probe(ready[s][1], keys[at].view(np.uint64), ready[s][0], sort)
+                out[at] = _probe(ready[s][1], keys[at].view(np.uint64), ready[s][0], sort, lookahead)
         return pa.array(out)
 
     # marked so that no filter on the answer is pushed below the hashes and inlines all their steps
     return F.arrow_udf(answer, "boolean").asNondeterministic()
 
 
-def contains(df: DataFrame, key: Column | str, table: DataFrame, strategy: str = "auto", to: str = "hit", sort: bool = False) -> DataFrame:
+def contains(df: DataFrame, key: Column | str, table: DataFrame, strategy: str = "auto", to: str = "hit", sort: bool = False, lookahead: int = 0) -> DataFrame:
     """``df`` with a boolean column ``to``: false for keys surely absent, true for members and few others, null for null.
 
     A column named ``to`` is replaced, all others stay. ``strategy``: ``broadcast``, ``partitioned``, or ``auto``: broadcast up to MOST_BROADCAST bytes.
+    ``sort`` and ``lookahead`` say how a batch is worked off (see :func:`_probe`); answers do not depend on them.
     """
     key = F.col(key) if isinstance(key, str) else key
     spec = _first_spec(table)
@@ -211,19 +218,19 @@ def contains(df: DataFrame, key: Column | str, table: DataFrame, strategy: str =
         strategy = "broadcast" if size_of(table) <= MOST_BROADCAST else "partitioned"
     mixed, sub, found, known = fresh(df, "h", "sub", "known", "in_filter")
     if strategy == "broadcast":
-        hit = probe_udf(table, sort)
+        hit = probe_udf(table, sort, lookahead)
         got = with_mixed(df, key, spec, mixed).withColumn(sub, sub_of(F.col(mixed), spec))
         return got.withColumn(to, F.when(key.isNotNull(), hit(mixed, sub))).drop(mixed, sub)
     # only distinct keys travel to the filter, and a hot key is one of them; the hits come back by a join
     keys = with_mixed(df.where(key.isNotNull()).select(key.cast("long").alias("key")).distinct(), F.col("key"), spec)
     keys = keys.select("h", sub_of(F.col("h"), spec).alias("sub"))
-    hits = written(stream_probe(keys, table, spec.subs, sort).where("hit").select(F.col("h").alias(found)), "hits")
+    hits = written(stream_probe(keys, table, spec.subs, sort, lookahead).where("hit").select(F.col("h").alias(found)), "hits")
     marked = with_mixed(df, key, spec, mixed)
     got = marked.join(hits.withColumn(known, F.lit(True)), F.col(mixed) == F.col(found), "left")
     return got.withColumn(to, F.when(key.isNotNull(), F.coalesce(known, F.lit(False)))).drop(mixed, found, known)
 
 
-def stream_probe(keys: DataFrame, table: DataFrame, subs: int, sort: bool = False) -> DataFrame:
+def stream_probe(keys: DataFrame, table: DataFrame, subs: int, sort: bool = False, lookahead: int = 0) -> DataFrame:
     """``h, hit`` for rows ``h, sub``: every subfilter's partition holds its filter row, then streams its probes."""
     rows = table.select("sub", F.lit(0).alias("tag"), F.lit(None).cast("long").alias("h"), "spec", "bits")
     probes = keys.select("sub", F.lit(1).alias("tag"), "h", F.lit(None).cast("string").alias("spec"), F.lit(None).cast("binary").alias("bits"))
@@ -236,7 +243,7 @@ def stream_probe(keys: DataFrame, table: DataFrame, subs: int, sort: bool = Fals
                 spec, words = spec_from_json(batch.column(2)[0].as_py()), np.frombuffer(batch.column(3)[0].as_py(), np.uint64)
             h = batch.column(1).filter(pa.array(tag == 1)).to_numpy()
             if len(h):
-                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(_probe(words, h.view(np.uint64), spec, sort))], ["h", "hit"])
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(_probe(words, h.view(np.uint64), spec, sort, lookahead))], ["h", "hit"])
 
     both = rows.unionByName(probes).repartitionById(subs, F.col("sub")).sortWithinPartitions("tag")
     return both.select("tag", "h", "spec", "bits").mapInArrow(run, "h long, hit boolean")

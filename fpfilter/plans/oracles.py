@@ -256,12 +256,22 @@ q{i} AS (SELECT max(slot) + 1 AS used FROM (SELECT i + max(q - i) OVER (ORDER BY
     return base + "\n" + "\nUNION ALL\n".join(parts)
 
 
-def lines_sql(specs: list[FilterSpec], members: str, line_bits: int = 512) -> str:
+def lines_sql(specs: list[Spec], members: str, line_bits: int = 512) -> str:
     """``variant, k, slot_bits, keys, lines``: distinct lines of the slots at both addresses of each key, summed."""
     base, parts = f"WITH members AS ({members}), c AS (SELECT count(*) AS n FROM members),\n{mix_steps_sql('members', 'key', 'mm')}", []
     for spec in specs:
-        i, e = f"{spec.name}_{spec.k}", entry_sql(spec)
-        step = _hash(spec, "offset", "(n_addr - 1)", "fp::UBIGINT")
+        i = f"{spec.name}_{spec.k}"
+        if isinstance(spec, BaselineSpec):
+            first, step = (_hash(spec, role, b) for role, b in (("address", "n_addr"), ("offset", "(n_addr - 1)")))
+            lines = {
+                "bloom": f"len(list_distinct([{', '.join(f'({first} + {j} * (1 + {step})) % n_addr // {line_bits}' for j in range(spec.k))}]))",
+                "blocked_bloom": "1",
+                "choice_bloom": f"1 + ({_hash(spec, 'block', 'n_addr')} <> {_hash(spec, 'extra', 'n_addr')})::INTEGER",
+                "vector_quotient": "2",  # the other block is never the first
+            }[spec.kind]
+            parts.append(f"SELECT '{spec.name}' AS variant, {spec.k} AS k, 0 AS slot_bits, count(*) AS keys, sum({lines})::BIGINT AS lines FROM mm, (SELECT {addresses_sql(spec, 'n')} AS n_addr FROM c)")
+            continue
+        e, step = entry_sql(spec), _hash(spec, "offset", "(n_addr - 1)", "fp::UBIGINT")
         slot = lambda at: f"({at} * {spec.slot_bits * (1 if spec.layout == 'window' else spec.l)})"
         ends = [f"{slot(at)} // {line_bits}" for at in ("w0", "w1")] + [f"({slot(at)} + {spec.l * spec.slot_bits - 1}) // {line_bits}" for at in ("w0", "w1")]
         base += f""",

@@ -248,7 +248,7 @@ def oracle_sql() -> dict[str, str]:
         "e07_actual_properties": _e07_lines_sql(),
         "e10_space": oracles.space_sql(compared, f"SELECT DISTINCT {_LINE_KEY} AS key FROM lineitem"),
         "random_key_accuracy": _random_sql(),
-        "cache_lines": oracles.lines_sql([variant(v, k) for v in VARIANTS for k in (6, 13, 14)], _ORDER_KEYS),
+        "cache_lines": oracles.lines_sql(workloads.line_specs(), _ORDER_KEYS),
     }
     for name in _UNORDERED:
         found[f"membership_{name}"] = f"WITH p AS (SELECT l_returnflag, key IN ({_FINISHED}) AS member FROM ({_LINES})) SELECT l_returnflag, count(*) AS probes, count(*) FILTER (member) AS members, count(*) FILTER (member) AS found, true AS rate_kept FROM p GROUP BY 1"

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from fpfilter.functions.grams import gram_hashes
 from fpfilter.functions.hashing import mix_np
 from fpfilter.operators import cuckoo
-from fpfilter.operators.baselines import BaselineSpec, baseline, build_kernel, contains_kernel, sized_any
+from fpfilter.operators.baselines import BaselineSpec, baseline, build_kernel, contains_kernel, lines_touched, sized_any
 from fpfilter.operators.filters import Spec, build_filter, contains, sub_of, with_mixed
 from fpfilter.operators.joins import confusion, filtered_join
 from fpfilter.operators.spec import VARIANTS, FilterSpec, sized, threshold, variant
@@ -579,18 +579,23 @@ def walk_lengths(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
     return rows.groupBy("cfg").applyInArrow(run, "variant string, steps_below long, keys long")
 
 
+def line_specs() -> list[Spec]:
+    """The filters whose lookups have their lines counted: the reading of the others depends on what is stored."""
+    return [variant(v, k) for v in VARIANTS for k in (6, 13, 14)] + [baseline(kind, 8) for kind in ("bloom", "blocked_bloom", "choice_bloom", "vector_quotient")]
+
+
 def cache_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Lines of 64 bytes that lookups of all keys touch when both addresses are read, by variant and slot width."""
     keys = read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("key"))
     n = keys.count()
-    specs = [sized_any(variant(v, k), n) for v in VARIANTS for k in (6, 13, 14)]
+    specs = [sized_any(spec, n) for spec in line_specs()]
     rows = keys.withColumn("cfg", F.explode(F.array(*[F.lit(i) for i in range(len(specs))])))
 
     def run(part: pa.Table) -> pa.Table:
         cfg = part["cfg"][0].as_py()
         spec = specs[cfg]
-        lines = cuckoo.lines_touched(mix_np(part["key"].to_numpy().view(np.uint64)), spec)
-        return pa.table({"variant": [spec.name], "k": pa.array([spec.k], pa.int32()), "slot_bits": pa.array([spec.slot_bits], pa.int32()), "keys": [len(lines)], "lines": [int(lines.sum())]})
+        lines = lines_touched(mix_np(part["key"].to_numpy().view(np.uint64)), spec)
+        return pa.table({"variant": [spec.name], "k": pa.array([spec.k], pa.int32()), "slot_bits": pa.array([getattr(spec, "slot_bits", 0)], pa.int32()), "keys": [len(lines)], "lines": [int(lines.sum())]})
 
     return rows.groupBy("cfg").applyInArrow(run, "variant string, k int, slot_bits int, keys long, lines long")
 
