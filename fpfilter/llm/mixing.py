@@ -45,24 +45,24 @@ def ranked(df: DataFrame, order: list[Column], rows: int, to: str, per_task: int
     Ranges of the order are ranked each in its task; only their sizes go through one.
     """
     tasks = rows // (per_task or RANKED_ROWS) + 1
+    if tasks == 1:
+        return df.coalesce(1).withColumn(to, F.row_number().over(W.orderBy(*order)).cast("long") - 1)
     part, at, before, of = fresh(df, "part", "at", "before", "of")
-    ranges = df.repartitionByRange(tasks, *order) if tasks > 1 else df.coalesce(1)
-    ranges = written(ranges.withColumn(part, F.spark_partition_id()), "ranges")
+    ranges = written(df.repartitionByRange(tasks, *order).withColumn(part, F.spark_partition_id()), "ranges")
     counts = ranges.groupBy(F.col(part).alias(of)).agg(F.count(F.lit(1)).alias(before))
     counts = counts.select(of, (F.sum(before).over(W.orderBy(of)) - F.col(before)).alias(before))  # a row a task
     out = ranges.withColumn(at, F.row_number().over(W.partitionBy(part).orderBy(*order)) - 1).join(F.broadcast(counts), F.col(part) == F.col(of))
     return out.withColumn(to, F.col(at) + F.col(before)).drop(part, at, before, of)
 
 
-def water_level(sources: DataFrame, weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
-    """``source, k, size, target`` for rows ``source, size``: weights repeat over sources by code point, null last.
+def water_level(sources: DataFrame, rows: int, weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
+    """``source, k, size, target`` for ``rows`` rows ``source, size``: weights repeat over sources by code point, null last.
 
     All sizes are shared by weight; a target stops at ``MOST_EPOCHS`` times its source's size and the excess goes to
     the others by weight. That is min(cap, weight * level) with one level: it rises while sources fill up, from one sum
     over all sources to the next, until no further source is full.
     """
-    sources = written(sources, "totals")
-    out = ranked(sources, [F.col("source").isNull(), F.col("source")], sources.count(), "k")
+    out = ranked(sources, [F.col("source").isNull(), F.col("source")], rows, "k")
     out = out.withColumn("weight", F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.col("k") % len(weights) + 1).cast("int")))
     out = written(out.withColumn("cap", (MOST_EPOCHS * F.col("size")).cast("double")), "caps")
     total = out.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
@@ -104,7 +104,7 @@ def plan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source
         ),
         "sizes",
     )
-    totals = sized.groupBy("source").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("rows"))
+    totals = written(sized.groupBy("source").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("rows")), "totals")
     every = totals.agg(F.count(F.lit(1)), F.coalesce(F.sum("size"), F.lit(0)), F.coalesce(F.sum("rows"), F.lit(0))).first()
     n_sources, size, rows = every
     few = n_sources <= FEW_SOURCES
@@ -113,7 +113,7 @@ def plan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source
     line = F.greatest("size", F.lit(1))
     blocks = F.ceil(F.col("size") / block).cast("long")
     sources = (
-        water_level(totals.drop("rows"), weights)
+        water_level(totals.drop("rows"), n_sources, weights)
         .withColumn("blocks", blocks)
         .withColumn("words", t)
         .withColumn("turns", F.expr("words div greatest(size, 1)") * F.col("blocks") + F.ceil((F.col("words") % line) / block).cast("long"))

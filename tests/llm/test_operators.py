@@ -140,7 +140,7 @@ def test_trigram_queries_hold_for_matches():
 
 def test_targets_fill_up_to_their_caps(spark):
     sizes = {"a": 10, "b": 1000, "c": 5000, None: 7, "e": 0}
-    got = {r["source"]: r["target"] for r in mixing.water_level(spark.createDataFrame(list(sizes.items()), "source string, size long")).collect()}
+    got = {r["source"]: r["target"] for r in mixing.water_level(spark.createDataFrame(list(sizes.items()), "source string, size long"), 5).collect()}
     weights, total, target, open_ = {"a": 1, "b": 2, "c": 3, "e": 1, None: 2}, sum(sizes.values()), {}, {"a", "b", "c", "e", None}
     while True:  # share, stop those above, share the rest
         left = total - sum(target.values())
