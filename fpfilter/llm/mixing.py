@@ -19,6 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from fpfilter.llm.near_dedup import _small as broadcast_small
 from fpfilter.llm.scratch import fresh, written
 
 #: Fixed value: the golden ratio's fraction in 52 bits, as two limbs of 26.
@@ -207,6 +208,7 @@ def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", so
     taken = mix.groupBy("id", "text_hash").agg(F.floor(share + 0.5).cast("int").alias(times), F.min("slots").alias(slots))
     taken = written(taken.where(F.col(times) > 0).select(F.col("id").alias(of_id), F.col("text_hash").alias(of_h), times, slots), "times")
     marked = docs.withColumn(h, F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
+    taken = broadcast_small(taken, taken.count())  # then no text is shuffled but for its order
     found = marked.join(taken, (F.col(h) == F.col(of_h)) & F.col(id_col).eqNullSafe(F.col(of_id)))
     found = found.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times))))
     found = found.withColumn(slot, F.get(F.col(slots), F.least(F.col(copy), F.size(slots)) - 1))

@@ -27,6 +27,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -47,6 +48,8 @@ DENSE = 16
 #: A common term is one that this many shards could be made of.
 COMMON_SHARDS = 4
 RANKED = 8
+#: Rows of a batch that are worked on together where order does not matter.
+_ROWS = 256
 K1, B = 1.2, 0.75
 _PROBE = "It's 3 o'clock;\n\n  déjà vu — naïve  testing\tof 12345 ids_and.dots 日本語 🙂 x = [1, 2]\r\n"
 #: Bytes of a word, and of white space between two, from which on a text goes to the library: the other
@@ -232,13 +235,13 @@ def statistics(docs: DataFrame) -> Statistics:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         df, docs, words, size = np.zeros(TERMS, np.int32), 0, 0, 0
         for batch in batches:
-            data, offsets = texts(batch.column(0))
-            for low, high in chunks(offsets, 1 << 22):
-                _, term, _, length = document_terms(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low])
+            for low in range(0, batch.num_rows, _ROWS):
+                data, offsets = texts(batch.column(0).slice(low, _ROWS))
+                _, term, _, length = document_terms(data, offsets)
                 met, n = np.unique(term, return_counts=True)
                 df[met] += n.astype(np.int32)
-                docs, words = docs + high - low, words + int(length.sum())
-            size += len(data)
+                docs, words, size = docs + len(length), words + int(length.sum()), size + len(data)
+            release()
         at = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(at, [-1, -2, -3])), pa.array(np.append(df[at], [docs, words, size]))], ["term", "n"])
         release()
@@ -364,9 +367,8 @@ def packed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wind
     @F.arrow_udf("struct<common:long,heaviest:long>")
     def keys(column: pa.Array) -> pa.Array:
         found = [(np.zeros(0, np.int64),) * 2]
-        data, offsets = texts(column)
-        for low, high in chunks(offsets, 1 << 22):
-            found.append(lexical_keys(data[offsets[low] : offsets[high]], offsets[low : high + 1] - offsets[low], shared.value, COMMON_SHARDS * SHARD_DOCS))
+        for low in range(0, len(column), _ROWS):
+            found.append(lexical_keys(*texts(column.slice(low, _ROWS)), shared.value, COMMON_SHARDS * SHARD_DOCS))
         release()
         return pa.StructArray.from_arrays([pa.array(np.concatenate(x)) for x in zip(*found)], ["common", "heaviest"])
 
@@ -393,7 +395,8 @@ def _shards(batches: Iterator[pa.RecordBatch], most: int, limit: int) -> Iterato
     """The rows of a task in runs of ``most`` or about ``limit`` bytes; a longer text is a run of its own."""
     held, rows, size = [], 0, 0
     for batch in batches:
-        _, offsets = texts(batch.column(1))
+        sizes = pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy()
+        offsets = np.concatenate(([0], np.cumsum(sizes, dtype=np.int64)))
         low = 0
         while low < batch.num_rows:
             room = int(np.searchsorted(offsets, offsets[low] + limit - size, "right")) - 1 - low
