@@ -16,7 +16,9 @@ import pyarrow.compute as pc
 U64 = np.uint64
 try:
     _LIBC = ctypes.CDLL("libc.so.6")
-except OSError:  # another C library: nothing to trim
+    _LIBC.mallopt(-3, 8 << 20)  # fixed values of its interface: blocks from 8 MB on are mapped, and so given back when freed
+    pa.set_memory_pool(pa.system_memory_pool())  # batches too: a pool of their own keeps them while a worker waits
+except (OSError, AttributeError):  # another C library: nothing to trim
     _LIBC = None
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
