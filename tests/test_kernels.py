@@ -193,3 +193,28 @@ def test_lines_touched_match_the_share_of_windows_across_two_lines():
     spec = sized(variant("w24", 13), 4000)  # 16-bit slots
     lines = cuckoo.lines_touched(KEYS, spec)
     assert lines.mean() == pytest.approx(2 + 2 * models.two_line_share(4, 16), abs=0.03)
+
+
+@pytest.mark.parametrize("name", [*VARIANTS, "b24xor", "b22mirror"])
+def test_large_tables_are_filled_piece_by_piece_in_little_memory(name, monkeypatch):
+    import tracemalloc
+
+    h = mix_np(np.arange(300_000) % 290_000)
+    spec = sized(variant(name, 10), 290_000)
+    _, whole = cuckoo.build(h[:100], spec)
+    monkeypatch.setattr(cuckoo, "PIECE", 1 << 14, raising=False)
+    tracemalloc.start()
+    words, stats = cuckoo.build(h, spec)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 60 * len(h) and stats["status"] == "ok" and whole["status"] == "ok"
+    want = {tuple(x) for x in np.stack(cuckoo.entries(h, spec), 1).tolist()}
+    got = cuckoo.decode(lanes.unpack(words, spec.n_slots, spec.slot_bits), spec)
+    address = got["address"] if spec.rule == "signed" else np.minimum(got["address"], cuckoo.partner(got["address"], got["fp"], spec))
+    assert len(address) == len(want) and set(zip(address.tolist(), got["fp"].tolist())) == want
+
+
+def test_mixing_is_undone():
+    from fpfilter.functions.hashing import unmix_np
+
+    assert (unmix_np(mix_np(KEYS)) == KEYS).all()

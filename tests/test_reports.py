@@ -349,3 +349,23 @@ def test_exact_first_seen_rows_of_a_stream(spark, tmp_path):
     query = exact_first_seen(stream, ["key"], "ts", "1 hour").writeStream.format("memory").queryName("exact_first").trigger(availableNow=True).start()
     query.awaitTermination()
     assert sorted(r["key"] for r in spark.table("exact_first").collect()) == list(range(40))
+
+
+def test_sweeps_of_whole_tables_shuffle_no_keys(spark, sf_dir):
+    keys, n = workloads.kept(workloads.lineitem_keys(spark, sf_dir))
+    specs = [sized(variant(v, 8), n) for v in VARIANTS]
+    got = workloads.sweep(keys, workloads.OUTSIDE, specs, n=n)
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()
+    others = keys.select((F.col("key") + workloads.OUTSIDE).alias("key"))
+    exact = ["cfg", "status", "n_keys", "n_stored", "probes", "positives", "false_negatives"]
+    assert sorted(got.select(*exact).collect()) == sorted(workloads.sweep(keys, others, specs).select(*exact).collect())
+    whole = workloads.choice_profile(spark, sf_dir)
+    assert "Exchange hashpartitioning(cfg" not in whole._jdf.queryExecution().executedPlan().toString()
+
+
+def test_tables_of_one_part_stay_whole_however_large(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(filters, "SUB_BYTES", 1 << 9)
+    keys = workloads.lineitem_keys(spark, sf_dir).distinct()
+    h = mix_np(np.array([r[0] for r in keys.collect()]))
+    got = {r["variant"]: r["entries"] for r in workloads.choice_profile(spark, sf_dir).groupBy("variant").agg(F.sum("entries").alias("entries")).collect()}
+    assert got == {v: len(set(zip(*(x.tolist() for x in cuckoo.entries(h, sized(variant(v, 8), len(h))))))) for v in VARIANTS}
