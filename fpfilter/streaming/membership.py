@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -22,11 +24,12 @@ class OnlineFilter:
     Every micro-batch reads the version that its number implies, probes it, passes on one row for each entry that is
     new, and writes the next version; a batch that is run again writes the same version again, so restarts neither
     lose nor double an entry. A false positive may hold a new key back (at about the filter's rate); no key passes
-    twice. Capacity is fixed: past ``most_load`` the filter stops with an error rather than fail within a walk.
+    twice. With ``exact``, columns that tell keys apart, none is held back: rows that the filter finds are compared with
+    the rows that passed before. Capacity is fixed: past ``most_load`` the filter stops with an error rather than fail within a walk.
     """
 
-    def __init__(self, spark: SparkSession, folder: str, spec: FilterSpec, n: int, most_load: float = 0.99):
-        self.spark, self.folder, self.most_load = spark, folder.rstrip("/"), most_load
+    def __init__(self, spark: SparkSession, folder: str, spec: FilterSpec, n: int, most_load: float = 0.99, exact: list[str] | None = None):
+        self.spark, self.folder, self.most_load, self.exact = spark, folder.rstrip("/"), most_load, exact
         empty = spark.createDataFrame([], "key long")
         first = build_filter(empty, "key", spec, n, filter_id="online")
         self.spec = FilterSpec.from_json(first.select("spec").first()[0])
@@ -41,9 +44,12 @@ class OnlineFilter:
     def _step(self, rows: DataFrame, batch: int, key: str, order: str) -> None:
         before = self.table(batch)
         known = contains(rows.where(F.col(key).isNotNull()), key, before)
-        new = with_signature(known.where("not hit").drop("hit"), F.col(key), self.spec)
         names = rows.columns
-        first = new.groupBy("sub", "w0", "fp").agg(F.min_by(F.struct(*names), F.struct(order, key)).alias("r")).select("r.*")
+        if self.exact:
+            new, by = self._unlike_passed(known, batch).drop("hit"), self.exact
+        else:
+            new, by = with_signature(known.where("not hit").drop("hit"), F.col(key), self.spec), ["sub", "w0", "fp"]
+        first = new.groupBy(*by).agg(F.min_by(F.struct(*names), F.struct(order, key)).alias("r")).select("r.*")
         out = f"{self.folder}/first/batch={batch:08d}"
         first.write.mode("overwrite").parquet(out)
         kept = self.spark.read.schema(first.schema).parquet(out)
@@ -53,6 +59,15 @@ class OnlineFilter:
         if state[1]:
             raise RuntimeError("a subfilter is full: start a new generation and probe both")
 
+    def _unlike_passed(self, known: DataFrame, batch: int) -> DataFrame:
+        """The rows whose exact columns no earlier batch let through; only hits are compared."""
+        if not batch:
+            return known
+        passed = self.spark.read.parquet(*[f"{self.folder}/first/batch={b:08d}" for b in range(batch)])
+        passed = passed.select(*[F.col(c).alias(f"passed_{i}") for i, c in enumerate(self.exact)])
+        same = reduce(lambda a, b: a & b, [F.col(c).eqNullSafe(F.col(f"passed_{i}")) for i, c in enumerate(self.exact)])
+        return known.join(passed, F.col("hit") & same, "left_anti")
+
     def run(self, stream: DataFrame, key: str, order: str, checkpoint: str) -> None:
         """Process what the stream has now; ``order`` says which of equal entries in a batch comes first."""
         query = (

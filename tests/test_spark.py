@@ -186,3 +186,23 @@ def test_first_seen_flags_of_every_row(spark, tmp_path):
         place = (lambda i: 2 * i + 1) if id_ == "doc_id" else (lambda i: 2 * i)
         want = {(place(i), place(s), same.count(s), i == s) for i, s in enumerate(same)}
         assert {tuple(r) for r in query(spark, str(tmp_path)).select(id_, "first_id", "copies", "first_seen").collect()} == want
+
+
+def test_first_seen_pairs_are_exact_whatever_the_filter_s_rate(spark, sf_dir, tmp_path):
+    from fpfilter.plans import queries
+
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    events.repartition(3).write.parquet(str(tmp_path / "events.parquet"))  # a folder of files
+    want = sorted(map(tuple, events.groupBy("user_id", "event_type").agg(F.min("event_id").alias("e")).select("e", "user_id", "event_type").collect()))
+    for k in (1, 16):
+        assert sorted(map(tuple, queries.first_seen(spark, str(tmp_path), k).collect())) == want
+
+
+def test_keys_that_a_full_rate_filter_finds_by_chance_still_pass_in_later_batches(spark, tmp_path):
+    from fpfilter.streaming.membership import OnlineFilter
+
+    online = OnlineFilter(spark, f"file://{tmp_path}/online", variant("w22", 2), 400, exact=["a"])
+    for batch, (low, high) in enumerate(((0, 100), (50, 200))):
+        rows = spark.range(low, high).select(F.col("id").alias("key"), F.col("id").cast("string").alias("a"), F.col("id").alias("n"))
+        online._step(rows, batch, "key", "n")
+    assert sorted(r["n"] for r in online.first_seen().collect()) == list(range(200))
