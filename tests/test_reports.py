@@ -309,9 +309,10 @@ def test_walks_choices_and_lines(spark, sf_dir, shown):
     assert each["blocked_bloom"] == 1 and each["w22"] < each["bloom"] and each["vector_quotient"] == 2
 
 
-def test_accuracy_on_keys_that_look_random(shown):
-    got = shown("random_key_accuracy", n=20_000)
-    assert (got.false_negatives == 0).all()
+def test_accuracy_on_keys_that_look_random(spark):
+    sf_dir = "/root/testdata/sf0.01"
+    got = workloads.random_key_accuracy(spark, sf_dir).toPandas()
+    assert (got.false_negatives == 0).all() and (got.n_keys == spark.read.parquet(f"{sf_dir}/orders.parquet").count()).all()
     assert (got[got.k == 8].log2_ratio < 0.4).all() and (got[got.k == 8].positives > 40).all()
 
 
