@@ -316,6 +316,13 @@ def test_accuracy_on_keys_that_look_random(spark):
     assert (got[got.k == 8].log2_ratio < 0.4).all() and (got[got.k == 8].positives > 40).all()
 
 
+def test_overheads_are_those_of_the_given_keys(spark, sf_dir, shown):
+    got, n = shown("e01_overhead"), spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_orderkey").distinct().count()
+    assert (got.n_keys == n).all() and got.c_given.between(got.c_best - 1e-6, got.c_worst + 1e-6).all()
+    row = got[(got.kind == "classic") & (got.k == 8)].iloc[0]
+    assert row.c_given == pytest.approx(row.c_best * (1 << (n - 1).bit_length()) / n, rel=1e-5)
+
+
 def test_every_query_has_sql_or_a_test():
     without = set(queries.queries()) - set(queries.oracle_sql())
     timed = {"e03_thresholds", "e04_walk_caps", "e05_load_by_size", "e06_time_memory", "e08_throughput", "e08_speedup", "e09_lookahead", "e10_comparison", "e11_query_types", "e13_kernels"}
