@@ -329,6 +329,12 @@ def test_facts_are_those_of_the_given_keys(spark, sf_dir):
     assert got["keys"] == n and got["mean"] == n / 10 and got["spread"] == pytest.approx((n * 0.09) ** 0.5)
 
 
+def test_cache_misses_of_the_given_keys(spark, sf_dir):
+    n = spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_orderkey").distinct().count()
+    got = {r["kind"]: r for r in queries.queries()["cache_misses"](spark, sf_dir).collect()}
+    assert got["bloom"]["lines"] == 8 * n and got["windowed"]["lines"] == 2 * n and got["quotient"]["lines"] is None
+
+
 def test_every_query_has_sql_or_a_test():
     without = set(queries.queries()) - set(queries.oracle_sql())
     timed = {"e03_thresholds", "e04_walk_caps", "e05_load_by_size", "e06_time_memory", "e08_throughput", "e08_speedup", "e09_lookahead", "e10_comparison", "e11_query_types", "e13_kernels"}
