@@ -218,3 +218,24 @@ def test_mixing_is_undone():
     from fpfilter.functions.hashing import unmix_np
 
     assert (unmix_np(mix_np(KEYS)) == KEYS).all()
+
+
+@pytest.mark.parametrize("one_by_one", [0, 1 << 20])
+def test_one_filling_tells_the_first_failures_of_all_limits(monkeypatch, one_by_one):
+    monkeypatch.setattr(cuckoo, "ONE_BY_ONE", one_by_one)
+    h = mix_np(np.arange(20_000))
+    for name in ("w22", "b24"):
+        spec = replace(variant(name, 12), n_addr=20_000 // (1 if name[0] == "w" else 4))
+        together = cuckoo.fill_until_failure(h, spec, 3, (1, 10, 100, 1000))
+        assert together == [cuckoo.fill_until_failure(h, spec, 3, (cap,))[0] for cap in (1, 10, 100, 1000)]
+        assert together == sorted(together) and together[0] < 0.4  # no key is left out where a limit is met early
+
+
+def test_walks_with_counts_of_free_slots_are_those_without():
+    h = mix_np(np.arange(9000))
+    for name in ("w22", "w24", "b22", "b24"):
+        spec = replace(variant(name, 12), n_addr=9000 // (1 if name[0] == "w" else int(name[2])))
+        base = cuckoo._bases(*cuckoo.entries(h, spec), spec)
+        got = cuckoo._walks(base, spec.l, np.full(spec.n_slots, -1, np.int64), 0, (50,), 4)
+        _, n, _ = cuckoo.walk(base, spec.l, np.full(spec.n_slots, -1, np.int64), np.arange(len(base)), 50, np.random.default_rng(4))
+        assert got == {50: n} and n < len(base)

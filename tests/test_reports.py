@@ -273,6 +273,13 @@ def test_rates_are_measured_for_every_width_and_thread(spark, sf_dir, shown):
     assert (fast.false_negatives == 0).all() and (fast[fast.threads == 1].insert_speedup == 1).all() and (fast.member_mkeys_s > 0).all()
 
 
+def test_shares_of_a_sweep_are_tasks_of_their_own(spark, sf_dir):
+    keys, n = workloads.kept(workloads.lineitem_keys(spark, sf_dir))
+    got = workloads.shared_out(keys, n, 7, lambda keys, numbers: iter([pa.RecordBatch.from_pydict({"first": [numbers[0]], "keys": [len(keys)]})]), "first long, keys long")
+    rows = got.select("first", "keys", F.spark_partition_id().alias("task")).collect()
+    assert len({r["task"] for r in rows}) == len(rows) == 4 and {r["keys"] for r in rows} == {n}
+
+
 def test_every_setting_of_lookahead_looks_all_keys_up(shown):
     got = shown("e09_lookahead", batches=(0, 4, 64))
     assert (got.groupby("variant").hits.nunique() == 1).all() and (got.hits >= got.probes // 2).all() and got.probes.nunique() == 1
