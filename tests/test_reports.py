@@ -280,6 +280,18 @@ def test_shares_of_a_sweep_are_tasks_of_their_own(spark, sf_dir):
     assert len({r["task"] for r in rows}) == len(rows) == 4 and {r["keys"] for r in rows} == {n}
 
 
+def test_subfilters_side_by_side_shuffle_nothing_and_answer_alike(spark, sf_dir, shown):
+    keys, n = workloads.kept(workloads.lineitem_keys(spark, sf_dir))
+    specs = [sized(variant("w22", 10, subs=t), n) for t in (1, 3)]
+    placed = workloads._side_by_side(keys, n, specs)
+    assert "Exchange" not in placed._jdf.queryExecution().executedPlan().toString()
+    assert placed.groupBy("threads").sum("n").toPandas().set_index("threads")["sum(n)"].to_dict() == {1: n, 3: n}
+    one = shown("side_by_side_answers").set_index(["variant", "threads"]).sort_index()
+    assert (one.false_negatives == 0).all() and set(one.index.get_level_values(1)) == {1, 2, 4}
+    timed = shown("e08_speedup", threads=(2,), runs=2).set_index(["variant", "threads"]).sort_index()
+    assert (timed.positives == one.loc[timed.index].positives).all()
+
+
 def test_every_setting_of_lookahead_looks_all_keys_up(shown):
     got = shown("e09_lookahead", batches=(0, 4, 64))
     assert (got.groupby("variant").hits.nunique() == 1).all() and (got.hits >= got.probes // 2).all() and got.probes.nunique() == 1
