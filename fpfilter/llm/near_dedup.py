@@ -13,9 +13,10 @@ between its components. Sketches tell which of its classes have a candidate ther
 task, which verifies candidates, the likeliest first, skips those that links found so far have connected, and returns
 links that connect components: fewer than classes. A pair is tested in the first bucket that it shares. In a bucket
 of more than ``BLOCK`` classes of which one component has all but so many, blocks of that component meet the others.
-Any other such bucket, that of a band which very many unlike documents share, is split by every later band first:
-similar classes share several bands (at the threshold two or more with a chance of 1 - 1.2e-6), unlike ones hardly
-ever do. What is still larger is searched in pairs of blocks, so no task holds a whole bucket.
+Any other such bucket, that of a band which very many unlike documents share, is split by ``GROUPS`` groups of the
+other registers first: a pair whose estimate is high enough differs in fewer registers than there are groups, so it
+agrees on a whole group and the split loses no candidate; unlike classes hardly ever do. What is still larger is
+searched in pairs of blocks, so no task holds a whole bucket.
 """
 
 from __future__ import annotations
@@ -38,6 +39,11 @@ MANTISSA = 10
 #: Over three standard errors of the estimate at the threshold.
 SLACK = 0.12
 BLOCK = 512
+#: Registers that may differ in a pair whose estimate reaches the least one; a large bucket is split by one group of
+#: further registers more than that, so that every such pair agrees on a whole group.
+DIFFER = int(REGISTERS * (1 - (THRESHOLD[0] / THRESHOLD[1] - SLACK)))
+GROUPS = DIFFER + 1
+WIDTH = (REGISTERS - ROWS) // GROUPS
 #: Rows of a few numbers that a join may broadcast; beyond that both sides are shuffled.
 MOST_BROADCAST, MOST_BROADCAST_BYTES = 2_000_000, 64 << 20
 
@@ -211,7 +217,7 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
 def _candidates(k: int, own: np.ndarray, comp: np.ndarray, n: np.ndarray, regs: np.ndarray, nth: int, second: int, split: bool, least: float, chance: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Rows of a bucket after row ``k`` that may be similar to it, are of another component and meet it here first.
 
-    ``nth`` is the bucket's band, ``second`` the further one by which it was split, or -1.
+    ``nth`` is the bucket's band, ``second`` the group of further registers by which it was split, or -1.
     """
     others = (comp[k + 1 :] != comp[k]) & (np.minimum(n[k + 1 :], n[k]) * THRESHOLD[1] >= np.maximum(n[k + 1 :], n[k]) * THRESHOLD[0])
     if split:
@@ -224,8 +230,8 @@ def _candidates(k: int, own: np.ndarray, comp: np.ndarray, n: np.ndarray, regs:
     bands = same.reshape(-1, BANDS, ROWS).all(2)
     keep = (bands.argmax(1) == nth) & (est >= least)
     if second >= 0:
-        bands[:, nth] = False
-        keep &= bands.argmax(1) == second
+        further = np.delete(same, np.s_[ROWS * nth : ROWS * (nth + 1)], 1)[:, : GROUPS * WIDTH]
+        keep &= further.reshape(-1, GROUPS, WIDTH).all(2).argmax(1) == second
     return others[keep], est[keep]
 
 
@@ -248,10 +254,11 @@ def _dealt(rows: DataFrame, classes: DataFrame) -> DataFrame:
     count = F.ceil(F.col("size") / BLOCK).cast("int")
     one = hot.where(F.col("others") <= BLOCK).withColumn("n", count)
     one = one.select("band", "nth", whole, "cid", "comp", (-F.col("n")).alias("blocks"), F.when(F.col("comp") == F.col("major"), block(F.col("n"))).otherwise(-1).alias("own"))
-    step = 2 * ROWS
-    many = hot.where((F.col("others") > BLOCK) & (F.col("nth") < BANDS - 1)).join(classes.select("cid", "regs"), "cid")
-    many = many.withColumn("second", F.explode(F.sequence(F.col("nth") + 1, F.lit(BANDS - 1))))
-    key = F.xxhash64("band", "second", F.col("regs").substr(F.col("second") * step + 1, F.lit(step)))
+    many = hot.where(F.col("others") > BLOCK).join(classes.select("cid", "regs"), "cid")
+    many = many.withColumn("second", F.explode(F.sequence(F.lit(0), F.lit(GROUPS - 1))))
+    at = F.col("nth") * (2 * ROWS)
+    further = F.concat(F.col("regs").substr(F.lit(1), at), F.col("regs").substr(at + 2 * ROWS + 1, F.lit(2 * REGISTERS)))
+    key = F.xxhash64("band", "second", further.substr(F.col("second") * (2 * WIDTH) + 1, F.lit(2 * WIDTH)))
     many = written(many.select(key.alias("band"), "nth", "second", "cid", "comp"), "split")
     sizes = many.groupBy("band").agg(F.count(F.lit(1)).alias("size"), F.min("comp").alias("x"), F.max("comp").alias("y"))
     sizes = written(sizes.where("x <> y").select("band", "size"), "split-sizes")
@@ -262,7 +269,7 @@ def _dealt(rows: DataFrame, classes: DataFrame) -> DataFrame:
 def _across(buckets: DataFrame, docs: DataFrame, classes: DataFrame, of: DataFrame, least: float, shingle: int, id_col: str, text_col: str) -> DataFrame:
     """Links ``a, b`` between components that have classes in one bucket.
 
-    Buckets larger than ``BLOCK`` are split by further bands; those that are larger even then are cut into blocks, and
+    Buckets larger than ``BLOCK`` are split by further registers; those that are larger even then are cut into blocks, and
     every two blocks are searched in a task of their own.
     """
     chance = chance_collisions()

@@ -948,3 +948,24 @@ def test_stages_on_awkward_rows_and_empty_tables(spark, awkward, nothing, tmp_pa
 def test_pipeline_runs_through(spark, sf_dir):
     got = corpus_pipeline.run(spark, sf_dir)
     assert got.count() > 0 and got.columns[0] == "doc_id"
+
+
+def test_large_buckets_lose_no_candidate_that_shares_one_band_only(spark, monkeypatch):
+    monkeypatch.setattr(near_dedup, "BLOCK", 16)
+    rng, nth = np.random.default_rng(0), 5
+    regs = rng.integers(0, 1 << 14, (60, near_dedup.REGISTERS)).astype(np.uint16)
+    regs[1] = regs[0]
+    others = [b for b in range(near_dedup.BANDS) if b != nth]
+    differ = [4 * b + b % 4 for b in others] + [4 * b + (b + 1) % 4 for b in others[:9]]  # each other band; as many as an estimate allows
+    assert len(differ) == near_dedup.DIFFER
+    regs[1, differ] ^= 1
+    regs[:, 4 * nth : 4 * nth + 4] = 7
+    classes = spark.createDataFrame([(i, 100, bytearray(r.tobytes())) for i, r in enumerate(regs)], "cid long, n long, regs binary")
+    rows = spark.createDataFrame([(99, nth, i, len(regs), i) for i in range(len(regs))], "band long, nth int, cid long, size long, comp long")
+    dealt, chance, met = near_dedup._dealt(rows, classes).toPandas(), near_dedup.chance_collisions(), 0
+    for (_, second), group in dealt.groupby(["band", "second"]):
+        cid = np.sort(group.cid.to_numpy())
+        if {0, 1} <= set(cid):
+            found, _ = near_dedup._candidates(0, np.zeros(len(cid)), cid, np.full(len(cid), 100), regs[cid], nth, second, False, 0.8 - near_dedup.SLACK, chance)
+            met += (cid[found] == 1).sum()
+    assert met == 1
