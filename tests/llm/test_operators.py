@@ -771,6 +771,24 @@ def library():
 ODD = ["a <|endoftext|> b", "<|endoftext|><|endoftext|>", "日本\r\n\t 🙂🙂", "  a  b ", "'S don'T I'll", "x y\u00a0 z\u2003\n q", "\u3000", " ", "\n\n  ", "", None, " " * 255 + "x", " " * 256, "b" * 1023, "b" * 1024, "a\x0b\x0cb\x1c c", "“quoted” — dash", "one", "two "]
 
 
+def test_packing_encoder_remembers_chunks(monkeypatch):
+    encode = packing.Encoder(packing.default_tokenizer())
+    columns = [pa.array(["One two  three\n", "two three four five", None]), pa.array(["five two one", " \t two  six", ""]), pa.array(["seven two five"])]
+    want = [[[*encode.by_library(x or ""), packing.END] for x in c.to_pylist()] for c in columns]
+
+    def got(column):
+        ids, of = encode.rows(column)
+        return [ids[a:b].tolist() for a, b in zip(of, of[1:])]
+
+    assert [got(c) for c in columns] == want
+    fast, encode.fast = encode.fast, type("Idle", (), {"encode_ordinary": lambda self, text: [] if not text else 1 / 0})()
+    assert [got(c) for c in columns] == want  # nothing is encoded again
+    encode.fast = fast
+    monkeypatch.setattr(packing, "MOST_KNOWN", 4)
+    assert [got(c) for c in columns * 2] == want * 2
+    assert len(encode.known) <= 4
+
+
 def test_ids_are_those_of_the_tokenizers_library(spark, documents, library):
     encode = packing.encoder(packing.default_tokenizer())
     assert encode.fast is not None
