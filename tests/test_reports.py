@@ -13,6 +13,7 @@ from fpfilter.functions.hashing import mix_np
 from fpfilter.operators import baselines, cuckoo, filters, values
 from fpfilter.operators.spec import ALL_VARIANTS, VARIANTS, sized, threshold, variant
 from fpfilter.plans import queries, workloads
+from fpfilter.sources.tables import random_keys
 
 KEYS = mix_np(np.arange(5000))
 OTHERS = mix_np(np.arange(5000, 40_000))
@@ -402,6 +403,26 @@ def test_sweeps_of_whole_tables_shuffle_no_keys(spark, sf_dir):
     assert "Exchange hashpartitioning(cfg" not in whole._jdf.queryExecution().executedPlan().toString()
 
 
+def test_first_failures_shuffle_no_keys_and_repeats_count_once(spark, sf_dir):
+    seed = {"variant": "w22", "layout": "window", "l": 2, "k": 8, "caps": [100], "seed": 1}
+    lines = workloads.lineitem_keys(spark, sf_dir)
+    got = workloads._filled(lines.unionByName(lines), [seed, seed])
+    assert "Exchange" not in got._jdf.queryExecution().toString()
+    keys = {r[0] for r in lines.collect()}
+    assert [r["slots"] for r in got.collect()] == [len(keys)] * 2
+    assert workloads._filled(lines, [seed], 5000).collect()[0]["slots"] == 5000
+    assert workloads.random_array(5000).tolist() == [r[0] for r in random_keys(spark, 0, 5000).collect()]
+
+
+def test_values_become_distinct_in_their_own_memory(monkeypatch):
+    monkeypatch.setattr(cuckoo, "PIECE", 7)
+    for n in (0, 1, 7, 8, 300):
+        x = np.random.default_rng(n).integers(0, 40, n)
+        want = np.unique(x).tolist()
+        got = cuckoo.distinct_in_place(x)
+        assert got.tolist() == want and got.base is x
+
+
 def test_tables_of_one_part_stay_whole_however_large(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(filters, "SUB_BYTES", 1 << 9)
     keys = workloads.lineitem_keys(spark, sf_dir).distinct()
