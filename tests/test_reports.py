@@ -403,6 +403,17 @@ def test_sweeps_of_whole_tables_shuffle_no_keys(spark, sf_dir):
     assert "Exchange hashpartitioning(cfg" not in whole._jdf.queryExecution().executedPlan().toString()
 
 
+def test_sweeps_of_repeated_keys_shuffle_none_and_count_each_once(spark, sf_dir):
+    lines = workloads.lineitem_keys(spark, sf_dir)
+    keys, n = workloads.kept(lines.unionByName(lines))
+    got = workloads.sweep(keys, workloads.OUTSIDE, [variant("w22", 8), baselines.baseline("quotient", 8)], n=n, once=True)
+    assert "Exchange" not in got._jdf.queryExecution().toString()
+    want = len({r[0] for r in lines.collect()})
+    assert [(r["n_keys"], r["probes"], r["false_negatives"], r["status"]) for r in got.collect()] == [(want, want, 0, "ok")] * 2
+    with pytest.raises(ValueError):
+        workloads.sweep(keys, None, [variant("w22", 8, subs=2)], n=n, once=True)
+
+
 def test_first_failures_shuffle_no_keys_and_repeats_count_once(spark, sf_dir):
     seed = {"variant": "w22", "layout": "window", "l": 2, "k": 8, "caps": [100], "seed": 1}
     lines = workloads.lineitem_keys(spark, sf_dir)
