@@ -258,3 +258,33 @@ def test_walks_with_counts_of_free_slots_are_those_without():
         got = cuckoo._walks(base, spec.l, np.full(spec.n_slots, -1, np.int64), 0, (50,), 4)
         _, n, _ = cuckoo.walk(base, spec.l, np.full(spec.n_slots, -1, np.int64), np.arange(len(base)), 50, np.random.default_rng(4))
         assert got == {50: n} and n < len(base)
+
+
+@pytest.mark.parametrize("one_by_one", [0, 1 << 20])
+@pytest.mark.parametrize("name", ["w22", "w24", "b22", "b24"])
+def test_long_walks_beside_the_process_end_where_those_within_do(monkeypatch, name, one_by_one):
+    from fpfilter.operators import native
+
+    monkeypatch.setattr(cuckoo, "ONE_BY_ONE", one_by_one)
+    monkeypatch.setattr(cuckoo, "PIECE", 1 << 13)  # draws are left over from piece to piece
+    h, caps = mix_np(np.arange(20_000)), (1, 10, 1000, 10_000)
+    spec = replace(variant(name, 12), n_addr=20_000 // (1 if name[0] == "w" else int(name[2])))
+    within = cuckoo.fill_until_failure(h, spec, 3, caps)  # few items
+    monkeypatch.setattr(native, "WORTH", 1)
+    assert native.helper() is not None
+    assert cuckoo.fill_until_failure(h, spec, 3, caps) == within
+    native.helper().process.kill()  # a helper that fails is done without
+    assert cuckoo.fill_until_failure(h, spec, 3, caps) == within and native.helper() is None
+    native.ended()
+
+
+def test_without_java_long_walks_stay_within_the_process(monkeypatch):
+    from fpfilter.operators import native
+
+    native.ended()
+    monkeypatch.setattr(native.shutil, "which", lambda *_: None)
+    monkeypatch.setattr(native, "WORTH", 1)
+    h = mix_np(np.arange(5000))
+    assert 0.9 < cuckoo.fill_until_failure(h, replace(variant("w22", 12), n_addr=4999), 3, [1000])[0] < 0.98
+    assert native.helper() is None
+    native.ended()
