@@ -288,3 +288,25 @@ def test_without_java_long_walks_stay_within_the_process(monkeypatch):
     assert 0.9 < cuckoo.fill_until_failure(h, replace(variant("w22", 12), n_addr=4999), 3, [1000])[0] < 0.98
     assert native.helper() is None
     native.ended()
+
+
+@pytest.mark.parametrize("k", [4, 10])
+@pytest.mark.parametrize("name", ["w22", "w24", "b22", "b24", "w23"])
+def test_tables_beside_the_process_hold_the_same_entries(monkeypatch, name, k):
+    from fpfilter.operators import native
+
+    monkeypatch.setattr(cuckoo, "PIECE", 1 << 13)
+    h, other = mix_np(np.arange(40_000)), mix_np(np.arange(40_000) + (1 << 60))
+    for mode in ("lookup_insert", "insert"):
+        spec = sized(variant(name, k, mode=mode), len(h))
+        table, (words, stats) = cuckoo.table_beside(h, spec), cuckoo.build(h, spec)
+        assert {**table.stats, "max_walk": 0, "sum_walk": 0} == {**stats, "max_walk": 0, "sum_walk": 0}
+        if stats["status"] == "ok":
+            held = [sorted(zip(*(cuckoo.decode(lanes.unpack(x, spec.n_slots, spec.slot_bits), spec)[c].tolist() for c in ("address", "fp")))) for x in (table.words(), words)]
+            assert held[0] == held[1]
+            assert table.contains(h).all() and (table.contains(other) == cuckoo.contains(words, other, spec)).all()
+    small = replace(spec, n_addr=spec.n_addr * 3 // 4)
+    assert cuckoo.table_beside(h, small).stats["status"] == "failed"
+    native.helper().process.kill()  # a helper that fails is done without
+    assert cuckoo.table_beside(h, spec) is None and native.helper() is None
+    native.ended()

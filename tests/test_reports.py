@@ -293,6 +293,20 @@ def test_subfilters_side_by_side_shuffle_nothing_and_answer_alike(spark, sf_dir,
     assert (timed.positives == one.loc[timed.index].positives).all()
 
 
+def test_runs_of_subfilters_follow_each_other_in_one_job(spark, sf_dir):
+    keys, n = workloads.kept(workloads.lineitem_keys(spark, sf_dir).coalesce(1))
+    specs = [sized(variant(v, 10, subs=2), n) for v in ("w22", "b24")]
+    job = workloads._in_step(keys, n, specs, 3)
+    assert "Exchange" not in job._jdf.queryExecution().executedPlan().toString()
+    got = job.toPandas()
+    assert (got.groupby("variant").size() == 3 * 2).all() and (got.groupby("variant").n.sum() == 3 * n).all() and not got.missed.any()
+    for _, own in got.groupby("variant"):
+        starts = own.t0.sort_values().to_numpy().reshape(3, 2)
+        assert (starts[:, 1] - starts[:, 0] < 0.2).all()  # both tasks start each run together
+    cores = spark.sparkContext.defaultParallelism
+    assert workloads._in_step(keys, n, [sized(variant("w22", 10, subs=cores + 1), n)], 1) is None
+
+
 def test_every_setting_of_lookahead_looks_all_keys_up(shown):
     got = shown("e09_lookahead", batches=(0, 4, 64))
     assert (got.groupby("variant").hits.nunique() == 1).all() and (got.hits >= got.probes // 2).all() and got.probes.nunique() == 1
